@@ -39,7 +39,7 @@ SAMPLE = 3_000
 FOLDS, HELD = 3, 1
 THRESHOLD = 0.7
 GAP, DECAY = 2, 0.5
-LANDMARKS, ROUNDS = 96, 4
+LANDMARKS, ROUNDS, RIDGE = 96, 3, 1e-2
 LONG, PIECE = 40, 24
 LOWEST = -3.0
 _SIDE = 64
@@ -48,13 +48,14 @@ _SPACED = re.compile(r"(?:(?<=\s)|^)(?:\S[\s.,\-_*]+){2,}\S(?=\s|$)")
 
 
 def _letter_codes() -> np.ndarray:
-    """a-z: 1-26; other letters: 27-62; anything else: 63."""
+    """a-z: 1-26; other letters: 27-62; anything else: 63; 0 marks a word's two ends."""
     codes = np.full(0x110000, 63, np.int64)
     for i in range(0x3000):
         if chr(i).isalpha():
             codes[i] = 27 + i * 7 % 36
     codes[0x3000:] = 27 + np.arange(0x3000, 0x110000) * 7 % 36
     codes[ord("a") : ord("z") + 1] = np.arange(1, 27)
+    codes[0] = 0
     return codes
 
 
@@ -74,6 +75,7 @@ def tokens_of(text: str | None) -> set[str]:
 
 def features(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Kernel features of words: (word number, feature, weight) with one row a pair, and each word's norm."""
+    words = [f"\0{w}\0" if w else "" for w in words]
     lengths = np.array([len(w) for w in words], np.int64)
     codes = _CODES[np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)]
     word = np.repeat(np.arange(len(words)), lengths)
@@ -165,20 +167,22 @@ class TokenMargins(dict):
             self.update(zip(part, np.maximum.reduceat(flat, at).tolist()))
 
 
-def _svm(z: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-3, steps: int = 600) -> tuple[np.ndarray, float]:
-    """Linear support vector machine with squared hinge loss, by accelerated gradient."""
-    full = np.hstack([z, np.ones((len(z), 1))]).astype(np.float64)
-    weight = weight / weight.sum()
-    step = 1 / (2 * np.linalg.eigvalsh((full * weight[:, None]).T @ full)[-1] + ridge)
-    w = v = np.zeros(full.shape[1])
+#: A token that shares nothing with any landmark is clean: its margin is this fixed bias.
+BIAS = -1.0
+
+
+def _svm(z: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float | None = None, steps: int = 600) -> np.ndarray:
+    """Linear support vector machine with squared hinge loss and fixed bias, by accelerated gradient."""
+    ridge = RIDGE if ridge is None else ridge
+    z, weight = z.astype(np.float64), weight / weight.sum()
+    step = 1 / (2 * np.linalg.eigvalsh((z * weight[:, None]).T @ z)[-1] + ridge)
+    w = v = np.zeros(z.shape[1])
     for t in range(steps):
-        slack = np.maximum(0, 1 - y * (full @ v))
-        g = -2 * full.T @ (weight * y * slack)
-        g[:-1] += ridge * v[:-1]
-        u = v - step * g
+        slack = np.maximum(0, 1 - y * (z @ v + BIAS))
+        u = v - step * (-2 * z.T @ (weight * y * slack) + ridge * v)
         v = u + t / (t + 3) * (u - w)
         w = u
-    return w[:-1], float(w[-1])
+    return w
 
 
 def _choose_landmarks(words: list[str], most: int) -> list[str]:
@@ -227,16 +231,18 @@ def fit(texts: list[str], labels: list[int], seed: int = 5) -> Model:
     only = {w: n for w, n in toxic_words.items() if w not in clean_words}
     by_count = sorted(only, key=lambda w: (-only[w], w))
     least = max(2, round(0.004 * len(toxic)))
-    good = {w for w in by_count if only[w] >= least} or set(by_count[:20])
+    good = {w for w in by_count if only[w] >= max(least, 3)}
+    if len(good) < 5:
+        good = set(by_count[:20])
     if not good or not clean_words:
         return flat
     rng = np.random.default_rng(seed)
     clean_list = sorted(clean_words, key=lambda w: (-clean_words[w], w))
     bad = set(clean_list[:1500]) | {clean_list[i] for i in rng.choice(len(clean_list), min(4_000, len(clean_list)), replace=False)}
-    model = flat
+    model, hard = flat, []
     for turn in range(ROUNDS):
         marks = _choose_landmarks(sorted(good, key=lambda w: (-only.get(w, 0), w)), LANDMARKS)
-        marks += _choose_landmarks(sorted(bad, key=lambda w: (-clean_words[w], w)), LANDMARKS // 2)
+        marks += _choose_landmarks(hard + sorted(bad, key=lambda w: (-clean_words[w], w)), LANDMARKS)
         unit = unit_matrix(marks)
         value, vector = np.linalg.eigh((unit @ unit.T).astype(np.float64))
         some = value > 1e-6 * value[-1]
@@ -244,23 +250,27 @@ def fit(texts: list[str], labels: list[int], seed: int = 5) -> Model:
         words = sorted(good) + sorted(bad)
         z = kernel(words, np.ascontiguousarray(unit.T)) @ root
         y = np.array([1.0] * len(good) + [-1.0] * len(bad))
-        w, bias = _svm(z, y, np.where(y > 0, len(bad) / max(len(good), 1), 1.0))
-        model = Model(((root @ w) @ unit).astype(np.float32), bias, 1.0, 0.0)
+        # Tokens weigh by how many texts share them, and the two classes alike.
+        share = np.array([float(only.get(t, 1)) for t in sorted(good)] + [1 + np.log(clean_words[t]) for t in sorted(bad)])
+        share[y > 0] *= share[y < 0].sum() / share[y > 0].sum()
+        w = _svm(z, y, share)
+        model = Model(((root @ w) @ unit).astype(np.float32), BIAS, 1.0, 0.0)
         if turn == ROUNDS - 1:
             break
         margins = TokenMargins(model)
         margins.learn(set(clean_words))
-        # The clean texts' worst tokens are negatives; a toxic text's worst token, if no clean text has it, is positive.
-        bad |= set(sorted(clean_words, key=lambda t: (-margins[t], t))[:1_500])
+        # The clean texts' worst tokens are further negatives.
+        hard = sorted(clean_words, key=lambda t: (-margins[t], t))[:1_500]
+        bad |= set(hard)
+        # A toxic text that no shared token explains offers its worst token, if no clean text has that.
         margins.learn(set(only))
         new = set()
         for held in toxic:
-            mine = [t for t in held if t in only]
-            if not mine:
-                continue
-            worst = max(mine, key=lambda t: (margins[t], only[t], t))
-            if margins[worst] > 0 or only[worst] >= 2:
-                new.add(worst)
+            if not held & good:
+                mine = [t for t in held if t in only]
+                worst = max(mine, key=lambda t: (margins[t], only[t], t), default=None)
+                if worst and margins[worst] > 0:
+                    new.add(worst)
         good |= new
     margins = TokenMargins(model)
     tops = []

@@ -25,12 +25,13 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, materialise, own, ship_package
+from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, materialise, own, ship_package, shuffle_width
 from rangesieve.llm.components import connected_components
 
 POSITIONS = 128
@@ -82,15 +83,16 @@ def embed(sets: list[np.ndarray]) -> np.ndarray:
     every = np.concatenate(sets)
     h = ((every ^ (every >> np.uint64(32))) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)).astype(np.uint32)
     out = np.empty((len(sets), POSITIONS), np.uint32)
+    v = np.empty_like(h)
     for k in range(POSITIONS):
-        v = (h ^ _XOR[k]) * _MUL[k]
-        out[:, k] = np.minimum.reduceat(v ^ (v >> np.uint32(15)), at)
+        np.multiply(np.bitwise_xor(h, _XOR[k], out=v), _MUL[k], out=v)
+        out[:, k] = np.minimum.reduceat(v, at)
     return out
 
 
 def _sliced(batch: pa.RecordBatch, chars: int = 2_000_000) -> Iterator[pa.RecordBatch]:
     """Slices with a bounded amount of text, one row at least."""
-    lengths = np.array([len(x.as_py() or "") if x.is_valid else 0 for x in batch.column(batch.schema.get_field_index("text"))]) if batch.num_rows else np.empty(0)
+    lengths = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index("text"))), 0).to_pylist()
     start, total = 0, 0
     for i, n in enumerate(lengths):
         if i > start and total + n > chars:
@@ -101,7 +103,7 @@ def _sliced(batch: pa.RecordBatch, chars: int = 2_000_000) -> Iterator[pa.Record
         yield batch.slice(start)
 
 
-SKETCHED = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("set_key", T.BinaryType()), T.StructField("n", T.IntegerType()), T.StructField("sig", T.BinaryType())])
+SKETCHED = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("set_key", T.BinaryType()), T.StructField("n", T.IntegerType()), T.StructField("sig", T.BinaryType()), T.StructField("low", T.BinaryType())])
 
 
 def _key(s: np.ndarray) -> bytes:
@@ -113,8 +115,9 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in _sliced(whole):
             sets = [shingle_set(t) for t in batch.column(1).to_pylist()]
             some = [s for s in sets if len(s)]
-            sigs = iter(embed(some)) if some else iter(())
-            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array([_key(s) if len(s) else None for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32()), pa.array([next(sigs).tobytes() if len(s) else None for s in sets], pa.binary())], names=SKETCHED.fieldNames())
+            sigs = embed(some) if some else np.empty((0, POSITIONS), np.uint32)
+            whole_sig, low_sig = iter(sigs), iter(sigs.astype(np.uint8))
+            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array([_key(s) if len(s) else None for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32()), pa.array([next(whole_sig).tobytes() if len(s) else None for s in sets], pa.binary()), pa.array([next(low_sig).tobytes() if len(s) else None for s in sets], pa.binary())], names=SKETCHED.fieldNames())
 
 
 def runs_needed(recall: float = RECALL) -> int:
@@ -174,15 +177,47 @@ def _estimates(one: np.ndarray, many: np.ndarray) -> np.ndarray:
     return (many == one).mean(axis=1)
 
 
-def _search_bucket(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Edges between the classes of a small bucket whose estimate reaches the link level."""
-    pdf = pdf.drop_duplicates("cls")
-    sig, cls = _signatures(pdf), pdf.cls.to_numpy()
+def _near_pairs(starts: np.ndarray, sizes: np.ndarray, sig: np.ndarray, link: float, most: int = 20_000) -> np.ndarray:
+    """Row pairs inside runs (starts, sizes) whose estimate reaches the link level, for all runs of a size at once."""
     out = [np.empty((0, 2), np.int64)]
-    for i in range(len(cls) - 1):
-        near = np.flatnonzero(_estimates(sig[i], sig[i + 1 :]) >= BUCKET_LINK) + i + 1
-        out.append(np.stack([np.full(len(near), cls[i]), cls[near]], axis=1))
-    return _forest(np.concatenate(out))
+    for size in np.unique(sizes):
+        i, j = np.triu_indices(size, 1)
+        at = starts[sizes == size]
+        step = max(1, most // len(i))
+        for a in range(0, len(at), step):
+            left, right = (at[a : a + step, None] + i).ravel(), (at[a : a + step, None] + j).ravel()
+            for c in range(0, len(left), most):
+                x, y = left[c : c + most], right[c : c + most]
+                near = (sig[x] == sig[y]).sum(axis=1) >= link * POSITIONS
+                out.append(np.stack([x[near], y[near]], axis=1))
+    return np.concatenate(out)
+
+
+def _search_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Edges inside small buckets, from (bucket, cls, low) rows in bucket order; low: the lowest byte of each position."""
+    held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+    def search(rows, last: bool):
+        bucket, cls, low = (np.concatenate([r[k] for r in rows]) for k in range(3))
+        starts = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
+        sizes = np.diff(np.append(starts, len(bucket)))
+        done = len(starts) if last else len(starts) - 1
+        end = len(bucket) if last else starts[-1]
+        pairs = _near_pairs(starts[:done], sizes[:done], low, BUCKET_LINK)
+        star = _forest(cls[pairs])
+        return pa.record_batch([pa.array(star.u, pa.int64()), pa.array(star.v, pa.int64())], names=["u", "v"]), (bucket[end:], cls[end:], low[end:])
+
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        bucket, cls = (batch.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+        held.append((bucket, cls, np.frombuffer(b"".join(batch.column(2).to_pylist()), np.uint8).reshape(-1, POSITIONS)))
+        if sum(len(h[0]) for h in held) >= 20_000:
+            found, rest = search(held, False)
+            held = [rest]
+            yield found
+    if held:
+        yield search(held, True)[0]
 
 
 def _forest(edges: np.ndarray) -> pd.DataFrame:
@@ -239,17 +274,20 @@ def in_block_pairs(df: DataFrame, blocks: str, key: str) -> DataFrame:
 
 def candidate_edges(classes: DataFrame) -> DataFrame:
     """Edges between classes (cls, sig) that connect every pair at the threshold, but for the target's misses."""
+    spark = classes.sparkSession
     sigs = classes.select(F.col("cls").alias("c_"), "sig")
+    lows = classes.select(F.col("cls").alias("c_"), "low")
     rows = materialise(classes.select("cls", "sig").mapInArrow(_start(runs_needed()), PATHS), "paths")
     edges = None
     for level in range(LEVELS + 1):
         counts = rows.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1").withColumnRenamed("bucket", "b_")
         shared = rows.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
         shared = materialise(shared, "buckets")
-        held = shared.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
-        found = held.where(F.col("size") <= BUCKET).select("bucket", "cls", "sig").groupBy("bucket").applyInPandas(_search_bucket, EDGES)
+        small = shared.where(F.col("size") <= BUCKET).join(lows, F.col("cls") == F.col("c_")).select("bucket", "cls", "low")
+        small = small.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls")
+        found = small.mapInArrow(_search_buckets, EDGES)
         edges = found if edges is None else edges.union(found)
-        large = held.where(F.col("size") > BUCKET)
+        large = shared.where(F.col("size") > BUCKET).join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
         if level == LEVELS:
             break
         rows = materialise(large.select("bucket", "cls", "sig").mapInArrow(_split, PATHS), "paths")
@@ -338,14 +376,14 @@ def _compare(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
 def link_classes(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """(cls, linked, root) of the classes that meet another class in a candidate group.
 
-    classes: cls, doc_id, set_key, copies, sig, where doc_id names a document with that set.
+    classes: cls, doc_id, set_key, copies, sig, low, where doc_id names a document with that set.
     """
     groups = materialise(connected_components(candidate_edges(classes)), "groups")
     sizes = groups.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).alias("blocks")).withColumnRenamed("root", "r_")
     members = groups.join(classes, F.col("node") == F.col("cls")).select("cls", "root", "copies", "set_key", F.col("doc_id").alias("d_"))
     lost = F.lit(-(2**63))
     texts = own(docs, "doc_id", "text").withColumn("k_", F.coalesce(F.col("doc_id").cast("long"), lost))
-    held = texts.join(members, F.col("k_") == F.coalesce(F.col("d_"), lost)).select("text", "cls", "root", "copies", "set_key")
+    held = texts.join(members.hint("merge"), F.col("k_") == F.coalesce(F.col("d_"), lost)).select("text", "cls", "root", "copies", "set_key")
     sets = held.mapInArrow(_reshingle, "cls long, root long, copies long, shingles binary")
     placed = in_block_pairs(sets.join(sizes, F.col("root") == F.col("r_")).drop("r_"), "blocks", "cls").withColumn("mine", F.pmod(F.xxhash64("cls"), F.col("blocks")))
     parts = placed.groupBy("root", "one", "two").applyInPandas(_compare, LINKS)
@@ -363,7 +401,7 @@ def near_groups(docs: DataFrame) -> DataFrame:
     some = sketched.where("set_key is not null")
     first = some.groupBy("set_key").agg(F.min("row").alias("cls"), F.count("*").alias("copies"), F.min("doc_id").alias("least"))
     first = materialise(first, "classes")
-    classes = some.join(first.select("cls", "copies"), F.col("row") == F.col("cls")).select("cls", "doc_id", "set_key", "copies", "sig")
+    classes = some.join(first.select("cls", "copies"), F.col("row") == F.col("cls")).select("cls", "doc_id", "set_key", "copies", "sig", "low")
     links = materialise(link_classes(docs, classes), "linked")
     known = first.join(links.withColumnRenamed("cls", "l_"), F.col("cls") == F.col("l_"), "left").select("set_key", "copies", "least", F.coalesce("linked", F.lit(0)).alias("linked"), F.coalesce("root", "cls").alias("root"))
     group = known.groupBy("root").agg(F.min("least").alias("class_id")).withColumnRenamed("root", "r_")

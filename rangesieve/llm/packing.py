@@ -33,29 +33,41 @@ WINDOW = 2048
 CLOSING_ID = 1
 TOKENIZER = "word_bpe_49k.json"
 MAX_SLACK = 2
-CACHED_WORDS = 400_000
+CACHED_WORDS = 800_000
+SLICE_CHARS = 2_000_000
 
 _latin = [chr(i) for i in range(0x250)]
 _letters = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "L")
 _numbers = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "N")
 #: The tokenizer's own split, over Latin letters; any other text goes through the library as a whole.
 _SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_letters}]+|[{_numbers}]|[^\s{_letters}{_numbers}]+")
-_ODD = re.compile("[^\x00-\x1b\x20-ɏ]|<\\|(?:startoftext|endoftext)\\|>")
+_ODD = re.compile("[^\x00-\x1b\x20-ɏ]|<\\|(?:start|end)oftext\\|>")
 
 
 class _Ids(dict):
-    """Word -> its ids as little-endian 32-bit bytes, filled by the library on a miss."""
+    """Word -> its ids as little-endian 32-bit bytes, filled by the library for many words at once."""
 
     def __init__(self, tokenizer):
         super().__init__()
         self.tokenizer = tokenizer
 
-    def __missing__(self, word: str) -> bytes:
-        if len(self) >= CACHED_WORDS:
+    def learn(self, words: set[str]) -> None:
+        fresh = words.difference(self)
+        if len(self) + len(fresh) > CACHED_WORDS:
             self.clear()
-        ids = np.asarray(self.tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
-        self[word] = ids
-        return ids
+            fresh = words
+        fresh = list(fresh)
+        for a in range(0, len(fresh), 5_000):
+            part = fresh[a : a + 5_000]
+            # Words never merge over a space, so one call gives the ids of all of them, with the word of each id.
+            found = self.tokenizer.encode(" ".join(part), add_special_tokens=False)
+            sizes = np.bincount(np.asarray(found.word_ids, np.int64), minlength=len(part))
+            if len(sizes) != len(part) or not sizes.all():
+                each = [np.asarray(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in part]
+            else:
+                ids, ends = np.asarray(found.ids, "<u4").tobytes(), np.cumsum(sizes).tolist()
+                each = [ids[4 * x : 4 * y] for x, y in zip([0, *ends], ends)]
+            self.update(zip(part, each))
 
 
 _open: dict[str, _Ids] = {}
@@ -67,16 +79,33 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
-def encode(text: str, path: str) -> bytes:
-    """Ids of a whole text, little-endian unsigned 32-bit."""
+def encode_all(texts: list[str], path: str) -> list[bytes]:
+    """Ids of whole texts, little-endian unsigned 32-bit."""
     if path not in _open:
         from tokenizers import Tokenizer
 
         _open[path] = _Ids(Tokenizer.from_file(path))
     ids = _open[path]
-    if _ODD.search(text):
-        return np.asarray(ids.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-    return b"".join(map(ids.__getitem__, _SPLIT.findall(text.lower())))
+    words = [None if _ODD.search(t) else _SPLIT.findall(t.lower()) for t in texts]
+    ids.learn(set().union(*(w for w in words if w)))
+    return [np.asarray(ids.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if w is None else b"".join(map(ids.__getitem__, w)) for t, w in zip(texts, words)]
+
+
+def encode(text: str, path: str) -> bytes:
+    return encode_all([text], path)[0]
+
+
+def _slices(texts: list[str]) -> Iterator[list[str]]:
+    """Runs of texts of a bounded length, one text at least."""
+    now, total = [], 0
+    for t in texts:
+        if now and total + len(t) > SLICE_CHARS:
+            yield now
+            now, total = [], 0
+        now.append(t)
+        total += len(t)
+    if now:
+        yield now
 
 
 CUT = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("doc_tokens", T.LongType()), T.StructField("crcs", T.ArrayType(T.LongType())), T.StructField("rest", T.IntegerType()), T.StructField("rest_crc", T.LongType()), T.StructField("rest_ids", T.BinaryType())])
@@ -89,8 +118,8 @@ def _tokenize(name: str | None, window: int):
         width = 4 * window
         for batch in batches:
             tokens, crcs, rests, rest_crcs, kept = [], [], [], [], []
-            for text in batch.column(1).to_pylist():
-                ids = encode(text or "", path) + closing
+            every = (ids + closing for part in _slices([t or "" for t in batch.column(1).to_pylist()]) for ids in encode_all(part, path))
+            for ids in every:
                 full = len(ids) // width
                 tokens.append(len(ids) // 4)
                 crcs.append([zlib.crc32(ids[k * width : (k + 1) * width]) for k in range(full)])

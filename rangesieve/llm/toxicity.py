@@ -35,7 +35,7 @@ from pyspark.sql import types as T
 from rangesieve.llm.common import fold, own, ship_package
 from rangesieve.llm.rule_quality import labelled_sample
 
-SAMPLE = 3_000
+SAMPLE = 2_000
 FOLDS, HELD = 3, 1
 THRESHOLD = 0.7
 GAP, DECAY = 2, 0.5
@@ -102,24 +102,37 @@ def features(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.n
     return number, key % _SIDE**3, weight, norms
 
 
-def unit_matrix(words: list[str]) -> np.ndarray:
-    """Normalised feature vectors as rows (for landmarks and other small sets)."""
-    number, feature, weight, norms = features(words)
-    out = np.zeros((len(words), _SIDE**3), np.float32)
-    out[number, feature] = weight / norms[number]
-    return out
+class Space:
+    """Normalised feature vectors of a few words as rows of a matrix over the features that they have."""
 
+    def __init__(self, words: list[str]):
+        number, feature, weight, norms = features(words)
+        self.features = np.unique(feature)
+        self.number_of = np.full(_SIDE**3, -1, np.int32)
+        self.number_of[self.features] = np.arange(len(self.features))
+        self.unit = np.zeros((len(words), len(self.features)), np.float32)
+        self.unit[number, self.number_of[feature]] = weight / norms[number]
+
+    def kernel(self, words: list[str]) -> np.ndarray:
+        """Normalised kernel of words with the space's words, by columns."""
+        out = np.zeros((len(words), len(self.unit)), np.float32)
+        columns = np.ascontiguousarray(self.unit.T)
+        for a in range(0, len(words), 500):
+            number, feature, weight, norms = features(words[a : a + 500])
+            at = self.number_of[feature] if len(feature) else np.empty(0, np.int32)
+            some = at >= 0
+            number, at, weight = number[some], at[some], weight[some]
+            if not len(number):
+                continue
+            starts = np.flatnonzero(np.concatenate([[True], number[1:] != number[:-1]]))
+            out[a + number[starts]] = np.add.reduceat(columns[at] * (weight / norms[number])[:, None], starts).astype(np.float32)
+        return out
 
-def kernel(words: list[str], weights: np.ndarray) -> np.ndarray:
-    """Normalised products of words with the columns of weights (features x k)."""
-    out = np.zeros((len(words), weights.shape[1]), np.float32)
-    for a in range(0, len(words), 2_000):
-        number, feature, weight, norms = features(words[a : a + 2_000])
-        if not len(number):
-            continue
-        starts = np.flatnonzero(np.concatenate([[True], number[1:] != number[:-1]]))
-        out[a + number[starts]] = np.add.reduceat(weights[feature] * (weight / norms[number])[:, None], starts)
-    return out
+    def spread(self, weights: np.ndarray) -> np.ndarray:
+        """One weight per feature of the whole feature space."""
+        out = np.zeros(_SIDE**3, np.float32)
+        out[self.features] = weights @ self.unit
+        return out
 
 
 @dataclass
@@ -159,8 +172,8 @@ class TokenMargins(dict):
         if len(self) + len(fresh) > self.most:
             self.clear()
             fresh = list(tokens)
-        for a in range(0, len(fresh), 20_000):
-            part = fresh[a : a + 20_000]
+        for a in range(0, len(fresh), 4_000):
+            part = fresh[a : a + 4_000]
             pieces = [_pieces(t) for t in part]
             flat = self.model.margins([p for ps in pieces for p in ps])
             at = np.concatenate([[0], np.cumsum([len(p) for p in pieces])[:-1]])
@@ -187,23 +200,13 @@ def _svm(z: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float | None =
 
 def _choose_landmarks(words: list[str], most: int) -> list[str]:
     """In the given order, words that are not nearly the same as one chosen before."""
-    words = words[: 6 * most]
+    words = [w for w in words[: 5 * most] if w]
     if not words:
         return []
-    number, feature, weight, norms = features(words)
+    space = Space(words)
     chosen: list[int] = []
-    starts = np.searchsorted(number, np.arange(len(words) + 1))
-    seen = np.zeros((0, _SIDE**3), np.float32)
-    held = []
-    for i in range(len(words)):
-        a, b = starts[i], starts[i + 1]
-        if a == b:
-            continue
-        f, w = feature[a:b], weight[a:b] / norms[i]
-        if all((h[f] * w).sum() < 0.85 for h in held):
-            row = np.zeros(_SIDE**3, np.float32)
-            row[f] = w
-            held.append(row)
+    for i, row in enumerate(space.unit):
+        if row.any() and (not chosen or (space.unit[chosen] @ row).max() < 0.85):
             chosen.append(i)
             if len(chosen) >= most:
                 break
@@ -243,18 +246,18 @@ def fit(texts: list[str], labels: list[int], seed: int = 5) -> Model:
     for turn in range(ROUNDS):
         marks = _choose_landmarks(sorted(good, key=lambda w: (-only.get(w, 0), w)), LANDMARKS)
         marks += _choose_landmarks(hard + sorted(bad, key=lambda w: (-clean_words[w], w)), LANDMARKS)
-        unit = unit_matrix(marks)
-        value, vector = np.linalg.eigh((unit @ unit.T).astype(np.float64))
+        space = Space(marks)
+        value, vector = np.linalg.eigh((space.unit @ space.unit.T).astype(np.float64))
         some = value > 1e-6 * value[-1]
         root = vector[:, some] / np.sqrt(value[some])
         words = sorted(good) + sorted(bad)
-        z = kernel(words, np.ascontiguousarray(unit.T)) @ root
+        z = space.kernel(words) @ root
         y = np.array([1.0] * len(good) + [-1.0] * len(bad))
         # Tokens weigh by how many texts share them, and the two classes alike.
         share = np.array([float(only.get(t, 1)) for t in sorted(good)] + [1 + np.log(clean_words[t]) for t in sorted(bad)])
         share[y > 0] *= share[y < 0].sum() / share[y > 0].sum()
         w = _svm(z, y, share)
-        model = Model(((root @ w) @ unit).astype(np.float32), BIAS, 1.0, 0.0)
+        model = Model(space.spread(root @ w), BIAS, 1.0, 0.0)
         if turn == ROUNDS - 1:
             break
         margins = TokenMargins(model)

@@ -275,7 +275,7 @@ def in_block_pairs(df: DataFrame, blocks: str, key: str) -> DataFrame:
 def candidate_edges(classes: DataFrame) -> DataFrame:
     """Edges between classes (cls, sig) that connect every pair at the threshold, but for the target's misses."""
     spark = classes.sparkSession
-    sigs = classes.select(F.col("cls").alias("c_"), "sig")
+    sigs = classes.select(F.col("cls").alias("c_"), "sig", "low")
     lows = classes.select(F.col("cls").alias("c_"), "low")
     rows = materialise(classes.select("cls", "sig").mapInArrow(_start(runs_needed()), PATHS), "paths")
     edges = None
@@ -287,7 +287,12 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
         small = small.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls")
         found = small.mapInArrow(_search_buckets, EDGES)
         edges = found if edges is None else edges.union(found)
-        large = shared.where(F.col("size") > BUCKET).join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
+        hot = shared.where(F.col("size") > BUCKET)
+        if level == 0:
+            # Only classes of large buckets go on; their signatures are set apart once.
+            sigs = materialise(sigs.join(hot.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
+            lows = sigs.select("c_", "low")
+        large = hot.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
         if level == LEVELS:
             break
         rows = materialise(large.select("bucket", "cls", "sig").mapInArrow(_split, PATHS), "paths")
@@ -402,6 +407,7 @@ def near_groups(docs: DataFrame) -> DataFrame:
     first = some.groupBy("set_key").agg(F.min("row").alias("cls"), F.count("*").alias("copies"), F.min("doc_id").alias("least"))
     first = materialise(first, "classes")
     classes = some.join(first.select("cls", "copies"), F.col("row") == F.col("cls")).select("cls", "doc_id", "set_key", "copies", "sig", "low")
+    classes = materialise(classes, "signatures")
     links = materialise(link_classes(docs, classes), "linked")
     known = first.join(links.withColumnRenamed("cls", "l_"), F.col("cls") == F.col("l_"), "left").select("set_key", "copies", "least", F.coalesce("linked", F.lit(0)).alias("linked"), F.coalesce("root", "cls").alias("root"))
     group = known.groupBy("root").agg(F.min("least").alias("class_id")).withColumnRenamed("root", "r_")

@@ -33,15 +33,15 @@ WINDOW = 2048
 CLOSING_ID = 1
 TOKENIZER = "word_bpe_49k.json"
 MAX_SLACK = 2
-CACHED_WORDS = 800_000
-SLICE_CHARS = 2_000_000
+CACHED_WORDS = 1_100_000
+SLICE_CHARS = 4_000_000
 
 _latin = [chr(i) for i in range(0x250)]
 _letters = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "L")
 _numbers = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "N")
 #: The tokenizer's own split, over Latin letters; any other text goes through the library as a whole.
 _SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_letters}]+|[{_numbers}]|[^\s{_letters}{_numbers}]+")
-_ODD = re.compile("[^\x00-\x1b\x20-ɏ]|<\\|(?:start|end)oftext\\|>")
+_ODD = re.compile("[^\x00-\x1b\x20-ɏ]")
 
 
 class _Ids(dict):
@@ -86,7 +86,7 @@ def encode_all(texts: list[str], path: str) -> list[bytes]:
 
         _open[path] = _Ids(Tokenizer.from_file(path))
     ids = _open[path]
-    words = [None if _ODD.search(t) else _SPLIT.findall(t.lower()) for t in texts]
+    words = [None if "<|" in t or _ODD.search(t) else _SPLIT.findall(t.lower()) for t in texts]
     ids.learn(set().union(*(w for w in words if w)))
     return [np.asarray(ids.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if w is None else b"".join(map(ids.__getitem__, w)) for t, w in zip(texts, words)]
 

@@ -23,7 +23,7 @@ from rangesieve.llm.common import materialise, own, shuffle_width
 WEIGHTS = (5, 2, 1)
 MOST_TIMES = 3
 WORD_RUN = r"[^\x20\x09-\x0D]+"
-QUEUE_ROWS = 5_000
+QUEUE_ROWS = 1_000
 SEED = "mix"
 
 

@@ -23,6 +23,7 @@ from rangesieve.llm.common import own
 
 RATIO = 0.3
 PAGES = 3
+SALTS = 64
 
 _HIDDEN = r"(?is)<(script|style)\b[^>]*>.*?</\1\s*>"
 _COMMENT = r"(?s)<!--.*?-->"
@@ -57,7 +58,10 @@ def dedup_lines(pages: DataFrame, ratio: float = RATIO, least: int = PAGES) -> D
     read = own(pages, "page_id", "url", "html").select("page_id", host_of(F.col("url")).alias("host"), page_lines(F.col("html")).alias("lines"))
     hashed = read.withColumn("hashes", F.transform("lines", lambda x: F.xxhash64(x)))
     common = host_boilerplate(hashed.select("host", "hashes"), ratio, least).withColumnRenamed("host", "h_")
-    joined = hashed.select("page_id", "host", "lines").join(common, F.col("host") == F.col("h_"), "left")
+    # A hot host's pages meet its lines in SALTS places.
+    common = common.withColumn("s_", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    salted = hashed.select("page_id", "host", "lines", F.pmod(F.xxhash64("page_id", F.size("lines")), F.lit(SALTS)).cast("int").alias("salt"))
+    joined = salted.join(common, (F.col("host") == F.col("h_")) & (F.col("salt") == F.col("s_")), "left")
     kept = F.filter("lines", lambda x: F.col("common").isNull() | ~F.array_contains(F.col("common"), F.xxhash64(x)))
     return joined.select("page_id", "host", F.size("lines").cast("long").alias("n_lines"), kept.alias("kept")).select(
         "page_id", "host", "n_lines", (F.col("n_lines") - F.size("kept")).cast("long").alias("n_dropped"), F.array_join("kept", "\n").alias("text")

@@ -118,6 +118,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sigs = embed(some) if some else np.empty((0, POSITIONS), np.uint32)
             whole_sig, low_sig = iter(sigs), iter(sigs.astype(np.uint8))
             yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array([_key(s) if len(s) else None for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32()), pa.array([next(whole_sig).tobytes() if len(s) else None for s in sets], pa.binary()), pa.array([next(low_sig).tobytes() if len(s) else None for s in sets], pa.binary())], names=SKETCHED.fieldNames())
+    _words.clear()
 
 
 def runs_needed(recall: float = RECALL) -> int:
@@ -323,6 +324,7 @@ def _reshingle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     keep.append(i)
                     sets.append(s.tobytes())
             yield pa.record_batch([pa.array([columns["cls"][i] for i in keep], pa.int64()), pa.array([columns["root"][i] for i in keep], pa.int64()), pa.array([columns["copies"][i] for i in keep], pa.int64()), pa.array(sets, pa.binary())], names=["cls", "root", "copies", "shingles"])
+    _words.clear()
 
 
 def _intersections(sets: list[np.ndarray], rows: slice, columns: slice) -> np.ndarray:

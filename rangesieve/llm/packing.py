@@ -33,7 +33,7 @@ WINDOW = 2048
 CLOSING_ID = 1
 TOKENIZER = "word_bpe_49k.json"
 MAX_SLACK = 2
-CACHED_WORDS = 1_100_000
+CACHED_WORDS = 850_000
 SLICE_CHARS = 4_000_000
 
 _latin = [chr(i) for i in range(0x250)]

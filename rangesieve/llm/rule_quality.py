@@ -213,4 +213,7 @@ def score_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The documents that the classifier accepts, all their columns."""
     model = train(docs, labels)
-    return with_statistics(docs).where(model.column() >= THRESHOLD).select(*docs.columns)
+    # A filter over plain columns is pushed below their projection, and each rule would compute its statistics anew;
+    # it isn't pushed below a projection with a row number that it reads.
+    scored = with_statistics(docs, "text").withColumn("_row", F.monotonically_increasing_id())
+    return scored.where((model.column() >= THRESHOLD) & (F.col("_row") >= 0)).select(*docs.columns)

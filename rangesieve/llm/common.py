@@ -116,3 +116,15 @@ def running_sum(df: DataFrame, keys: list[str], spread: Column, value: str, n_ro
     inner = Window.partitionBy(*keys, "_cut").orderBy("_h").rowsBetween(Window.unboundedPreceding, -1)
     placed = cut.withColumn("_inside", F.coalesce(F.sum(value).over(inner), F.lit(0)))
     return placed.join(offsets, [*keys, "_cut"]).select(*df.columns, (F.col("_offset") + F.col("_inside")).alias(name))
+
+
+def carry(docs: DataFrame, *names: str) -> DataFrame:
+    """The named columns and the whole row as `_all`: an operator's working columns can't clash with others' names."""
+    renamed = docs.toDF(*[f"c{i}" for i in range(len(docs.columns))])
+    at = {c: i for i, c in reversed(list(enumerate(docs.columns)))}
+    whole = F.struct(*[F.col(f"c{i}").alias(c) for i, c in enumerate(docs.columns)]).alias("_all")
+    return renamed.select(*[F.col(f"c{at[n]}").alias(n) for n in names], whole)
+
+
+def restore(df: DataFrame) -> DataFrame:
+    return df.select("_all.*")

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rangesieve.llm.common import materialise, own, ship_package
+from rangesieve.llm.common import carry, materialise, own, restore, ship_package
 
 GAMMA = 1.6
 SHARD_DIGESTS = 20_000
@@ -200,10 +200,10 @@ def find_copies(docs: DataFrame) -> DataFrame:
 def keep_first_copies(docs: DataFrame) -> DataFrame:
     """The documents that stay, all their columns: of equal texts the row with the largest doc_id."""
     stays = find_copies(docs).where("kept").select(F.coalesce("doc_id", F.lit(NO_ID)).alias("_id"), F.unhex("text_sha256").alias("_stay"))
-    keyed = docs.withColumn("_digest", text_digest("text")).withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
+    keyed = carry(docs, "doc_id", "text").withColumn("_digest", text_digest("text")).withColumn("_key", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
     joined = keyed.join(stays, (F.col("_key") == F.col("_id")) & (F.col("_digest") == F.col("_stay")), "left_semi")
     # Rows repeated with one id and text differ at most in other columns; one of them stays.
-    return joined.dropDuplicates(["_key", "_digest"]).drop("_digest", "_key")
+    return restore(joined.dropDuplicates(["_key", "_digest"]))
 
 
 ORACLE = """

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, materialise, own, ship_package, shuffle_width
+from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, carry, materialise, own, restore, ship_package, shuffle_width
 from rangesieve.llm.components import connected_components
 
 POSITIONS = 128
@@ -426,11 +426,12 @@ def near_groups(docs: DataFrame) -> DataFrame:
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """The documents of which one of each group stays, all columns: the one with the group's least doc_id."""
+    """The documents of which one of each group stays, all columns: the one with the group's least doc_id.
+
+    Rows that share an id count as one document and stay or go together; rows without id stay."""
     found = near_groups(docs)
     drop = found.where((F.col("links") > 0) & ~F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("_gone")).distinct()
-    rest = docs.join(drop, F.col("doc_id") == F.col("_gone"), "left_anti")
-    return rest
+    return restore(carry(docs, "doc_id").join(drop, F.col("doc_id") == F.col("_gone"), "left_anti"))
 
 
 ORACLE = r"""

@@ -18,7 +18,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rangesieve.llm.common import fold, own
+from rangesieve.llm.common import carry, fold, own, restore
 
 #: Labelled documents used for fitting, at most: those with the smallest hash of the id.
 SAMPLE = 6_000
@@ -215,5 +215,5 @@ def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     model = train(docs, labels)
     # A filter over plain columns is pushed below their projection, and each rule would compute its statistics anew;
     # it isn't pushed below a projection with a row number that it reads.
-    scored = with_statistics(docs, "text").withColumn("_row", F.monotonically_increasing_id())
-    return scored.where((model.column() >= THRESHOLD) & (F.col("_row") >= 0)).select(*docs.columns)
+    scored = with_statistics(carry(docs, "text")).withColumn("_row", F.monotonically_increasing_id())
+    return scored.where((model.column() >= THRESHOLD) & (F.col("_row") >= 0)).transform(restore)

@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rangesieve.llm.common import materialise, own, shuffle_width
+from rangesieve.llm.common import carry, materialise, own, restore, shuffle_width
 
 WEIGHTS = (5, 2, 1)
 MOST_TIMES = 3
@@ -133,8 +133,7 @@ def mix_documents(docs: DataFrame) -> DataFrame:
 
     Documents without words are kept once.
     """
-    columns = docs.columns
-    rows = docs.withColumn("_row", F.xxhash64(*[F.col(f"`{c}`") for c in columns]))
+    rows = carry(docs, "doc_id", "source", "text").withColumn("_row", F.xxhash64("_all"))
     sized = materialise(rows.select(F.col("doc_id"), F.col("source"), F.coalesce(F.regexp_count("text", F.lit(WORD_RUN)), F.lit(0)).cast("long").alias("size"), "_row"), "sizes")
     plan = plan_mix(sized)
     times = plan.groupBy("doc_id", "_row").agg(
@@ -143,7 +142,7 @@ def mix_documents(docs: DataFrame) -> DataFrame:
     # Rows that are repeated as a whole are one group of copies: each of them gets the group's copies, evenly.
     first = times.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("_id"), F.col("_row").alias("_r"), F.expr("cast(ceil(_times / _same) as int)").alias("_times"))
     joined = rows.withColumn("_key", F.coalesce("doc_id", F.lit(-(2**63)))).join(first, (F.col("_key") == F.col("_id")) & (F.col("_row") == F.col("_r")))
-    return joined.where("_times > 0").withColumn("_copy", F.explode(F.expr("sequence(1, _times)"))).select(*columns)
+    return joined.where("_times > 0").withColumn("_copy", F.explode(F.expr("sequence(1, _times)"))).transform(restore)
 
 
 ORACLE = r"""

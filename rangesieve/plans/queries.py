@@ -618,10 +618,10 @@ register("segment_skip", segment_skip, _segment_sql())
 
 
 def grid_cube(spark, sf):
-    return lhf_sweep(spark, sf).cube("d", "len").agg(F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst"))
+    return lhf_sweep(spark, sf).cube("d", "len").agg(F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst")).withColumns({c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")})
 
 
-register("grid_cube", grid_cube, f"SELECT d, len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({ORACLES['lhf_sweep']}) GROUP BY CUBE (d, len)")
+register("grid_cube", grid_cube, f"SELECT coalesce(d, -1) AS d, coalesce(len, -1) AS len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({ORACLES['lhf_sweep']}) GROUP BY CUBE (d, len)")
 
 
 def recommend_rules(spark, sf):

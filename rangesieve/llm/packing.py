@@ -34,7 +34,7 @@ CLOSING_ID = 1
 TOKENIZER = "word_bpe_49k.json"
 MAX_SLACK = 2
 CACHED_WORDS = 850_000
-SLICE_CHARS = 4_000_000
+SLICE_CHARS = 2_000_000
 
 _latin = [chr(i) for i in range(0x250)]
 _letters = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "L")
@@ -49,11 +49,11 @@ class _Ids(dict):
 
     def __init__(self, tokenizer):
         super().__init__()
-        self.tokenizer = tokenizer
+        self.tokenizer, self.most = tokenizer, CACHED_WORDS
 
     def learn(self, words: set[str]) -> None:
         fresh = words.difference(self)
-        if len(self) + len(fresh) > CACHED_WORDS:
+        if len(self) + len(fresh) > self.most:
             self.clear()
             fresh = words
         fresh = list(fresh)
@@ -79,13 +79,14 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
-def encode_all(texts: list[str], path: str) -> list[bytes]:
+def encode_all(texts: list[str], path: str, cached_words: int = CACHED_WORDS) -> list[bytes]:
     """Ids of whole texts, little-endian unsigned 32-bit."""
     if path not in _open:
         from tokenizers import Tokenizer
 
         _open[path] = _Ids(Tokenizer.from_file(path))
     ids = _open[path]
+    ids.most = cached_words
     words = [None if "<|" in t or _ODD.search(t) else _SPLIT.findall(t.lower()) for t in texts]
     ids.learn(set().union(*(w for w in words if w)))
     return [np.asarray(ids.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if w is None else b"".join(map(ids.__getitem__, w)) for t, w in zip(texts, words)]
@@ -111,14 +112,14 @@ def _slices(texts: list[str]) -> Iterator[list[str]]:
 CUT = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("doc_tokens", T.LongType()), T.StructField("crcs", T.ArrayType(T.LongType())), T.StructField("rest", T.IntegerType()), T.StructField("rest_crc", T.LongType()), T.StructField("rest_ids", T.BinaryType())])
 
 
-def _tokenize(name: str | None, window: int):
+def _tokenize(name: str | None, window: int, cached_words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         path = name if "/" in (name or "") else tokenizer_path(name or TOKENIZER)
         closing = np.asarray([CLOSING_ID], "<u4").tobytes()
         width = 4 * window
         for batch in batches:
             tokens, crcs, rests, rest_crcs, kept = [], [], [], [], []
-            every = (ids + closing for part in _slices([t or "" for t in batch.column(1).to_pylist()]) for ids in encode_all(part, path))
+            every = (ids + closing for part in _slices([t or "" for t in batch.column(1).to_pylist()]) for ids in encode_all(part, path, cached_words))
             for ids in every:
                 full = len(ids) // width
                 tokens.append(len(ids) // 4)
@@ -255,11 +256,13 @@ def _cut_leftovers(window: int, total: int, first: int):
     return run
 
 
-def pack_documents(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, max_slack: int = MAX_SLACK) -> DataFrame:
-    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, sequence_length (ids in it)."""
+def pack_documents(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, max_slack: int = MAX_SLACK, cached_words: int = CACHED_WORDS) -> DataFrame:
+    """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, sequence_length (ids in it).
+
+    cached_words bounds the memory of a Python worker (about 200 bytes a word) and changes no result."""
     spark = docs.sparkSession
     ship_package(spark)
-    cut = materialise(own(docs, "doc_id", "text").mapInArrow(_tokenize(tokenizer, window), CUT), "tokens")
+    cut = materialise(own(docs, "doc_id", "text").mapInArrow(_tokenize(tokenizer, window, cached_words), CUT), "tokens")
     # At most one row a length, and the number of documents and full windows.
     counts = {r.rest: r.n for r in cut.where("rest > 0").groupBy("rest").agg(F.count("*").alias("n")).collect()}
     n_rows = cut.count()

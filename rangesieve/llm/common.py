@@ -20,12 +20,33 @@ SHINGLE_WORDS = 5
 NEAR = 0.8
 
 
+BATCH_ROWS = 1_000
+
+
+def give_back() -> None:
+    """At the end of a task: return freed memory to the system, as Python workers outlive their stage."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # not every C library can
+        pass
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def ship_package(spark: SparkSession) -> None:
     """Send this package to the executors once per context, so that Arrow functions can be unpickled anywhere."""
+    # Batches of texts, which may be long: a thousand rows each keep a worker's memory small.
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     sc = spark.sparkContext
     if getattr(sc, "_rangesieve_shipped", False):
         return

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, carry, materialise, own, restore, ship_package, shuffle_width
+from rangesieve.llm.common import NEAR, SHINGLE_WORDS, WORD, carry, give_back, materialise, own, restore, ship_package, shuffle_width
 from rangesieve.llm.components import connected_components
 
 POSITIONS = 128
@@ -119,6 +119,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             whole_sig, low_sig = iter(sigs), iter(sigs.astype(np.uint8))
             yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array([_key(s) if len(s) else None for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int32()), pa.array([next(whole_sig).tobytes() if len(s) else None for s in sets], pa.binary()), pa.array([next(low_sig).tobytes() if len(s) else None for s in sets], pa.binary())], names=SKETCHED.fieldNames())
     _words.clear()
+    give_back()
 
 
 def runs_needed(recall: float = RECALL) -> int:
@@ -325,6 +326,7 @@ def _reshingle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     sets.append(s.tobytes())
             yield pa.record_batch([pa.array([columns["cls"][i] for i in keep], pa.int64()), pa.array([columns["root"][i] for i in keep], pa.int64()), pa.array([columns["copies"][i] for i in keep], pa.int64()), pa.array(sets, pa.binary())], names=["cls", "root", "copies", "shingles"])
     _words.clear()
+    give_back()
 
 
 def _intersections(sets: list[np.ndarray], rows: slice, columns: slice) -> np.ndarray:

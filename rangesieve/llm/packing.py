@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rangesieve.llm.common import materialise, own, running_sum, ship_package
+from rangesieve.llm.common import give_back, materialise, own, running_sum, ship_package
 
 WINDOW = 2048
 CLOSING_ID = 1
@@ -129,6 +129,9 @@ def _tokenize(name: str | None, window: int, cached_words: int):
                 rest_crcs.append(zlib.crc32(rest))
                 kept.append(_narrow(rest))
             yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array(tokens, pa.int64()), pa.array(crcs, pa.list_(pa.int64())), pa.array(rests, pa.int32()), pa.array(rest_crcs, pa.int64()), pa.array(kept, pa.binary())], names=CUT.fieldNames())
+        if cached_words < CACHED_WORDS:  # a small cache says that memory is short: nothing is kept for the next task
+            _open[path].clear() if path in _open else None
+            give_back()
 
     return run
 

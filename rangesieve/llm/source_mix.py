@@ -141,7 +141,8 @@ def mix_documents(docs: DataFrame) -> DataFrame:
     )
     # Rows that are repeated as a whole are one group of copies: each of them gets the group's copies, evenly.
     first = times.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("_id"), F.col("_row").alias("_r"), F.expr("cast(ceil(_times / _same) as int)").alias("_times"))
-    joined = rows.withColumn("_key", F.coalesce("doc_id", F.lit(-(2**63)))).join(first, (F.col("_key") == F.col("_id")) & (F.col("_row") == F.col("_r")))
+    # The same plan at every size: the rows are shuffled.
+    joined = rows.withColumn("_key", F.coalesce("doc_id", F.lit(-(2**63)))).join(first.hint("merge"), (F.col("_key") == F.col("_id")) & (F.col("_row") == F.col("_r")))
     return joined.where("_times > 0").withColumn("_copy", F.explode(F.expr("sequence(1, _times)"))).transform(restore)
 
 

@@ -115,6 +115,15 @@ def ttf_leaves(keys: DataFrame, suffix_bits: int = 0) -> DataFrame:
     return cut.select(F.expr("shiftleft(shiftright(k, s), s)").alias("z"), F.expr("shiftleft(shiftright(k, s), s) + shiftleft(1L, s) - 1").alias("hi"), "k", "s")
 
 
+def ttf_inner_nodes(keys: DataFrame, w: int) -> int:
+    """Distinct prefixes that hold two keys or more, over all levels: occupied ones less those of a single key, from
+    two histograms of the highest bit in which neighbours differ."""
+    alone = F.least(F.coalesce(F.expr(SPARK.bit_length("k ^ prev")), F.lit(64)), F.coalesce(F.expr(SPARK.bit_length("k ^ next")), F.lit(64)))
+    far = {r.far: r.c for r in neighbours(keys).groupBy(alone.alias("far")).agg(F.count("*").alias("c")).collect()}  # 65 rows
+    ones = {r.j: r.t for r in cbf_ones_by_width(keys).collect()}  # 63 rows
+    return sum(ones[j] - sum(c for d, c in far.items() if d > j) for j in range(1, w + 1))
+
+
 def ttf_probe(leaves: DataFrame, ranges: DataFrame) -> DataFrame:
     found = predecessor(leaves.select("z", F.col("hi").alias("end")), ranges, "b", ["end"])
     return found.select(*ranges.columns, F.coalesce(F.col("pred.end") >= F.col("a"), F.lit(False)).alias("maybe"))

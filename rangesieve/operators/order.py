@@ -19,10 +19,12 @@ def splitters(df: DataFrame, value: str) -> list[int]:
 
 
 def shard_of(value: Column, bounds: list[int]) -> Column:
-    """Number of splitters at or below a value."""
+    """Number of splitters at or below a value, by halving: the cost of a row grows with the logarithm of the shards."""
     if not bounds:
         return F.lit(0)
-    return F.size(F.filter(F.array(*[F.lit(b).cast("long") for b in bounds]), lambda b: b <= value))
+    steps = [1 << i for i in range(len(bounds).bit_length() - 1, -1, -1)]
+    padded = F.array(*[F.lit(b).cast("long") for b in bounds + [None] * ((1 << len(steps)) - 1 - len(bounds))])
+    return F.aggregate(F.array(*[F.lit(s) for s in steps]), F.lit(0), lambda at, step: F.when(F.element_at(padded, at + step) <= value, at + step).otherwise(at))
 
 
 def rank(df: DataFrame, value: str, name: str = "i") -> DataFrame:

@@ -392,11 +392,7 @@ register("ttf_probe_hash", _on_batch("correlated", 1, lambda k, r: f.ttf_probe_p
 
 def ttf_space(spark, sf):
     """Inner nodes z of the truncated trie (distinct proper prefixes on the way to the leaves) and bits per key."""
-    k = keys(spark, sf, VIEW)
-    w_ = VIEWS[VIEW][2]
-    leaves = f.ttf_leaves(k).select("k", "s")
-    nodes = leaves.select(F.explode(F.expr(f"sequence(s + 1, {w_})")).alias("level"), "k").selectExpr("level", "shiftright(k, level) AS v").distinct()
-    return nodes.agg(F.count("*").alias("inner_nodes"))
+    return spark.createDataFrame([(f.ttf_inner_nodes(keys(spark, sf, VIEW), VIEWS[VIEW][2]),)], "inner_nodes long")
 
 
 register("ttf_space", ttf_space, with_keys(VIEW, _LEAVES.format(m=0) + f", nodes AS (SELECT DISTINCT level, k >> level AS v FROM (SELECT k, unnest(range(s + 1, {VIEWS[VIEW][2]} + 1))::INT AS level FROM leaves)) SELECT count(*) AS inner_nodes FROM nodes"))

@@ -48,6 +48,7 @@ def _interleave(d: Dialect) -> str:
 VIEWS = {
     "event_us": ("events", lambda d: _micros(d, "ts"), 42),
     "user_time": ("events", lambda d: f"user_id * {2**42} + {_micros(d, 'ts')}", 52),
+    "type_time": ("events", lambda d: f"{d.hex_to_int('substr(md5(event_type), 1, 2)')} * {2**42} + {_micros(d, 'ts')}", 50),
     "md5_60": ("lineitem", lambda d: d.hex_to_int(f"substr(md5({_line()}), 1, 15)"), 60),
     "mixed62": ("lineitem", _mixed, 62),
     "part_price": ("lineitem", lambda d: f"l_partkey * {2**24} + {_cents('l_extendedprice')}", 40),

@@ -9,8 +9,13 @@ from hypothesis import strategies as st
 from rangesieve.functions import models
 from rangesieve.functions.hashing import h_value, params_for_budget, power_of_two
 from rangesieve.functions.packed import EliasFano, build_from_list, pack, register_udfs, unpack
+from rangesieve.operators import families as fam
 from rangesieve.operators import filters as f
-from rangesieve.plans.queries import EXAMPLE, EXAMPLE_KEYS, ORACLES, QUERIES
+from rangesieve.operators import tuning, updates
+from rangesieve.operators.order import keep_empty, shard_of
+from rangesieve.plans.experiments import ORACLES, QUERIES
+from rangesieve.plans.queries import EXAMPLE, EXAMPLE_KEYS
+from rangesieve.sources import segments
 from rangesieve.streaming import windows
 
 
@@ -59,6 +64,12 @@ def filters_of(n):
         "plb": lambda k, r: f.plb_probe(f.plb_bits(k, 5, 2**14, 3), r, 5, 2**14, 3),
         "tpb": lambda k, r: f.tpb_probe(k, r, 10, 4, 4096, 3),
         "ltb": lambda k, r: f.ltb_probe(f.tree_bits(k, 0, 5, 512, 2), r, 0, 5, 512, 2),
+        "psh": lambda k, r: fam.psh_probe(f.lhf_codes(k, p), r, p),
+        "phb": lambda k, r: fam.phb_probe(fam.phb_bits(k, 3, 4, 256), r, 3, 4, 256),
+        "levels": lambda k, r: fam.level_descent(fam.level_bits(k, [4, 1, 1, 1], 2**13), r, [4, 1, 1, 1], 2**13)[0],
+        "sharded": lambda k, r: updates.sharded_probe(k, r, 8),
+        "adaptive": lambda k, r: fam.leaves_probe(fam.region_leaves(k, fam.adapted_regions(k, keep_empty(k, r), 9), 9, 9), r),
+        "weighted": lambda k, r: fam.leaves_probe(fam.region_leaves(k, fam.weighted_regions(r, 12, 3), 12, 8), r),
         "minmax": lambda k, r: f.minmax_probe(k, r),
     }
 
@@ -117,3 +128,78 @@ def test_streaming_windows_equal_batch(spark, tmp_path):
     query.awaitTermination()
     batch = windows.window_filters(events, "1 day", None, "40 days", 60)
     assert sorted(spark.table("day_filters").collect()) == sorted(batch.withColumn("start", batch.start.cast("timestamp")).collect())
+
+
+def test_shards_count_splitters_at_or_below(spark):
+    bounds = [3, 5, 9, 14, 20]
+    df = spark.range(25)
+    got = {r.id: r.s for r in df.select("id", shard_of(df.id, bounds).alias("s")).collect()}
+    assert got == {i: sum(b <= i for b in bounds) for i in range(25)}
+
+
+def test_prefix_search_answers_like_the_locality_hash(spark, small):
+    ks, _, k, r = small
+    p = params_for_budget(len(ks), 6, 2**20)
+    codes = f.lhf_codes(k, p)
+    assert sorted(fam.psh_probe(codes, r, p).collect()) == sorted(f.lhf_probe(codes, r, p).collect())
+
+
+def test_splitting_removes_the_observed_false_positives(spark, small):
+    _, _, k, r = small
+    empty = keep_empty(k, r)
+    before = f.cbf_probe(f.cbf_codes(k, 2**9), empty, 2**9).where("maybe").count()
+    after = filters_of(1)["adaptive"](k, r).join(empty.select("qid"), "qid").where("maybe").count()
+    assert before > 50 and after == 0
+
+
+def test_sharded_bound(spark, small):
+    _, _, k, r = small
+    empty = keep_empty(k, r).where("b - a < 60")
+    rate = updates.sharded_probe(k, empty, 14).selectExpr("avg(CAST(maybe AS INT)) AS m").first().m
+    assert rate <= 60 / 2**12 + 0.02
+
+
+def test_tuning_follows_the_sample(spark, small):
+    ks, _, k, _ = small
+    close = keep_empty(k, k.selectExpr("k AS qid", "k + 1 AS a", "k + 2 AS b"))
+    far = keep_empty(k, spark.range(200).selectExpr("id AS qid", "id * 499 AS a", "id * 499 + 20 AS b"))
+    s1, s2 = tuning.tpb_tune(k, close, 14, 2**17, 1)
+    assert s2 <= 2 and s1 >= s2
+    assert tuning.ltb_tune(k, close, 256, 5, 2, 2**17) <= tuning.ltb_tune(k, far, 256, 5, 2, 2**17)
+    assert tuning.plb_tune(far.where("false"), 5, 4) == [9]
+    assert sum(tuning.plb_tune(far, 5, 4)[1:]) <= 5
+    assert tuning.tpb_tune(k, close.where("false"), 14, 2**17) is not None
+
+
+def test_inserts_keep_every_key(spark, small):
+    ks, ranges, k, r = small
+    base = k.where("k % 3 <> 0")
+    p = params_for_budget(base.count(), 8, 2**20)
+    codes = updates.lhf_insert(f.lhf_codes(base, p), k.where("k % 3 = 0"), p)
+    got = {x.qid: x.maybe for x in f.lhf_probe(codes, r, p).collect()}
+    assert all(got[q] for q, a, b in ranges if any(a <= x <= b for x in ks))
+    assert updates.needs_compaction(100, 26) and not updates.needs_compaction(100, 25)
+    again, p2 = updates.lhf_compact(k, len(ks), 8, 2**20)
+    assert p2.r > p.r and again.count() <= len(ks)
+
+
+def test_segments_are_skipped_and_no_row_is_lost(spark, tmp_path):
+    data, catalog = f"file://{tmp_path}/data", f"file://{tmp_path}/catalog"
+    rows = spark.range(400).selectExpr("id * 7919 % 1000003 AS k", "CAST(id AS STRING) AS note").union(spark.sql("SELECT CAST(NULL AS BIGINT), 'null key'"))
+    rows.repartition(6).write.parquet(data)
+    stored = spark.read.parquet(data)
+    segments.save_catalog(segments.build_catalog(stored, "k", 16), catalog)
+    assert segments.load_catalog(spark, catalog).count() == 6
+    ks = sorted(x.k for x in stored.where("k is not null").collect())
+    for k in ks[::80]:
+        assert 1 <= len(segments.segments_to_read(catalog, k, k)) <= 3
+        assert segments.guarded_scan(spark, catalog, "k", k, k).count() == 1
+    assert segments.guarded_scan(spark, catalog, "k", 2_000_000, 3_000_000).count() == 0
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    spark.dataSource.register(segments.SegmentSource)
+    source = spark.read.format("range_segments").schema("k long, note string").option("key", "k").load(catalog)
+    assert source.count() == 401
+    for lo, hi in ((ks[3], ks[9]), (ks[5] + 1, ks[5] + 1)):
+        want = [x for x in ks if lo <= x <= hi]
+        assert sorted(x.k for x in source.where(f"k >= {lo} and k <= {hi}").collect()) == want
+    assert [x.note for x in source.where(f"k = {7919 * 5}").collect()] == ["5"]

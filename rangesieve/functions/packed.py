@@ -83,7 +83,7 @@ def pack(codes: DataFrame, l: int) -> DataFrame:
         high, low = ef.dump()
         return pd.DataFrame({"shard": [int(pdf.shard.iloc[0])], "n": [len(z)], "l": [l], "first": [z[0]], "last": [z[-1]], "length": [len(ef.high)], "high": [high], "low": [low]})
 
-    return codes.withColumn("shard", shard_of(F.col("z"), splitters(codes, "z"))).groupBy("shard").applyInPandas(encode, SHARDS)
+    return codes.withColumn("shard", shard_of("z", splitters(codes, "z"))).groupBy("shard").applyInPandas(encode, SHARDS)
 
 
 def _load(row) -> EliasFano:

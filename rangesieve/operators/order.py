@@ -18,18 +18,22 @@ def splitters(df: DataFrame, value: str) -> list[int]:
     return sorted(set(found or []))
 
 
-def shard_of(value: Column, bounds: list[int]) -> Column:
-    """Number of splitters at or below a value, by halving: the cost of a row grows with the logarithm of the shards."""
-    if not bounds:
-        return F.lit(0)
-    steps = [1 << i for i in range(len(bounds).bit_length() - 1, -1, -1)]
-    padded = F.array(*[F.lit(b).cast("long") for b in bounds + [None] * ((1 << len(steps)) - 1 - len(bounds))])
-    return F.aggregate(F.array(*[F.lit(s) for s in steps]), F.lit(0), lambda at, step: F.when(F.element_at(padded, at + step) <= value, at + step).otherwise(at))
+def shard_of(value: str, bounds: list[int]) -> Column:
+    """Number of splitters at or below a column, as a balanced tree of comparisons: no lambda, so it stays in generated
+    code, and a row costs the logarithm of the shards."""
+
+    def tree(lo: int, hi: int) -> str:
+        if lo == hi:
+            return str(lo)
+        mid = (lo + hi) // 2
+        return f"if({value} < {bounds[mid]}L, {tree(lo, mid)}, {tree(mid + 1, hi)})"
+
+    return F.expr(tree(0, len(bounds)))
 
 
 def rank(df: DataFrame, value: str, name: str = "i") -> DataFrame:
     """Distinct values with their rank from 1."""
-    placed = df.select(F.col(value)).withColumn("_s", shard_of(F.col(value), splitters(df, value)))
+    placed = df.select(F.col(value)).withColumn("_s", shard_of(value, splitters(df, value)))
     counts = placed.groupBy("_s").agg(F.count("*").alias("_n"))
     before = counts.select(F.col("_s").alias("_t"), F.coalesce(F.sum("_n").over(Window.orderBy("_s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_b"))
     inner = F.row_number().over(Window.partitionBy("_s").orderBy(value))
@@ -43,8 +47,8 @@ def predecessor(codes: DataFrame, points: DataFrame, at: str, payload: list[str]
     item = F.struct("z", *payload)
     left = codes.select(F.col("z").alias("_v"), F.lit(0).alias("_kind"), item.alias("_code"), *[F.lit(None).cast(points.schema[c].dataType).alias(c) for c in points.columns])
     right = points.select(F.col(at).alias("_v"), F.lit(1).alias("_kind"), F.lit(None).cast(left.schema["_code"].dataType).alias("_code"), *points.columns)
-    both = left.unionByName(right).withColumn("_s", shard_of(F.col("_v"), bounds))
-    tops = codes.withColumn("_s", shard_of(F.col("z"), bounds)).groupBy("_s").agg(F.max(item).alias("_top"))
+    both = left.unionByName(right).withColumn("_s", shard_of("_v", bounds))
+    tops = codes.withColumn("_s", shard_of("z", bounds)).groupBy("_s").agg(F.max(item).alias("_top"))
     last = F.max("_top").over(Window.orderBy("_s").rowsBetween(Window.unboundedPreceding, -1))
     shards = codes.sparkSession.range(len(bounds) + 1).select(F.col("id").cast("int").alias("_s"))
     # One row a shard: the last code before it.

@@ -31,7 +31,7 @@ _ANY = HashParams(2, 2**60 + 33, 2**59 + 7)
 
 def _shard_table(keys: DataFrame, bounds: list[int], bits: int) -> DataFrame:
     """One row a shard of key space with keys: its first key, its own r, and where its codes start."""
-    found = keys.withColumn("shard", shard_of(F.col("k"), bounds)).groupBy("shard").agg(F.count("*").alias("n_s"), F.min("k").alias("first"), F.max("k").alias("last"))
+    found = keys.withColumn("shard", shard_of("k", bounds)).groupBy("shard").agg(F.count("*").alias("n_s"), F.min("k").alias("first"), F.max("k").alias("last"))
     r = (F.col("n_s") * 2 ** (bits - 2)).alias("r")
     sized = found.select("shard", "first", "last", r)
     start = F.coalesce(F.sum("r").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long")
@@ -45,8 +45,8 @@ def sharded_probe(keys: DataFrame, ranges: DataFrame, bits: int) -> DataFrame:
     bounds = splitters(keys, "k")
     table = _shard_table(keys, bounds, bits)
     h = lambda x: f"({local_hash(SPARK, f'({x} - first)', _ANY, 'r')})"
-    codes = keys.withColumn("_s", shard_of(F.col("k"), bounds)).join(F.broadcast(table), F.expr("_s = shard")).select(F.expr(f"start + {h('k')}").alias("z")).distinct()
-    reach = ranges.select("qid", "a", "b", shard_of(F.col("a"), bounds).alias("x"), shard_of(F.col("b"), bounds).alias("y"))
+    codes = keys.withColumn("_s", shard_of("k", bounds)).join(F.broadcast(table), F.expr("_s = shard")).select(F.expr(f"start + {h('k')}").alias("z")).distinct()
+    reach = ranges.select("qid", "a", "b", shard_of("a", bounds).alias("x"), shard_of("b", bounds).alias("y"))
     met = reach.select("qid", "a", "b", F.explode(F.sequence("x", "y")).alias("_s")).join(F.broadcast(table), F.expr("_s = shard"))
     cut = met.selectExpr("qid", "greatest(a, first) AS a", "least(b, last) AS b", "first", "r", "start").where("a <= b")
     spans = cut.withColumn("spans", F.expr("(b - first) div r - (a - first) div r"))

@@ -131,9 +131,9 @@ def test_streaming_windows_equal_batch(spark, tmp_path):
 
 
 def test_shards_count_splitters_at_or_below(spark):
-    bounds = [3, 5, 9, 14, 20]
+    bounds = [-3, 5, 9, 14, 20]
     df = spark.range(25)
-    got = {r.id: r.s for r in df.select("id", shard_of(df.id, bounds).alias("s")).collect()}
+    got = {r.id: r.s for r in df.select("id", shard_of("id", bounds).alias("s")).collect()}
     assert got == {i: sum(b <= i for b in bounds) for i in range(25)}
 
 

@@ -142,15 +142,17 @@ def tpb_grid(spark, sf):
 register("tpb_grid", tpb_grid)
 
 
-def _tpb(k: DataFrame, n: int, ranges: DataFrame, shifts: tuple[int, int], bits: float, u: int) -> DataFrame:
-    return f.tpb_probe(k, ranges, shifts[0], shifts[1], int(max(64, bits * n)), HASHES)
+def _tpb(k: DataFrame, ranges: DataFrame, shifts: tuple[int, int], bits: float, u: int, ones: dict[int, int]) -> DataFrame:
+    """The tuned prefix filter; the exact prefixes are paid for out of the budget."""
+    trie = models.space_bucket(ones[shifts[0]], u, 2 ** shifts[0]) if 2 ** shifts[0] < u else 0.0
+    return f.tpb_probe(k, ranges, shifts[0], shifts[1], int(max(64, bits * ones[0] - trie)), HASHES)
 
 
 def workload_shift(spark, sf):
     """Tuned baselines: sample from one degree of correlation, questions from another."""
     k, n, u = _setup(spark, sf)
     words = max(64, int(BUDGET * n) // 2**7)
-    out = None
+    out, ones = None, {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
     for tuned in (0, 8):
         sample = tuning_sample(k, n, u, tuned)
         shifts = tuning.tpb_tune(k, sample, BUDGET, u)
@@ -158,7 +160,7 @@ def workload_shift(spark, sf):
         bits = f.tree_bits(k, start, 5, words, 2)
         for asked in (0, 8):
             r = make_ranges("empty_correlated", k, n, VIEW, LENGTH, asked)
-            for method, answer in (("prefix-bloom", _tpb(k, n, r, shifts, BUDGET, u)), ("local-tree", f.ltb_probe(bits, r, start, 5, words, 2))):
+            for method, answer in (("prefix-bloom", _tpb(k, r, shifts, BUDGET, u, ones)), ("local-tree", f.ltb_probe(bits, r, start, 5, words, 2))):
                 one = answer.select(F.lit(method).alias("method"), F.lit(tuned).alias("tuned_d"), F.lit(asked).alias("asked_d"), "maybe")
                 out = one if out is None else out.union(one)
     return measures.fpr(out, "method", "tuned_d", "asked_d")
@@ -270,8 +272,8 @@ def grid_ranges(k: DataFrame, n: int, u: int) -> DataFrame:
     return keep_empty(k, out)
 
 
-def _methods(k: DataFrame, n: int, u: int, bits: int, ones: dict[int, int], names: tuple[str, ...]) -> dict:
-    """method -> answer function at a budget, each in about bits * n bits."""
+def _methods(k: DataFrame, n: int, u: int, bits: int, ones: dict[int, int], names: tuple[str, ...], inner: int | None = None) -> dict:
+    """method -> answer function at a budget, each in about bits * n bits; the trie is left out below its least size."""
     p = params_for_budget(n, bits, u)
     fits = [j for j, t in ones.items() if t and 2**j <= u and models.space_bucket(t, u, 2**j) <= bits * n]
     s = 2 ** min(fits) if fits else u
@@ -279,25 +281,26 @@ def _methods(k: DataFrame, n: int, u: int, bits: int, ones: dict[int, int], name
     total = max(64, bits * n)
     levels = [max(1, round(bits / 1.44 - 10))] + [1] * 10
     words = max(1, total // (2 * 2**7))
+    suffix = int(bits - models.space_truncated_trie(n, 0, inner) / max(n, 1)) if inner is not None else -1
     every = {
         "locality-hash": lambda r: f.lhf_probe(f.lhf_codes(k, p), r, p),
         "bucket": lambda r: f.cbf_probe(f.cbf_codes(k, s), r, s),
-        "truncated-trie": lambda r: f.ttf_probe(f.ttf_leaves(k, max(0, bits - 14)), r),
+        "truncated-trie": lambda r: f.ttf_probe(f.ttf_leaves(k, suffix), r),
         "learned-bitmap": lambda r: (lambda knots: f.lbf_probe(f.lbf_codes(k, knots, EVERY, slots), knots, r, EVERY, slots))(f.lbf_knots(k, EVERY)),
         "per-level": lambda r: fam.level_descent(fam.level_bits(k, levels, total), r, levels, total)[0],
         "local-tree": lambda r: f.ltb_probe(f.tree_bits(k, 0, 6, words, 2), r, 0, 6, words, 2),
         "piecewise-hash": lambda r: fam.phb_probe(fam.phb_bits(k, 4, 6, max(1, total // 64)), r, 4, 6, max(1, total // 64), 2**12),
     }
-    return {m: every[m] for m in names if m != "truncated-trie" or bits >= 16}
+    return {m: every[m] for m in names if m != "truncated-trie" or suffix >= 0}
 
 
 def _grid(names: tuple[str, ...], budgets=BUDGETS):
     def run(spark, sf):
         k, n, u = _setup(spark, sf)
         r, ones = grid_ranges(k, n, u), {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
-        out = None
+        out, inner = None, f.ttf_inner_nodes(k, VIEWS[VIEW][2])
         for bits in budgets:
-            for method, answer in _methods(k, n, u, bits, ones, names).items():
+            for method, answer in _methods(k, n, u, bits, ones, names, inner).items():
                 one = answer(r).select(F.lit(method).alias("method"), F.lit(bits).alias("bits"), "workload", "len", "maybe")
                 out = one if out is None else out.union(one)
         return measures.fpr(out, "method", "bits", "workload", "len")
@@ -312,11 +315,11 @@ register("robust_grid", _grid(ROBUST, (12, 20, 28)))
 
 
 def nonempty_grid(spark, sf):
-    """False negatives of every method over ranges with keys."""
+    """False negatives of every method over ranges with keys, at 28 bits a key."""
     k, n, u = _setup(spark, sf)
     ones, out = {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}, None
     r = make_ranges("nonempty", k, n, VIEW)
-    for method, answer in _methods(k, n, u, 20, ones, HEURISTICS + ROBUST[1:]).items():
+    for method, answer in _methods(k, n, u, 28, ones, HEURISTICS + ROBUST[1:], f.ttf_inner_nodes(k, VIEWS[VIEW][2])).items():
         one = answer(r).select(F.lit(method).alias("method"), "maybe")
         out = one if out is None else out.union(one)
     return measures.false_negatives(out, "method")
@@ -453,11 +456,11 @@ def construction_times(spark, sf):
 
 
 def probe_times(spark, sf):
-    """Microseconds a query on empty correlated ranges, batched, at 20 bits a key."""
+    """Microseconds a query on empty correlated ranges, batched, at 28 bits a key."""
     k, n, u = _setup(spark, sf)
     ones = {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
     r = make_ranges("empty_correlated", k, n, VIEW)
-    rows = [(m, batch_size(n), round(_timed(answer(r)) / batch_size(n) * 1e6, 3)) for m, answer in _methods(k, n, u, 20, ones, HEURISTICS + ROBUST[1:]).items()]
+    rows = [(m, batch_size(n), round(_timed(answer(r)) / batch_size(n) * 1e6, 3)) for m, answer in _methods(k, n, u, 28, ones, HEURISTICS + ROBUST[1:], f.ttf_inner_nodes(k, VIEWS[VIEW][2])).items()]
     return spark.createDataFrame(rows, "method string, n_ranges long, micros double")
 
 

@@ -514,7 +514,7 @@ register("lhf_sweep", lhf_sweep, f"SELECT d, len, count(*) AS n_ranges, round(av
 
 
 def bound_vs_rate(spark, sf):
-    """Mean rate over eight hash draws against the bound, by budget and length."""
+    """Mean rate over four hash draws against the bound, by budget and length."""
     k = keys(spark, sf, VIEW)
     n = k.count()
     out = None

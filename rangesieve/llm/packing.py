@@ -17,6 +17,7 @@ empty table gives no rows; extra columns are ignored.
 from __future__ import annotations
 
 import re
+import struct
 import unicodedata
 import zlib
 from collections.abc import Iterator
@@ -41,33 +42,42 @@ _letters = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] ==
 _numbers = "".join(re.escape(c) for c in _latin if unicodedata.category(c)[0] == "N")
 #: The tokenizer's own split, over Latin letters; any other text goes through the library as a whole.
 _SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_letters}]+|[{_numbers}]|[^\s{_letters}{_numbers}]+")
-_ODD = re.compile("[^\x00-\x1b\x20-ɏ]")
+#: Texts with other characters, before or after lower-casing, go through the library.
+_ODD = re.compile("[^\x00-\x1b\x20-ɏ]|[" + "".join(c for c in _latin if max(c.lower()) > "ɏ") + "]")
+
+
+def _byte_letters() -> list[str]:
+    """The byte-level alphabet: printable bytes stand for themselves, the others for the letters from U+0100 on."""
+    plain = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    others = iter(range(0x100, 0x200))
+    return [chr(b if b in plain else next(others)) for b in range(256)]
+
+
+_BYTES = _byte_letters()
 
 
 class _Ids(dict):
-    """Word -> its ids as little-endian 32-bit bytes, filled by the library for many words at once."""
+    """Run without white space -> its ids as little-endian 32-bit bytes, worked out when it is first asked for.
+
+    Words never merge over a space, so a run's ids are those of its words on end, and a word's are the model's merges.
+    """
 
     def __init__(self, tokenizer):
         super().__init__()
-        self.tokenizer, self.most = tokenizer, CACHED_WORDS
-
-    def learn(self, words: set[str]) -> None:
-        fresh = words.difference(self)
-        if len(self) + len(fresh) > self.most:
+        self.tokenizer, self.merges, self.most = tokenizer, tokenizer.model, CACHED_WORDS
+
+    def __missing__(self, run: str) -> bytes:
+        words = _SPLIT.findall(run)
+        if len(words) > 1:
+            found = b"".join([self[w] for w in words])
+        else:
+            letters = run if run.isascii() and run.isprintable() else "".join([_BYTES[b] for b in run.encode()])
+            ids = [t.id for t in self.merges.tokenize(letters)]
+            found = struct.pack(f"<{len(ids)}I", *ids)
+        if len(self) >= self.most:
             self.clear()
-            fresh = words
-        fresh = list(fresh)
-        for a in range(0, len(fresh), 5_000):
-            part = fresh[a : a + 5_000]
-            # Words never merge over a space, so one call gives the ids of all of them, with the word of each id.
-            found = self.tokenizer.encode(" ".join(part), add_special_tokens=False)
-            sizes = np.bincount(np.asarray(found.word_ids, np.int64), minlength=len(part))
-            if len(sizes) != len(part) or not sizes.all():
-                each = [np.asarray(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in part]
-            else:
-                ids, ends = np.asarray(found.ids, "<u4").tobytes(), np.cumsum(sizes).tolist()
-                each = [ids[4 * x : 4 * y] for x, y in zip([0, *ends], ends)]
-            self.update(zip(part, each))
+        self[run] = found
+        return found
 
 
 _open: dict[str, _Ids] = {}
@@ -87,9 +97,8 @@ def encode_all(texts: list[str], path: str, cached_words: int = CACHED_WORDS) ->
         _open[path] = _Ids(Tokenizer.from_file(path))
     ids = _open[path]
     ids.most = cached_words
-    words = [None if "<|" in t or _ODD.search(t) else _SPLIT.findall(t.lower()) for t in texts]
-    ids.learn(set().union(*(w for w in words if w)))
-    return [np.asarray(ids.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if w is None else b"".join(map(ids.__getitem__, w)) for t, w in zip(texts, words)]
+    by_library = lambda t: np.asarray(ids.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+    return [by_library(t) if "<|" in t or _ODD.search(t) else b"".join(map(ids.__getitem__, t.lower().split())) for t in texts]
 
 
 def encode(text: str, path: str) -> bytes:

@@ -5,18 +5,19 @@ import pytest
 from conftest import DATA, as_rows
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
-from rangesieve.functions import models
+from rangesieve.functions import blobs, models
 from rangesieve.functions.hashing import h_value, params_for_budget, power_of_two
 from rangesieve.functions.packed import EliasFano, build_from_list, pack, register_udfs, unpack
 from rangesieve.operators import families as fam
 from rangesieve.operators import filters as f
 from rangesieve.operators import tuning, updates
 from rangesieve.operators.order import keep_empty, shard_of
-from rangesieve.plans.experiments import ORACLES, QUERIES
 from rangesieve.plans.queries import EXAMPLE, EXAMPLE_KEYS
+from rangesieve.plans.surface import ORACLES, QUERIES
 from rangesieve.sources import segments
-from rangesieve.streaming import windows
+from rangesieve.streaming import late, windows
 
 
 def test_worked_example():
@@ -203,3 +204,73 @@ def test_segments_are_skipped_and_no_row_is_lost(spark, tmp_path):
         want = [x for x in ks if lo <= x <= hi]
         assert sorted(x.k for x in source.where(f"k >= {lo} and k <= {hi}").collect()) == want
     assert [x.note for x in source.where(f"k = {7919 * 5}").collect()] == ["5"]
+
+
+def test_blobs_in_sql(spark):
+    blobs.register_all(spark)
+    rng = np.random.default_rng(3)
+    ks = [int(x) for x in rng.integers(0, 10**9, 400)]
+    rows = [("a", k) for k in ks[:200] * 2] + [("b", k) for k in ks[200:]] + [("a", None), ("none", None)]
+    spark.createDataFrame(rows, "g string, k long").createOrReplaceTempView("blob_keys")
+    spark.sql("SELECT g, range_filter(k) AS f FROM blob_keys GROUP BY g").createOrReplaceTempView("blob_table")
+    assert {r.g for r in spark.table("blob_table").where("f is null").collect()} == {"none"}
+    asked = spark.sql("SELECT g, k, range_filter_maybe(f, k - 5, k + 5) AS maybe, range_filter_count(f, k - 5, k + 5) AS c FROM blob_keys JOIN blob_table USING (g) WHERE k IS NOT NULL").collect()
+    assert len(asked) == 600 and all(r.maybe and r.c >= 1 for r in asked)
+    empty = spark.sql("SELECT range_filter_maybe(f, 2000000000 + id * 100, 2000000003 + id * 100) AS maybe, range_filter_maybe(f, 5, 4) AS turned, range_filter_count(f, NULL, 4) AS gone FROM blob_table, range(500) WHERE g = 'a'").collect()
+    assert sum(r.maybe for r in empty) <= 5 and all(r.turned is None and r.gone is None for r in empty)
+    codes = spark.sql("SELECT g, count(DISTINCT z) AS n FROM blob_table, LATERAL range_filter_codes(f) GROUP BY g").collect()
+    assert {r.g: r.n for r in codes} == {"a": len(set(ks[:200])), "b": len(set(ks[200:]))}
+    assert blobs.write_blob(np.array([], np.int64)) is None
+
+
+def test_blobs_cut_by_key_range_miss_nothing(spark):
+    k = spark.range(3000).selectExpr("if(id % 3 = 0, null, if(id % 2 = 0, 'x', 'y')) AS g", "id * id AS k")
+    made = blobs.filter_blobs(k.union(k).union(spark.sql("SELECT 'x', CAST(NULL AS BIGINT)")), "g", "k")
+    assert made.groupBy().sum("n").first()[0] == 3000 and made.count() > 3
+    asked = k.selectExpr("k AS qid", "g", "greatest(k - 3, 0) AS a", "k + 1 AS b")
+    assert blobs.probe_blobs(made, "g", asked).where("not maybe").count() == 0
+    other = asked.selectExpr("qid", "'z' AS g", "a", "b")
+    assert blobs.probe_blobs(made, "g", other).where("maybe").count() == 0
+    assert blobs.filter_blobs(k.limit(0), "g", "k").count() == 0
+
+
+@given(st.integers(0, 300), st.integers(0, 300), st.integers(0, 6))
+@settings(max_examples=80, deadline=None)
+def test_dyadic_nodes_tile_the_range(a, more, top):
+    nodes = list(blobs.DyadicNodes.func().eval(a, a + more, top))
+    assert [x for level, node in nodes for x in range(node << level, node + 1 << level)] == list(range(a, a + more + 1))
+    assert all(level <= top for level, _ in nodes)
+
+
+def test_late_events_go_to_the_delta(spark, tmp_path):
+    events = spark.read.parquet(f"{DATA}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    split = "ts >= '2024-01-20'"
+    out, source = f"file://{tmp_path}/out", tmp_path / "in"
+    source.mkdir()
+    held = "user_id % 10 = 0"
+    stream = spark.readStream.schema(events.schema).parquet(str(source))
+    for part in (events.where(f"{split} AND NOT {held}"), events.where(f"NOT ({split}) OR {held}"), events.limit(0)):
+        part.coalesce(1).write.mode("append").parquet(str(source))
+        late.start(stream, out, f"{tmp_path}/checkpoint", "1 day", "2 days", 60).awaitTermination()
+    every = late.codes_of(events, "1 day", 60).select("start", "z").distinct()
+    both, delta = late.load(spark, out), late.load(spark, out, "delta")
+    assert both.exceptAll(every).count() == 0 and every.exceptAll(both).count() == 0
+    top = events.where(f"{split} AND NOT {held}").agg(F.max("ts")).first()[0]
+    closed = late.codes_of(events.where(f"NOT ({split}) OR {held}"), "1 day", 60).where(F.col("end") <= F.lit(top) - F.expr("INTERVAL 2 DAYS")).select("start", "z").distinct()
+    assert 0 < closed.count() == delta.count() and delta.exceptAll(closed).count() == 0
+    n = delta.count()
+    # A batch that runs again replaces its own rows.
+    late.add_batch(events.where(f"NOT ({split}) OR {held}"), 1, out, "1 day", "2 days", 60)
+    assert late.load(spark, out, "delta").count() == n
+    asked = every.selectExpr("z AS qid", "start", "z AS lo", "z AS hi")
+    assert late.probe(asked, late.load(spark, out)).count() == asked.count()
+    assert late.load(spark, f"file://{tmp_path}/none").count() == 0
+
+
+def test_unique_events(spark, tmp_path):
+    events = spark.read.parquet(f"{DATA}/events.parquet")
+    events.union(events).coalesce(1).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema(events.schema).parquet(str(tmp_path / "in"))
+    query = late.unique_events(stream, ["event_id"], "40 days").writeStream.format("memory").queryName("unique_events").trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert spark.table("unique_events").count() == late.unique_events(events.union(events), ["event_id"], "40 days").count() == events.count()

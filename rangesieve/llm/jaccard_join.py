@@ -3,10 +3,13 @@
 Texts with one and the same shingle set form a class; only classes are joined. A class is embedded into 128 tokens
 (position, least hash at that position); two sets of similarity s share a token with probability s. A run samples
 tokens with the probability that lets a pair at the threshold expect one shared token, and splits the classes on
-them; runs repeat until the target recall. Small buckets are searched by brute force on the embedding; large ones
+them. Small buckets are searched by brute force on the embedding; large ones
 split again on freshly sampled tokens, level by level; what is still large after the last level is dense and is
 searched around pivots in chunks, and the chunks' pivots against each other in blocks.
 
+Runs repeat until the target recall. Each further split loses pairs, so the number of runs depends on how often a pair
+is split: all classes get the runs that one split needs, and classes in large buckets those that the last level needs.
+
 Found pairs only have to connect: each connected candidate group is then compared exactly, once, inside one task (or
 block by block where it is large), on the whole shingle sets. No pair is ever emitted as a row; a task emits for each
 class its number of links and one root.
@@ -122,9 +125,26 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     give_back()
 
 
-def runs_needed(recall: float = RECALL) -> int:
-    """Runs after which a pair at the threshold was found with the target probability: a run misses it with 1/e."""
-    return math.ceil(-math.log(1 - recall))
+def miss_rate(runs: int, splits: int) -> float:
+    """Probability that a pair at the threshold shares no bucket after so many splits in any run.
+
+    The pair's equal positions are binomial and the same in all runs; of those, each split samples a binomial number."""
+    equal = np.arange(POSITIONS + 1)
+    weight = np.array([math.comb(POSITIONS, k) * NEAR**k * (1 - NEAR) ** (POSITIONS - k) for k in equal])
+    lost = np.zeros(POSITIONS + 1)
+    for _ in range(splits):
+        lost = (1 - (1 - lost) / (NEAR * POSITIONS)) ** equal
+    return float(weight @ lost**runs)
+
+
+def runs_needed(splits: int = 1, recall: float = RECALL) -> int:
+    """Runs after which a pair at the threshold is missed with half of what the target allows, if found after so many splits.
+
+    The other half is for pairs that are found after another number of splits."""
+    runs = 1
+    while miss_rate(runs, splits) > (1 - recall) / 2:
+        runs += 1
+    return runs
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -155,8 +175,10 @@ def _split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array(child.view(np.int64)), pa.array(cls[rows])], names=["bucket", "cls"])
 
 
-def _start(runs: int):
-    roots = _mixed(np.arange(1, runs + 1, dtype=np.uint64) * np.uint64(0xD1B54A32D192ED03))
+def _start(runs: int, done: int = 0):
+    """First split of the runs after those done, up to `runs`."""
+    roots = _mixed(np.arange(done + 1, runs + 1, dtype=np.uint64) * np.uint64(0xD1B54A32D192ED03))
+    runs -= done
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -279,21 +301,32 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
     spark = classes.sparkSession
     sigs = classes.select(F.col("cls").alias("c_"), "sig", "low")
     lows = classes.select(F.col("cls").alias("c_"), "low")
-    rows = materialise(classes.select("cls", "sig").mapInArrow(_start(runs_needed()), PATHS), "paths")
-    edges = None
-    for level in range(LEVELS + 1):
+
+    def look(rows: DataFrame, lows: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """Edges inside the small buckets, and the rows of the large ones."""
         counts = rows.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1").withColumnRenamed("bucket", "b_")
         shared = rows.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
         shared = materialise(shared, "buckets")
         small = shared.where(F.col("size") <= BUCKET).join(lows, F.col("cls") == F.col("c_")).select("bucket", "cls", "low")
         small = small.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls")
-        found = small.mapInArrow(_search_buckets, EDGES)
+        return small.mapInArrow(_search_buckets, EDGES), shared.where(F.col("size") > BUCKET)
+
+    first, every = runs_needed(1), runs_needed(LEVELS + 1)
+    rows = materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths")
+    edges = None
+    for level in range(LEVELS + 1):
+        found, hot = look(rows, lows)
         edges = found if edges is None else edges.union(found)
-        hot = shared.where(F.col("size") > BUCKET)
         if level == 0:
-            # Only classes of large buckets go on; their signatures are set apart once.
+            # Only classes of large buckets go on; their signatures are set apart once. A pair with another class was
+            # never in a large bucket, so the runs so far are enough for it; the others get the rest of the runs.
             sigs = materialise(sigs.join(hot.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
+            if sigs.isEmpty():
+                return edges
             lows = sigs.select("c_", "low")
+            more = materialise(sigs.select("c_", "sig").mapInArrow(_start(every, first), PATHS), "paths")
+            found, others = look(more, lows)
+            edges, hot = edges.union(found), hot.union(others)
         large = hot.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
         if level == LEVELS:
             break

@@ -108,6 +108,24 @@ def test_jaccard_join_of_a_large_group(spark):
     assert [got[i] for i in range(1300)] == (near.sum(axis=1) - 1).tolist()
 
 
+def test_jaccard_join_runs_count_every_split():
+    assert jaccard_join.miss_rate(jaccard_join.runs_needed(1), 1) + jaccard_join.miss_rate(jaccard_join.runs_needed(jaccard_join.LEVELS + 1), jaccard_join.LEVELS + 1) <= 1 - jaccard_join.RECALL
+
+
+def test_jaccard_join_of_pairs_in_crowded_buckets(spark, monkeypatch):
+    """Isolated pairs, each of whose tokens a third of all classes have: found after several splits only."""
+    monkeypatch.setattr(jaccard_join, "BUCKET", 32)
+    rng = np.random.default_rng(11)
+    sig = np.repeat(rng.integers(0, 3, (750, 128), dtype=np.uint32), 2, axis=0)
+    for i in range(0, len(sig), 2):
+        at = rng.choice(128, 26, replace=False)
+        sig[i, at] = (sig[i, at] + 1) % 3
+    rows = [(i, bytearray(s.tobytes()), bytearray(s.astype(np.uint8).tobytes())) for i, s in enumerate(sig)]
+    edges = jaccard_join.candidate_edges(spark.createDataFrame(rows, "cls long, sig binary, low binary")).distinct().collect()
+    linked = {(min(e.u, e.v), max(e.u, e.v)) for e in edges}
+    assert {(i, i + 1) for i in range(0, len(sig), 2)} <= linked
+
+
 def test_source_mix(odd):
     df, rows = odd
     got = source_mix.mix_sources(df).collect()

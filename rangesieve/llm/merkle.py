@@ -32,14 +32,45 @@ from rangesieve.llm.common import own, ship_package, shuffle_width
 
 SECTION_ENDS = 4
 FEW_WORDS = 128
+PIECE_ENDS = 8
+LEAF_WORDS = 16
+WORD_LETTERS = 32  # letters of a word that is never cut, and of a part of a longer one
 _SENTENCE = re.compile(r"[^.!?…]*[.!?…]+[\s]*|[^.!?…]+")
-_WORD = re.compile(r"\s*\S+|\s+")
+_WORD = re.compile(r"\s*\S+(?:\s+\Z)?|\s+")
 
 
 def _leaf(text: str) -> str:
     return xxhash.xxh3_64_hexdigest(text.encode("utf-8", "surrogatepass"))[:10]
 
 
+def _ends(text: str) -> bool:
+    return xxhash.xxh3_64_intdigest(text.encode("utf-8", "surrogatepass")) % PIECE_ENDS == 0
+
+
+def _words(text: str) -> list[str]:
+    """The words with the white space before them, long ones in parts that end with two letters whose hash says so."""
+    out = []
+    for w in _WORD.findall(text):
+        if len(w) <= WORD_LETTERS:
+            out.append(w)
+            continue
+        start = 0
+        for i in range(2, len(w)):
+            if i - start >= WORD_LETTERS or i - start >= 2 and _ends(w[i - 2 : i]):
+                out.append(w[start:i])
+                start = i
+        out.append(w[start:])
+    return out
+
+
+def _pieces(sentence: str) -> Iterator[str]:
+    words, start = _words(sentence), 0
+    for i, w in enumerate(words, 1):
+        if i == len(words) or i - start >= LEAF_WORDS or _ends(w):
+            yield "".join(words[start:i])
+            start = i
+
+
 def _node(children: list[str], kind: str) -> str:
     return xxhash.xxh3_128_hexdigest(kind + ",".join(children))[:16]
 
@@ -50,7 +81,7 @@ def fingerprint(text: str | None) -> str:
     paragraphs = text.split("\n")
     sections, current = [], []
     for p in paragraphs:
-        leaves = [_leaf(x) for x in _SENTENCE.findall(p)]
+        leaves = [_leaf(x) for sentence in _SENTENCE.findall(p) for x in _pieces(sentence)]
         node = _node(leaves, "p")
         if not p and current:
             sections.append(current)
@@ -63,8 +94,8 @@ def fingerprint(text: str | None) -> str:
         sections.append(current)
     inner = [_node([n for n, _ in s], "s") for s in sections]
     root = hashlib.sha256(text.encode("utf-8", "surrogatepass")).hexdigest()[:16] + _node(inner, "r")
-    few = text.split(None, FEW_WORDS)
-    words = ".".join(_leaf(w) for w in _WORD.findall(text)) if len(few) <= FEW_WORDS else ""
+    few = _words(text) if len(text.split(None, FEW_WORDS)) <= FEW_WORDS else []
+    words = ".".join(map(_leaf, few)) if len(few) <= FEW_WORDS else ""
     return f"{root};{words};" + "|".join(f"{h}=" + "/".join(".".join(leaves) for _, leaves in s) for h, s in zip(inner, sections))
 
 
@@ -76,7 +107,7 @@ def _leaves(print_: str, words: bool) -> Counter:
 
 
 def likeness(one: str, two: str) -> float:
-    """Share of common leaves, 1 for equal roots; words where both texts have few, else sentences."""
+    """Share of common leaves, 1 for equal roots; words where both texts have few, else pieces of sentences."""
     if one.partition(";")[0] == two.partition(";")[0]:
         return 1.0
     words = bool(one.split(";", 2)[1]) and bool(two.split(";", 2)[1])

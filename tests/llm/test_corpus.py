@@ -274,6 +274,24 @@ def test_merkle(odd):
     assert merkle.differing_sections(merkle.fingerprint(one), merkle.fingerprint(two))
 
 
+@pytest.mark.parametrize("space", [" ", ""])
+def test_merkle_of_a_long_line_without_full_stops(space):
+    rng = random.Random(9)
+    words = [rng.choice("abcdefgh") + str(rng.randrange(10**5)) for _ in range(1500)]
+    text = space.join(words)
+    assert 0.6 < merkle.likeness(merkle.fingerprint(text), merkle.fingerprint(merkle.edited(text, "z" * len(text)))) < 0.75
+    one = merkle.fingerprint(space.join(words[:700] + ["new"] + words[700:]))
+    assert 0.95 < merkle.likeness(merkle.fingerprint(text), one) < 1
+    assert "".join(merkle._pieces(text + "  ")) == text + "  "
+    assert max(len(merkle._words(x)) for x in merkle._pieces(text)) <= merkle.LEAF_WORDS + 1
+
+
+def test_merkle_results_of_long_texts(spark):
+    rows = [(2, " ".join(f"w{i}" for i in range(900))), (1, " ".join(f"v{i}" for i in range(900)))]
+    got = {r.doc_id: r for r in merkle.fingerprint_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(0.6 < got[i].near_edited < 0.72 and got[i].near_next == 0 for i in (1, 2))
+
+
 def test_license_scan(odd, spark):
     df, _ = odd
     assert license_scan.scan_licenses(df).count() == 0 and license_scan.scan_licenses(empty_of(df)).count() == 0

@@ -258,7 +258,6 @@ register("url_keys", url_keys, _url_sql("(SELECT width FROM wd)") + "SELECT qid,
 
 # --- grids ------------------------------------------------------------------------------------------------------------
 
-GRID_M = 1_000
 BUDGETS = (8, 12, 16, 20, 24, 28)
 
 
@@ -266,7 +265,7 @@ def grid_ranges(k: DataFrame, n: int, u: int) -> DataFrame:
     """Empty ranges of both query families and three lengths: qid, a, b, workload, len."""
     out = None
     for i, length in enumerate(w.LENGTHS):
-        for j, (name, r) in enumerate((("uncorrelated", w.uncorrelated(k, GRID_M, length, u)), ("correlated", w.correlated(k, GRID_M, length, 8, n)))):
+        for j, (name, r) in enumerate((("uncorrelated", w.uncorrelated(k, batch_size(n), length, u)), ("correlated", w.correlated(k, batch_size(n), length, 8, n)))):
             one = r.select((F.col("qid") + (2 * i + j) * 1_000_000).alias("qid"), "a", "b", F.lit(name).alias("workload"), F.lit(length).alias("len"))
             out = one if out is None else out.union(one)
     return keep_empty(k, out)

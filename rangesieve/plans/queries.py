@@ -459,15 +459,15 @@ register("ltb_spacing_probe", ltb_spacing_probe)
 
 # --- experiments ------------------------------------------------------------------------------------------------------
 
-SWEEP_M = 500
+SWEEP_M = 500  # draws a cell where SQL has the same number
 _GRID = [(d, length) for d in range(0, 11) for length in w.LENGTHS]
 
 
-def sweep_ranges(k: DataFrame, n: int) -> DataFrame:
-    """Empty ranges for every degree of correlation (10 D) and length: qid, a, b, d, len."""
+def sweep_ranges(k: DataFrame, n: int, m: int = SWEEP_M) -> DataFrame:
+    """Empty ranges for every degree of correlation (10 D) and length, m draws (up to 100,000) each: qid, a, b, d, len."""
     spark = k.sparkSession
     grid = spark.createDataFrame([(i, d, length, 2 ** (3 * (10 - d)) + 1) for i, (d, length) in enumerate(_GRID)], "g int, d int, len int, w long")
-    asked = spark.range(SWEEP_M).selectExpr("id", f"{draw(SPARK, 'id', n, 2)} + 1 AS _i").join(rank(k, "k"), F.expr("_i = i")).select("id", "k")
+    asked = spark.range(m).selectExpr("id", f"{draw(SPARK, 'id', n, 2)} + 1 AS _i").join(rank(k, "k"), F.expr("_i = i")).select("id", "k")
     drawn = asked.crossJoin(F.broadcast(grid)).selectExpr("g * 100000L + id AS qid", "k", "d", "len", "w")
     ranges = drawn.selectExpr("qid", f"k + {draw(SPARK, 'qid', 'w', 3)} AS a", "d", "len").selectExpr("qid", "a", "a + len - 1 AS b", "d", "len")
     return keep_empty(k, ranges)
@@ -487,7 +487,7 @@ def robustness_sweep(spark, sf):
     above 20 bits here, has six suffix bits and takes about 30."""
     k = keys(spark, sf, VIEW)
     n, u = k.count(), universe(VIEW)
-    ranges = sweep_ranges(k, n)
+    ranges = sweep_ranges(k, n, batch_size(n))
     p = params_for_budget(n, 20, u)
     s = f.cbf_choose(k, 20, u)
     knots = f.lbf_knots(k, EVERY)

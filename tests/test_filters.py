@@ -14,9 +14,11 @@ from rangesieve.operators import families as fam
 from rangesieve.operators import filters as f
 from rangesieve.operators import tuning, updates
 from rangesieve.operators.order import keep_empty, shard_of
-from rangesieve.plans.queries import EXAMPLE, EXAMPLE_KEYS
+from rangesieve.plans.experiments import grid_ranges
+from rangesieve.plans.queries import EXAMPLE, EXAMPLE_KEYS, VIEW, batch_size, sweep_ranges
 from rangesieve.plans.surface import ORACLES, QUERIES
 from rangesieve.sources import segments
+from rangesieve.sources.keys import keys, universe
 from rangesieve.streaming import late, windows
 
 
@@ -116,6 +118,16 @@ def test_heuristics_degrade_and_the_bounded_filter_does_not(spark):
     assert rows["truncated-trie", 10, 32] > 0.9 and rows["learned-bitmap", 10, 32] > 0.5
 
 
+def test_sweep_and_grids_draw_a_whole_batch_a_cell(spark):
+    k = keys(spark, DATA, VIEW)
+    n = k.count()
+    cells = sweep_ranges(k, n, batch_size(n)).groupBy("d", "len").count().collect()
+    assert len(cells) == 33 and min(c["count"] for c in cells) > 0.45 * batch_size(n)
+    sweep = QUERIES["robustness_sweep"](spark, DATA).where("d = 5").collect()
+    grid = grid_ranges(k, n, universe(VIEW)).groupBy("workload", "len").count().collect()
+    assert len(grid) == 6 and min([c["count"] for c in grid] + [r.n_ranges for r in sweep]) > 0.9 * batch_size(n)
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_query_matches_sql(spark, duck, name):
     assert as_rows(QUERIES[name](spark, DATA).toPandas()) == as_rows(duck.sql(ORACLES[name]).df())

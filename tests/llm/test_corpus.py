@@ -328,3 +328,30 @@ def test_pipeline(spark):
     once = cp.exact(spark, docs, DATA).collect()
     assert len({(r.text or "").lower() for r in once}) == len(once)
     assert cp.run(spark, DATA).count() > 0
+
+
+def test_pipeline_near_dedup_against_brute_force(spark):
+    import corpus_pipeline as cp
+
+    rng = random.Random(13)
+    base = [sentence(rng, 60) for _ in range(8)]
+    texts = [b.replace(b.split()[at], "changed", 1) for b in base for at in (0, 20, 59)] + base + [None, "", sentence(rng, 4)]
+    rows = [(i, t) for i, t in enumerate(texts)]
+    sets = [{tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if (w := words_of(t)) else set() for _, t in rows]
+    group = list(range(len(rows)))
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            if a and b and len(a & b) >= 0.8 * len(a | b):
+                group = [min(group[i], group[j]) if g in (group[i], group[j]) else g for g in group]
+    assert len(set(group)) < len(rows)
+    got = cp.near(spark, spark.createDataFrame(rows, "doc_id long, text string"), DATA).collect()
+    assert sorted(r.doc_id for r in got) == sorted(set(group))
+
+
+def test_toxicity_of_held_out_rows(spark):
+    sf = "/root/testdata/sf0.01"
+    marks = spark.read.parquet(f"{sf}/labels.parquet")
+    seen = toxicity.score_toxicity(spark.read.parquet(f"{sf}/documents.parquet"), marks).where("held_out").join(marks, "doc_id").collect()
+    for kind, least in ((1, 0.7), (0, 0.95)):
+        mine = [r.predicted == kind for r in seen if r.toxic == kind]
+        assert mine and sum(mine) >= least * len(mine)

@@ -3,12 +3,14 @@
 Texts with one and the same shingle set form a class; only classes are joined. A class is embedded into 128 tokens
 (position, least hash at that position); two sets of similarity s share a token with probability s. A run samples
 tokens with the probability that lets a pair at the threshold expect one shared token, and splits the classes on
-them. Small buckets are searched by brute force on the embedding; large ones
-split again on freshly sampled tokens, level by level; what is still large after the last level is dense and is
-searched around pivots in chunks, and the chunks' pivots against each other in blocks.
+them. Small buckets are searched by brute force on the embedding. In a large one, the classes whose mean similarity to
+the bucket is high (its core, as in a group of near copies) would stay together in every further split; they are
+compared with the bucket at once, in chunks around pivots, and leave the recursion. The others split again on freshly
+sampled tokens, level by level; at the last level all that is left counts as core.
 
 Runs repeat until the target recall. Each further split loses pairs, so the number of runs depends on how often a pair
-is split: all classes get the runs that one split needs, and classes in large buckets those that the last level needs.
+is split: all classes get the runs that one split needs, and classes that go on from a large bucket those that the last
+level needs.
 
 Found pairs only have to connect: each connected candidate group is then compared exactly, once, inside one task (or
 block by block where it is large), on the whole shingle sets. No pair is ever emitted as a row; a task emits for each
@@ -42,10 +44,14 @@ RECALL = 0.9999
 BUCKET = 512  # classes that are compared with each other in one bucket
 LEVELS = 4
 CHUNK = 1024  # classes of a dense bucket searched in one task
-BLOCK = 512  # classes of a group compared exactly in one task, in pairs of blocks
+BLOCK, BLOCK_SHINGLES = 512, 2_000_000  # classes of a group compared exactly in one task, in pairs of blocks, and their shingles
 #: Estimates from 128 positions deviate by up to 0.04 (one sigma) near 0.8; the slack is about four of them.
 BUCKET_LINK = NEAR - 0.15
 PIVOT_LINK, PIVOT_TAKE, PIVOT_PAIR = 0.45, 0.92, 0.28
+#: Mean similarity to the bucket from which a class belongs to its core. A class near one of the core has a mean of
+#: CORE - (1 - NEAR) at least; HALO leaves as much again for the estimates. Chunks of under FEW classes are all halo.
+CORE, HALO, FEW = 0.7, 0.4, 32
+HOT = 8  # buckets a shuffle partition that are listed by name
 
 _rng = np.random.default_rng(20240229)
 _XOR = _rng.integers(0, 2**32, POSITIONS, dtype=np.uint32)
@@ -261,29 +267,59 @@ def _forest(edges: np.ndarray) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["u", "v"], dtype="int64")
 
 
-STARS = "u long, v long, bucket long, sig binary"
+STARS = "u long, v long, bucket long, sig binary, core boolean"
 
 
-def _search_chunk(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Pivots of a chunk of a dense bucket: edges to all near classes, and the pivots themselves (v null) with signature."""
-    sig, cls, bucket = _signatures(pdf), pdf.cls.to_numpy(), int(pdf.bucket.iloc[0])
-    left, edges, pivots = np.arange(len(cls)), [np.empty((0, 2), np.int64)], []
-    while len(left):
-        p = left[0]
-        est = _estimates(sig[p], sig[left])
-        near = left[(est >= PIVOT_LINK) & (left != p)]
-        edges.append(np.stack([cls[near], np.full(len(near), cls[p])], axis=1))
-        pivots.append(p)
-        left = left[(est < PIVOT_TAKE) & (left != p)]
-    stars = _forest(np.concatenate(edges)).assign(bucket=bucket, sig=None)
-    return pd.concat([stars, pd.DataFrame({"u": cls[pivots], "v": pd.array([None] * len(pivots), "Int64"), "bucket": bucket, "sig": [sig[p].tobytes() for p in pivots]})], ignore_index=True)
+def _mean_similarity(sig: np.ndarray) -> np.ndarray:
+    """Mean estimated similarity of each row to the others, from the frequencies of its tokens."""
+    total = np.zeros(len(sig))
+    for k in range(POSITIONS):
+        _, at, n = np.unique(sig[:, k], return_inverse=True, return_counts=True)
+        total += n[at] - 1
+    return total / (POSITIONS * max(len(sig) - 1, 1))
+
+
+def _search_chunk(last: bool):
+    """Search a chunk of a large bucket. Its core, the classes like most of the bucket, is compared around pivots and
+    goes no further; at the last level all classes count as core.
+
+    Rows: edges (u, v); pivots (v null, sig) that stand for what they take, of the core and of its halo, which holds all
+    classes that may be near a core class; and classes that go on (v and sig null)."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        sig, cls, bucket = _signatures(pdf), pdf.cls.to_numpy(), int(pdf.bucket.iloc[0])
+        mean = np.ones(len(cls)) if last else _mean_similarity(sig)
+        core = mean >= CORE
+        halo = (mean >= HALO) | (len(cls) < FEW)
+        left = np.concatenate([np.flatnonzero(core), np.flatnonzero(~core)])  # all core pivots before the first other
+        edges, pivots, cores = [np.empty((0, 2), np.int64)], [], []
+        while len(left):
+            p = left[0]
+            if not core[p] and not halo[p]:
+                left = left[1:]
+                continue
+            est = _estimates(sig[p], sig[left])
+            if core[p]:
+                near = left[(est >= PIVOT_LINK) & (left != p)]
+                edges.append(np.stack([cls[near], np.full(len(near), cls[p])], axis=1))
+            pivots.append(p)
+            cores.append(bool(core[p]))
+            left = left[(est < PIVOT_TAKE) & (left != p)]
+        on = cls[~core]
+        stars = _forest(np.concatenate(edges)).assign(bucket=bucket, sig=None, core=None)
+        marks = pd.DataFrame({"u": cls[pivots], "v": pd.array([None] * len(pivots), "Int64"), "bucket": bucket, "sig": [sig[p].tobytes() for p in pivots], "core": cores})
+        further = pd.DataFrame({"u": on, "v": pd.array([None] * len(on), "Int64"), "bucket": bucket, "sig": None, "core": None})
+        return pd.concat([x for x in (stars, marks, further) if len(x)], ignore_index=True)
+
+    return run
 
 
 def _search_pivots(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Edges between the pivots of two blocks of a bucket."""
+    """Edges between the pivots of two blocks of a bucket, of which one at least is of the core."""
+    pdf = pdf.sort_values("core", ascending=False, kind="stable")
     sig, cls = _signatures(pdf), pdf.cls.to_numpy()
     out = [np.empty((0, 2), np.int64)]
-    for i in range(len(cls) - 1):
+    for i in range(min(int(pdf.core.sum()), len(cls) - 1)):
         near = np.flatnonzero(_estimates(sig[i], sig[i + 1 :]) >= PIVOT_PAIR) + i + 1
         out.append(np.stack([np.full(len(near), cls[i]), cls[near]], axis=1))
     return _forest(np.concatenate(out))
@@ -297,50 +333,61 @@ def in_block_pairs(df: DataFrame, blocks: str, key: str) -> DataFrame:
 
 
 def candidate_edges(classes: DataFrame) -> DataFrame:
-    """Edges between classes (cls, sig) that connect every pair at the threshold, but for the target's misses."""
+    """Edges between classes (cls, sig, low) that connect every pair at the threshold, but for the target's misses."""
     spark = classes.sparkSession
-    sigs = classes.select(F.col("cls").alias("c_"), "sig", "low")
     lows = classes.select(F.col("cls").alias("c_"), "low")
 
-    def look(rows: DataFrame, lows: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """Edges inside the small buckets, and the rows of the large ones."""
+    def look(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+        """Edges inside the small buckets, and the rows (bucket, cls, size) of the large ones."""
         counts = rows.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1").withColumnRenamed("bucket", "b_")
-        shared = rows.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
+        # At most HOT buckets a partition hold more rows than this: a bounded list, whose rows skip the join by bucket.
+        most = max(BUCKET, rows.count() // (HOT * shuffle_width(spark)))
+        marked = spark.createDataFrame([(r.b_, r["size"]) for r in counts.where(F.col("size") > most).collect()], "h_ long, size long")
+        hot = rows.join(F.broadcast(marked), F.col("bucket") == F.col("h_")).select("bucket", "cls", "size")
+        rest = rows.join(F.broadcast(marked), F.col("bucket") == F.col("h_"), "left_anti")
+        shared = rest.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
         shared = materialise(shared, "buckets")
         small = shared.where(F.col("size") <= BUCKET).join(lows, F.col("cls") == F.col("c_")).select("bucket", "cls", "low")
         small = small.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls")
-        return small.mapInArrow(_search_buckets, EDGES), shared.where(F.col("size") > BUCKET)
+        return small.mapInArrow(_search_buckets, EDGES), shared.where(F.col("size") > BUCKET).union(hot)
+
+    def crowded(large: DataFrame, sigs: DataFrame, last: bool) -> tuple[DataFrame, DataFrame]:
+        """Edges round the core of the large buckets, and the rows (bucket, cls) that go on."""
+        chunk = F.pmod(F.xxhash64("cls", F.lit(1)), F.greatest(F.ceil(F.col("size") / CHUNK), F.lit(1)))
+        dealt = large.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "sig", chunk.alias("chunk"))
+        stars = materialise(dealt.groupBy("bucket", "chunk").applyInPandas(_search_chunk(last), STARS), "stars")
+        pivots = stars.where("v is null and sig is not null").select("bucket", F.col("u").alias("cls"), "sig", "core")
+        many = pivots.groupBy("bucket").agg(F.ceil(F.count("*") / BUCKET).alias("blocks"), F.max("core").alias("some")).where("some").withColumnRenamed("bucket", "b_")
+        paired = in_block_pairs(pivots.join(many, F.col("bucket") == F.col("b_")).select("bucket", "cls", "sig", "core", "blocks"), "blocks", "cls")
+        found = stars.where("v is not null").select("u", "v").union(paired.groupBy("bucket", "one", "two").applyInPandas(_search_pivots, EDGES))
+        return found, stars.where("v is null and sig is null").select("bucket", F.col("u").alias("cls"))
 
     first, every = runs_needed(1), runs_needed(LEVELS + 1)
-    rows = materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths")
-    edges = None
+    edges, large = look(materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths"))
+    # Only classes of large buckets go on; their signatures are set apart once.
+    sigs = materialise(classes.select(F.col("cls").alias("c_"), "sig").join(large.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
+    if sigs.isEmpty():
+        return edges
     for level in range(LEVELS + 1):
-        found, hot = look(rows, lows)
-        edges = found if edges is None else edges.union(found)
+        found, rest = crowded(large, sigs, level == LEVELS)
+        edges = edges.union(found)
         if level == 0:
-            # Only classes of large buckets go on; their signatures are set apart once. A pair with another class was
-            # never in a large bucket, so the runs so far are enough for it; the others get the rest of the runs.
-            sigs = materialise(sigs.join(hot.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
+            # A pair that shares a large bucket is found there if one of the two is of its core; so the runs so far are
+            # enough unless both go on, and classes that do get the rest of the runs.
+            sigs = materialise(sigs.join(rest.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
             if sigs.isEmpty():
                 return edges
-            lows = sigs.select("c_", "low")
-            more = materialise(sigs.select("c_", "sig").mapInArrow(_start(every, first), PATHS), "paths")
-            found, others = look(more, lows)
-            edges, hot = edges.union(found), hot.union(others)
-        large = hot.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "size", "sig")
-        if level == LEVELS:
-            break
-        rows = materialise(large.select("bucket", "cls", "sig").mapInArrow(_split, PATHS), "paths")
-        if rows.isEmpty():
-            return edges
-    chunks = F.greatest(F.ceil(F.col("size") / CHUNK), F.lit(1))
-    dense = large.select("bucket", "cls", "sig", F.pmod(F.xxhash64("cls", F.lit(1)), chunks).alias("chunk"))
-    stars = materialise(dense.groupBy("bucket", "chunk").applyInPandas(_search_chunk, STARS), "stars")
-    edges = edges.union(stars.where("v is not null").select("u", "v"))
-    pivots = stars.where("v is null").select("bucket", F.col("u").alias("cls"), "sig")
-    many = pivots.groupBy("bucket").agg(F.ceil(F.count("*") / BUCKET).alias("blocks")).withColumnRenamed("bucket", "b_")
-    paired = in_block_pairs(pivots.join(many, F.col("bucket") == F.col("b_")).select("bucket", "cls", "sig", "blocks"), "blocks", "cls")
-    return edges.union(paired.groupBy("bucket", "one", "two").applyInPandas(_search_pivots, EDGES))
+            found, large = look(materialise(sigs.select("c_", "sig").mapInArrow(_start(every, first), PATHS), "paths"))
+            edges = edges.union(found)
+            found, others = crowded(large, sigs, False)
+            edges, rest = edges.union(found), rest.union(others)
+        if level < LEVELS:
+            rows = materialise(rest.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "sig").mapInArrow(_split, PATHS), "paths")
+            if rows.isEmpty():
+                return edges
+            found, large = look(rows)
+            edges = edges.union(found)
+    return edges
 
 
 # --- exact comparison -----------------------------------------------------------------------------------------------
@@ -418,11 +465,12 @@ def _compare(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
 def link_classes(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """(cls, linked, root) of the classes that meet another class in a candidate group.
 
-    classes: cls, doc_id, set_key, copies, sig, low, where doc_id names a document with that set.
+    classes: cls, doc_id, set_key, copies, n, sig, low, where doc_id names a document with that set.
     """
     groups = materialise(connected_components(candidate_edges(classes)), "groups")
-    sizes = groups.groupBy("root").agg(F.ceil(F.count("*") / BLOCK).alias("blocks")).withColumnRenamed("root", "r_")
-    members = groups.join(classes, F.col("node") == F.col("cls")).select("cls", "root", "copies", "set_key", F.col("doc_id").alias("d_"))
+    named = groups.join(classes, F.col("node") == F.col("cls"))
+    sizes = named.groupBy("root").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("n") / BLOCK_SHINGLES)).alias("blocks")).withColumnRenamed("root", "r_")
+    members = named.select("cls", "root", "copies", "set_key", F.col("doc_id").alias("d_"))
     lost = F.lit(-(2**63))
     texts = own(docs, "doc_id", "text").withColumn("k_", F.coalesce(F.col("doc_id").cast("long"), lost))
     held = texts.join(members.hint("merge"), F.col("k_") == F.coalesce(F.col("d_"), lost)).select("text", "cls", "root", "copies", "set_key")
@@ -443,7 +491,7 @@ def near_groups(docs: DataFrame) -> DataFrame:
     some = sketched.where("set_key is not null")
     first = some.groupBy("set_key").agg(F.min("row").alias("cls"), F.count("*").alias("copies"), F.min("doc_id").alias("least"))
     first = materialise(first, "classes")
-    classes = some.join(first.select("cls", "copies"), F.col("row") == F.col("cls")).select("cls", "doc_id", "set_key", "copies", "sig", "low")
+    classes = some.join(first.select("cls", "copies"), F.col("row") == F.col("cls")).select("cls", "doc_id", "set_key", "copies", "n", "sig", "low")
     classes = materialise(classes, "signatures")
     links = materialise(link_classes(docs, classes), "linked")
     known = first.join(links.withColumnRenamed("cls", "l_"), F.col("cls") == F.col("l_"), "left").select("set_key", "copies", "least", F.coalesce("linked", F.lit(0)).alias("linked"), F.coalesce("root", "cls").alias("root"))

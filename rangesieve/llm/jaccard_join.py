@@ -3,14 +3,13 @@
 Texts with one and the same shingle set form a class; only classes are joined. A class is embedded into 128 tokens
 (position, least hash at that position); two sets of similarity s share a token with probability s. A run samples
 tokens with the probability that lets a pair at the threshold expect one shared token, and splits the classes on
-them. Small buckets are searched by brute force on the embedding. In a large one, the classes whose mean similarity to
-the bucket is high (its core, as in a group of near copies) would stay together in every further split; they are
-compared with the bucket at once, in chunks around pivots, and leave the recursion. The others split again on freshly
-sampled tokens, level by level; at the last level all that is left counts as core.
+them. Small buckets are searched by brute force on the embedding. Runs repeat until the target recall.
 
-Runs repeat until the target recall. Each further split loses pairs, so the number of runs depends on how often a pair
-is split: all classes get the runs that one split needs, and classes that go on from a large bucket those that the last
-level needs.
+A pair that shares a common passage with many other texts still shares rarer tokens, so classes with tokens in large
+buckets get more runs, by the share of their tokens that are rare. Only classes with few rare tokens split further, on
+freshly sampled tokens, level by level. There, the classes whose mean similarity to a large bucket is high (its core,
+as in a group of near copies) would stay together in every split; they are compared with the bucket at once, in chunks
+around pivots, and leave the recursion. At the last level all that is left counts as core.
 
 Found pairs only have to connect: each connected candidate group is then compared exactly, once, inside one task (or
 block by block where it is large), on the whole shingle sets. No pair is ever emitted as a row; a task emits for each
@@ -49,8 +48,11 @@ BLOCK, BLOCK_SHINGLES = 512, 2_000_000  # classes of a group compared exactly in
 BUCKET_LINK = NEAR - 0.15
 PIVOT_LINK, PIVOT_TAKE, PIVOT_PAIR = 0.45, 0.92, 0.28
 #: Mean similarity to the bucket from which a class belongs to its core. A class near one of the core has a mean of
-#: CORE - (1 - NEAR) at least; HALO leaves as much again for the estimates. Chunks of under FEW classes are all halo.
-CORE, HALO, FEW = 0.7, 0.4, 32
+#: CORE - (1 - NEAR) at least; HALO leaves room for the estimates. Chunks of under FEW classes are all halo.
+CORE, HALO, FEW = 0.5, 0.2, 32
+#: Share of a class's sampled tokens in small buckets: from RARE on a few more runs do, below HALF it splits further.
+RARE, HALF = 0.75, 0.5
+_NOWHERE = 0x5CA1AB1E
 HOT = 8  # buckets a shuffle partition that are listed by name
 
 _rng = np.random.default_rng(20240229)
@@ -131,28 +133,32 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     give_back()
 
 
-def miss_rate(runs: int, splits: int) -> float:
-    """Probability that a pair at the threshold shares no bucket after so many splits in any run.
+def miss_rate(runs: int, rare: float = 1.0, splits: int = 1) -> float:
+    """Probability that a pair at the threshold shares no bucket that is searched after so many splits in any run, if
+    that share of its equal positions leads to such buckets.
 
-    The pair's equal positions are binomial and the same in all runs; of those, each split samples a binomial number."""
+    The pair's equal positions are binomial and the same in all runs; each split samples each of them on its own."""
     equal = np.arange(POSITIONS + 1)
     weight = np.array([math.comb(POSITIONS, k) * NEAR**k * (1 - NEAR) ** (POSITIONS - k) for k in equal])
     lost = np.zeros(POSITIONS + 1)
     for _ in range(splits):
-        lost = (1 - (1 - lost) / (NEAR * POSITIONS)) ** equal
+        lost = (1 - (1 - lost) / (NEAR * POSITIONS)) ** (equal * rare)
     return float(weight @ lost**runs)
 
 
-def runs_needed(splits: int = 1, recall: float = RECALL) -> int:
-    """Runs after which a pair at the threshold is missed with half of what the target allows, if found after so many splits.
-
-    The other half is for pairs that are found after another number of splits."""
+def runs_needed(rare: float = 1.0, splits: int = 1, recall: float = RECALL) -> int:
+    """Runs after which such a pair is missed with half of what the target allows; the other half is for other pairs."""
     runs = 1
-    while miss_rate(runs, splits) > (1 - recall) / 2:
+    while miss_rate(runs, rare, splits) > (1 - recall) / 2:
         runs += 1
     return runs
 
 
+def shared_rare(rare: float) -> float:
+    """Least share of rare tokens among those that a pair at the threshold shares, if one of the two has that share."""
+    return (rare - (1 - NEAR)) / NEAR
+
+
 def _mixed(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
@@ -181,9 +187,13 @@ def _split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array(child.view(np.int64)), pa.array(cls[rows])], names=["bucket", "cls"])
 
 
+def _roots(runs: int, done: int = 0) -> np.ndarray:
+    return _mixed(np.arange(done + 1, runs + 1, dtype=np.uint64) * np.uint64(0xD1B54A32D192ED03))
+
+
 def _start(runs: int, done: int = 0):
     """First split of the runs after those done, up to `runs`."""
-    roots = _mixed(np.arange(done + 1, runs + 1, dtype=np.uint64) * np.uint64(0xD1B54A32D192ED03))
+    roots = _roots(runs, done)
     runs -= done
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -342,7 +352,9 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
         counts = rows.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1").withColumnRenamed("bucket", "b_")
         # At most HOT buckets a partition hold more rows than this: a bounded list, whose rows skip the join by bucket.
         most = max(BUCKET, rows.count() // (HOT * shuffle_width(spark)))
-        marked = spark.createDataFrame([(r.b_, r["size"]) for r in counts.where(F.col("size") > most).collect()], "h_ long, size long")
+        # (A row that fits no bucket keeps the plan the same where there are none.)
+        named = [(r.b_, r["size"]) for r in counts.where(F.col("size") > most).collect()]
+        marked = spark.createDataFrame([*named, (_NOWHERE, 0)], "h_ long, size long")
         hot = rows.join(F.broadcast(marked), F.col("bucket") == F.col("h_")).select("bucket", "cls", "size")
         rest = rows.join(F.broadcast(marked), F.col("bucket") == F.col("h_"), "left_anti")
         shared = rest.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
@@ -362,22 +374,36 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
         found = stars.where("v is not null").select("u", "v").union(paired.groupBy("bucket", "one", "two").applyInPandas(_search_pivots, EDGES))
         return found, stars.where("v is null and sig is null").select("bucket", F.col("u").alias("cls"))
 
-    first, every = runs_needed(1), runs_needed(LEVELS + 1)
+    def of(rows: DataFrame, some: DataFrame) -> DataFrame:
+        return rows.join(some, F.col("cls") == F.col("c_"), "left_semi")
+
+    first, some, many = runs_needed(1.0), runs_needed(shared_rare(RARE)), runs_needed(shared_rare(HALF))
     edges, large = look(materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths"))
-    # Only classes of large buckets go on; their signatures are set apart once.
-    sigs = materialise(classes.select(F.col("cls").alias("c_"), "sig").join(large.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
+    # Of the tokens that the first runs sampled (the same positions for all classes), the share in large buckets.
+    tokens = int(_sampled(_roots(first)).sum())
+    busy = large.groupBy("cls").agg((1 - F.count("*") / tokens).alias("rare"))
+    sigs = materialise(classes.select("cls", "sig").join(busy.withColumnRenamed("cls", "c_"), F.col("cls") == F.col("c_")).select("c_", "sig", "rare"), "signatures")
+    if sigs.isEmpty():
+        return edges
+    # A pair that shares a sampled token is found unless all the tokens it shares are in large buckets. Classes with some
+    # of those get further runs, in which small buckets are searched only, by how rare their tokens are.
+    once = sigs.where(F.col("rare") >= RARE / 3).select("c_", "sig").mapInArrow(_start(some, first), PATHS)
+    again = sigs.where((F.col("rare") >= RARE / 3) & (F.col("rare") < RARE)).select("c_", "sig").mapInArrow(_start(many, some), PATHS)
+    found, _ = look(materialise(once.union(again), "paths"))
+    edges = edges.union(found)
+    # Classes with few rare tokens split further; those that go on beyond the first bucket get the runs of the last level.
+    sigs = materialise(sigs.where(F.col("rare") < HALF).select("c_", "sig").join(lows.withColumnRenamed("c_", "d_"), F.col("c_") == F.col("d_")).drop("d_"), "signatures")
     if sigs.isEmpty():
         return edges
+    lows, large = sigs.select("c_", "low"), of(large, sigs)
     for level in range(LEVELS + 1):
         found, rest = crowded(large, sigs, level == LEVELS)
         edges = edges.union(found)
         if level == 0:
-            # A pair that shares a large bucket is found there if one of the two is of its core; so the runs so far are
-            # enough unless both go on, and classes that do get the rest of the runs.
             sigs = materialise(sigs.join(rest.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
             if sigs.isEmpty():
                 return edges
-            found, large = look(materialise(sigs.select("c_", "sig").mapInArrow(_start(every, first), PATHS), "paths"))
+            found, large = look(materialise(sigs.select("c_", "sig").mapInArrow(_start(runs_needed(1.0, LEVELS + 1), first), PATHS), "paths"))
             edges = edges.union(found)
             found, others = crowded(large, sigs, False)
             edges, rest = edges.union(found), rest.union(others)

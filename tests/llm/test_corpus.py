@@ -108,8 +108,24 @@ def test_jaccard_join_of_a_large_group(spark):
     assert [got[i] for i in range(1300)] == (near.sum(axis=1) - 1).tolist()
 
 
-def test_jaccard_join_runs_count_every_split():
-    assert jaccard_join.miss_rate(jaccard_join.runs_needed(1), 1) + jaccard_join.miss_rate(jaccard_join.runs_needed(jaccard_join.LEVELS + 1), jaccard_join.LEVELS + 1) <= 1 - jaccard_join.RECALL
+def test_jaccard_join_runs_reach_the_target():
+    for rare in (1.0, jaccard_join.shared_rare(jaccard_join.RARE), jaccard_join.shared_rare(jaccard_join.HALF)):
+        assert jaccard_join.miss_rate(jaccard_join.runs_needed(rare), rare) <= (1 - jaccard_join.RECALL) / 2
+
+
+def test_jaccard_join_of_pairs_that_share_a_passage_with_many(spark, monkeypatch):
+    """Isolated pairs at about 0.85, half of whose tokens hundreds of other classes have."""
+    monkeypatch.setattr(jaccard_join, "BUCKET", 32)
+    rng = np.random.default_rng(12)
+    sig = np.repeat(rng.integers(0, 2**32, (400, 128), dtype=np.uint32), 2, axis=0)
+    sig[:, :60] = rng.integers(0, 2**32, 60, dtype=np.uint32)
+    for i in range(0, len(sig), 2):
+        at = rng.choice(128, 20, replace=False)
+        sig[i, at] = rng.integers(0, 2**32, 20, dtype=np.uint32)
+    rows = [(i, bytearray(s.tobytes()), bytearray(s.astype(np.uint8).tobytes())) for i, s in enumerate(sig)]
+    edges = jaccard_join.candidate_edges(spark.createDataFrame(rows, "cls long, sig binary, low binary")).distinct().collect()
+    linked = {(min(e.u, e.v), max(e.u, e.v)) for e in edges}
+    assert {(i, i + 1) for i in range(0, len(sig), 2)} <= linked
 
 
 def test_jaccard_join_of_pairs_in_crowded_buckets(spark, monkeypatch):

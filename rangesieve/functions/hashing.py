@@ -1,7 +1,10 @@
 """Integer arithmetic that Spark and an SQL oracle write alike: hashes, draws, bit lengths.
 
-Every function returns SQL text; `Dialect` hides the few words that differ. Products go through 38-digit decimals in
-Spark (128-bit integers elsewhere), so no overflow occurs below the prime 2^61 - 1.
+Functions of a `Dialect` return SQL text; the class hides the few words that differ. There, products modulo the prime
+2^61 - 1 go through 38-digit decimals in Spark (128-bit integers elsewhere). Plans over frames use `with_affine`, which has
+the same results and stays in 64-bit integers and short pieces of generated code.
+
+Keys are any integers from -2^62 up to 2^62 - 1; blocks of negative keys are counted downwards, places in a block upwards.
 """
 
 from __future__ import annotations
@@ -9,6 +12,9 @@ from __future__ import annotations
 import random
 from dataclasses import dataclass, replace
 
+import numpy as np
+from pyspark.sql import DataFrame
+
 PRIME = 2**61 - 1
 
 
@@ -20,8 +26,15 @@ class Dialect:
     def div(self, a: str, b) -> str:
         return f"(({a}) div ({b}))" if self.name == "spark" else f"(({a}) // ({b}))"
 
+    def floor_mod(self, x: str, r) -> str:
+        return f"pmod({x}, {r})" if self.name == "spark" else f"((({x}) % ({r}) + ({r})) % ({r}))"
+
+    def floor_div(self, x: str, r) -> str:
+        return self.div(f"({x}) - {self.floor_mod(x, r)}", r)
+
     def affine(self, x: str, c1: int, c2: int, modulus) -> str:
-        return f"CAST((CAST({c1} AS {self.wide}) * CAST({x} AS {self.wide}) + CAST({c2} AS {self.wide})) % CAST({PRIME} AS {self.wide}) % CAST({modulus} AS {self.wide}) AS BIGINT)"
+        """(c1 x + c2) mod 2^61 - 1 mod the modulus."""
+        return f"CAST((CAST({c1} AS {self.wide}) * CAST({self.floor_mod(x, PRIME)} AS {self.wide}) + CAST({c2} AS {self.wide})) % CAST({PRIME} AS {self.wide}) % CAST({modulus} AS {self.wide}) AS BIGINT)"
 
     def bit_length(self, x: str) -> str:
         """Number of binary digits of a non-negative integer; 0 for 0."""
@@ -41,10 +54,53 @@ SPARK = Dialect("spark", "DECIMAL(38,0)")
 DUCK = Dialect("duck", "HUGEINT")
 
 
-def draw(d: Dialect, i: str, modulus, stream: int) -> str:
-    """A repeatable draw below the modulus for row number i."""
+def with_affine(df: DataFrame, made: list[tuple[str, str, int, int, object]]) -> DataFrame:
+    """Add columns (name, x, c1, c2, modulus): (c1 x + c2) mod 2^61 - 1 mod the modulus, x and modulus as SQL text.
+
+    Factors are cut into 31-bit parts: c1 x = top 2^62 + mid 2^31 + bottom, where 2^61 counts as 1. Each step is a
+    projection of its own, as parts are used more than once and one long expression would leave compiled code."""
+    base = [f"`{c}`" for c in df.columns]
+    xs = list(dict.fromkeys(x for _, x, _, _, _ in made))
+    half = 2**31 - 1
+    y = df.selectExpr(*base, *[f"pmod(CAST({x} AS BIGINT), {PRIME}L) AS _y{i}" for i, x in enumerate(xs)])
+    cut = y.selectExpr(*base, *[t for i in range(len(xs)) for t in (f"_y{i} & {half}L AS _l{i}", f"shiftright(_y{i}, 31) AS _h{i}")])
+    parts = []
+    for j, (_, x, c1, _, _) in enumerate(made):
+        i, high, low = xs.index(x), c1 >> 31, c1 & half
+        parts += [f"{2 * high}L * _h{i} AS _t{j}", f"{high}L * _l{i} + {low}L * _h{i} AS _m{j}", f"{low}L * _l{i} % {PRIME}L AS _b{j}"]
+    multiplied = cut.selectExpr(*base, *parts)
+    done = [f"((_t{j} + shiftright(_m{j}, 30) + shiftleft(_m{j} & {2**30 - 1}L, 31) + _b{j}) % {PRIME}L + {c2}L) % {PRIME}L % ({m}) AS `{name}`" for j, (name, _, _, c2, m) in enumerate(made)]
+    return multiplied.selectExpr(*base, *done)
+
+
+def _affine_of(stream: int) -> tuple[int, int]:
     rng = random.Random(1000 + stream)
-    return d.affine(i, rng.randrange(1, PRIME), rng.randrange(PRIME), modulus)
+    return rng.randrange(1, PRIME), rng.randrange(PRIME)
+
+
+def with_draws(df: DataFrame, made: list[tuple[str, str, object, int]]) -> DataFrame:
+    """Add columns (name, x, modulus, stream), each `draw` of x."""
+    return with_affine(df, [(name, x, *_affine_of(stream), m) for name, x, m, stream in made])
+
+
+def with_local_hash(df: DataFrame, made: list[tuple[str, str]], p: HashParams, r=None) -> DataFrame:
+    """Add columns (name, x), each `local_hash` of x, which is SQL text. r: a column of the frame instead of p's."""
+    r = f"{p.r}L" if r is None else r
+    hashed = with_affine(df, [(f"_q{i}", SPARK.floor_div(x, r), p.c1, p.c2, r) for i, (_, x) in enumerate(made)])
+    return hashed.selectExpr(*[f"`{c}`" for c in df.columns], *[f"(_q{i} + pmod({x}, {r})) % {r} AS `{name}`" for i, (name, x) in enumerate(made)])
+
+
+def draw(d: Dialect, i: str, modulus, stream: int) -> str:
+    """A repeatable affine hash of an integer below the modulus, for the places of Bloom filters and the like."""
+    return d.affine(i, *_affine_of(stream), modulus)
+
+
+def mixed(d: Dialect, i: str, modulus, stream: int) -> str:
+    """A repeatable draw below the modulus for a row: 62 bits of a mixing hash, so that draws are no lattice."""
+    text = "STRING" if d.name == "spark" else "VARCHAR"
+    h = f"md5(concat('{stream}:', CAST({i} AS {text})))"
+    first, last = d.hex_to_int(f"substr({h}, 1, 15)"), d.hex_to_int(f"substr({h}, 16, 1)")
+    return f"CAST(({first} + ({last} % 4) * {2**60}) % ({modulus}) AS BIGINT)"
 
 
 @dataclass(frozen=True)
@@ -88,7 +144,7 @@ def block_hash(d: Dialect, block: str, p: HashParams, r=None) -> str:
 
 def local_hash(d: Dialect, x: str, p: HashParams, r=None) -> str:
     r = r if r is not None else p.r
-    return f"(({block_hash(d, d.div(x, r), p, r)} + ({x}) % {r}) % {r})"
+    return f"(({block_hash(d, d.floor_div(x, r), p, r)} + {d.floor_mod(x, r)}) % {r})"
 
 
 def local_hash_pow2(x: str, p: HashParams) -> str:
@@ -98,10 +154,21 @@ def local_hash_pow2(x: str, p: HashParams) -> str:
 
 
 def local_hash_fast(x: str, p: HashParams, seed: int = 42) -> str:
-    """Spark form with a practical hash of the block."""
-    return f"((pmod(xxhash64(({x}) div {p.r}, {seed}), {p.r}) + ({x}) % {p.r}) % {p.r})"
+    """Spark form with a practical hash of the block, as a string hash would be."""
+    return f"((pmod(xxhash64({SPARK.floor_div(x, p.r)}, {seed}), {p.r}) + pmod({x}, {p.r})) % {p.r})"
 
 
 def h_value(x: int, p: HashParams) -> int:
     """The hash on the driver, for worked examples and packed probes."""
     return ((p.c1 * (x // p.r) + p.c2) % PRIME % p.r + x % p.r) % p.r
+
+
+def h_values(x: np.ndarray, p: HashParams) -> np.ndarray:
+    """The same for an array of integers, by the parts that `with_affine` takes."""
+    x = np.asarray(x, np.int64)
+    place, half, prime = np.mod(x, p.r), 2**31 - 1, PRIME
+    y = np.mod((x - place) // p.r, prime)
+    high, low = y >> 31, y & half
+    top, mid, bottom = 2 * (p.c1 >> 31) * high, (p.c1 >> 31) * low + (p.c1 & half) * high, (p.c1 & half) * low % prime
+    total = (top + (mid >> 30) + ((mid & (2**30 - 1)) << 31) + bottom) % prime
+    return ((total + p.c2) % prime % p.r + place) % p.r

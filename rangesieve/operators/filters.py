@@ -1,63 +1,71 @@
 """The filters. Each keeps a set of codes and maps a range to pieces of code space; most then ask one question: does
 any code lie in a piece? A filter may answer "maybe" for an empty range, never "empty" for one with a key.
 
-Ranges are frames (qid, a, b, ...) with a <= b; other columns are kept. Answers add `maybe`.
+Ranges are frames with the columns a and b and any others. All rows and columns come back with `maybe`, which is null
+where an end is null or a > b. Ends that repeat are asked once; ids may repeat or be null, names may clash, frames may
+be empty (without keys every answer is false). Keys and ends are integers from -2^62 to 2^62 - 1; null keys never enter,
+and keys may repeat. Between `questions` and `answered` a question is known by q = (a, b).
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangesieve.functions.hashing import SPARK, HashParams, draw, local_hash
-from rangesieve.operators.order import any_code_in, predecessor, rank
-
-
-def _answers(ranges: DataFrame, hits: DataFrame) -> DataFrame:
-    """Combine pieces by query; a query without piece is empty."""
-    found = hits.groupBy("qid").agg(F.max(F.col("hit").cast("int")).alias("_m")).withColumnRenamed("qid", "_q")
-    return ranges.join(found, F.col("qid") == F.col("_q"), "left").select(*ranges.columns, F.coalesce(F.col("_m") == 1, F.lit(False)).alias("maybe"))
+from rangesieve.functions.hashing import SPARK, HashParams, local_hash_fast, with_draws, with_local_hash
+from rangesieve.operators.order import answered, any_code_in, predecessor, questions, rank
 
 
 # --- the bounded filter -----------------------------------------------------------------------------------------------
 
 
-def lhf_codes(keys: DataFrame, p: HashParams) -> DataFrame:
-    return keys.select(F.expr(local_hash(SPARK, "k", p)).alias("z")).distinct()
+def lhf_codes(keys: DataFrame, p: HashParams, distinct: bool = True) -> DataFrame:
+    """Codes z; a probe takes them with their repeats, so that they needn't be shuffled twice."""
+    codes = with_local_hash(keys.where("k is not null").select("k"), [("z", "k")], p).select("z")
+    return codes.distinct() if distinct else codes
 
 
-def lhf_pieces(ranges: DataFrame, p: HashParams) -> DataFrame:
-    """(qid, lo, hi) in code space. A range over one block border is split at it; one that wraps inside the code space
+def lhf_pieces(asked: DataFrame, p: HashParams, hashed=None) -> DataFrame:
+    """(q, lo, hi) in code space. A range over one block border is split at it; one that wraps inside the code space
     gives two pieces; one that covers a whole block gives the whole space."""
     r = p.r
-    split = ranges.select("qid", "a", "b", F.expr(f"b div {r} - a div {r}").alias("cross"))
-    cut = F.when(F.col("cross") == 0, F.array(F.struct("a", "b"))).when(F.col("cross") == 1, F.array(F.struct(F.col("a"), F.expr(f"b - b % {r} - 1").alias("b")), F.struct(F.expr(f"b - b % {r}").alias("a"), F.col("b"))))
-    ends = split.where("cross < 2").select("qid", F.inline(cut)).select("qid", F.expr(local_hash(SPARK, "a", p)).alias("x"), F.expr(local_hash(SPARK, "b", p)).alias("y"))
-    top = F.lit(r - 1).cast("long")
-    zero = F.lit(0).cast("long")
-    parts = F.when(F.col("x") <= F.col("y"), F.array(F.struct(F.col("x").alias("lo"), F.col("y").alias("hi")))).otherwise(F.array(F.struct(zero.alias("lo"), F.col("y").alias("hi")), F.struct(F.col("x").alias("lo"), top.alias("hi"))))
-    whole = split.where("cross >= 2").select("qid", zero.alias("lo"), top.alias("hi"))
-    return ends.select("qid", F.inline(parts)).union(whole)
+    hashed = hashed or (lambda df: with_local_hash(df, [("x", "a"), ("y", "b")], p))
+    edge = f"(b - {SPARK.floor_mod('b', r)})"
+    split = asked.select("q", "a", "b", F.expr(f"{SPARK.floor_div('b', r)} - {SPARK.floor_div('a', r)}").alias("cross"))
+    halves = f"if(cross = 0, array(struct(a, b, false AS whole)), if(cross = 1, array(struct(a, {edge} - 1 AS b, false AS whole), struct({edge} AS a, b, false AS whole)), array(struct(a, b, true AS whole))))"
+    ends = hashed(split.select("q", F.inline(F.expr(halves))))
+    parts = f"if(whole, array(struct(0L AS lo, {r - 1}L AS hi)), if(x <= y, array(struct(x AS lo, y AS hi)), array(struct(0L AS lo, y AS hi), struct(x AS lo, {r - 1}L AS hi))))"
+    return ends.select("q", F.inline(F.expr(parts)))
 
 
 def lhf_probe(codes: DataFrame, ranges: DataFrame, p: HashParams) -> DataFrame:
-    return _answers(ranges, any_code_in(codes, lhf_pieces(ranges, p)))
+    return answered(ranges, any_code_in(codes, lhf_pieces(questions(ranges), p), p.n or None))
+
+
+def lhf_probe_fast(keys: DataFrame, ranges: DataFrame, p: HashParams) -> DataFrame:
+    """The filter with a practical hash of the block."""
+    codes = keys.where("k is not null").select(F.expr(local_hash_fast("k", p)).alias("z"))
+    hashed = lambda df: df.selectExpr("*", f"{local_hash_fast('a', p)} AS x", f"{local_hash_fast('b', p)} AS y")
+    return answered(ranges, any_code_in(codes, lhf_pieces(questions(ranges), p, hashed), p.n or None))
 
 
 def lhf_count(codes: DataFrame, ranges: DataFrame, p: HashParams) -> DataFrame:
-    """Ranges with est: codes in the range's pieces, from differences of ranks (whole blocks count all codes)."""
+    """Ranges with est: codes (distinct) in the range's pieces, from differences of ranks (whole blocks count all codes);
+    null where an end is null or the ends are reversed."""
     from rangesieve.operators.order import count_codes_upto
 
-    pieces = lhf_pieces(ranges, p).withColumn("under", F.col("lo") - 1)
-    high = count_codes_upto(codes, pieces, "hi", "upto")
-    both = count_codes_upto(codes, high, "under", "below")
-    est = both.groupBy("qid").agg(F.sum(F.col("upto") - F.col("below")).alias("est")).withColumnRenamed("qid", "_q")
-    return ranges.join(est, F.col("qid") == F.col("_q")).drop("_q")
+    pieces = lhf_pieces(questions(ranges), p).withColumn("under", F.col("lo") - 1)
+    high = count_codes_upto(codes, pieces, "hi", "upto", p.n or None)
+    both = count_codes_upto(codes, high, "under", "below", p.n or None)
+    est = both.groupBy("q").agg(F.sum(F.col("upto") - F.col("below")).alias("est")).select(F.col("q.a").alias("x_"), F.col("q.b").alias("y_"), "est")
+    return ranges.join(est, (F.col("a") == F.col("x_")) & (F.col("b") == F.col("y_")), "left").select(*ranges.columns, "est")
 
 
 def correct_count(counts: DataFrame, p: HashParams) -> DataFrame:
-    """Take off the codes that blocks elsewhere are expected to leave in the range: n * length / r."""
-    return counts.withColumn("corrected", F.greatest(F.lit(0.0), F.col("est") - F.lit(float(p.n)) * (F.col("b") - F.col("a") + 1) / F.lit(float(p.r))))
+    """Expected number of keys behind a count of codes. Blocks elsewhere leave n * length / r codes in the range, and a
+    code stands for (n - 1) / 2r keys more than one, as keys that meet another's code add none: both are taken back."""
+    foreign = F.lit(float(p.n)) * (F.col("b") - F.col("a") + 1) / F.lit(float(p.r))
+    return counts.withColumn("corrected", F.greatest(F.lit(0.0), F.col("est") * F.lit(1 + max(p.n - 1, 0) / (2.0 * p.r)) - foreign))
 
 
 def lhf_merge(one: DataFrame, two: DataFrame) -> DataFrame:
@@ -68,18 +76,19 @@ def lhf_merge(one: DataFrame, two: DataFrame) -> DataFrame:
 # --- buckets ----------------------------------------------------------------------------------------------------------
 
 
-def cbf_codes(keys: DataFrame, s: int) -> DataFrame:
-    return keys.select(F.expr(f"k div {s}").alias("z")).distinct()
+def cbf_codes(keys: DataFrame, s: int, distinct: bool = True) -> DataFrame:
+    codes = keys.where("k is not null").select(F.expr(f"k div {s}").alias("z"))
+    return codes.distinct() if distinct else codes
 
 
-def cbf_probe(codes: DataFrame, ranges: DataFrame, s: int) -> DataFrame:
-    pieces = ranges.select("qid", F.expr(f"a div {s}").alias("lo"), F.expr(f"b div {s}").alias("hi"))
-    return _answers(ranges, any_code_in(codes, pieces))
+def cbf_probe(codes: DataFrame, ranges: DataFrame, s: int, n: int | None = None) -> DataFrame:
+    pieces = questions(ranges).select("q", F.expr(f"a div {s}").alias("lo"), F.expr(f"b div {s}").alias("hi"))
+    return answered(ranges, any_code_in(codes, pieces, n))
 
 
-def neighbours(keys: DataFrame) -> DataFrame:
+def neighbours(keys: DataFrame, n: int | None = None) -> DataFrame:
     """k with prev and next key (null at the ends), by a predecessor join on ranks."""
-    ranked = rank(keys, "k")
+    ranked = rank(keys, "k", n=n)
     p = ranked.select(F.col("k").alias("prev"), (F.col("i") + 1).alias("_p"))
     n = ranked.select(F.col("k").alias("next"), (F.col("i") - 1).alias("_n"))
     return ranked.join(p, F.col("i") == F.col("_p"), "left").join(n, F.col("i") == F.col("_n"), "left").select("k", "i", "prev", "next")
@@ -124,16 +133,18 @@ def ttf_inner_nodes(keys: DataFrame, w: int) -> int:
     return sum(ones[j] - sum(c for d, c in far.items() if d > j) for j in range(1, w + 1))
 
 
-def ttf_probe(leaves: DataFrame, ranges: DataFrame) -> DataFrame:
-    found = predecessor(leaves.select("z", F.col("hi").alias("end")), ranges, "b", ["end"])
-    return found.select(*ranges.columns, F.coalesce(F.col("pred.end") >= F.col("a"), F.lit(False)).alias("maybe"))
+def ttf_probe(leaves: DataFrame, ranges: DataFrame, n: int | None = None) -> DataFrame:
+    found = predecessor(leaves.select("z", F.col("hi").alias("end")), questions(ranges), "b", ["end"], n)
+    return answered(ranges, found.select("q", (F.col("pred.end") >= F.col("a")).alias("hit")))
 
 
-def ttf_probe_points(leaves: DataFrame, ranges: DataFrame, hash_bits: int) -> DataFrame:
-    """Point batches with hashed suffixes: the point must lie in a leaf and share the hash of the leaf's key."""
-    h = lambda x: draw(SPARK, x, 2**hash_bits, 77)
-    found = predecessor(leaves.select("z", F.col("hi").alias("end"), F.expr(h("k")).alias("tag")), ranges, "b", ["end", "tag"])
-    return found.select(*ranges.columns, F.coalesce((F.col("pred.end") >= F.col("a")) & (F.col("pred.tag") == F.expr(h("a"))), F.lit(False)).alias("maybe"))
+def ttf_probe_points(leaves: DataFrame, ranges: DataFrame, hash_bits: int, n: int | None = None) -> DataFrame:
+    """Point batches with hashed suffixes: the point must lie in a leaf and share the hash of the leaf's key. A range of
+    more than a point is asked by its leaves alone."""
+    tagged = with_draws(leaves, [("tag", "k", 2**hash_bits, 77)]).select("z", F.col("hi").alias("end"), "tag")
+    found = predecessor(tagged, with_draws(questions(ranges), [("mine", "a", 2**hash_bits, 77)]), "b", ["end", "tag"], n)
+    hit = (F.col("pred.end") >= F.col("a")) & ((F.col("a") < F.col("b")) | (F.col("pred.tag") == F.col("mine")))
+    return answered(ranges, found.select("q", hit.alias("hit")))
 
 
 def lbf_knots(keys: DataFrame, every: int) -> DataFrame:
@@ -146,7 +157,6 @@ def lbf_knots(keys: DataFrame, every: int) -> DataFrame:
 def lbf_map(knots: DataFrame, points: DataFrame, at: str, name: str, every: int, k: int) -> DataFrame:
     """Monotone integer map of a value through the knots' piecewise linear ranks; below all knots -1."""
     found = predecessor(knots, points, at, ["i", "next"])
-    inside = F.expr(f"CAST(CAST({at} - pred.z AS DECIMAL(38,0)) * {every * k} / 1 AS DECIMAL(38,0))")
     step = F.expr(f"CAST((CAST({at} - pred.z AS DECIMAL(38,0)) * {every * k}) div CAST(coalesce(pred.next, pred.z + {2**40}) - pred.z AS DECIMAL(38,0)) AS BIGINT)")
     value = F.when(F.col("pred").isNull(), F.lit(-1).cast("long")).otherwise(F.col("pred.i") * every * k + step)
     return found.select(*points.columns, value.alias(name))
@@ -156,18 +166,25 @@ def lbf_codes(keys: DataFrame, knots: DataFrame, every: int, k: int) -> DataFram
     return lbf_map(knots, keys, "k", "z", every, k).select("z").distinct()
 
 
-def lbf_probe(codes: DataFrame, knots: DataFrame, ranges: DataFrame, every: int, k: int) -> DataFrame:
-    pieces = lbf_map(knots, lbf_map(knots, ranges.select("qid", "a", "b"), "a", "lo", every, k), "b", "hi", every, k)
-    return _answers(ranges, any_code_in(codes, pieces.select("qid", "lo", "hi")))
+def lbf_probe(codes: DataFrame, knots: DataFrame, ranges: DataFrame, every: int, k: int, n: int | None = None) -> DataFrame:
+    """Both ends go through the map in one pass, as points of one frame."""
+    asked = questions(ranges)
+    ends = asked.select("q", F.inline(F.expr("array(struct(a AS x), struct(b AS x))"))).distinct()
+    mapped = lbf_map(knots, ends, "x", "z", every, k).groupBy("q").agg(F.min("z").alias("lo"), F.max("z").alias("hi"))
+    return answered(ranges, any_code_in(codes, mapped, n))
+
 
+#: Prefixes of a Bloom filter that one question may ask.
+MOST = 4_096
 
 # --- Bloom families ---------------------------------------------------------------------------------------------------
 
 
 def bloom_places(df: DataFrame, value: str, bits: int, hashes: int, stream: int = 0) -> DataFrame:
     """Each row once per hash function: columns j, place."""
-    places = F.array(*[F.struct(F.lit(j).alias("j"), F.expr(draw(SPARK, value, bits, 100 + stream * 16 + j)).alias("place")) for j in range(hashes)])
-    return df.select("*", F.inline(places))
+    drawn = with_draws(df, [(f"_d{j}", value, bits, 100 + stream * 16 + j) for j in range(hashes)])
+    places = F.array(*[F.struct(F.lit(j).alias("j"), F.col(f"_d{j}").alias("place")) for j in range(hashes)])
+    return drawn.select(*df.columns, F.inline(places))
 
 
 def bloom_bits(df: DataFrame, value: str, bits: int, hashes: int, stream: int = 0) -> DataFrame:
@@ -184,71 +201,91 @@ def bloom_members(df: DataFrame, value: str, bloom: DataFrame, bits: int, hashes
 def pointwise_probe(keys: DataFrame, ranges: DataFrame, bits: int, hashes: int) -> DataFrame:
     """Ask a point filter for every point of the range."""
     bloom = bloom_bits(keys, "k", bits, hashes)
-    points = ranges.select("qid", F.explode(F.expr("sequence(a, b)")).alias("x"))
-    return _answers(ranges, bloom_members(points, "x", bloom, bits, hashes).select("qid", F.lit(True).alias("hit")))
+    points = questions(ranges).select("q", F.explode(F.expr("sequence(a, b)")).alias("x"))
+    return answered(ranges, bloom_members(points, "x", bloom, bits, hashes).select("q", F.lit(True).alias("hit")))
 
 
-def dyadic_cover(ranges: DataFrame, top: int, low: int = 0) -> DataFrame:
-    """(qid, level, node): canonical dyadic nodes of [a, b] at levels low..top; at the top all nodes inside."""
-    levels = ranges.select("qid", "a", "b", F.explode(F.sequence(F.lit(low), F.lit(top))).alias("level"))
-    ends = levels.selectExpr("qid", "level", "a", "b", "shiftright(a + shiftleft(1L, level) - 1, level) AS x", "shiftright(b + 1, level) - 1 AS y").where("x <= y")
-    nodes = F.when(F.col("level") == top, F.expr("sequence(x, y)")).otherwise(F.expr("array_distinct(concat(if(x % 2 = 1 or x = y, array(x), array()), if(y % 2 = 0 or x = y, array(y), array())))"))
-    return ends.select("qid", "level", F.explode(nodes).alias("node"))
+def dyadic_cover(asked: DataFrame, top: int, low: int = 0, q: str = "q") -> DataFrame:
+    """(q, level, node): canonical dyadic nodes of [a, b] at levels low..top; at the top all nodes inside."""
+    levels = asked.select(q, "a", "b", F.explode(F.sequence(F.lit(low), F.lit(top))).alias("level"))
+    ends = levels.selectExpr(q, "level", "a", "b", "shiftright(a + shiftleft(1L, level) - 1, level) AS x", "shiftright(b + 1, level) - 1 AS y").where("x <= y")
+    nodes = F.when(F.col("level") == top, F.expr("sequence(x, y)")).otherwise(F.expr("array_distinct(concat(if(x & 1 = 1 or x = y, array(x), array()), if(y & 1 = 0 or x = y, array(y), array())))"))
+    return ends.select(q, "level", F.explode(nodes).alias("node"))
 
 
 def plb_bits(keys: DataFrame, top: int, bits: int, hashes: int) -> DataFrame:
-    """(level, place) of the prefixes at levels 0..top."""
-    prefixes = keys.select(F.explode(F.sequence(F.lit(0), F.lit(top))).alias("level"), "k").selectExpr("level", "shiftright(k, level) AS node").distinct()
-    return bloom_places(prefixes.selectExpr("level", "node", f"node * {top + 1} + level AS v"), "v", bits, hashes, 2).select("place").distinct()
+    """place of the prefixes at levels 0..top."""
+    return level_bits(keys, [hashes] * (top + 1), bits)
 
 
 def plb_probe(bits_set: DataFrame, ranges: DataFrame, top: int, bits: int, hashes: int) -> DataFrame:
-    """Walk down from the dyadic cover; a node lives on if its own bits are set; a leaf that lives means maybe."""
-    cover = dyadic_cover(ranges, top)
-    alive = None
-    for level in range(top, -1, -1):
-        nodes = cover.where(F.col("level") == level).select("qid", "node")
-        if alive is not None:
-            nodes = nodes.union(alive.select("qid", F.explode(F.expr("array(node * 2, node * 2 + 1)")).alias("node")))
-        asked = nodes.distinct().selectExpr("qid", "node", f"node * {top + 1} + {level} AS v")
-        alive = bloom_members(asked, "v", bits_set, bits, hashes, 2).select("qid", "node")
-    return _answers(ranges, alive.select("qid", F.lit(True).alias("hit")))
+    return level_descent(bits_set, ranges, [hashes] * (top + 1), bits)[0]
+
+
+def level_bits(keys: DataFrame, hashes: list[int], bits: int) -> DataFrame:
+    """Bloom places of the prefixes at level i, with hashes[i] functions there (few above, many at the leaves). Equal
+    places are dropped once, at the end: prefixes that repeat set the same ones."""
+    every, most = len(hashes), max(hashes)
+    nodes = keys.where("k is not null").select("k", F.posexplode(F.array(*[F.lit(c) for c in hashes])).alias("level", "c")).selectExpr("c", f"shiftright(k, level) * {every} + level AS v")
+    drawn = with_draws(nodes, [(f"_d{j}", "v", bits, 132 + j) for j in range(most)])
+    return drawn.select(F.explode(F.slice(F.array(*[F.col(f"_d{j}") for j in range(most)]), F.lit(1), F.col("c"))).alias("place")).distinct()
 
 
-def tpb_probe(keys: DataFrame, ranges: DataFrame, shift1: int, shift2: int, bits: int, hashes: int, most: int = 64) -> DataFrame:
-    """Exact prefixes above shift1 and a Bloom filter of the prefixes above shift2 < shift1; a range with more than
-    `most` of the latter is answered maybe."""
-    trie = keys.selectExpr(f"shiftright(k, {shift1}) AS t_").distinct()
-    bloom = bloom_bits(keys.selectExpr(f"shiftright(k, {shift2}) AS v"), "v", bits, hashes, 3)
-    ends = ranges.selectExpr("qid", f"shiftright(a, {shift2}) AS x", f"shiftright(b, {shift2}) AS y")
-    wide = ends.where(f"y - x >= {most}").select("qid", F.lit(True).alias("hit"))
-    asked = ends.where(f"y - x < {most}").select("qid", F.explode(F.expr("sequence(x, y)")).alias("v"))
-    asked = asked.join(trie, F.expr(f"shiftright(v, {shift1 - shift2})") == F.col("t_"), "left_semi")
-    return _answers(ranges, bloom_members(asked, "v", bloom, bits, hashes, 3).select("qid", F.lit(True).alias("hit")).union(wide))
+def level_descent(bits_set: DataFrame, ranges: DataFrame, hashes: list[int], bits: int) -> tuple[DataFrame, DataFrame]:
+    """(answers, work): walk down from the dyadic cover; a node lives on if its own bits are set; a leaf that lives means
+    maybe. work has (level, nodes, places) asked on the way down. Nodes of a question are disjoint, so none repeats."""
+    top = len(hashes) - 1
+    cover, alive, work = dyadic_cover(questions(ranges), top), None, None
+    for level in range(top, -1, -1):
+        nodes = cover.where(F.col("level") == level).select("q", "node")
+        if alive is not None:
+            nodes = nodes.union(alive.select("q", F.explode(F.expr("array(node * 2, node * 2 + 1)")).alias("node")))
+        asked = nodes.selectExpr("q", "node", f"node * {top + 1} + {level} AS v")
+        done = asked.agg(F.lit(level).alias("level"), F.count("*").alias("nodes"), (F.count("*") * hashes[level]).alias("places"))
+        work = done if work is None else work.union(done)
+        alive = bloom_members(asked, "v", bits_set, bits, hashes[level], 2).select("q", "node")
+    return answered(ranges, alive.select("q", F.lit(True).alias("hit"))), work
+
+
+def tpb_probe(keys: DataFrame, ranges: DataFrame, shift1: int, shift2: int, bits: int, hashes: int, most: int = MOST) -> DataFrame:
+    """Exact prefixes above shift1 and a Bloom filter of the prefixes above shift2 < shift1. A question may ask `most`
+    prefixes of the Bloom filter; a wider range is answered maybe, as such a filter must bound its probes."""
+    some = keys.where("k is not null")
+    trie = some.selectExpr(f"shiftright(k, {shift1}) AS t_").distinct()
+    bloom = bloom_bits(some.selectExpr(f"shiftright(k, {shift2}) AS v"), "v", bits, hashes, 3)
+    ends = questions(ranges).selectExpr("q", f"shiftright(a, {shift2}) AS x", f"shiftright(b, {shift2}) AS y")
+    wide = ends.where(f"y - x >= {most}").select("q", F.lit(True).alias("hit"))
+    # The trie's nodes first: a part of the range under a node without keys asks nothing more.
+    step = shift1 - shift2
+    under = ends.where(f"y - x < {most}").select("q", "x", "y", F.explode(F.expr(f"sequence(shiftright(x, {step}), shiftright(y, {step}))")).alias("t")).join(trie, F.col("t") == F.col("t_"), "left_semi")
+    asked = under.select("q", F.explode(F.expr(f"sequence(greatest(x, shiftleft(t, {step})), least(y, shiftleft(t + 1, {step}) - 1))")).alias("v"))
+    return answered(ranges, bloom_members(asked, "v", bloom, bits, hashes, 3).select("q", F.lit(True).alias("hit")).union(wide))
 
 
 def tree_bits(keys: DataFrame, shift: int, height: int, words: int, hashes: int) -> DataFrame:
     """(j, place): path bits of small trees over `height` bits above `shift`, one hashed word per tree and function."""
-    nodes = keys.select(F.explode(F.sequence(F.lit(0), F.lit(height))).alias("level"), "k").selectExpr(f"shiftright(k, {shift + height}) AS tree", "level", f"shiftright(k, {shift} + level) AS node").distinct()
+    nodes = keys.where("k is not null").select(F.explode(F.sequence(F.lit(0), F.lit(height))).alias("level"), "k").selectExpr(f"shiftright(k, {shift + height}) AS tree", "level", f"shiftright(k, {shift} + level) AS node").distinct()
     return tree_places(nodes, height, words, hashes).select("j", "place").distinct()
 
 
 def tree_places(nodes: DataFrame, height: int, words: int, hashes: int) -> DataFrame:
     """Place of a tree node in its word: heap number of the node inside the tree."""
     inside = nodes.withColumn("heap", F.expr(f"shiftleft(1L, {height} - level) + node - shiftleft(tree, {height} - level)"))
-    return inside.select("*", F.inline(F.array(*[F.struct(F.lit(j).alias("j"), (F.expr(draw(SPARK, "tree", words, 300 + j)) * 2 ** (height + 1) + F.col("heap")).alias("place")) for j in range(hashes)])))
+    drawn = with_draws(inside, [(f"_d{j}", "tree", words, 300 + j) for j in range(hashes)])
+    return drawn.select(*inside.columns, F.inline(F.array(*[F.struct(F.lit(j).alias("j"), (F.col(f"_d{j}") * 2 ** (height + 1) + F.col("heap")).alias("place")) for j in range(hashes)])))
 
 
 def ltb_probe(bits_set: DataFrame, ranges: DataFrame, shift: int, height: int, words: int, hashes: int) -> DataFrame:
     """Cover the range, coarsened to the tree's leaves, by tree nodes; a node set in all its words means maybe."""
-    coarse = ranges.selectExpr("qid", f"shiftright(a, {shift}) AS a", f"shiftright(b, {shift}) AS b")
-    nodes = dyadic_cover(coarse, height).selectExpr("qid", "level", "node", f"shiftright(node, {height} - level) AS tree")
+    coarse = questions(ranges).selectExpr("q", f"shiftright(a, {shift}) AS a", f"shiftright(b, {shift}) AS b")
+    nodes = dyadic_cover(coarse, height).selectExpr("q", "level", "node", f"shiftright(node, {height} - level) AS tree")
     asked = tree_places(nodes, height, words, hashes)
     hit = asked.join(bits_set.selectExpr("j AS _j", "place AS _p"), (F.col("j") == F.col("_j")) & (F.col("place") == F.col("_p")))
-    return _answers(ranges, hit.groupBy("qid", "level", "node").agg(F.count("*").alias("_n")).where(F.col("_n") == hashes).select("qid", F.lit(True).alias("hit")))
+    return answered(ranges, hit.groupBy("q", "level", "node").agg(F.count("*").alias("_n")).where(F.col("_n") == hashes).select("q", F.lit(True).alias("hit")))
 
 
 def minmax_probe(keys: DataFrame, ranges: DataFrame) -> DataFrame:
     """Control: only the least and the greatest key are known."""
     ends = keys.agg(F.min("k").alias("_lo"), F.max("k").alias("_hi"))
-    return ranges.join(F.broadcast(ends)).select(*ranges.columns, F.coalesce((F.col("b") >= F.col("_lo")) & (F.col("a") <= F.col("_hi")), F.lit(False)).alias("maybe"))
+    asked = questions(ranges).join(F.broadcast(ends))
+    return answered(ranges, asked.select("q", ((F.col("b") >= F.col("_lo")) & (F.col("a") <= F.col("_hi"))).alias("hit")))

@@ -1,238 +1,300 @@
-"""More registered queries: the remaining families, tuned baselines, updates, and the experiment grids."""
+"""More registered queries: the remaining families, tuned baselines, updates, and the experiments.
+
+Experiments draw a question for each key (a repeatable tenth of them in the grids), so batches grow with the table. Each
+method at each budget is one job that sends a few counts to the driver; the questions are kept for all of them.
+"""
 
 from __future__ import annotations
 
 import time
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rangesieve.functions import models
-from rangesieve.functions.hashing import DUCK, SPARK, draw, local_hash, params_for_budget, seeded
+from rangesieve.functions.hashing import DUCK, SPARK, draw, local_hash, mixed, params_for_budget, seeded
 from rangesieve.operators import families as fam
 from rangesieve.operators import filters as f
 from rangesieve.operators import tuning, updates
 from rangesieve.operators.order import any_code_in, keep_empty, predecessor, rank
 from rangesieve.plans import measures
+from rangesieve.plans import methods as m
 from rangesieve.plans import workloads as w
-from rangesieve.plans.queries import (
-    BITS,
-    BUDGET,
-    EVERY,
-    HASHES,
-    LENGTH,
-    ORACLES,
-    QUERIES,
-    SIZE_SQL,
-    VIEW,
-    _codes_sql,
-    _on_batch,
-    _par_sql,
-    _R,
-    batch_size,
-    lhf_answer_sql,
-    lhf_sweep,
-    make_ranges,
-    ranges_sql,
-    register,
-    with_keys,
-)
+from rangesieve.plans.methods import HASHES, Setup, answer_sql, counts_sql, ends_sql, hits_sql, tag, with_keys
+from rangesieve.plans.queries import BUDGET, LENGTH, ORACLES, QUERIES, U, VIEW, _codes_sql, _on_batch, _par_sql, _R, batch_sql, heldout_keys, heldout_sql, register, sweep_ranges, sweep_sql
 from rangesieve.sources import strings
 from rangesieve.sources.keys import VIEWS, keys, keys_sql, read_table, universe
 from rangesieve.streaming import windows
 
 __all__ = ["ORACLES", "QUERIES"]
+BUDGETS = (8, 12, 16, 20, 24, 28)
 
-
-def _setup(spark, sf, view=VIEW):
-    k = keys(spark, sf, view)
-    return k, k.count(), universe(view)
+# --- packed access ----------------------------------------------------------------------------------------------------
 
 
-# --- packed access ----------------------------------------------------------------------------------------------------
+def _ranked(spark, sf) -> tuple[Setup, DataFrame]:
+    s = Setup(spark, sf, VIEW)
+    return s, rank(f.lhf_codes(s.k, params_for_budget(s.n, BUDGET, s.u)), "z", n=s.n)
 
 
 def ef_cells(spark, sf):
     """First and last rank of the codes of every occupied high part, and where select of zeros finds it."""
-    k, n, u = _setup(spark, sf)
-    parts = rank(f.lhf_codes(k, params_for_budget(n, BUDGET, u)), "z").selectExpr("shiftright(z, 13) AS hi", "i")
+    parts = _ranked(spark, sf)[1].selectExpr("shiftright(z, 14) AS hi", "i")
     return parts.groupBy("hi").agg(F.min("i").alias("first"), F.max("i").alias("last")).selectExpr("hi", "first", "last", "hi + first - 1 AS select_zero")
 
 
-register("ef_cells", ef_cells, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, c AS (SELECT z >> 13 AS hi, z FROM codes), g AS (SELECT hi, count(*) AS c FROM c GROUP BY hi) SELECT hi, 1 + (coalesce(sum(c) OVER (ORDER BY hi ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS first, (sum(c) OVER (ORDER BY hi))::BIGINT AS last, (hi + coalesce(sum(c) OVER (ORDER BY hi ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS select_zero FROM g"))
+register("ef_cells", ef_cells, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, c AS (SELECT z >> 14 AS hi, z FROM codes), g AS (SELECT hi, count(*) AS c FROM c GROUP BY hi) SELECT hi, 1 + (coalesce(sum(c) OVER (ORDER BY hi ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS first, (sum(c) OVER (ORDER BY hi))::BIGINT AS last, (hi + coalesce(sum(c) OVER (ORDER BY hi ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS select_zero FROM g"))
 
 
 def ef_access(spark, sf):
     """The nth code for drawn i."""
-    k, n, u = _setup(spark, sf)
-    codes = rank(f.lhf_codes(k, params_for_budget(n, BUDGET, u)), "z")
-    asked = spark.range(batch_size(n)).selectExpr("id AS qid", f"{draw(SPARK, 'id', n, 11)} + 1 AS nth")
+    s, codes = _ranked(spark, sf)
+    asked = s.k.selectExpr("k AS qid", f"{mixed(SPARK, 'k', s.n, 11)} + 1 AS nth")
     return asked.join(codes, F.col("nth") == F.col("i"), "left").select("qid", "nth", F.coalesce("z", F.lit(-1)).alias("z"))
 
 
-register("ef_access", ef_access, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, n AS (SELECT row_number() OVER (ORDER BY z) AS i, z FROM codes) SELECT id AS qid, nth, coalesce(z, -1) AS z FROM (SELECT id, {draw(DUCK, 'id', '(SELECT count(*) FROM keys)', 11)} + 1 AS nth FROM range(100000) t(id) WHERE id < {SIZE_SQL}) LEFT JOIN n ON nth = i"))
+register("ef_access", ef_access, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, n AS (SELECT row_number() OVER (ORDER BY z) AS i, z FROM codes) SELECT qid, nth, coalesce(z, -1) AS z FROM (SELECT k AS qid, {mixed(DUCK, 'k', '(SELECT count(*) FROM keys)', 11)} + 1 AS nth FROM keys) LEFT JOIN n ON nth = i"))
+
+
+def ef_select(spark, sf):
+    """Places of the k-th zero of each packed shard, by select on its bits: one for every cell border."""
+    from rangesieve.functions.packed import pack, shard_zeros
+
+    s = Setup(spark, sf, VIEW)
+    return shard_zeros(pack(f.lhf_codes(s.k, params_for_budget(s.n, BUDGET, s.u)), BUDGET - 2, s.n)).select("cell", "codes_below")
+
+
+# Bits before a zero are zeros of lower cells and ones of lower codes; so the codes below the end of a cell.
+register("lhf_select_zero", ef_select, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, c AS (SELECT DISTINCT (z >> 14) AS cell FROM codes), t AS (SELECT z, row_number() OVER (ORDER BY z) AS i FROM codes) SELECT cell, i AS codes_below FROM c ASOF JOIN t ON ((cell + 1) << 14) > z"))
 
 # --- families ---------------------------------------------------------------------------------------------------------
 
 
 def psh_probe(spark, sf):
-    k, n, u = _setup(spark, sf)
-    p = params_for_budget(n, BUDGET, u)
-    return fam.psh_probe(f.lhf_codes(k, p), make_ranges("correlated", k, n, VIEW), p)
+    s = Setup(spark, sf, VIEW)
+    p = params_for_budget(s.n, BUDGET, s.u)
+    return fam.psh_probe(f.lhf_codes(s.k, p, False), s.ends("correlated", LENGTH), p)
 
 
-register("psh_probe", psh_probe, lhf_answer_sql(VIEW, ranges_sql("correlated", VIEW)))
+register("psh_probe", psh_probe, ORACLES["lhf_probe_correlated"])
 
-LAYERS, DELTA, WORDS = 5, 6, 2**14
+LAYERS, DELTA = 5, 6
 
 
 def _phb_place(v: str, layer: str) -> str:
-    return f"({draw(DUCK, f'((({v}) >> {DELTA}) * 64 + {layer})', WORDS, 400)} * {2**DELTA} + (({v}) & {2**DELTA - 1}))"
+    return f"({draw(DUCK, f'((({v}) >> {DELTA}) * 64 + {layer})', 'words', 400)} * {2**DELTA} + (({v}) & {2**DELTA - 1}))"
+
 
+def _phb(s: Setup, r: DataFrame) -> DataFrame:
+    words = max(1, BUDGET * s.n // 2**DELTA)
+    return fam.phb_probe(fam.phb_bits(s.k, LAYERS, DELTA, words), r, LAYERS, DELTA, words)
 
-register("phb_probe", _on_batch("correlated", LENGTH, lambda k, r: fam.phb_probe(fam.phb_bits(k, LAYERS, DELTA, WORDS), r, LAYERS, DELTA, WORDS)), with_keys(VIEW, f"""ranges AS ({ranges_sql('correlated', VIEW)}),
-bits AS (SELECT DISTINCT {_phb_place(f'k >> (layer * {DELTA})', 'layer')} AS place FROM keys, (SELECT unnest(range({LAYERS}))::INT AS layer)),
-pts AS (SELECT qid, a, b, unnest(range(a, b + 1)) AS x FROM ranges),
-lifted AS (SELECT qid, x, max(j) AS j FROM (SELECT qid, x, a, b, unnest(range({LAYERS}))::INT AS j FROM pts) WHERE ((x >> (j * {DELTA})) << (j * {DELTA})) >= a AND ((x >> (j * {DELTA})) << (j * {DELTA})) + (1::BIGINT << (j * {DELTA})) - 1 <= b GROUP BY qid, x),
-nodes AS (SELECT DISTINCT qid, j, x >> (j * {DELTA}) AS v FROM lifted),
-path AS (SELECT qid, j, v, unnest(range(j, {LAYERS}))::INT AS layer FROM nodes),
-live AS (SELECT qid FROM path WHERE {_phb_place(f'v >> ((layer - j) * {DELTA})', 'layer')} IN (SELECT place FROM bits) GROUP BY qid, j, v HAVING count(*) = {LAYERS} - j)
-SELECT qid, a, b, qid IN (SELECT qid FROM live) AS maybe FROM ranges"""))
+
+register("phb_probe", _on_batch("correlated", LENGTH, _phb), batch_sql("correlated", LENGTH, f"""wd AS (SELECT greatest(1, {BUDGET} * n // {2**DELTA}) AS words FROM nn),
+bits AS (SELECT DISTINCT {_phb_place(f'k >> (layer * {DELTA})', 'layer')} AS place FROM keys, wd, (SELECT unnest(range({LAYERS}))::INT AS layer)),
+pts AS (SELECT a, b, unnest(range(a, b + 1)) AS x FROM q),
+lifted AS (SELECT a, b, x, max(j) AS j FROM (SELECT a, b, x, unnest(range({LAYERS}))::INT AS j FROM pts) WHERE ((x >> (j * {DELTA})) << (j * {DELTA})) >= a AND ((x >> (j * {DELTA})) << (j * {DELTA})) + (1::BIGINT << (j * {DELTA})) - 1 <= b GROUP BY ALL),
+nodes AS (SELECT DISTINCT a, b, j, x >> (j * {DELTA}) AS v FROM lifted),
+path AS (SELECT a, b, j, v, words, unnest(range(j, {LAYERS}))::INT AS layer FROM nodes, wd),
+live AS (SELECT a, b FROM path WHERE {_phb_place(f'v >> ((layer - j) * {DELTA})', 'layer')} IN (SELECT place FROM bits) GROUP BY a, b, j, v HAVING count(*) = {LAYERS} - j)""", "live"))
 
 LEVELS = [HASHES + 2, 1, 1, 1, 1, 1]
 
 
-def plb_levels_probe(spark, sf):
-    """One function on the upper levels, more on the leaves."""
-    k, n, _ = _setup(spark, sf)
-    return fam.level_descent(fam.level_bits(k, LEVELS, BITS * 4), make_ranges("correlated", k, n, VIEW), LEVELS, BITS * 4)[0]
+def _descent(spark, sf, levels=None):
+    """Answers and work of the per-level filter on correlated ranges; levels None: tuned on an uncorrelated sample."""
+    s = Setup(spark, sf, VIEW)
+    if levels is None:
+        levels = tuning.plb_tune(_sample(s), 5, HASHES)
+    return fam.level_descent(fam.level_bits(s.k, levels, BUDGET * s.n), s.ends("correlated", LENGTH), levels, BUDGET * s.n)
 
 
-def plb_probe_count(spark, sf):
-    """Nodes and Bloom places asked on each level of the descent."""
-    k, n, _ = _setup(spark, sf)
-    return fam.level_descent(fam.level_bits(k, LEVELS, BITS * 4), make_ranges("correlated", k, n, VIEW), LEVELS, BITS * 4)[1]
+def _sample(s: Setup, degree: int | None = None, length: int = LENGTH) -> DataFrame:
+    """n/10 empty ranges; uncorrelated unless a degree (10 D) is given."""
+    tenth = w.share(s.k, 10)
+    return keep_empty(s.k, w.ends(tenth, "uncorrelated", length, s.u, 8, 50) if degree is None else w.ends(tenth, "correlated", length, s.u, degree, 50))
 
 
-def plb_tuned_probe(spark, sf):
-    k, n, u = _setup(spark, sf)
-    levels = tuning.plb_tune(tuning_sample(k, n, u), 5, HASHES)
-    return fam.level_descent(fam.level_bits(k, levels, BITS * 4), make_ranges("correlated", k, n, VIEW), levels, BITS * 4)[0]
+def _sample_sql(degree: int | None = None, length: int = LENGTH) -> str:
+    """The same over keys."""
+    made = ends_sql("uncorrelated", U, length, 8, 50) if degree is None else ends_sql("correlated", U, length, degree, 50)
+    return w.empties_sql(f"SELECT * FROM ({made}) WHERE {mixed(DUCK, 'qid', 10, 6)} = 0")
 
 
-register("plb_levels_probe", plb_levels_probe)
-register("plb_probe_count", plb_probe_count)
-register("plb_tuned_probe", plb_tuned_probe)
+def _level_work(levels: list[int]) -> str:
+    return with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql('correlated', U, LENGTH)}), {counts_sql(U)}, {m.per_level_sql('p', levels, f'({BUDGET} * n)')} " + " UNION ALL ".join(f"SELECT {i} AS level, count(*) AS nodes, count(*) * {c} AS places FROM p_n{i}" for i, c in enumerate(levels)))
 
 
-# --- tuning -----------------------------------------------------------------------------------------------------------
+register("plb_levels_probe", lambda spark, sf: _descent(spark, sf, LEVELS)[0], batch_sql("correlated", LENGTH, m.per_level_sql("p", LEVELS, f"({BUDGET} * n)"), "p_hit"))
+register("plb_probe_count", lambda spark, sf: _descent(spark, sf, LEVELS)[1], _level_work(LEVELS))
+register("plb_tuned_probe", lambda spark, sf: _descent(spark, sf)[0], batch_sql("correlated", LENGTH, m.per_level_sql("p", [HASHES] + [1] * 5, f"({BUDGET} * n)"), "p_hit"))
+
 
+def plb_bits(spark, sf):
+    """Set bits of the per-level filter at each budget, and the share of all."""
+    s, rows = Setup(spark, sf, VIEW), []
+    for bits in BUDGETS:
+        rows.append((bits, f.level_bits(s.k, m.levels(bits), bits * s.n).count()))
+    return spark.createDataFrame(rows, "bits int, ones long").withColumn("fill", F.round(F.col("ones") / (F.col("bits") * s.n), 6))
 
-def tuning_sample(k: DataFrame, n: int, u: int, degree: int | None = None, length: int = LENGTH) -> DataFrame:
-    """n/10 small empty ranges; uncorrelated unless a degree (10 D) is given."""
-    m = max(100, n // 10)
-    return keep_empty(k, w.uncorrelated(k, m, length, u) if degree is None else w.correlated(k, m, length, degree, n))
+
+register("plb_bits", plb_bits, with_keys(VIEW, f"ranges AS (SELECT 0 AS qid, 0 AS a, 0 AS b), {counts_sql(U)}, " + ", ".join(m.per_level_sql(f"p{b}", m.levels(b), f"({b} * n)") for b in BUDGETS) + " " + " UNION ALL ".join(f"SELECT {b} AS bits, count(*) AS ones, round(count(*) / ({b} * (SELECT n FROM nn)), 6) AS fill FROM p{b}_bits" for b in BUDGETS)))
+
+# --- tuning -----------------------------------------------------------------------------------------------------------
 
 
 def tpb_grid(spark, sf):
-    k, n, u = _setup(spark, sf)
-    return tuning.tpb_grid(k, tuning_sample(k, n, u), BUDGET, u).select("shift1", "shift2", F.round("fpr", 6).alias("fpr"))
+    s = Setup(spark, sf, VIEW)
+    rows = tuning.tpb_grid(s.ones, tuning.alike(s.k, _sample(s), s.n), BUDGET, s.u)
+    return spark.createDataFrame(rows, "shift1 int, shift2 int, fpr double").withColumn("fpr", F.round("fpr", 6))
 
 
-register("tpb_grid", tpb_grid)
+def _own_sample(text: str) -> str:
+    """counts_sql whose sample is the CTE `tuner` instead of a tenth of the ranges."""
+    found = counts_sql(U)
+    return found.replace(f"SELECT a, b FROM ranges WHERE {mixed(DUCK, 'qid', m.SAMPLE, 7)} = 0 AND a <= b", text)
 
 
-def _tpb(k: DataFrame, ranges: DataFrame, shifts: tuple[int, int], bits: float, u: int, ones: dict[int, int]) -> DataFrame:
-    """The tuned prefix filter; the exact prefixes are paid for out of the budget."""
-    trie = models.space_bucket(ones[shifts[0]], u, 2 ** shifts[0]) if 2 ** shifts[0] < u else 0.0
-    return f.tpb_probe(k, ranges, shifts[0], shifts[1], int(max(64, bits * ones[0] - trie)), HASHES)
+register("tpb_grid", tpb_grid, with_keys(VIEW, f"ranges AS (SELECT 0 AS qid, 0 AS a, 0 AS b), {_own_sample(f'SELECT a, b FROM ({_sample_sql()})')}, {m.prefix_grid('g', BUDGET, U)} SELECT s1 AS shift1, s2 AS shift2, round(fpr, 6) AS fpr FROM g_f"))
+
+SHIFTED = ("locality-hash", "prefix-bloom", "local-tree-sampled")
 
 
 def workload_shift(spark, sf):
-    """Tuned baselines: sample from one degree of correlation, questions from another."""
-    k, n, u = _setup(spark, sf)
-    words = max(64, int(BUDGET * n) // 2**7)
-    out, ones = None, {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
-    for tuned in (0, 8):
-        sample = tuning_sample(k, n, u, tuned)
-        shifts = tuning.tpb_tune(k, sample, BUDGET, u)
-        start = tuning.ltb_tune(k, sample, words, 5, 2, u)
-        bits = f.tree_bits(k, start, 5, words, 2)
-        for asked in (0, 8):
-            r = make_ranges("empty_correlated", k, n, VIEW, LENGTH, asked)
-            for method, answer in (("prefix-bloom", _tpb(k, r, shifts, BUDGET, u, ones)), ("local-tree", f.ltb_probe(bits, r, start, 5, words, 2))):
-                one = answer.select(F.lit(method).alias("method"), F.lit(tuned).alias("tuned_d"), F.lit(asked).alias("asked_d"), "maybe")
-                out = one if out is None else out.union(one)
-    return measures.fpr(out, "method", "tuned_d", "asked_d")
-
-
-register("workload_shift", workload_shift)
+    """Tuned baselines: sample from one degree of correlation, questions from another; the locality hash beside them."""
+    s, rows = Setup(spark, sf, VIEW), []
+    samples = {d: tuning.alike(s.k, _sample(s, d), s.n) for d in (0, 8)}
+    for asked in (0, 8):
+        with held(s.ends("empty_correlated", LENGTH, asked)) as r:
+            rows += [(name, tuned, asked, *x) for tuned, sample in samples.items() for name in SHIFTED for x in counted(m.answer(s, name, BUDGET, r, sample))]
+    return rated(spark, rows, "method string, tuned_d int, asked_d int")
+
+
+@contextmanager
+def held(ranges: DataFrame):
+    """Questions kept while several filters are asked; lost blocks are made again."""
+    kept = ranges.cache()
+    try:
+        yield kept
+    finally:
+        kept.unpersist()
+
+
+def counted(answers: DataFrame, *by: str) -> list[tuple]:
+    """(*by, n_ranges, positives) on the driver: as many rows as an experiment has cells."""
+    return [tuple(r) for r in answers.groupBy(*by).agg(F.count("*").alias("n_ranges"), F.sum(F.col("maybe").cast("long")).alias("positives")).collect()]
+
+
+def rated(spark, rows: list[tuple], schema: str) -> DataFrame:
+    return measures.with_limits(spark.createDataFrame(rows, f"{schema}, n_ranges long, positives long"))
+
+
+def rated_sql(parts: list[str]) -> str:
+    """Rates from selects of (..., n_ranges, positives)."""
+    return f"SELECT *, {measures.LIMITS_SQL} FROM (" + " UNION ALL ".join(parts) + ")"
+
+
+def _count_of(name: str, bits: int, fixed: str, by: str = "", suffix: str = "") -> str:
+    group = f" GROUP BY {by}" if by else ""
+    columns = "".join(f", {x}" for x in by.split(", ") if x)
+    return f"SELECT {fixed}{columns}, count(*) AS n_ranges, coalesce(sum(((a, b) IN (SELECT (a, b) FROM {tag(name, bits)}{suffix}_hit))::INT), 0)::BIGINT AS positives FROM ranges{group}"
+
+
+_SHIFT = []
+for _asked in (0, 8):
+    for _tuned in (0, 8):
+        _ctes = with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql('empty_correlated', U, LENGTH, _asked)}), {_own_sample(f'SELECT a, b FROM ({_sample_sql(_tuned)})')}, " + ", ".join(hits_sql(x, BUDGET, U) for x in SHIFTED))
+        _SHIFT.append(f"SELECT * FROM ({_ctes} " + " UNION ALL ".join(_count_of(x, BUDGET, f"'{x}' AS method, {_tuned} AS tuned_d, {_asked} AS asked_d") for x in SHIFTED) + ")")
+register("workload_shift", workload_shift, rated_sql(_SHIFT))
 
 
 def ltb_tuned_probe(spark, sf):
-    k, n, u = _setup(spark, sf)
-    start = tuning.ltb_tune(k, tuning_sample(k, n, u, 8), 2**14, 5, 2, u)
-    return f.ltb_probe(f.tree_bits(k, start, 5, 2**14, 2), make_ranges("correlated", k, n, VIEW), start, 5, 2**14, 2)
+    """Start level from a correlated sample, asked for correlated ranges."""
+    s = Setup(spark, sf, VIEW)
+    return m.answer(s, "local-tree-sampled", BUDGET, s.ends("correlated", LENGTH), tuning.alike(s.k, _sample(s, 8), s.n))
+
 
+register("ltb_tuned_probe", ltb_tuned_probe, with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql('correlated', U, LENGTH)}), {_own_sample(f'SELECT a, b FROM ({_sample_sql(8)})')}, {hits_sql('local-tree-sampled', BUDGET, U)} SELECT qid, a, b, (a, b) IN (SELECT (a, b) FROM {tag('local-tree-sampled', BUDGET)}_hit) AS maybe FROM ranges"))
 
-register("ltb_tuned_probe", ltb_tuned_probe)
+for _name, _shift in (("ltb_wide_probe", 5), ("ltb_spacing_probe", 18)):
+    register(_name, _on_batch("correlated", LENGTH, lambda s, r, x=_shift: m._tree(s, BUDGET, r, x)), batch_sql("correlated", LENGTH, m.tree_sql("w", f"SELECT {_shift} AS s", BUDGET), "w_hit"))
 
 COARSE, HOT = 30, 10
 
 
 def atf_probe(spark, sf):
     """Buckets split where a first batch of empty ranges met false positives; then the same batch again."""
-    k, n, _ = _setup(spark, sf)
-    seen = make_ranges("empty_correlated", k, n, VIEW)
-    leaves = fam.region_leaves(k, fam.adapted_regions(k, seen, COARSE), COARSE, COARSE)
-    return fam.leaves_probe(leaves, seen)
+    s = Setup(spark, sf, VIEW)
+    seen = s.ends("empty_correlated", LENGTH)
+    return fam.leaves_probe(fam.region_leaves(s.k, fam.adapted_regions(s.k, seen, COARSE), COARSE, COARSE), seen)
 
 
-_GAPS = f"""ranges AS ({ranges_sql('empty_correlated', VIEW)}), nxt AS (SELECT r.qid, r.a, r.b, k.k AS after FROM ranges r ASOF LEFT JOIN keys k ON r.b <= k.k), prv AS (SELECT x.*, k.k AS before FROM nxt x ASOF LEFT JOIN keys k ON x.a >= k.k),
+_SEEN = f"ranges AS MATERIALIZED ({ends_sql('empty_correlated', U, LENGTH)})"
+_GAPS = f"""{_SEEN}, nxt AS (SELECT r.qid, r.a, r.b, k.k AS after FROM ranges r ASOF LEFT JOIN keys k ON r.b <= k.k), prv AS (SELECT x.*, k.k AS before FROM nxt x ASOF LEFT JOIN keys k ON x.a >= k.k),
 gaps AS (SELECT qid, a, b, least(coalesce({DUCK.bit_length('xor(a, before)')}, 63), coalesce({DUCK.bit_length('xor(b, after)')}, 63)) AS level FROM prv)"""
-register("sample_gaps", _on_batch("empty_correlated", LENGTH, lambda k, r: fam.sample_gaps(k, r)), with_keys(VIEW, _GAPS + " SELECT qid, a, b, level FROM gaps"))
+register("sample_gaps", _on_batch("empty_correlated", LENGTH, lambda s, r: fam.sample_gaps(s.k, r, s.n)), with_keys(VIEW, _GAPS + " SELECT qid, a, b, level FROM gaps"))
 _LEAF = "SELECT DISTINCT (k >> s) << s AS z, ((k >> s) << s) + (1::BIGINT << s) - 1 AS hi FROM (SELECT k, least(coalesce(s, {cold}), {shift})::INT AS s FROM keys LEFT JOIN regions ON k >> {shift} = region)"
+_IN_LEAF = "SELECT qid, a, b, coalesce(hi >= a, false) AS maybe FROM ranges ASOF LEFT JOIN leaves ON b >= z"
 register("atf_probe", atf_probe, with_keys(VIEW, f"""{_GAPS}, regions AS (SELECT region, greatest(min(level) - 1, 0) AS s FROM (SELECT level, unnest([a >> {COARSE}, b >> {COARSE}]) AS region FROM gaps WHERE level <= {COARSE}) GROUP BY region),
-leaves AS ({_LEAF.format(cold=COARSE, shift=COARSE)}) SELECT qid, a, b, EXISTS (SELECT 1 FROM leaves WHERE z <= ranges.b AND hi >= ranges.a) AS maybe FROM ranges"""))
+leaves AS ({_LEAF.format(cold=COARSE, shift=COARSE)}) {_IN_LEAF}"""))
 
 
 def cbf_weighted(spark, sf):
     """Narrow buckets where queries are frequent, wide ones elsewhere."""
-    k, n, _ = _setup(spark, sf)
-    seen = make_ranges("empty_correlated", k, n, VIEW)
-    return fam.leaves_probe(fam.region_leaves(k, fam.weighted_regions(seen, COARSE, HOT), COARSE, 22), seen)
-
+    s = Setup(spark, sf, VIEW)
+    seen = s.ends("empty_correlated", LENGTH)
+    return fam.leaves_probe(fam.region_leaves(s.k, fam.weighted_regions(seen, COARSE, HOT), COARSE, 22), seen)
 
-register("cbf_weighted", cbf_weighted, with_keys(VIEW, f"""ranges AS ({ranges_sql('empty_correlated', VIEW)}), mass AS (SELECT a >> {COARSE} AS region, count(*) AS c FROM ranges GROUP BY 1), regions AS (SELECT region, {HOT} AS s FROM mass WHERE c >= (SELECT avg(c) FROM mass)),
-leaves AS ({_LEAF.format(cold=22, shift=COARSE)}) SELECT qid, a, b, EXISTS (SELECT 1 FROM leaves WHERE z <= ranges.b AND hi >= ranges.a) AS maybe FROM ranges"""))
 
+register("cbf_weighted", cbf_weighted, with_keys(VIEW, f"""{_SEEN}, mass AS (SELECT a >> {COARSE} AS region, count(*) AS c FROM ranges GROUP BY 1), regions AS (SELECT region, {HOT} AS s FROM mass WHERE c >= (SELECT avg(c) FROM mass)),
+leaves AS ({_LEAF.format(cold=22, shift=COARSE)}) {_IN_LEAF}"""))
 # --- updates, shards, strings -----------------------------------------------------------------------------------------
 
 
 def lhf_insert(spark, sf):
-    k, _, u = _setup(spark, sf)
-    base = k.where("k % 10 <> 0")
-    p = params_for_budget(base.count(), BUDGET, u)
-    return updates.lhf_insert(f.lhf_codes(base, p), k.where("k % 10 = 0"), p)
+    s = Setup(spark, sf, VIEW)
+    base = s.k.where("k % 10 <> 0")
+    p = params_for_budget(base.count(), BUDGET, s.u)
+    return updates.lhf_insert(f.lhf_codes(base, p), s.k.where("k % 10 = 0"), p)
 
 
-register("lhf_insert", lhf_insert, with_keys(VIEW, f"{_par_sql(VIEW)} , par2 AS (SELECT CAST(least(count(*) * CAST({2 ** (BUDGET - 2)} AS HUGEINT), {universe(VIEW)}) AS BIGINT) AS r FROM keys WHERE k % 10 <> 0), codes AS (SELECT DISTINCT {local_hash(DUCK, 'k', seeded(2, 1), '(SELECT r FROM par2)')} AS z FROM keys) SELECT z FROM codes"))
+register("lhf_insert", lhf_insert, with_keys(VIEW, f"par AS ({m.budget_par(BUDGET, U)} WHERE k % 10 <> 0), {_codes_sql(seeded(2, 1))} SELECT z FROM codes"))
 
 
 def lhf_compact(spark, sf):
-    k, n, u = _setup(spark, sf)
-    return updates.lhf_compact(k, n, BUDGET, u)[0]
+    s = Setup(spark, sf, VIEW)
+    return updates.lhf_compact(s.k, s.n, BUDGET, s.u)[0]
 
 
 register("lhf_compact", lhf_compact, ORACLES[f"lhf_codes_{VIEW}"])
 
+PARTS = 64
+
 
 def lhf_sharded_probe(spark, sf):
-    k, n, _ = _setup(spark, sf)
-    return updates.sharded_probe(k, make_ranges("correlated", k, n, VIEW), BUDGET)
+    """Shards of equal width in key space, each with its own parameters."""
+    s = Setup(spark, sf, VIEW)
+    return updates.sharded_probe(s.k, s.ends("correlated", LENGTH), BUDGET, [i * s.u // PARTS for i in range(1, PARTS)])
+
+
+def _sharded_sql() -> str:
+    wide = U // PARTS
+    h = lambda x: local_hash(DUCK, f"({x} - first)", updates.ANY, "r")
+    return with_keys(VIEW, f"""ranges AS MATERIALIZED ({ends_sql('correlated', U, LENGTH)}), q AS (SELECT DISTINCT a, b FROM ranges),
+t0 AS (SELECT k // {wide} AS shard, count(*) * {2 ** (BUDGET - 2)} AS r, min(k) AS first, max(k) AS last FROM keys GROUP BY 1),
+t AS (SELECT *, coalesce(sum(r) OVER (ORDER BY shard ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS start FROM t0),
+codes AS (SELECT DISTINCT start + {h('k')} AS z FROM keys JOIN t ON k // {wide} = shard),
+met AS (SELECT a, b, greatest(a, first) AS x, least(b, last) AS y, first, r, start FROM (SELECT a, b, unnest(list_distinct([least(a // {wide}, {PARTS - 1}), least(b // {wide}, {PARTS - 1})])) AS s FROM q) JOIN t ON s = shard WHERE greatest(a, first) <= least(b, last)),
+cut AS (SELECT *, (y - first) // r - (x - first) // r AS spans FROM met),
+halves AS (SELECT a, b, x, y, first, r, start FROM cut WHERE spans = 0 UNION ALL SELECT a, b, x, y - (y - first) % r - 1, first, r, start FROM cut WHERE spans = 1 UNION ALL SELECT a, b, y - (y - first) % r, y, first, r, start FROM cut WHERE spans = 1),
+ends AS (SELECT a, b, {h('x')} AS lo, {h('y')} AS hi, r, start FROM halves),
+pieces AS (SELECT a, b, start + lo AS lo, start + hi AS hi FROM ends WHERE lo <= hi UNION ALL SELECT a, b, start, start + hi FROM ends WHERE lo > hi UNION ALL SELECT a, b, start + lo, start + r - 1 FROM ends WHERE lo > hi UNION ALL SELECT a, b, start, start + r - 1 FROM cut WHERE spans > 1),
+hit AS (SELECT DISTINCT p.a, p.b FROM pieces p ASOF JOIN codes c ON p.hi >= c.z WHERE c.z >= p.lo)
+SELECT qid, a, b, (a, b) IN (SELECT (a, b) FROM hit) AS maybe FROM ranges""")
 
 
-register("lhf_sharded_probe", lhf_sharded_probe)
+register("lhf_sharded_probe", lhf_sharded_probe, _sharded_sql())
 
 
 def _url_sql(width: str) -> str:
@@ -256,163 +318,307 @@ def url_keys(spark, sf):
 register("url_keys", url_keys, _url_sql("(SELECT width FROM wd)") + "SELECT qid, a, b, qid IN (SELECT qid FROM hit) AS maybe FROM ranges")
 
 
+# --- robustness -------------------------------------------------------------------------------------------------------
+
+SWEEP_BITS = 20
+
+
+def robustness_sweep(spark, sf):
+    """False positive rates of all methods over D and length at 20 bits a key, with 95 % limits; a trie below its least
+    size takes more. Tuned methods learn from a tenth of all the sweep's questions."""
+    s, rows = Setup(spark, sf, VIEW), []
+    with held(sweep_ranges(s)) as r:
+        sample = s.tuned_on(r)
+        for name in m.METHODS:
+            rows += [(name, *x) for x in counted(m.answer(s, name, SWEEP_BITS, r, sample), "d", "len")]
+    return rated(spark, rows, "method string, d int, len int")
+
+
+_SWEPT = with_keys(VIEW, f"{sweep_sql()}, ranges AS MATERIALIZED (SELECT * FROM swept), {counts_sql(U)}, ")
+_SWEEP = _SWEPT + ", ".join(hits_sql(x, SWEEP_BITS, U) for x in m.METHODS) + " " + rated_sql([_count_of(x, SWEEP_BITS, f"'{x}' AS method", "d, len") for x in m.METHODS])
+register("robustness_sweep", robustness_sweep, _SWEEP)
+
+
+def robustness_summary(spark, sf):
+    """Extremes over the degree of correlation and where each method is lost."""
+    return measures.robustness(QUERIES["robustness_sweep"](spark, sf), "method", "len")
+
+
+register("robustness_summary", robustness_summary, f"SELECT method, len, max(fpr) AS worst, min(fpr) AS best, min(CASE WHEN fpr > 0.5 THEN d END) AS lost_at FROM ({_SWEEP}) GROUP BY ALL")
+
+
+def effectiveness_gap(spark, sf):
+    """Orders of magnitude between the locality hash's rate and each other method's, by degree and length. Rates count half
+    a positive more, so none is zero; `seen` says whether both had positives, else the gap is an estimate from below."""
+    return measures.gaps(QUERIES["robustness_sweep"](spark, sf), "locality-hash", "d", "len")
+
+
+register("effectiveness_gap", effectiveness_gap, measures.gaps_sql(_SWEEP, "locality-hash", "d, len"))
+register("predictability", lambda spark, sf: measures.predictability(QUERIES["robustness_sweep"](spark, sf), "method", "len"), f"SELECT method, len, round(max(fpr) - min(fpr), 6) AS spread, round(stddev_pop(fpr), 6) AS deviation FROM ({_SWEEP}) GROUP BY ALL")
+
+
+def lhf_sweep(spark, sf):
+    s = Setup(spark, sf, VIEW)
+    with held(sweep_ranges(s)) as r:
+        return rated(spark, counted(m.answer(s, "locality-hash", 12, r), "d", "len"), "d int, len int")
+
+
+_LHF_SWEEP = _SWEPT + hits_sql("locality-hash", 12, U) + " " + rated_sql([_count_of("locality-hash", 12, "d, len", "").replace("FROM ranges", "FROM ranges GROUP BY d, len")])
+register("lhf_sweep", lhf_sweep, _LHF_SWEEP)
+
+_TOTALS = [F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst")]
+_NAMED = {c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")}
+register("grid_cube", lambda spark, sf: lhf_sweep(spark, sf).cube("d", "len").agg(*_TOTALS).withColumns(_NAMED), f"SELECT coalesce(d, -1) AS d, coalesce(len, -1) AS len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({_LHF_SWEEP}) GROUP BY CUBE (d, len)")
+register("grid_rollup", lambda spark, sf: lhf_sweep(spark, sf).rollup("d", "len").agg(*_TOTALS).withColumns(_NAMED), ORACLES["grid_cube"].replace("CUBE (d, len)", "ROLLUP (d, len)"))
+
+
+def grid_sets(spark, sf):
+    return lhf_sweep(spark, sf).groupingSets([["d"], ["len"], []], "d", "len").agg(*_TOTALS).withColumns(_NAMED)
+
+
+register("grid_sets", grid_sets, ORACLES["grid_cube"].replace("CUBE (d, len)", "GROUPING SETS ((d), (len), ())"))
+
+SEEDS = 40
+
+
+def bound_vs_rate(spark, sf):
+    """Mean rate over 40 hash draws against the bound, by budget and length, with its standard error."""
+    s, rows = Setup(spark, sf, VIEW), []
+    for cell, length in enumerate(w.LENGTHS):
+        with held(w.keep_empty(s.k, w.ends(w.share(s.k, 10), "correlated", length, s.u, 8, cell))) as r:
+            for bits in (12, 16):
+                for seed in range(SEEDS):
+                    p = params_for_budget(s.n, bits, s.u, seed)
+                    rows += [(bits, length, *x) for x in counted(f.lhf_probe(f.lhf_codes(s.k, p, False), r, p))]
+    each = spark.createDataFrame(rows, "bits int, len int, n_ranges long, positives long")
+    return measures.against_bound(each)
+
+
+def _seed_sql(length: int, cell: int, bits: int, seed: int) -> str:
+    h = lambda x: local_hash(DUCK, x, seeded(2, seed), "r")
+    made = f"SELECT * FROM ({ends_sql('correlated', U, length, 8, cell)}) WHERE {mixed(DUCK, 'qid', 10, 6)} = 0"
+    return with_keys(VIEW, f"ranges AS MATERIALIZED ({w.empties_sql(made)}), q AS (SELECT DISTINCT a, b FROM ranges), {m.locality_sql('s', m.budget_par(bits, U), h)} SELECT {bits} AS bits, {length} AS len, count(*) AS n_ranges, coalesce(sum(((a, b) IN (SELECT (a, b) FROM s_hit))::INT), 0) AS positives FROM ranges")
+
+
+register("bound_vs_rate", bound_vs_rate, "WITH e AS (" + " UNION ALL ".join(f"SELECT * FROM ({_seed_sql(x, c, bits, seed)})" for c, x in enumerate(w.LENGTHS) for bits in (12, 16) for seed in range(SEEDS)) + ") SELECT bits, len, round(avg(positives / n_ranges), 6) AS fpr, round(stddev_samp(positives / n_ranges) / sqrt(count(*)), 6) AS error, round(least(1.0, len / pow(2.0, bits - 2)), 6) AS bound FROM e GROUP BY bits, len")
+
 # --- grids ------------------------------------------------------------------------------------------------------------
 
-BUDGETS = (8, 12, 16, 20, 24, 28)
+#: (row, view, workload): the uniform view with both synthetic families, two clustered views with withheld keys, and the
+#: time view.
+ROWS = (("uniform", "md5_60", "correlated"), ("uniform", "md5_60", "uncorrelated"), ("prices", "part_price", "heldout"), ("places", "user_time", "heldout"), ("times", "event_us", "correlated"))
+TENTH = 10
+
+
+def grid_setup(spark, sf, view: str, kind: str) -> tuple[Setup, DataFrame]:
+    """Keys of a grid's row and its empty questions of all lengths (qid, a, b, len): from a tenth of the keys, which are
+    withheld where the workload says so."""
+    s, out = Setup(spark, sf, view), None
+    if kind == "heldout":
+        kept, asked = w.hold_out(s.k)
+        s = Setup(spark, sf, view, kept)
+    else:
+        asked = w.share(s.k, TENTH)
+    for cell, length in enumerate(w.LENGTHS):
+        one = w.heldout(asked, length) if kind == "heldout" else w.ends(asked, kind, length, s.u, 8, cell)
+        one = one.withColumn("len", F.lit(length))
+        out = one if out is None else out.union(one)
+    return s, w.keep_empty(s.k, out)
+
+
+def grid_sql(view: str, kind: str) -> str:
+    """CTEs keys and ranges(qid, a, b, len) of a grid's row."""
+    u, parts = universe(view), []
+    for cell, length in enumerate(w.LENGTHS):
+        made = heldout_sql(length) if kind == "heldout" else f"SELECT * FROM ({ends_sql(kind, u, length, 8, cell)}) WHERE {mixed(DUCK, 'qid', TENTH, 6)} = 0"
+        parts.append(f"SELECT *, {length} AS len FROM ({made})")
+    text = with_keys(view, f"ranges AS MATERIALIZED ({w.empties_sql(' UNION ALL '.join(parts))}), {counts_sql(u)}")
+    return heldout_keys(view, text) if kind == "heldout" else text
 
 
-def grid_ranges(k: DataFrame, n: int, u: int) -> DataFrame:
-    """Empty ranges of both query families and three lengths: qid, a, b, workload, len."""
-    out = None
-    for i, length in enumerate(w.LENGTHS):
-        for j, (name, r) in enumerate((("uncorrelated", w.uncorrelated(k, batch_size(n), length, u)), ("correlated", w.correlated(k, batch_size(n), length, 8, n)))):
-            one = r.select((F.col("qid") + (2 * i + j) * 1_000_000).alias("qid"), "a", "b", F.lit(name).alias("workload"), F.lit(length).alias("len"))
-            out = one if out is None else out.union(one)
-    return keep_empty(k, out)
-
-
-def _methods(k: DataFrame, n: int, u: int, bits: int, ones: dict[int, int], names: tuple[str, ...], inner: int | None = None) -> dict:
-    """method -> answer function at a budget, each in about bits * n bits; the trie is left out below its least size."""
-    p = params_for_budget(n, bits, u)
-    fits = [j for j, t in ones.items() if t and 2**j <= u and models.space_bucket(t, u, 2**j) <= bits * n]
-    s = 2 ** min(fits) if fits else u
-    slots = 2 ** max(1, int(bits - 2.4))
-    total = max(64, bits * n)
-    levels = [max(1, round(bits / 1.44 - 10))] + [1] * 10
-    words = max(1, total // (2 * 2**7))
-    suffix = int(bits - models.space_truncated_trie(n, 0, inner) / max(n, 1)) if inner is not None else -1
-    every = {
-        "locality-hash": lambda r: f.lhf_probe(f.lhf_codes(k, p), r, p),
-        "bucket": lambda r: f.cbf_probe(f.cbf_codes(k, s), r, s),
-        "truncated-trie": lambda r: f.ttf_probe(f.ttf_leaves(k, suffix), r),
-        "learned-bitmap": lambda r: (lambda knots: f.lbf_probe(f.lbf_codes(k, knots, EVERY, slots), knots, r, EVERY, slots))(f.lbf_knots(k, EVERY)),
-        "per-level": lambda r: fam.level_descent(fam.level_bits(k, levels, total), r, levels, total)[0],
-        "local-tree": lambda r: f.ltb_probe(f.tree_bits(k, 0, 6, words, 2), r, 0, 6, words, 2),
-        "piecewise-hash": lambda r: fam.phb_probe(fam.phb_bits(k, 4, 6, max(1, total // 64)), r, 4, 6, max(1, total // 64), 2**12),
-    }
-    return {m: every[m] for m in names if m != "truncated-trie" or suffix >= 0}
-
-
-def _grid(names: tuple[str, ...], budgets=BUDGETS):
+def admissible(bits: int, n: int, u: int) -> bool:
+    """Whether a budget stays below the cost of a lossless encoding, beyond which a filter has no use."""
+    return bits * n <= models.space_lossless(n, u)
+
+
+def _grid(names: tuple[str, ...]):
     def run(spark, sf):
-        k, n, u = _setup(spark, sf)
-        r, ones = grid_ranges(k, n, u), {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
-        out, inner = None, f.ttf_inner_nodes(k, VIEWS[VIEW][2])
-        for bits in budgets:
-            for method, answer in _methods(k, n, u, bits, ones, names, inner).items():
-                one = answer(r).select(F.lit(method).alias("method"), F.lit(bits).alias("bits"), "workload", "len", "maybe")
-                out = one if out is None else out.union(one)
-        return measures.fpr(out, "method", "bits", "workload", "len")
+        rows = []
+        for row, view, kind in ROWS:
+            s, made = grid_setup(spark, sf, view, kind)
+            with held(made) as r:
+                sample = s.tuned_on(r) if set(names) & set(m.TUNED) else None
+                for bits in BUDGETS:
+                    if admissible(bits, s.n, s.u):
+                        for name in names:
+                            rows += [(row, kind, name, bits, *x) for x in counted(m.answer(s, name, bits, r, sample), "len")]
+        return rated(spark, rows, "data string, workload string, method string, bits int, len int")
 
-    return run
+    parts = []
+    for row, view, kind in ROWS:
+        u = universe(view)
+        cells = [f"SELECT c.* FROM ({_count_of(x, b, f'{chr(39)}{row}{chr(39)} AS data, {chr(39)}{kind}{chr(39)} AS workload, {chr(39)}{x}{chr(39)} AS method, {b} AS bits', 'len')}) c, nn WHERE {b} * n <= n * (log2({u}::DOUBLE / n) + 2)" for b in BUDGETS for x in names]
+        parts.append(f"SELECT * FROM ({grid_sql(view, kind)}, " + ", ".join(hits_sql(x, b, u) for b in BUDGETS for x in names) + " " + " UNION ALL ".join(cells) + ")")
+    return run, rated_sql(parts)
 
 
-HEURISTICS = ("locality-hash", "bucket", "truncated-trie", "learned-bitmap", "piecewise-hash")
-ROBUST = ("locality-hash", "per-level", "local-tree")
-register("heuristic_grid", _grid(HEURISTICS))
-register("robust_grid", _grid(ROBUST, (12, 20, 28)))
+register("heuristic_grid", *_grid(m.HEURISTIC))
+register("robust_grid", *_grid(m.ROBUST))
 
 
 def nonempty_grid(spark, sf):
-    """False negatives of every method over ranges with keys, at 28 bits a key."""
-    k, n, u = _setup(spark, sf)
-    ones, out = {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}, None
-    r = make_ranges("nonempty", k, n, VIEW)
-    for method, answer in _methods(k, n, u, 28, ones, HEURISTICS + ROBUST[1:], f.ttf_inner_nodes(k, VIEWS[VIEW][2])).items():
-        one = answer(r).select(F.lit(method).alias("method"), "maybe")
-        out = one if out is None else out.union(one)
-    return measures.false_negatives(out, "method")
+    """False negatives of every method over ranges with keys, at 16 bits a key."""
+    s, rows = Setup(spark, sf, VIEW), []
+    with held(s.ends("nonempty", LENGTH)) as r:
+        sample = s.tuned_on(s.ends("empty_correlated", LENGTH))
+        rows = [(name, n, n - hits) for name in m.METHODS for n, hits in counted(m.answer(s, name, BUDGET, r, sample))]
+    return spark.createDataFrame(rows, "method string, n_ranges long, false_negatives long")
 
 
-register("nonempty_grid", nonempty_grid, with_keys(VIEW, "m AS (SELECT unnest([" + ", ".join(f"'{m}'" for m in HEURISTICS + ROBUST[1:]) + f"]) AS method) SELECT method, {SIZE_SQL}::BIGINT AS n_ranges, 0::BIGINT AS false_negatives FROM m"))
+register("nonempty_grid", nonempty_grid, with_keys(VIEW, "m AS (SELECT unnest([" + ", ".join(f"'{x}'" for x in m.METHODS) + "]) AS method) SELECT method, (SELECT count(*) FROM keys) AS n_ranges, 0::BIGINT AS false_negatives FROM m"))
+
+
+def count_grid(spark, sf):
+    """Mean error of counts, raw and corrected, for ranges with keys of several lengths and budgets."""
+    s, rows = Setup(spark, sf, VIEW), []
+    for cell, length in enumerate((2**10, 2**20, 2**30)):
+        with held(s.ends("nonempty", length, 8, cell)) as r:
+            exact = f.lhf_count(s.k.select(F.col("k").alias("z")), r, m.params_for_budget(s.n, 62, s.u)).selectExpr("qid AS q_", "est AS exact")
+            for bits in (12, 20):
+                p = params_for_budget(s.n, bits, s.u)
+                both = f.correct_count(f.lhf_count(f.lhf_codes(s.k, p), r, p), p).join(exact, F.expr("qid = q_"))
+                rows.append((bits, length, *both.agg(F.round(F.avg(F.expr("est - exact")), 4), F.round(F.avg(F.expr("corrected - exact")), 4)).first()))
+    return spark.createDataFrame(rows, "bits int, len long, mean_raw double, mean_corrected double")
+
+
+register("count_grid", count_grid)
 
 
 def adversary(spark, sf):
-    """Questions right next to a known hundredth of the keys."""
-    k, n, u = _setup(spark, sf)
-    known = k.where(f"{draw(SPARK, 'k', 100, 6)} = 0")
-    near = keep_empty(k, known.selectExpr("k AS qid", "k + 1 AS a", f"k + {LENGTH} AS b"))
-    p, s = params_for_budget(n, 20, u), f.cbf_choose(k, 20, u)
-    one = f.lhf_probe(f.lhf_codes(k, p), near, p).select(F.lit("locality-hash").alias("method"), "maybe")
-    two = f.cbf_probe(f.cbf_codes(k, s), near, s).select(F.lit("bucket").alias("method"), "maybe")
-    return measures.fpr(one.union(two), "method")
+    """Questions right next to a known hundredth of the keys, to all methods."""
+    s, rows = Setup(spark, sf, VIEW), []
+    near = w.keep_empty(s.k, w.share(s.k, 100).selectExpr("k AS qid", "k + 1 AS a", f"k + {LENGTH} AS b"))
+    with held(near) as r:
+        sample = s.tuned_on(s.ends("empty_uncorrelated", LENGTH))
+        rows = [(name, *x) for name in m.METHODS for x in counted(m.answer(s, name, SWEEP_BITS, r, sample))]
+    return rated(spark, rows, "method string")
+
 
+_NEAR = f"SELECT k AS qid, k + 1 AS a, k + {LENGTH} AS b FROM keys WHERE {mixed(DUCK, 'k', 100, 6)} = 0"
+_BEFORE = f"SELECT a, b FROM ({ends_sql('empty_uncorrelated', U, LENGTH)}) WHERE {mixed(DUCK, 'qid', m.SAMPLE, 7)} = 0"
+register("adversary", adversary, with_keys(VIEW, f"ranges AS MATERIALIZED ({w.empties_sql(_NEAR)}), {_own_sample(_BEFORE)}, " + ", ".join(hits_sql(x, SWEEP_BITS, U) for x in m.METHODS) + " " + rated_sql([_count_of(x, SWEEP_BITS, f"'{x}' AS method") for x in m.METHODS])))
 
-register("adversary", adversary)
+_NORMAL = (("normal", "uncorrelated"), ("normal", "correlated"), ("md5_60", "normal"))
 
 
 def normal_keys(spark, sf):
     """Normal keys with both query families, and uniform keys with queries at normal places."""
-    out = None
-    for view, kind in (("normal", "uncorrelated"), ("normal", "correlated"), ("md5_60", "normal")):
-        k, n, u = _setup(spark, sf, view)
-        r = keep_empty(k, keys(spark, sf, "normal").selectExpr("k AS qid", "k div 4 AS a", f"k div 4 + {LENGTH - 1} AS b")) if kind == "normal" else make_ranges(f"empty_{kind}", k, n, view)
-        p, s = params_for_budget(n, 14, u), f.cbf_choose(k, 14, u)
-        for method, answer in (("locality-hash", f.lhf_probe(f.lhf_codes(k, p), r, p)), ("bucket", f.cbf_probe(f.cbf_codes(k, s), r, s))):
-            one = answer.select(F.lit(view).alias("view"), F.lit(kind).alias("workload"), F.lit(method).alias("method"), "maybe")
-            out = one if out is None else out.union(one)
-    return measures.fpr(out, "view", "workload", "method")
+    rows = []
+    for view, kind in _NORMAL:
+        s = Setup(spark, sf, view)
+        r = w.keep_empty(s.k, keys(spark, sf, "normal").selectExpr("k AS qid", "k div 4 AS a", f"k div 4 + {LENGTH - 1} AS b")) if kind == "normal" else s.ends(f"empty_{kind}", LENGTH)
+        with held(r) as kept:
+            rows += [(view, kind, name, *x) for name in ("locality-hash", "bucket") for x in counted(m.answer(s, name, 14, kept))]
+    return rated(spark, rows, "view string, workload string, method string")
 
 
-register("normal_keys", normal_keys)
+def _normal_sql(view: str, kind: str) -> str:
+    u = universe(view)
+    made = w.empties_sql(f"SELECT k AS qid, k // 4 AS a, k // 4 + {LENGTH - 1} AS b FROM ({keys_sql(DUCK, 'normal')})") if kind == "normal" else ends_sql(f"empty_{kind}", u, LENGTH)
+    return f"SELECT * FROM ({with_keys(view, f'ranges AS MATERIALIZED ({made}), {counts_sql(u)}, ')}" + ", ".join(hits_sql(x, 14, u) for x in ("locality-hash", "bucket")) + " " + " UNION ALL ".join(_count_of(x, 14, f"'{view}' AS view, '{kind}' AS workload, '{x}' AS method") for x in ("locality-hash", "bucket")) + ")"
 
 
-def time_windows(spark, sf):
-    """Did an event of this type happen in this second? Windows near events."""
-    k, n, u = _setup(spark, sf, "type_time")
-    p = params_for_budget(n, 24, u)
-    return f.lhf_probe(f.lhf_codes(k, p), make_ranges("correlated", k, n, "type_time", 1_000_000, 2), p)
+register("normal_keys", normal_keys, rated_sql([_normal_sql(*x) for x in _NORMAL]))
 
+OUTLIERS = 21
 
-register("time_windows", time_windows, lhf_answer_sql("type_time", ranges_sql("correlated", "type_time", 1_000_000, 2), 24))
 
+def outlier_ids(spark, sf):
+    """Low-magnitude ids with 21 far outliers at 12 bits a key: the bulk lies in one block and is told apart without error,
+    while a lossless encoding needs far more bits because of the outliers."""
+    bulk = keys(spark, sf, "order_total")
+    far = spark.range(OUTLIERS).selectExpr(f"{2**44} + id * {7919 * 2**30} AS k")
+    s, rows = Setup(spark, sf, "type_time", bulk.union(far).distinct()), []
+    for cell, length in enumerate(w.LENGTHS):
+        with held(w.keep_empty(s.k, w.ends(bulk, "uncorrelated", length, universe("order_total"), 8, cell))) as r:
+            rows += [(name, length, *x) for name in ("locality-hash", "bucket", "per-level") for x in counted(m.answer(s, name, 12, r))]
+    return rated(spark, rows, "method string, len int")
 
-def robustness_summary(spark, sf):
-    """Extremes over the degree of correlation and where each method is lost."""
-    return measures.robustness(QUERIES["robustness_sweep"](spark, sf), "method", "len")
+
+def _outliers_sql() -> str:
+    u, parts = universe("type_time"), []
+    for cell, length in enumerate(w.LENGTHS):
+        made = f"SELECT qid, a, a + {length - 1} AS b FROM (SELECT k AS qid, {w.left_end(DUCK, 'uncorrelated', length, universe('order_total'), 8, cell)} AS a FROM bulk)"
+        ctes = f"WITH bulk AS MATERIALIZED ({keys_sql(DUCK, 'order_total')}), keys AS MATERIALIZED (SELECT k FROM bulk UNION SELECT {2**44} + id * {7919 * 2**30} FROM range({OUTLIERS}) t(id)), ranges AS MATERIALIZED ({w.empties_sql(made)}), {counts_sql(u)}, " + ", ".join(hits_sql(x, 12, u) for x in ("locality-hash", "bucket", "per-level"))
+        parts.append(f"SELECT * FROM ({ctes} " + " UNION ALL ".join(_count_of(x, 12, f"'{x}' AS method, {length} AS len") for x in ("locality-hash", "bucket", "per-level")) + ")")
+    return rated_sql(parts)
+
+
+register("outlier_ids", outlier_ids, _outliers_sql())
+
+
+def theory_table(spark, sf):
+    """Bits per key of every design with a closed form, by L and eps, and the budget below which the per-level design is
+    smaller. Buckets are as narrow as the budget allows; their number and the trie's inner nodes are counted."""
+    rows = []
+    for view in ("event_us", "md5_60", "part_price"):
+        s = Setup(spark, sf, view)
+        n, u, wide = s.n, s.u, s.width(BUDGET)
+        counted_ = (("bucket", models.space_bucket(s.ones[wide], u, 2**wide)), ("truncated-trie", models.space_truncated_trie(n, 0, s.inner)), ("learned-bitmap", models.space_learned_bitmap(n, 100)), ("lossless", models.space_lossless(n, u)))
+        rows += [(view, name, 0, 0, round(bits / n, 4)) for name, bits in counted_]
+        for length in w.LENGTHS:
+            for one_in in (10, 100, 1000):
+                closed = (("locality-hash", models.space_locality_hash), ("prefix-search", models.space_prefix_search), ("per-level", models.space_per_level), ("pointwise", models.space_pointwise), ("bound", models.space_bound))
+                rows += [(view, name, length, one_in, round(space(n, length, 1 / one_in) / n, 4)) for name, space in closed]
+    return spark.createDataFrame(rows, "view string, method string, len int, one_in int, bits_per_key double")
+
+
+def _theory_sql(view: str) -> str:
+    u = universe(view)
+    closed = {"locality-hash": "log2(x) + 2", "prefix-search": "log2(x) + 3", "per-level": "1.44 * log2(x)", "pointwise": "log2(x)", "bound": "log2(x)"}
+    cells = "(SELECT l AS len, e AS one_in, (l * e)::DOUBLE AS x FROM (SELECT unnest([1, 32, 1024]) AS l), (SELECT unnest([10, 100, 1000]) AS e))"
+    return f"SELECT * FROM ({with_keys(view, f'ranges AS (SELECT 0 AS qid, 0 AS a, 0 AS b), {counts_sql(u)}, wd AS ({m.bucket_par(BUDGET, u)})')} SELECT '{view}' AS view, 'bucket' AS method, 0 AS len, 0 AS one_in, round(t * (log2({u}::DOUBLE / (t::DOUBLE * pow(2, j))) + 2) / n, 4) AS bits_per_key FROM ones JOIN wd ON j = s, nn UNION ALL SELECT '{view}', 'truncated-trie', 0, 0, round((10.0 * n + 10 * z) / n, 4) FROM nn, inner_nodes UNION ALL SELECT '{view}', 'learned-bitmap', 0, 0, round(log2(100) + 2.4, 4) UNION ALL SELECT '{view}', 'lossless', 0, 0, round(log2({u}::DOUBLE / n) + 2, 4) FROM nn" + "".join(f" UNION ALL SELECT '{view}', '{k}', len, one_in, round({v}, 4) FROM {cells}" for k, v in closed.items()) + ")"
 
 
-register("robustness_summary", robustness_summary)
-register("grid_rollup", lambda spark, sf: lhf_sweep(spark, sf).rollup("d", "len").agg(F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst")).withColumns({c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")}), ORACLES["grid_cube"].replace("CUBE (d, len)", "ROLLUP (d, len)"))
+register("theory_table", theory_table, " UNION ALL ".join(_theory_sql(v) for v in ("event_us", "md5_60", "part_price")))
 
 
 def worst_regions(spark, sf):
-    k, n, _ = _setup(spark, sf)
-    r = make_ranges("empty_correlated", k, n, VIEW)
-    return measures.worst_regions(f.cbf_probe(f.cbf_codes(k, 2**20), r, 2**20), 34, 10)
+    s = Setup(spark, sf, VIEW)
+    return measures.worst_regions(f.cbf_probe(f.cbf_codes(s.k, 2**20, False), s.ends("empty_correlated", LENGTH), 2**20, s.n), 34, 10)
 
 
-register("worst_regions_topk", worst_regions, with_keys(VIEW, f"ranges AS ({ranges_sql('empty_correlated', VIEW)}), codes AS (SELECT DISTINCT k >> 20 AS z FROM keys) SELECT a >> 34 AS region, count(*) AS false_positives FROM ranges WHERE EXISTS (SELECT 1 FROM codes WHERE z BETWEEN ranges.a >> 20 AND ranges.b >> 20) GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 10"))
+register("worst_regions_topk", worst_regions, with_keys(VIEW, f"{_SEEN}, q AS (SELECT DISTINCT a, b FROM ranges), {m.bucket_sql('c', 'SELECT 20 AS s')} SELECT a >> 34 AS region, count(*) AS false_positives FROM ranges WHERE (a, b) IN (SELECT (a, b) FROM c_hit) GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 10"))
 
 # --- operators around the filters -------------------------------------------------------------------------------------
 
 
 def range_join_binned(spark, sf):
     """Keys in ranges, exactly: bins of 2^20, ranges once a bin, equality join, then the condition."""
-    k, n, _ = _setup(spark, sf)
-    r = make_ranges("nonempty", k, n, VIEW, 10**6).select("qid", "a", "b", F.explode(F.expr("sequence(shiftright(a, 20), shiftright(b, 20))")).alias("bin"))
-    return r.join(k.selectExpr("k", "shiftright(k, 20) AS kb"), F.expr("bin = kb AND k BETWEEN a AND b")).groupBy("qid").agg(F.count("*").alias("n"))
+    s = Setup(spark, sf, VIEW)
+    r = s.ends("nonempty", 10**6).select("qid", "a", "b", F.explode(F.expr("sequence(shiftright(a, 20), shiftright(b, 20))")).alias("bin"))
+    return r.join(s.k.selectExpr("k", "shiftright(k, 20) AS kb"), F.expr("bin = kb AND k BETWEEN a AND b")).groupBy("qid").agg(F.count("*").alias("n"))
 
 
-register("range_join_binned", range_join_binned, with_keys(VIEW, f"ranges AS ({ranges_sql('nonempty', VIEW, 10**6)}) SELECT qid, count(*) AS n FROM ranges JOIN keys ON k BETWEEN a AND b GROUP BY qid"))
+register("range_join_binned", range_join_binned, with_keys(VIEW, f"r AS ({ends_sql('nonempty', U, 10**6)}), kr AS (SELECT k, row_number() OVER (ORDER BY k) AS i FROM keys), h AS (SELECT r.*, i AS upto FROM r ASOF JOIN kr ON b >= k) SELECT qid, upto - coalesce(i, 0) AS n FROM h ASOF LEFT JOIN kr ON a > k"))
 
 
 def asof_successor(spark, sf):
-    k, n, _ = _setup(spark, sf)
-    points = make_ranges("uncorrelated", k, n, VIEW).selectExpr("qid", "a", "-a AS m")
-    return predecessor(k.selectExpr("-k AS z"), points, "m").selectExpr("qid", "a", "coalesce(-pred.z, -1) AS succ")
+    s = Setup(spark, sf, VIEW)
+    points = s.ends("uncorrelated", LENGTH).selectExpr("qid", "a", "-a AS m")
+    return predecessor(s.k.selectExpr("-k AS z"), points, "m", n=s.n).selectExpr("qid", "a", "coalesce(-pred.z, -1) AS succ")
 
 
-register("asof_successor", asof_successor, with_keys(VIEW, f"ranges AS ({ranges_sql('uncorrelated', VIEW)}) SELECT qid, a, coalesce(k, -1) AS succ FROM ranges ASOF LEFT JOIN keys ON a <= k"))
+register("asof_successor", asof_successor, with_keys(VIEW, f"ranges AS ({ends_sql('uncorrelated', U, LENGTH)}) SELECT qid, a, coalesce(k, -1) AS succ FROM ranges ASOF LEFT JOIN keys ON a <= k"))
 
 
 def codes_setops(spark, sf):
     """Sizes of union, intersection and difference of the codes of two halves of the keys."""
-    k, n, u = _setup(spark, sf)
-    p = params_for_budget(n, 8, u)
-    one, two = f.lhf_codes(k.where("k % 2 = 0"), p), f.lhf_codes(k.where("k % 2 = 1"), p)
-    tag = lambda name, df: df.agg(F.lit(name).alias("op"), F.count("*").alias("n"))
-    return tag("union", f.lhf_merge(one, two)).union(tag("intersect", one.intersect(two))).union(tag("except", one.subtract(two)))
+    s = Setup(spark, sf, VIEW)
+    p = params_for_budget(s.n, 8, s.u)
+    one, two = f.lhf_codes(s.k.where("k % 2 = 0"), p), f.lhf_codes(s.k.where("k % 2 = 1"), p)
+    named = lambda name, df: df.agg(F.lit(name).alias("op"), F.count("*").alias("n"))
+    return named("union", f.lhf_merge(one, two)).union(named("intersect", one.intersect(two))).union(named("except", one.subtract(two)))
 
 
 _HALVES = f"{_par_sql(VIEW, 8)}, one AS (SELECT DISTINCT {local_hash(DUCK, 'k', seeded(2, 1), _R)} AS z FROM keys WHERE k % 2 = 0), two AS (SELECT DISTINCT {local_hash(DUCK, 'k', seeded(2, 1), _R)} AS z FROM keys WHERE k % 2 = 1)"
@@ -420,12 +626,11 @@ register("codes_setops", codes_setops, with_keys(VIEW, _HALVES + " SELECT 'union
 
 
 def semi_join_prefilter(spark, sf):
-    """Orders whose total lies in a narrow band round another order's: the filter first, the exact join on the rest."""
-    k, n, u = _setup(spark, sf, "order_total")
+    """Customers with an order whose total lies in a band round their balance: the filter first, the exact join on the rest."""
+    s = Setup(spark, sf, "order_total")
     asked = read_table(spark, sf, "customer").where("c_acctbal is not null").selectExpr("c_custkey AS qid", "CAST(round(c_acctbal * 100) AS BIGINT) * 40 + 4000000 AS a").selectExpr("qid", "a", "a + 4999 AS b")
-    p = params_for_budget(n, 12, u)
-    left = f.lhf_probe(f.lhf_codes(k, p), asked, p).where("maybe").drop("maybe")
-    return any_code_in(k.selectExpr("k AS z"), left.selectExpr("*", "a AS lo", "b AS hi")).where("hit").select("qid")
+    left = m.answer(s, "locality-hash", 12, asked).where("maybe").drop("maybe")
+    return any_code_in(s.k.selectExpr("k AS z"), left.selectExpr("*", "a AS lo", "b AS hi"), s.n).where("hit").select("qid")
 
 
 register("semi_join_prefilter", semi_join_prefilter, with_keys("order_total", "asked AS (SELECT c_custkey AS qid, CAST(round(c_acctbal * 100) AS BIGINT) * 40 + 4000000 AS a FROM customer) SELECT qid FROM asked WHERE EXISTS (SELECT 1 FROM keys WHERE k BETWEEN a AND a + 4999)"))
@@ -437,30 +642,61 @@ register("window_filters_session", lambda spark, sf: windows.session_counts(read
 # --- times ------------------------------------------------------------------------------------------------------------
 
 
-def _timed(df: DataFrame) -> float:
+def timed(df: DataFrame) -> float:
     began = time.perf_counter()
     df.write.format("noop").mode("overwrite").save()
     return round(time.perf_counter() - began, 4)
 
 
 def construction_times(spark, sf):
-    """Seconds to build each filter as the number of uniform keys grows, over all rows of `spark.range` keys."""
+    """Seconds to build each filter, by number of uniform keys up to 10^7, averaged over budgets; for the tuned ones, the
+    seconds of tuning on n/10 small uncorrelated ranges apart."""
     rows = []
-    for n in (10**4, 10**5, 10**6):
-        k = spark.range(n).selectExpr(f"{draw(SPARK, 'id', 2**60, 12)} AS k").distinct()
-        p = params_for_budget(n, BUDGET, 2**60)
-        for method, df in (("locality-hash", f.lhf_codes(k, p).repartitionByRange("z").sortWithinPartitions("z")), ("bucket", f.cbf_codes(k, 2**30).repartitionByRange("z").sortWithinPartitions("z")), ("per-level", fam.level_bits(k, LEVELS, BUDGET * n)), ("local-tree", f.tree_bits(k, 0, 6, max(1, BUDGET * n // 2**8), 2))):
-            rows.append((method, n, _timed(df)))
-    return spark.createDataFrame(rows, "method string, n long, seconds double")
+    for n in (10**5, 10**6, 10**7):
+        k = spark.range(n).selectExpr(f"{mixed(SPARK, 'id', 2**60, 12)} AS k").distinct()
+        with held(k) as made:
+            s = Setup(spark, sf, "md5_60", made)
+            if s.n == 0:
+                continue
+            began = time.perf_counter()
+            ones = s.ones
+            counting = time.perf_counter() - began
+            began = time.perf_counter()
+            sample = tuning.alike(made, _sample_of(s), s.n)
+            tuning_seconds = round(time.perf_counter() - began + counting, 4)
+            spent: dict[str, float] = {}
+            for bits in (12, 20):
+                p = params_for_budget(n, bits, s.u)
+                wide, words = 2 ** s.width(bits), m.tree_words(n, bits)
+                one, two = tuning.tpb_tune(ones, sample, bits, s.u)
+                knots = f.lbf_knots(made, m.EVERY)
+                for method, df in (
+                    ("locality-hash", f.lhf_codes(made, p, False).repartitionByRange("z").sortWithinPartitions("z").distinct()),
+                    ("bucket", f.cbf_codes(made, wide, False).repartitionByRange("z").sortWithinPartitions("z").distinct()),
+                    ("truncated-trie", f.ttf_leaves(made, 0)),
+                    ("learned-bitmap", f.lbf_codes(made, knots, m.EVERY, m.slots(bits))),
+                    ("prefix-bloom", made.selectExpr(f"shiftright(k, {one}) AS v").distinct().union(f.bloom_bits(made.selectExpr(f"shiftright(k, {two}) AS v"), "v", max(64, bits * n), HASHES, 3))),
+                    ("per-level", fam.level_bits(made, m.levels(bits), bits * n)),
+                    ("local-tree", f.tree_bits(made, 0, m.HEIGHT, words, m.TREE_HASHES)),
+                ):
+                    spent[method] = spent.get(method, 0.0) + timed(df) / 2
+            rows += [(x, n, round(t, 4), tuning_seconds if x in ("prefix-bloom",) else 0.0) for x, t in spent.items()]
+    return spark.createDataFrame(rows, "method string, n long, seconds double, tuning_seconds double")
+
+
+def _sample_of(s: Setup) -> DataFrame:
+    return keep_empty(s.k, w.ends(w.share(s.k, 10), "uncorrelated", LENGTH, s.u, 8, 50))
 
 
 def probe_times(spark, sf):
-    """Microseconds a query on empty correlated ranges, batched, at 28 bits a key."""
-    k, n, u = _setup(spark, sf)
-    ones = {x.j: x.t for x in f.cbf_ones_by_width(k).collect()}
-    r = make_ranges("empty_correlated", k, n, VIEW)
-    rows = [(m, batch_size(n), round(_timed(answer(r)) / batch_size(n) * 1e6, 3)) for m, answer in _methods(k, n, u, 28, ones, HEURISTICS + ROBUST[1:], f.ttf_inner_nodes(k, VIEWS[VIEW][2])).items()]
-    return spark.createDataFrame(rows, "method string, n_ranges long, micros double")
+    """Microseconds a query in batches at 16 bits a key, over empty correlated ranges and ranges with keys, by length."""
+    s, rows = Setup(spark, sf, VIEW), []
+    for kind in ("empty_correlated", "nonempty"):
+        for length in w.LENGTHS:
+            with held(s.ends(kind, length)) as r:
+                n, sample = r.count(), s.tuned_on(s.ends("empty_correlated", length))
+                rows += [(name, kind, length, n, round(timed(m.answer(s, name, BUDGET, r, sample)) / max(n, 1) * 1e6, 3)) for name in m.METHODS]
+    return spark.createDataFrame(rows, "method string, workload string, len int, n_ranges long, micros double")
 
 
 register("construction_times", construction_times)

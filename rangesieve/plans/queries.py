@@ -9,11 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangesieve.functions import models
-from rangesieve.functions.hashing import DUCK, PRIME, SPARK, HashParams, draw, h_value, local_hash, local_hash_fast, local_hash_pow2, params_for_budget, power_of_two, seeded
-from rangesieve.functions.packed import build_from_list, pack, unpack
+from rangesieve.functions.hashing import DUCK, SPARK, HashParams, draw, h_value, local_hash, local_hash_fast, local_hash_pow2, mixed, params_for_budget, params_for_error, power_of_two, seeded
+from rangesieve.functions.packed import find, open_shards, pack, unpack
 from rangesieve.operators import filters as f
-from rangesieve.operators.order import any_code_in, exact_nonempty, keep_empty, predecessor, rank
+from rangesieve.operators.order import any_code_in, exact_nonempty, keep_empty, predecessor, questions, rank
+from rangesieve.plans import methods as m
 from rangesieve.plans import workloads as w
+from rangesieve.plans.methods import EVERY, HASHES, Setup, answer_sql, counts_sql, ends_sql, hits_sql, places, tag, with_keys
 from rangesieve.sources.keys import VIEWS, keys, keys_sql, read_table, universe, with_outliers
 from rangesieve.streaming import windows
 
@@ -21,8 +23,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-BUDGET, LENGTH, DEGREE = 16, 32, 8
+BUDGET, LENGTH = 16, 32
 VIEW = "event_us"
+U = universe(VIEW)
 
 
 def register(name: str, query: Query, oracle: str | None = None) -> None:
@@ -31,41 +34,6 @@ def register(name: str, query: Query, oracle: str | None = None) -> None:
         ORACLES[name] = oracle
 
 
-def batch_size(n: int) -> int:
-    return 2_000 if n < 5_000 else 10_000 if n < 50_000 else 100_000
-
-
-SIZE_SQL = "(SELECT CASE WHEN count(*) < 5000 THEN 2000 WHEN count(*) < 50000 THEN 10000 ELSE 100000 END FROM keys)"
-
-
-def with_keys(view: str, rest: str) -> str:
-    return f"WITH keys AS MATERIALIZED ({keys_sql(DUCK, view)}), {rest}"
-
-
-# --- workloads --------------------------------------------------------------------------------------------------------
-
-
-def make_ranges(kind: str, k: DataFrame, n: int, view: str, length: int = LENGTH, degree: int = DEGREE) -> DataFrame:
-    m = batch_size(n)
-    if kind == "uncorrelated":
-        return w.uncorrelated(k, m, length, universe(view))
-    if kind == "correlated":
-        return w.correlated(k, m, length, degree, n)
-    if kind == "nonempty":
-        return w.nonempty(k, m, length, n)
-    return keep_empty(k, make_ranges(kind.removeprefix("empty_"), k, n, view, length, degree))
-
-
-def ranges_sql(kind: str, view: str, length: int = LENGTH, degree: int = DEGREE) -> str:
-    if kind == "uncorrelated":
-        return w.uncorrelated_sql(SIZE_SQL, length, universe(view))
-    if kind == "correlated":
-        return w.correlated_sql(SIZE_SQL, length, degree)
-    if kind == "nonempty":
-        return w.nonempty_sql(SIZE_SQL, length)
-    return w.empties_sql(ranges_sql(kind.removeprefix("empty_"), view, length, degree))
-
-
 # --- locality hash ----------------------------------------------------------------------------------------------------
 
 
@@ -74,31 +42,14 @@ def _params(k: DataFrame, view: str, bits: int = BUDGET, seed: int = 1) -> HashP
 
 
 def _par_sql(view: str, bits: int = BUDGET) -> str:
-    return f"par AS (SELECT CAST(least(greatest(count(*) * CAST({2 ** (bits - 2)} AS HUGEINT), 1), {universe(view)}) AS BIGINT) AS r FROM keys)"
+    return f"par AS ({m.budget_par(bits, universe(view))})"
 
 
 _R = "(SELECT r FROM par)"
 
 
 def _codes_sql(p: HashParams) -> str:
-    return f"codes AS (SELECT DISTINCT {local_hash(DUCK, 'k', p, _R)} AS z FROM keys)"
-
-
-def lhf_answer_sql(view: str, ranges: str, bits: int = BUDGET, columns: str = "qid, a, b") -> str:
-    p = seeded(2, 1)
-    h = lambda x: local_hash(DUCK, x, p, _R)
-    return with_keys(view, f"""ranges AS ({ranges}), {_par_sql(view, bits)}, {_codes_sql(p)},
-cut AS (SELECT qid, a, b, b // {_R} - a // {_R} AS spans FROM ranges),
-halves AS (SELECT qid, a, b FROM cut WHERE spans = 0
-  UNION ALL SELECT qid, a, b - b % {_R} - 1 FROM cut WHERE spans = 1
-  UNION ALL SELECT qid, b - b % {_R}, b FROM cut WHERE spans = 1),
-ends AS (SELECT qid, {h('a')} AS x, {h('b')} AS y FROM halves),
-pieces AS (SELECT qid, x AS lo, y AS hi FROM ends WHERE x <= y
-  UNION ALL SELECT qid, 0, y FROM ends WHERE x > y
-  UNION ALL SELECT qid, x, {_R} - 1 FROM ends WHERE x > y
-  UNION ALL SELECT qid, 0, {_R} - 1 FROM cut WHERE spans > 1),
-hit AS (SELECT DISTINCT qid FROM pieces p WHERE EXISTS (SELECT 1 FROM codes WHERE z BETWEEN p.lo AND p.hi))
-SELECT {columns}, qid IN (SELECT qid FROM hit) AS maybe FROM ranges""")
+    return f"codes AS (SELECT DISTINCT {local_hash(DUCK, 'k', p, 'r')} AS z FROM keys, par)"
 
 
 def _codes(view: str) -> Query:
@@ -128,49 +79,105 @@ register("lhf_codes_pow2", lhf_codes_pow2, _pow2_sql())
 
 
 def lhf_codes_fast(spark, sf):
+    """Number of codes with the practical hash, and whether places in a block are kept: neighbours stay neighbours."""
     k = keys(spark, sf, VIEW)
-    return k.select(F.expr(local_hash_fast("k", _params(k, VIEW))).alias("z")).distinct()
+    p = _params(k, VIEW)
+    codes = k.selectExpr(f"{local_hash_fast('k', p)} AS z", f"{local_hash_fast('k + 1', p)} AS next", f"pmod(k + 1, {p.r}) > 0 AS same")
+    return codes.agg(F.count_distinct("z").alias("codes"), F.sum(F.expr(f"CAST(same AND next <> (z + 1) % {p.r} AS BIGINT)")).alias("torn"))
 
 
 register("lhf_codes_fast", lhf_codes_fast)
 
 
-def _probe(view: str, kind: str, length: int, bits: int) -> Query:
+def _probe(view: str, kind: str, length: int, bits: int, degree: int = 8) -> Query:
     def run(spark, sf):
-        k = keys(spark, sf, view)
-        n = k.count()
-        p = params_for_budget(n, bits, universe(view))
-        return f.lhf_probe(f.lhf_codes(k, p), make_ranges(kind, k, n, view, length), p)
+        s = Setup(spark, sf, view)
+        return m.answer(s, "locality-hash", bits, s.ends(kind, length, degree))
 
     return run
 
 
-for _name, _view, _kind, _length, _bits in (
-    ("lhf_probe_uncorrelated", "event_us", "uncorrelated", 1024, 12),
-    ("lhf_probe_correlated", "event_us", "correlated", 32, 16),
-    ("lhf_probe_nonempty", "event_us", "nonempty", 32, 16),
-    ("lhf_probe_points", "event_us", "correlated", 1, 12),
-    ("lhf_probe_wide_universe", "md5_60", "correlated", 1024, 16),
-    ("lhf_probe_multiblock", "price_cents", "uncorrelated", 1024, 8),
-    ("lhf_probe_clustered", "user_time", "correlated", 32, 16),
-    ("lhf_probe_low_budget", "part_price", "uncorrelated", 1024, 8),
+for _name, _view, _kind, _length, _bits, _degree in (
+    ("lhf_probe_uncorrelated", "event_us", "uncorrelated", 1024, 12, 8),
+    ("lhf_probe_correlated", "event_us", "correlated", 32, 16, 8),
+    ("lhf_probe_nonempty", "event_us", "nonempty", 32, 16, 8),
+    ("lhf_probe_points", "event_us", "correlated", 1, 12, 8),
+    ("lhf_probe_wide_universe", "md5_60", "correlated", 1024, 16, 8),
+    ("lhf_probe_multiblock", "price_cents", "uncorrelated", 1024, 8, 8),
+    ("lhf_probe_clustered", "user_time", "correlated", 32, 16, 8),
+    ("lhf_probe_low_budget", "part_price", "uncorrelated", 1024, 8, 8),
+    ("time_windows", "type_time", "correlated", 1_000_000, 24, 2),
 ):
-    register(_name, _probe(_view, _kind, _length, _bits), lhf_answer_sql(_view, ranges_sql(_kind, _view, _length), _bits))
+    register(_name, _probe(_view, _kind, _length, _bits, _degree), answer_sql("locality-hash", _bits, _view, ends_sql(_kind, universe(_view), _length, _degree)))
+
+
+def _pieces(view: str, length: int, bits: int, spans: int) -> tuple[Query, str]:
+    """Pieces in code space of the questions that cross so many block borders, and the answers to those."""
+
+    def run(spark, sf):
+        s = Setup(spark, sf, view)
+        p = params_for_budget(s.n, bits, s.u)
+        r = s.ends("uncorrelated", length).where(f"b div {p.r} - a div {p.r} = {spans}")
+        wraps = f.lhf_pieces(questions(r), p).groupBy("q").agg(F.count("*").alias("pieces")).selectExpr("q.a AS x_", "q.b AS y_", "pieces")
+        return m.answer(s, "locality-hash", bits, r).join(wraps, F.expr("a = x_ AND b = y_")).select("qid", "a", "b", "pieces", "maybe")
+
+    u = universe(view)
+    text = answer_sql("locality-hash", bits, view, f"SELECT e.* FROM ({ends_sql('uncorrelated', u, length)}) e, ({m.budget_par(bits, u)}) WHERE b // r - a // r = {spans}", f"qid, a, b, (SELECT count(*) FROM {tag('locality-hash', bits)}_pieces p WHERE p.a = ranges.a AND p.b = ranges.b) AS pieces")
+    return run, text
+
+
+register("lhf_probe_wrapped", *_pieces("event_us", 2**16, 10, 0))
+register("lhf_probe_boundary", *_pieces("event_us", 2**16, 10, 1))
 
 
 def lhf_probe_heldout(spark, sf):
     kept, gone = w.hold_out(keys(spark, sf, "part_price"))
-    p = params_for_budget(kept.count(), 12, universe("part_price"))
-    return f.lhf_probe(f.lhf_codes(kept, p), w.heldout_ranges(gone, LENGTH), p)
+    return m.answer(Setup(spark, sf, "part_price", kept), "locality-hash", 12, w.heldout(gone, LENGTH))
+
+
+def heldout_keys(view: str, text: str) -> str:
+    """SQL over all keys of a view, made to read nine tenths as keys; the CTE `every` has all."""
+    base = f"({keys_sql(DUCK, view)})"
+    return text.replace(f"WITH keys AS MATERIALIZED {base}", f"WITH every AS MATERIALIZED {base}, keys AS MATERIALIZED (SELECT k FROM every WHERE {mixed(DUCK, 'k', 10, 5)} <> 0)", 1)
+
+
+def heldout_sql(length: int) -> str:
+    return f"SELECT k AS qid, k AS a, k + {length - 1} AS b FROM every WHERE {mixed(DUCK, 'k', 10, 5)} = 0"
+
+
+register("lhf_probe_heldout", lhf_probe_heldout, heldout_keys("part_price", answer_sql("locality-hash", 12, "part_price", heldout_sql(LENGTH))))
+
 
+def lhf_probe_fast(spark, sf):
+    """False negatives and rate with the practical hash, on questions at keys and on empty ones."""
+    s = Setup(spark, sf, VIEW)
+    p = params_for_budget(s.n, 12, s.u)
+    missed = f.lhf_probe_fast(s.k, s.ends("nonempty", LENGTH), p).agg(F.sum(F.expr("CAST(NOT maybe AS BIGINT)")).alias("false_negatives"))
+    rate = f.lhf_probe_fast(s.k, s.ends("empty_correlated", LENGTH), p).agg((F.avg(F.col("maybe").cast("int")) <= 1.5 * models.error_bound(LENGTH, 12)).alias("near_bound"))
+    return missed.crossJoin(rate)
 
-def _heldout_sql() -> str:
-    text = lhf_answer_sql("part_price", f"SELECT k AS qid, k AS a, k + {LENGTH - 1} AS b FROM every WHERE {draw(DUCK, 'k', 10, 5)} = 0", 12)
-    base = f"({keys_sql(DUCK, 'part_price')})"
-    return text.replace(f"WITH keys AS MATERIALIZED {base}", f"WITH every AS MATERIALIZED {base}, keys AS MATERIALIZED (SELECT k FROM every WHERE {draw(DUCK, 'k', 10, 5)} <> 0)", 1)
 
+register("lhf_probe_fast", lhf_probe_fast, "SELECT 0::BIGINT AS false_negatives, true AS near_bound")
 
-register("lhf_probe_heldout", lhf_probe_heldout, _heldout_sql())
+_ODD_RANGES = [(1, 5, 20), (1, 400, 401), (None, 9, 11), (None, 30, 31), (2, None, 11), (3, 9, None), (4, None, None), (5, 11, 9), (6, -3, -1), (7, -60, -50), (7, -4, 100), (8, 0, 0), (9, 10, 10), (9, 10, 10), (10, -(2**62), 2**62 - 1)]
+_ODD_KEYS = [10, 10, 20, -2, None, 2**40, -(2**50)]
+
+
+def odd_frames(spark) -> tuple[DataFrame, DataFrame]:
+    """Keys with repeats, a null and negatives; questions with null, reversed and repeated ends, null and shared ids, and
+    extra columns whose names working columns have, too."""
+    k = spark.createDataFrame([(x,) for x in _ODD_KEYS], "k long")
+    return k, spark.createDataFrame([(*r, i, "x", 0, 0, 0) for i, r in enumerate(_ODD_RANGES)], "qid long, a long, b long, row long, _m string, pred long, lo long, hi long")
+
+
+def lhf_probe_odd(spark, sf):
+    """No wrong "empty" on any frame: each odd question is answered true, false or null by rule. Lossless parameters."""
+    k, r = odd_frames(spark)
+    return f.lhf_probe(f.lhf_codes(k, HashParams(2**62, 1, 0, 6)), r, HashParams(2**62, 1, 0, 6)).select("row", "maybe")
+
+
+_NULLED = lambda x: "NULL" if x is None else str(x)
+register("lhf_probe_odd", lhf_probe_odd, f"WITH keys(k) AS (VALUES {', '.join(f'({_NULLED(x)}::BIGINT)' for x in _ODD_KEYS)}), r(qid, a, b, row) AS (VALUES {', '.join('(' + ', '.join(_NULLED(x) + '::BIGINT' for x in (*r, i)) + ')' for i, r in enumerate(_ODD_RANGES))}) SELECT row, CASE WHEN a <= b THEN EXISTS (SELECT 1 FROM keys WHERE k BETWEEN r.a AND r.b) END AS maybe FROM r")
 
 
 def lhf_collisions(spark, sf):
@@ -201,24 +208,38 @@ register("ef_roundtrip", ef_roundtrip, ORACLES[f"lhf_codes_{VIEW}"])
 
 
 def ef_bits_per_key(spark, sf):
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    shards = pack(f.lhf_codes(k, _params(k, VIEW)), BUDGET - 2)
-    return shards.agg(F.sum("n").alias("codes"), F.round(F.sum(F.col("n") * F.col("l") + F.col("length")) / n, 3).alias("bits_per_key"))
+    """Bits of the packed form for each key, low and high parts, at several budgets; a shard has a code in each."""
+    s, out = Setup(spark, sf, VIEW), None
+    for bits in (8, 12, 16, 20, 24, 28):
+        parts = rank(f.lhf_codes(s.k, params_for_budget(s.n, bits, s.u)), "z", n=s.n).selectExpr(f"shiftright(z, {bits - 2}) + i AS pos")
+        one = parts.agg(F.lit(bits).alias("bits"), F.count("*").alias("codes"), F.round((F.count("*") * (bits - 2) + F.max("pos") + 1) / s.n, 3).alias("bits_per_key"))
+        out = one if out is None else out.union(one)
+    return out
+
 
+register("ef_bits_per_key", ef_bits_per_key, with_keys(VIEW, ", ".join(f"p{b} AS ({m.budget_par(b, U)}), c{b} AS (SELECT DISTINCT {local_hash(DUCK, 'k', seeded(2, 1), 'r')} AS z FROM keys, p{b})" for b in (8, 12, 16, 20, 24, 28)) + " " + " UNION ALL ".join(f"SELECT {b} AS bits, count(*) AS codes, round((count(*) * {b - 2} + (max(z) >> {b - 2}) + count(*) + 1) / (SELECT count(*) FROM keys), 3) AS bits_per_key FROM c{b}" for b in (8, 12, 16, 20, 24, 28))))
 
-register("ef_bits_per_key", ef_bits_per_key)
+
+def _points(s: Setup, below: int, stream: int) -> DataFrame:
+    return s.k.selectExpr("k AS qid", f"{mixed(SPARK, 'k', below, stream)} AS y")
 
 
 def ef_predecessor(spark, sf):
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    p = params_for_budget(n, BUDGET, universe(VIEW))
-    points = spark.range(batch_size(n)).selectExpr("id AS qid", f"{draw(SPARK, 'id', p.r, 9)} AS y")
-    return predecessor(f.lhf_codes(k, p), points, "y").select("qid", "y", F.col("pred.z").alias("pred"))
+    s = Setup(spark, sf, VIEW)
+    p = params_for_budget(s.n, BUDGET, s.u)
+    return predecessor(f.lhf_codes(s.k, p), _points(s, p.r, 9), "y", n=s.n).select("qid", "y", F.col("pred.z").alias("pred"))
 
 
-register("ef_predecessor", ef_predecessor, with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, pts AS (SELECT id AS qid, {draw(DUCK, 'id', _R, 9)} AS y FROM range(100000) t(id) WHERE id < {SIZE_SQL}) SELECT qid, y, z AS pred FROM pts ASOF LEFT JOIN codes ON y >= z"))
+def ef_predecessor_packed(spark, sf):
+    """The same on the packed bits: two selects of zeros give a cell, whose low parts are searched."""
+    s = Setup(spark, sf, VIEW)
+    p = params_for_budget(s.n, BUDGET, s.u)
+    return find(pack(f.lhf_codes(s.k, p), BUDGET - 2, s.n), _points(s, p.r, 9), "y").select("qid", "y", "pred")
+
+
+_PRED = with_keys(VIEW, f"{_par_sql(VIEW)}, {_codes_sql(seeded(2, 1))}, pts AS (SELECT k AS qid, {mixed(DUCK, 'k', _R, 9)} AS y FROM keys) SELECT qid, y, z AS pred FROM pts ASOF LEFT JOIN codes ON y >= z")
+register("ef_predecessor", ef_predecessor, _PRED)
+register("ef_predecessor_packed", ef_predecessor_packed, _PRED)
 
 # The worked example: ten keys, L = 4, eps = 0.4. Fixed values.
 EXAMPLE_KEYS = [9, 48, 50, 191, 226, 269, 335, 446, 487, 511]
@@ -235,30 +256,61 @@ def lhf_worked_example(spark, sf):
 register("lhf_worked_example", lhf_worked_example, "SELECT * FROM (VALUES (9, 14), (48, 53), (50, 55), (191, 6), (226, 51), (269, 94), (335, 70), (446, 91), (487, 32), (511, 66)) t(k, z)")
 
 
-def lhf_count(spark, sf):
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    p = params_for_budget(n, BUDGET, universe(VIEW))
-    ranges = make_ranges("nonempty", k, n, VIEW, 10**6)
-    return f.correct_count(f.lhf_count(f.lhf_codes(k, p), ranges, p), p).select("qid", "a", "b", "est", F.round("corrected", 6).alias("corrected"))
+def worked_question(spark, sf):
+    """The worked example's question [44, 47]: hashed ends, their cell by select of zeros, predecessor, answer."""
+    ef = open_shards([(sorted(h_value(k, EXAMPLE) for k in EXAMPLE_KEYS), 3)])[0]
+    lo, hi = h_value(44, EXAMPLE), h_value(47, EXAMPLE)
+    first, last = ef.cell(hi)
+    found = ef.predecessor(hi)
+    return spark.createDataFrame([(lo, hi, ef.select(0, hi >> 3), ef.select(0, (hi >> 3) + 1), first, last, found, found >= lo)], "lo long, hi long, zero_p long, zero_next long, first long, last long, pred long, maybe boolean")
 
 
-register("lhf_count", lhf_count)
-register("lhf_count_raw", lambda spark, sf: lhf_count(spark, sf).select("qid", "est"), lhf_answer_sql(VIEW, ranges_sql("nonempty", VIEW, 10**6)).partition("hit AS (")[0].rstrip().rstrip(",") + " SELECT p.qid, count(z) AS est FROM pieces p LEFT JOIN codes ON z BETWEEN lo AND hi GROUP BY p.qid")
+register("worked_question", worked_question, "SELECT 49 AS lo, 52 AS hi, 9 AS zero_p, 13 AS zero_next, 4 AS first, 6 AS last, 51 AS pred, true AS maybe")
+
+COUNTED = 10**6
+
+
+def _counted(s: Setup) -> DataFrame:
+    p = params_for_budget(s.n, BUDGET, s.u)
+    return f.correct_count(f.lhf_count(f.lhf_codes(s.k, p), s.ends("nonempty", COUNTED), p), p)
+
+
+def lhf_count(spark, sf):
+    return _counted(Setup(spark, sf, VIEW)).select("qid", "a", "b", "est", F.round("corrected", 6).alias("corrected"))
 
 
 def lhf_count_error(spark, sf):
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    p = params_for_budget(n, BUDGET, universe(VIEW))
-    ranges = make_ranges("nonempty", k, n, VIEW, 10**6)
-    est = f.correct_count(f.lhf_count(f.lhf_codes(k, p), ranges, p), p)
-    exact = f.lhf_count(k.select(F.col("k").alias("z")), ranges, HashParams(universe(VIEW), 1, 0, n)).selectExpr("qid AS q_", "est AS exact")
-    both = est.join(exact, F.col("qid") == F.col("q_"))
+    s = Setup(spark, sf, VIEW)
+    exact = f.lhf_count(s.k.select(F.col("k").alias("z")), s.ends("nonempty", COUNTED), HashParams(s.u, 1, 0, s.n)).selectExpr("qid AS q_", "est AS exact")
+    both = _counted(s).join(exact, F.col("qid") == F.col("q_"))
     return both.agg(F.round(F.avg(F.col("est") - F.col("exact")), 4).alias("mean_raw"), F.round(F.avg(F.col("corrected") - F.col("exact")), 4).alias("mean_corrected"), F.max(F.abs(F.col("est") - F.col("exact"))).alias("worst"))
 
 
-register("lhf_count_error", lhf_count_error)
+_LH = tag("locality-hash", BUDGET)
+_EST = with_keys(VIEW, f"""ranges AS MATERIALIZED ({ends_sql('nonempty', U, COUNTED)}), {counts_sql(U)}, {hits_sql('locality-hash', BUDGET, U)},
+ranked AS (SELECT z, row_number() OVER (ORDER BY z) AS i FROM {_LH}_codes), highs AS (SELECT p.*, coalesce(i, 0) AS upto FROM {_LH}_pieces p ASOF LEFT JOIN ranked c ON p.hi >= c.z),
+both_ends AS (SELECT p.*, coalesce(i, 0) AS below FROM highs p ASOF LEFT JOIN ranked c ON p.lo > c.z),
+est AS (SELECT a, b, sum(upto - below)::BIGINT AS est FROM both_ends GROUP BY ALL),
+kr AS (SELECT k, row_number() OVER (ORDER BY k) AS i FROM keys), eh AS (SELECT g.*, coalesce(i, 0) AS upto FROM ranges g ASOF LEFT JOIN kr c ON g.b >= c.k), ex AS (SELECT g.qid AS q_, g.upto - coalesce(i, 0) AS exact FROM eh g ASOF LEFT JOIN kr c ON g.a > c.k),
+done AS (SELECT qid, a, b, est, greatest(0.0, est::DOUBLE * (1 + (n - 1) / (2.0 * r)) - n::DOUBLE * (b - a + 1) / r::DOUBLE) AS corrected FROM ranges JOIN est USING (a, b), nn, {_LH}_par)
+""")
+register("lhf_count", lhf_count, _EST + "SELECT qid, a, b, est, round(corrected, 6) AS corrected FROM done")
+register("lhf_count_raw", lambda spark, sf: lhf_count(spark, sf).select("qid", "est"), _EST + "SELECT qid, est FROM done")
+register("lhf_count_error", lhf_count_error, _EST + "SELECT round(avg(est - exact), 4) AS mean_raw, round(avg(corrected - exact), 4) AS mean_corrected, max(abs(est - exact)) AS worst FROM done JOIN ex ON qid = q_")
+
+
+def lhf_params_table(spark, sf):
+    """Parameters from (n, L, eps): r, low bits, bits a key, and the budget with the same bound."""
+    n = keys(spark, sf, VIEW).count()
+    rows = []
+    for length in w.LENGTHS:
+        for denominator in (10, 100, 1000):
+            p = params_for_error(n, length, 1 / denominator, U)
+            rows.append((length, denominator, p.r, max(0, (p.r // n).bit_length() - 1), round(models.space_locality_hash(n, length, 1 / denominator) / n, 6)))
+    return spark.createDataFrame(rows, "len long, one_in long, r long, low_bits long, bits_per_key double")
+
+
+register("lhf_params_table", lhf_params_table, with_keys(VIEW, f"nn AS (SELECT count(*) AS n FROM keys), c AS (SELECT len::BIGINT AS len, one_in::BIGINT AS one_in, least(n * len * one_in, {U})::BIGINT AS r, n FROM nn, (SELECT unnest([1, 32, 1024]) AS len), (SELECT unnest([10, 100, 1000]) AS one_in)) SELECT len, one_in, r, floor(log2(r // n))::BIGINT AS low_bits, round(log2(len * one_in) + 2, 6) AS bits_per_key FROM c"))
 
 
 def lhf_merge(spark, sf):
@@ -272,26 +324,22 @@ register("lhf_merge", lhf_merge, ORACLES[f"lhf_codes_{VIEW}"])
 # --- buckets ----------------------------------------------------------------------------------------------------------
 
 
-def _buckets_sql(s: int) -> str:
-    return f"codes AS (SELECT DISTINCT k // {s} AS z FROM keys)"
-
-
-def _cbf_sql(view: str, ranges: str, s: int) -> str:
-    return with_keys(view, f"ranges AS ({ranges}), {_buckets_sql(s)} SELECT qid, a, b, EXISTS (SELECT 1 FROM codes WHERE z BETWEEN ranges.a // {s} AND ranges.b // {s}) AS maybe FROM ranges")
+def _cbf_sql(kind: str, shift: int, columns: str = "qid, a, b") -> str:
+    return with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql(kind, U, LENGTH)}), q AS (SELECT DISTINCT a, b FROM ranges), {m.bucket_sql('c', f'SELECT {shift} AS s')} SELECT {columns}, (a, b) IN (SELECT (a, b) FROM c_hit) AS maybe FROM ranges")
 
 
-def _cbf(view: str, kind: str, s: int) -> Query:
+def _cbf(kind: str, s: int) -> Query:
     def run(spark, sf):
-        k = keys(spark, sf, view)
-        return f.cbf_probe(f.cbf_codes(k, s), make_ranges(kind, k, k.count(), view), s)
+        k = Setup(spark, sf, VIEW)
+        return f.cbf_probe(f.cbf_codes(k.k, s, False), k.ends(kind, LENGTH), s, k.n)
 
     return run
 
 
 for _kind in ("uncorrelated", "correlated", "nonempty"):
-    register(f"cbf_probe_{_kind}", _cbf(VIEW, _kind, 2**14), _cbf_sql(VIEW, ranges_sql(_kind, VIEW), 2**14))
-register("cbf_lossless", _cbf(VIEW, "correlated", 1), _cbf_sql(VIEW, ranges_sql("correlated", VIEW), 1))
-register("cbf_one_bucket", _cbf(VIEW, "correlated", 2**42), _cbf_sql(VIEW, ranges_sql("correlated", VIEW), 2**42))
+    register(f"cbf_probe_{_kind}", _cbf(_kind, 2**14), _cbf_sql(_kind, 14))
+register("cbf_lossless", _cbf("correlated", 1), _cbf_sql("correlated", 0))
+register("cbf_one_bucket", _cbf("correlated", 2**42), _cbf_sql("correlated", 42))
 
 for _view in ("event_us", "md5_60", "part_price"):
     register(f"cbf_ones_{_view}", lambda spark, sf, v=_view: f.cbf_ones_by_width(keys(spark, sf, v)), with_keys(_view, "js AS (SELECT unnest(range(63))::INT AS j) SELECT j, count(DISTINCT k >> j) AS t FROM js, keys GROUP BY j"))
@@ -310,26 +358,22 @@ def cbf_choice(spark, sf):
     return spark.createDataFrame(rows, "view string, bits int, log_width int")
 
 
-register("cbf_choice", cbf_choice)
+_CHOICES = " UNION ALL ".join(f"SELECT '{v}' AS view, {universe(v)} AS u, j, t FROM ({ORACLES[f'cbf_ones_{v}']})" for v in ("event_us", "md5_60", "part_price"))
+register("cbf_choice", cbf_choice, f"WITH o AS ({_CHOICES}), n AS (SELECT view AS nv, t AS n FROM o WHERE j = 0), b AS (SELECT unnest([8, 12, 16, 20, 24, 28]) AS bits) SELECT view, bits, min(CASE WHEN pow(2, j) <= u AND t * (log2(u::DOUBLE / (t::DOUBLE * pow(2, j))) + 2) <= bits * n THEN j END) AS log_width FROM o JOIN n ON view = nv, b GROUP BY view, bits")
 
 
 def cbf_fp_cause(spark, sf):
     """For false positives: whether a key left of a lies in a's bucket, or one right of b in b's."""
     s = 2**22
-    k = keys(spark, sf, VIEW)
-    empty = make_ranges("empty_correlated", k, k.count(), VIEW)
-    z = k.select(F.col("k").alias("z"))
-    positive = f.cbf_probe(f.cbf_codes(k, s), empty, s).where("maybe").drop("maybe")
-    lefts = positive.selectExpr("qid", "a", "b", f"a div {s} * {s} AS lo", "a - 1 AS hi")
-    left = any_code_in(z, lefts).selectExpr("qid", "a", "b", "hit AS from_left")
-    right = any_code_in(z, left.selectExpr("*", "b + 1 AS lo", f"b div {s} * {s} + {s - 1} AS hi"))
+    k = Setup(spark, sf, VIEW)
+    z = k.k.select(F.col("k").alias("z"))
+    positive = f.cbf_probe(f.cbf_codes(k.k, s, False), k.ends("empty_correlated", LENGTH), s, k.n).where("maybe").drop("maybe")
+    left = any_code_in(z, positive.selectExpr("qid", "a", "b", f"a div {s} * {s} AS lo", "a - 1 AS hi"), k.n).selectExpr("qid", "a", "b", "hit AS from_left")
+    right = any_code_in(z, left.selectExpr("*", "b + 1 AS lo", f"b div {s} * {s} + {s - 1} AS hi"), k.n)
     return right.selectExpr("qid", "from_left", "hit AS from_right")
 
 
-register("cbf_fp_cause", cbf_fp_cause, with_keys(VIEW, f"""ranges AS ({ranges_sql('empty_correlated', VIEW)}), {_buckets_sql(2**22)},
-pos AS (SELECT * FROM ranges WHERE EXISTS (SELECT 1 FROM codes WHERE z BETWEEN ranges.a // {2**22} AND ranges.b // {2**22}))
-SELECT qid, EXISTS (SELECT 1 FROM keys WHERE k BETWEEN pos.a // {2**22} * {2**22} AND pos.a - 1) AS from_left,
-       EXISTS (SELECT 1 FROM keys WHERE k BETWEEN pos.b + 1 AND pos.b // {2**22} * {2**22} + {2**22 - 1}) AS from_right FROM pos"""))
+register("cbf_fp_cause", cbf_fp_cause, f"WITH pos AS ({_cbf_sql('empty_correlated', 22)}), keys AS MATERIALIZED ({keys_sql(DUCK, VIEW)}), l AS (SELECT p.*, coalesce(k >= a >> 22 << 22, false) AS from_left FROM (SELECT * FROM pos WHERE maybe) p ASOF LEFT JOIN keys ON a > k) SELECT qid, from_left, coalesce(k <= (b >> 22 << 22) + {2**22 - 1}, false) AS from_right FROM l ASOF LEFT JOIN keys ON b < k")
 
 
 def cbf_bitmap_count(spark, sf):
@@ -343,246 +387,94 @@ register("cbf_bitmap_count", cbf_bitmap_count, with_keys("price_cents", "z AS (S
 
 def cbf_and_lhf(spark, sf):
     """Both filters, each with half the budget; maybe only if both say so."""
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    ranges = make_ranges("empty_correlated", k, n, VIEW)
-    p = params_for_budget(n, 12, universe(VIEW))
-    one = f.cbf_probe(f.cbf_codes(k, 2**14), ranges, 2**14).withColumnRenamed("maybe", "m1")
-    return f.lhf_probe(f.lhf_codes(k, p), one, p).selectExpr("qid", "m1", "maybe AS m2", "m1 AND maybe AS maybe")
-
+    s = Setup(spark, sf, VIEW)
+    one = m.answer(s, "bucket", 12, s.ends("empty_correlated", LENGTH)).withColumnRenamed("maybe", "m1")
+    return m.answer(s, "locality-hash", 12, one).selectExpr("qid", "m1", "maybe AS m2", "m1 AND maybe AS maybe")
 
-register("cbf_and_lhf", cbf_and_lhf)
 
-# --- baselines --------------------------------------------------------------------------------------------------------
+register("cbf_and_lhf", cbf_and_lhf, with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql('empty_correlated', U, LENGTH)}), {counts_sql(U)}, {hits_sql('bucket', 12, U)}, {hits_sql('locality-hash', 12, U)}, both_of AS (SELECT qid, (a, b) IN (SELECT (a, b) FROM {tag('bucket', 12)}_hit) AS m1, (a, b) IN (SELECT (a, b) FROM {tag('locality-hash', 12)}_hit) AS m2 FROM ranges) SELECT qid, m1, m2, m1 AND m2 AS maybe FROM both_of"))
 
-BITS, HASHES = 2**18, 4
+# --- baselines, all at the same budget --------------------------------------------------------------------------------
 
 
-def _blooms(v: str, stream: int) -> str:
-    return ", ".join(draw(DUCK, v, BITS, 100 + stream * 16 + j) for j in range(HASHES))
-
-
-def _on_batch(kind: str, length: int, answer) -> Query:
+def _on_batch(kind: str, length: int, made) -> Query:
     def run(spark, sf):
-        k = keys(spark, sf, VIEW)
-        return answer(k, make_ranges(kind, k, k.count(), VIEW, length))
+        s = Setup(spark, sf, VIEW)
+        return made(s, s.ends(kind, length))
 
     return run
 
 
-register("exact_nonempty", _on_batch("correlated", LENGTH, exact_nonempty), with_keys(VIEW, f"ranges AS ({ranges_sql('correlated', VIEW)}) SELECT qid, a, b, EXISTS (SELECT 1 FROM keys WHERE k BETWEEN ranges.a AND ranges.b) AS truth FROM ranges"))
-register("keep_empty", _on_batch("empty_correlated", LENGTH, lambda k, r: r), with_keys(VIEW, f"ranges AS ({ranges_sql('empty_correlated', VIEW)}) SELECT * FROM ranges"))
-register("minmax_probe", _on_batch("uncorrelated", LENGTH, f.minmax_probe), with_keys(VIEW, f"ranges AS ({ranges_sql('uncorrelated', VIEW)}) SELECT qid, a, b, b >= (SELECT min(k) FROM keys) AND a <= (SELECT max(k) FROM keys) AS maybe FROM ranges"))
-register("pointwise_probe", _on_batch("correlated", LENGTH, lambda k, r: f.pointwise_probe(k, r, BITS, HASHES)), with_keys(VIEW, f"""ranges AS ({ranges_sql('correlated', VIEW)}),
-bits AS (SELECT DISTINCT unnest([{_blooms('k', 0)}]) AS place FROM keys),
-pts AS (SELECT qid, unnest(range(a, b + 1)) AS x FROM ranges),
-asked AS (SELECT qid, x, unnest([{_blooms('x', 0)}]) AS place FROM pts),
-live AS (SELECT qid, x FROM asked JOIN bits USING (place) GROUP BY qid, x HAVING count(*) = {HASHES})
-SELECT qid, a, b, qid IN (SELECT qid FROM live) AS maybe FROM ranges"""))
-register("bloom_points", _on_batch("correlated", 1, lambda k, r: f.pointwise_probe(k, r, BITS, HASHES)), ORACLES["pointwise_probe"].replace(ranges_sql("correlated", VIEW), ranges_sql("correlated", VIEW, 1)))
-
-_LEAVES = f"""nb AS (SELECT k, {DUCK.bit_length('xor(k, lag(k) OVER (ORDER BY k))')} AS p, {DUCK.bit_length('xor(k, lead(k) OVER (ORDER BY k))')} AS n FROM keys),
-sh AS (SELECT k, greatest(least(coalesce(p, 64), coalesce(n, 64), 63) - 1 - {{m}}, 0)::INT AS s FROM nb),
-leaves AS (SELECT (k >> s) << s AS z, ((k >> s) << s) + (1::BIGINT << s) - 1 AS hi, k, s FROM sh)"""
-
-
-register("ttf_leaves", lambda spark, sf: f.ttf_leaves(keys(spark, sf, VIEW)), with_keys(VIEW, _LEAVES.format(m=0) + " SELECT z, hi, k, s FROM leaves"))
-register("ttf_probe_real", _on_batch("correlated", LENGTH, lambda k, r: f.ttf_probe(f.ttf_leaves(k, 6), r)), with_keys(VIEW, f"ranges AS ({ranges_sql('correlated', VIEW)}), {_LEAVES.format(m=6)} SELECT qid, a, b, EXISTS (SELECT 1 FROM leaves WHERE z <= ranges.b AND hi >= ranges.a) AS maybe FROM ranges"))
-register("ttf_probe_hash", _on_batch("correlated", 1, lambda k, r: f.ttf_probe_points(f.ttf_leaves(k), r, 6)), with_keys(VIEW, f"ranges AS ({ranges_sql('correlated', VIEW, 1)}), {_LEAVES.format(m=0)}, tagged AS (SELECT z, hi, {draw(DUCK, 'k', 64, 77)} AS tag FROM leaves), asked AS (SELECT *, {draw(DUCK, 'a', 64, 77)} AS mine FROM ranges) SELECT qid, a, b, EXISTS (SELECT 1 FROM tagged WHERE z <= asked.a AND hi >= asked.a AND tag = asked.mine) AS maybe FROM asked"))
-
-
-def ttf_space(spark, sf):
-    """Inner nodes z of the truncated trie (distinct proper prefixes on the way to the leaves) and bits per key."""
-    return spark.createDataFrame([(f.ttf_inner_nodes(keys(spark, sf, VIEW), VIEWS[VIEW][2]),)], "inner_nodes long")
-
-
-register("ttf_space", ttf_space, with_keys(VIEW, _LEAVES.format(m=0) + f", nodes AS (SELECT DISTINCT level, k >> level AS v FROM (SELECT k, unnest(range(s + 1, {VIEWS[VIEW][2]} + 1))::INT AS level FROM leaves)) SELECT count(*) AS inner_nodes FROM nodes"))
-
-EVERY, SLOTS = 64, 512
-
+def batch_sql(kind: str, length: int, ctes: str, hit: str) -> str:
+    """Answers from CTEs that define the pairs of ends `hit`, over nn(n), nb and q."""
+    return with_keys(VIEW, f"ranges AS MATERIALIZED ({ends_sql(kind, U, length)}), {counts_sql(U)}, {ctes} SELECT qid, a, b, (a, b) IN (SELECT (a, b) FROM {hit}) AS maybe FROM ranges")
 
-def _lbf(k: DataFrame, r: DataFrame) -> DataFrame:
-    knots = f.lbf_knots(k, EVERY)
-    return f.lbf_probe(f.lbf_codes(k, knots, EVERY, SLOTS), knots, r, EVERY, SLOTS)
 
+for _name, _method in (("ttf_probe_real", "truncated-trie"), ("lbf_probe", "learned-bitmap"), ("tpb_probe", "prefix-bloom"), ("plb_probe", "per-level"), ("ltb_probe", "local-tree"), ("ltb_se_probe", "local-tree-sampled"), ("ltb_ss_probe", "local-tree-spaced"), ("cbf_probe_budget", "bucket")):
+    register(_name, _on_batch("correlated", LENGTH, lambda s, r, x=_method: m.answer(s, x, BUDGET, r)), answer_sql(_method, BUDGET, VIEW, ends_sql("correlated", U, LENGTH)))
 
-def _lbf_map(x: str) -> str:
-    return f"CASE WHEN z IS NULL THEN -1 ELSE i * {EVERY * SLOTS} + (({x} - z)::HUGEINT * {EVERY * SLOTS} // (coalesce(nxt, z + {2**40}) - z))::BIGINT END"
+register("exact_nonempty", _on_batch("correlated", LENGTH, lambda s, r: exact_nonempty(s.k, r)), with_keys(VIEW, f"ranges AS ({ends_sql('correlated', U, LENGTH)}) SELECT qid, a, b, coalesce(k >= a, false) AS truth FROM ranges ASOF LEFT JOIN keys ON b >= k"))
+register("keep_empty", _on_batch("empty_correlated", LENGTH, lambda s, r: r), with_keys(VIEW, f"ranges AS ({ends_sql('empty_correlated', U, LENGTH)}) SELECT qid, a, b FROM ranges"))
+register("minmax_probe", _on_batch("uncorrelated", LENGTH, lambda s, r: f.minmax_probe(s.k, r)), with_keys(VIEW, f"ranges AS ({ends_sql('uncorrelated', U, LENGTH)}) SELECT qid, a, b, b >= (SELECT min(k) FROM keys) AND a <= (SELECT max(k) FROM keys) AS maybe FROM ranges"))
 
+_POINTS = [100 + j for j in range(HASHES)]
 
-_KNOTS = f"knots AS (SELECT z, i, lead(z) OVER (ORDER BY z) AS nxt FROM (SELECT k AS z, (row_number() OVER (ORDER BY k) - 1) // {EVERY} AS i, (row_number() OVER (ORDER BY k) - 1) % {EVERY} AS rest FROM keys) WHERE rest = 0), codes AS (SELECT DISTINCT {_lbf_map('k')} AS z FROM keys ASOF LEFT JOIN knots ON k >= z)"
-register("lbf_codes", lambda spark, sf: (lambda k: f.lbf_codes(k, f.lbf_knots(k, EVERY), EVERY, SLOTS))(keys(spark, sf, VIEW)), with_keys(VIEW, _KNOTS + " SELECT z FROM codes"))
-register("lbf_probe", _on_batch("correlated", LENGTH, _lbf), with_keys(VIEW, f"ranges AS ({ranges_sql('correlated', VIEW)}), {_KNOTS}, lows AS (SELECT qid, a, b, {_lbf_map('a')} AS lo FROM ranges ASOF LEFT JOIN knots ON a >= z), ends AS (SELECT qid, a, b, lo, {_lbf_map('b')} AS hi FROM lows ASOF LEFT JOIN knots ON b >= z) SELECT qid, a, b, EXISTS (SELECT 1 FROM codes WHERE z BETWEEN ends.lo AND ends.hi) AS maybe FROM ends"))
 
-TOP = 5
+def _pointwise_sql(length: int) -> str:
+    return batch_sql("correlated", length, f"""bits AS (SELECT DISTINCT {places('k', f'({BUDGET} * n)', _POINTS)} AS place FROM keys, nn),
+pts AS (SELECT a, b, unnest(range(a, b + 1)) AS x FROM q), asked AS (SELECT a, b, x, {places('x', f'({BUDGET} * n)', _POINTS)} AS place FROM pts, nn),
+live AS (SELECT a, b, x FROM asked JOIN bits USING (place) GROUP BY ALL HAVING count(*) = {HASHES})""", "live")
 
 
-def _plb(k: DataFrame, r: DataFrame) -> DataFrame:
-    return f.plb_probe(f.plb_bits(k, TOP, BITS * 4, HASHES), r, TOP, BITS * 4, HASHES)
+for _name, _length in (("pointwise_probe", LENGTH), ("bloom_points", 1)):
+    register(_name, _on_batch("correlated", _length, lambda s, r: f.pointwise_probe(s.k, r, BUDGET * s.n, HASHES)), _pointwise_sql(_length))
 
+register("ttf_leaves", lambda spark, sf: f.ttf_leaves(keys(spark, sf, VIEW)), with_keys(VIEW, f"ranges AS (SELECT 0 AS qid, 0 AS a, 0 AS b), {counts_sql(U)}, {m.trie_leaves('t', 'SELECT 0 AS m')} SELECT z, hi, k, s FROM t_leaves"))
+register("ttf_probe_hash", _on_batch("correlated", 1, lambda s, r: f.ttf_probe_points(f.ttf_leaves(s.k), r, 6, s.n)), batch_sql("correlated", 1, f"{m.trie_leaves('t', 'SELECT 0 AS m')}, tagged AS (SELECT z, hi, {draw(DUCK, 'k', 64, 77)} AS tag FROM t_leaves), hit AS (SELECT q.a, q.b FROM q ASOF JOIN tagged c ON q.b >= c.z WHERE c.hi >= q.a AND c.tag = {draw(DUCK, 'q.a', 64, 77)})", "hit"))
 
-def _plb_places(v: str) -> str:
-    return ", ".join(draw(DUCK, v, BITS * 4, 132 + j) for j in range(HASHES))
 
-
-register("plb_probe", _on_batch("correlated", LENGTH, _plb), with_keys(VIEW, f"""ranges AS ({ranges_sql('correlated', VIEW)}),
-pre AS (SELECT DISTINCT level, k >> level AS node FROM keys, (SELECT unnest(range({TOP + 1}))::INT AS level)),
-bits AS (SELECT DISTINCT unnest([{_plb_places(f'(node * {TOP + 1} + level)')}]) AS place FROM pre),
-lv AS (SELECT qid, level, (a + (1::BIGINT << level) - 1) >> level AS x, ((b + 1) >> level) - 1 AS y FROM ranges, (SELECT unnest(range({TOP + 1}))::INT AS level)),
-cover AS (SELECT DISTINCT qid, level, unnest(CASE WHEN level = {TOP} THEN range(x, y + 1) ELSE list_concat(CASE WHEN x % 2 = 1 OR x = y THEN [x] ELSE [] END, CASE WHEN y % 2 = 0 OR x = y THEN [y] ELSE [] END) END) AS node FROM lv WHERE x <= y),
-leaf AS (SELECT qid, level AS top, unnest(range(node << level, (node + 1) << level)) AS v FROM cover),
-path AS (SELECT DISTINCT qid, top, v, unnest(range(top + 1))::INT AS level FROM leaf),
-asked AS (SELECT DISTINCT level, v >> level AS node FROM path),
-good AS (SELECT level, node FROM (SELECT level, node, unnest([{_plb_places(f'(node * {TOP + 1} + level)')}]) AS place FROM asked) JOIN bits USING (place) GROUP BY level, node HAVING count(*) = {HASHES}),
-live AS (SELECT qid FROM path JOIN good ON good.level = path.level AND good.node = v >> path.level GROUP BY qid, top, v HAVING count(*) = top + 1)
-SELECT qid, a, b, qid IN (SELECT qid FROM live) AS maybe FROM ranges"""))
-register("dyadic_cover", _on_batch("correlated", LENGTH, lambda k, r: f.dyadic_cover(r, TOP)), ORACLES["plb_probe"].partition("leaf AS")[0].rstrip().rstrip(",") + " SELECT qid, level, node FROM cover")
-register("tpb_probe", _on_batch("correlated", LENGTH, lambda k, r: f.tpb_probe(k, r, 20, 5, BITS, HASHES)), with_keys(VIEW, f"""ranges AS ({ranges_sql('correlated', VIEW)}),
-trie AS (SELECT DISTINCT k >> 20 AS t FROM keys), bits AS (SELECT DISTINCT unnest([{_blooms('v', 3)}]) AS place FROM (SELECT DISTINCT k >> 5 AS v FROM keys)),
-asked AS (SELECT qid, unnest(range(a >> 5, (b >> 5) + 1)) AS v FROM ranges),
-live AS (SELECT qid FROM (SELECT DISTINCT qid, v, unnest([{_blooms('v', 3)}]) AS place, unnest([0, 1, 2, 3]) AS j FROM asked WHERE v >> 15 IN (SELECT t FROM trie)) JOIN bits USING (place) GROUP BY qid, v HAVING count(*) = {HASHES})
-SELECT qid, a, b, qid IN (SELECT qid FROM live) AS maybe FROM ranges"""))
-for _name, _shift in (("ltb_probe", 0), ("ltb_wide_probe", 5)):
-    register(_name, _on_batch("correlated", LENGTH, lambda k, r, s=_shift: f.ltb_probe(f.tree_bits(k, s, 5, 2**14, 2), r, s, 5, 2**14, 2)))
-
-
-def ltb_spacing_probe(spark, sf):
-    """Start level from the key spacing: the median gap of neighbours."""
-    k = keys(spark, sf, VIEW)
-    gap = f.neighbours(k).where("prev is not null").agg(F.percentile_approx(F.col("k") - F.col("prev"), 0.5)).first()[0] or 1
-    shift = max(0, min(40, int(log2(max(gap, 1))) - 10))
-    r = make_ranges("correlated", k, k.count(), VIEW)
-    return f.ltb_probe(f.tree_bits(k, shift, 5, 2**14, 2), r, shift, 5, 2**14, 2)
+def ttf_space(spark, sf):
+    """Inner nodes of the truncated trie (distinct proper prefixes on the way to the leaves) and bits per key."""
+    s = Setup(spark, sf, VIEW)
+    return spark.createDataFrame([(s.inner, round(models.space_truncated_trie(s.n, 0, s.inner) / max(s.n, 1), 6))], "inner_nodes long, bits_per_key double")
 
 
-register("ltb_spacing_probe", ltb_spacing_probe)
+register("ttf_space", ttf_space, with_keys(VIEW, f"ranges AS (SELECT 0 AS qid, 0 AS a, 0 AS b), {counts_sql(U)} SELECT z AS inner_nodes, round((10.0 * n + 10 * z) / n, 6) AS bits_per_key FROM inner_nodes, nn"))
+register("lbf_codes", lambda spark, sf: (lambda k: f.lbf_codes(k, f.lbf_knots(k, EVERY), EVERY, m.slots(BUDGET)))(keys(spark, sf, VIEW)), with_keys(VIEW, m.learned_codes("l", m.slots(BUDGET)) + " SELECT z FROM l_codes"))
+register("dyadic_cover", _on_batch("correlated", LENGTH, lambda s, r: f.dyadic_cover(r, 5, q="qid")), with_keys(VIEW, f"r AS ({ends_sql('correlated', U, LENGTH)}), c AS ({m.cover_sql('(SELECT qid AS a, qid AS b, a AS lo, b AS hi FROM r)', 5)}) SELECT a AS qid, level, node FROM c"))
 
 # --- experiments ------------------------------------------------------------------------------------------------------
 
-SWEEP_M = 500  # draws a cell where SQL has the same number
-_GRID = [(d, length) for d in range(0, 11) for length in w.LENGTHS]
-
-
-def sweep_ranges(k: DataFrame, n: int, m: int = SWEEP_M) -> DataFrame:
-    """Empty ranges for every degree of correlation (10 D) and length, m draws (up to 100,000) each: qid, a, b, d, len."""
-    spark = k.sparkSession
-    grid = spark.createDataFrame([(i, d, length, 2 ** (3 * (10 - d)) + 1) for i, (d, length) in enumerate(_GRID)], "g int, d int, len int, w long")
-    asked = spark.range(m).selectExpr("id", f"{draw(SPARK, 'id', n, 2)} + 1 AS _i").join(rank(k, "k"), F.expr("_i = i")).select("id", "k")
-    drawn = asked.crossJoin(F.broadcast(grid)).selectExpr("g * 100000L + id AS qid", "k", "d", "len", "w")
-    ranges = drawn.selectExpr("qid", f"k + {draw(SPARK, 'qid', 'w', 3)} AS a", "d", "len").selectExpr("qid", "a", "a + len - 1 AS b", "d", "len")
-    return keep_empty(k, ranges)
-
+DEGREES = range(0, 11)
+_GRID = [(i, d, length, w.width(d)) for i, (d, length) in enumerate((d, length) for d in DEGREES for length in w.LENGTHS)]
 
-_SWEEP_SQL = f"""grid AS (SELECT * FROM (VALUES {', '.join(f'({i}, {d}, {length}, {2 ** (3 * (10 - d)) + 1})' for i, (d, length) in enumerate(_GRID))}) t(g, d, len, w)),
-drawn AS (SELECT g::BIGINT * 100000 + id AS qid, k, d, len, w FROM (SELECT id, {draw(DUCK, 'id', '(SELECT count(*) FROM keys)', 2)} + 1 AS j FROM range({SWEEP_M}) t(id)) JOIN (SELECT k, row_number() OVER (ORDER BY k) AS i FROM keys) ON i = j, grid)
-SELECT * FROM (SELECT qid, a, a + len - 1 AS b, d, len FROM (SELECT qid, k + {draw(DUCK, 'qid', 'w', 3)} AS a, d, len FROM drawn)) z WHERE NOT EXISTS (SELECT 1 FROM keys WHERE k BETWEEN z.a AND z.b)"""
 
+_CELL = "concat(g, ':', k)"
 
-def _rates(answers: DataFrame, method: str) -> DataFrame:
-    return answers.groupBy("d", "len").agg(F.count("*").alias("n_ranges"), F.round(F.avg(F.col("maybe").cast("int")), 6).alias("fpr")).withColumn("method", F.lit(method))
 
-
-def robustness_sweep(spark, sf):
-    """False positive rates over D and length at 20 bits per key for the code-set filters; the trie, whose least size is
-    above 20 bits here, has six suffix bits and takes about 30."""
-    k = keys(spark, sf, VIEW)
-    n, u = k.count(), universe(VIEW)
-    ranges = sweep_ranges(k, n, batch_size(n))
-    p = params_for_budget(n, 20, u)
-    s = f.cbf_choose(k, 20, u)
-    knots = f.lbf_knots(k, EVERY)
-    slots = 2**17
-    return (
-        _rates(f.lhf_probe(f.lhf_codes(k, p), ranges, p), "locality-hash")
-        .union(_rates(f.cbf_probe(f.cbf_codes(k, s), ranges, s), "bucket"))
-        .union(_rates(f.ttf_probe(f.ttf_leaves(k, 6), ranges), "truncated-trie"))
-        .union(_rates(f.lbf_probe(f.lbf_codes(k, knots, EVERY, slots), knots, ranges, EVERY, slots), "learned-bitmap"))
-    )
-
-
-register("robustness_sweep", robustness_sweep)
-
-
-def lhf_sweep(spark, sf):
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    p = params_for_budget(n, 12, universe(VIEW))
-    return _rates(f.lhf_probe(f.lhf_codes(k, p), sweep_ranges(k, n), p), "locality-hash")
+def sweep_sql() -> str:
+    """CTEs grid and swept(qid, a, b, d, len), the empty ranges of the sweep."""
+    rows = ", ".join(map(str, _GRID))
+    return f"grid(g, d, len, w) AS (VALUES {rows}), drawn AS (SELECT k AS qid, k + {mixed(DUCK, _CELL, 'w', 900)} AS a, d, len FROM keys, grid), swept AS ({w.empties_sql('SELECT qid, a, a + len - 1 AS b, d, len FROM drawn')})"
 
 
-register("lhf_sweep", lhf_sweep, f"SELECT d, len, count(*) AS n_ranges, round(avg(maybe::INT), 6) AS fpr, 'locality-hash' AS method FROM ({lhf_answer_sql(VIEW, 'WITH ' + _SWEEP_SQL, 12, 'qid, a, b, d, len')}) GROUP BY d, len")
-
-
-def bound_vs_rate(spark, sf):
-    """Mean rate over four hash draws against the bound, by budget and length."""
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    out = None
-    for length in w.LENGTHS:
-        empty = make_ranges("empty_correlated", k, n, VIEW, length)
-        for bits in (12, 16):
-            for seed in range(4):
-                p = params_for_budget(n, bits, universe(VIEW), seed)
-                one = f.lhf_probe(f.lhf_codes(k, p), empty, p).select(F.lit(bits).alias("bits"), F.lit(length).alias("len"), F.col("maybe").cast("int").alias("m"))
-                out = one if out is None else out.union(one)
-    bound = F.least(F.lit(1.0), F.col("len") / F.pow(F.lit(2.0), F.col("bits") - 2))
-    return out.groupBy("bits", "len").agg(F.round(F.avg("m"), 6).alias("fpr")).withColumn("bound", F.round(bound, 6))
-
-
-register("bound_vs_rate", bound_vs_rate)
+def sweep_ranges(s: Setup) -> DataFrame:
+    """Empty ranges for every degree of correlation (10 D) and length, one drawn for each key: qid, a, b, d, len."""
+    grid = s.k.sparkSession.createDataFrame(_GRID, "g int, d int, len int, w long")
+    placed = s.k.crossJoin(F.broadcast(grid)).selectExpr("k AS qid", f"k + {mixed(SPARK, _CELL, 'w', 900)} AS a", "d", "len")
+    return keep_empty(s.k, placed.selectExpr("qid", "a", "a + len - 1 AS b", "d", "len"))
 
 
 def length_shift(spark, sf):
     """A filter for L = 32 asked with other lengths."""
-    k = keys(spark, sf, VIEW)
-    n = k.count()
-    p = params_for_budget(n, BUDGET, universe(VIEW))
-    codes, out = f.lhf_codes(k, p), None
-    for length in (1, 8, 32, 128, 1024):
-        one = f.lhf_probe(codes, make_ranges("empty_correlated", k, n, VIEW, length), p).select(F.lit(length).alias("len"), F.col("maybe").cast("int").alias("m"))
+    s, out = Setup(spark, sf, VIEW), None
+    for cell, length in enumerate((1, 8, 32, 128, 1024)):
+        one = m.answer(s, "locality-hash", BUDGET, s.ends("empty_correlated", length, 8, cell)).select(F.lit(length).alias("len"), "maybe")
         out = one if out is None else out.union(one)
-    return out.groupBy("len").agg(F.count("*").alias("n_ranges"), F.round(F.avg("m"), 6).alias("fpr"))
-
-
-register("length_shift", length_shift)
-
-
-def outlier_ids(spark, sf):
-    """Low-magnitude ids with far outliers at 14 bits: the bulk sits in one block."""
-    bulk = keys(spark, sf, "order_total")
-    k = with_outliers(bulk)
-    n = k.count()
-    p = params_for_budget(n, 14, 2**48)
-    codes, out = f.lhf_codes(k, p), None
-    for length in w.LENGTHS:
-        empty = keep_empty(k, w.uncorrelated(bulk, 2_000, length, 50_000_000))
-        one = f.lhf_probe(codes, empty, p).select(F.lit(length).alias("len"), F.col("maybe").cast("int").alias("m"))
-        out = one if out is None else out.union(one)
-    return out.groupBy("len").agg(F.round(F.avg("m"), 6).alias("fpr")).withColumn("bound", F.round(F.least(F.lit(1.0), F.col("len") / F.lit(2.0**12)), 6))
-
+    return out.groupBy("len").agg(F.count("*").alias("n_ranges"), F.round(F.avg(F.col("maybe").cast("int")), 6).alias("fpr"))
 
-register("outlier_ids", outlier_ids)
 
-
-def theory_table(spark, sf):
-    """Bits per key of every design with a closed form, for L = 32 and eps = 0.01. Buckets are as narrow as the budget
-    allows; their number and the trie's inner nodes are counted."""
-    rows = []
-    for view in ("event_us", "md5_60", "part_price"):
-        k, u = keys(spark, sf, view), universe(view)
-        ones = {r.j: r.t for r in f.cbf_ones_by_width(k).collect()}  # 63 rows
-        n = ones[0]
-        if not n:
-            continue
-        wide = min((j for j, t in ones.items() if 2**j <= u and models.space_bucket(t, u, 2**j) <= BUDGET * n), default=u.bit_length() - 1)
-        rows.append((view, "bucket", n, round(models.space_bucket(ones[wide], u, 2**wide) / n, 4)))
-        rows.append((view, "truncated-trie", n, round(models.space_truncated_trie(n, 0, f.ttf_inner_nodes(k, u.bit_length() - 1)) / n, 4)))
-        for name, bits in (("locality-hash", models.space_locality_hash(n, 32, 0.01)), ("prefix-search", models.space_prefix_search(n, 32, 0.01)), ("per-level", models.space_per_level(n, 32, 0.01)), ("pointwise", models.space_pointwise(n, 32, 0.01)), ("learned-bitmap", models.space_learned_bitmap(n, 100)), ("lossless", models.space_lossless(n, u)), ("bound", models.space_bound(n, 32, 0.01))):
-            rows.append((view, name, n, round(bits / n, 4)))
-    return spark.createDataFrame(rows, "view string, method string, n long, bits_per_key double")
-
-
-register("theory_table", theory_table)
+register("length_shift", length_shift, "SELECT len, count(*) AS n_ranges, round(avg(maybe::INT), 6) AS fpr FROM (" + " UNION ALL ".join(f"SELECT {x} AS len, maybe FROM ({answer_sql('locality-hash', BUDGET, VIEW, ends_sql('empty_correlated', U, x, 8, c))})" for c, x in enumerate((1, 8, 32, 128, 1024))) + ") GROUP BY len")
 
 
 def keys_summary(spark, sf):
@@ -596,40 +488,6 @@ def keys_summary(spark, sf):
 register("keys_summary", keys_summary, " UNION ALL ".join(f"SELECT '{v}' AS view, count(*) AS n, min(k) AS least, max(k) AS greatest FROM ({keys_sql(DUCK, v)})" for v in VIEWS))
 
 
-def segment_skip(spark, sf):
-    """Line items in 64 segments by key: segments that a question must read with min/max alone, and with bucket filters."""
-    s = 2**18
-    k = read_table(spark, sf, "events").selectExpr("user_id % 64 AS seg", f"{VIEWS[VIEW][1](SPARK)} AS k")
-    asked = w.uncorrelated(k, 500, 1024, 2_592_000_000_000).select("qid", "a", "b")
-    ends = k.groupBy("seg").agg(F.min("k").alias("lo_"), F.max("k").alias("hi_"))
-    reached = asked.crossJoin(F.broadcast(ends)).where("b >= lo_ and a <= hi_").select("qid", "seg", "a", "b")
-    codes = k.selectExpr("seg", f"k div {s} AS z").distinct()
-    kept = reached.selectExpr("*", f"explode(sequence(a div {s}, b div {s})) AS z").join(codes, ["seg", "z"], "left_semi").select("qid", "seg").distinct()
-    true = reached.join(k.withColumnRenamed("seg", "s_"), F.expr("seg = s_ and k between a and b"), "left_semi")
-    return reached.agg(F.count("*").alias("by_minmax")).crossJoin(kept.agg(F.count("*").alias("by_filter"))).crossJoin(true.agg(F.count("*").alias("needed")))
-
-
-def _segment_sql() -> str:
-    s = 2**18
-    return f"""WITH k AS (SELECT user_id % 64 AS seg, {VIEWS[VIEW][1](DUCK)} AS k FROM events),
-asked AS (SELECT qid, a, a + 1023 AS b FROM (SELECT id AS qid, {draw(DUCK, 'id', 2_592_000_000_000 - 1024, 1)} AS a FROM range(500) t(id))),
-ends AS (SELECT seg, min(k) AS lo, max(k) AS hi FROM k GROUP BY seg),
-reached AS (SELECT qid, seg, a, b FROM asked, ends WHERE b >= lo AND a <= hi)
-SELECT (SELECT count(*) FROM reached) AS by_minmax,
- (SELECT count(*) FROM reached r WHERE EXISTS (SELECT 1 FROM k WHERE k.seg = r.seg AND k.k // {s} BETWEEN r.a // {s} AND r.b // {s})) AS by_filter,
- (SELECT count(*) FROM reached r WHERE EXISTS (SELECT 1 FROM k WHERE k.seg = r.seg AND k.k BETWEEN r.a AND r.b)) AS needed"""
-
-
-register("segment_skip", segment_skip, _segment_sql())
-
-
-def grid_cube(spark, sf):
-    return lhf_sweep(spark, sf).cube("d", "len").agg(F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst")).withColumns({c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")})
-
-
-register("grid_cube", grid_cube, f"SELECT coalesce(d, -1) AS d, coalesce(len, -1) AS len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({ORACLES['lhf_sweep']}) GROUP BY CUBE (d, len)")
-
-
 def recommend_rules(spark, sf):
     rows = [(g, c, x, a, models.recommend(g, c, x, a)) for g in (False, True) for c in (False, True) for x in (False, True) for a in (False, True)]
     return spark.createDataFrame(rows, "guarantee boolean, correlated boolean, shifting boolean, costly_access boolean, choice string")

@@ -1,70 +1,56 @@
-"""Query batches: deterministic draws on row numbers, so that any engine makes the same ranges."""
+"""Query batches: one question for each key (or each key of a repeatable share), so a batch grows with the table. Ends
+are drawn by a mixing hash of the key, so that any engine makes the same ranges and they are no lattice."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangesieve.functions.hashing import DUCK, SPARK, draw
-from rangesieve.operators.order import keep_empty, rank
+from rangesieve.functions.hashing import SPARK, Dialect, mixed
+from rangesieve.operators.order import keep_empty
 
 LENGTHS = (1, 32, 1024)
+__all__ = ["LENGTHS", "ends", "heldout", "hold_out", "keep_empty", "share"]
 
 
-def uncorrelated(keys: DataFrame, m: int, length: int, u: int) -> DataFrame:
-    """Left ends uniform in the universe."""
-    return keys.sparkSession.range(m).selectExpr("id AS qid", f"{draw(SPARK, 'id', u - length, 1)} AS a").selectExpr("qid", "a", f"a + {length - 1} AS b")
+def width(degree: int) -> int:
+    """Places from a key on where a correlated range may start; degree is 10 D."""
+    return 2 ** (3 * (10 - degree)) + 1
 
 
-def _at_keys(keys: DataFrame, m: int, n: int) -> DataFrame:
-    asked = keys.sparkSession.range(m).selectExpr("id AS qid", f"{draw(SPARK, 'id', n, 2)} + 1 AS _i")
-    return asked.join(rank(keys, "k"), F.col("_i") == F.col("i")).select("qid", "k")
+def left_end(d: Dialect, kind: str, length, u: int, degree: int = 8, cell: int = 0) -> str:
+    """SQL text of the left end of key k's question. Each cell of an experiment draws on its own."""
+    if kind == "uncorrelated":
+        return mixed(d, "k", u - length, 100 + cell)
+    if kind == "correlated":
+        return f"(k + {mixed(d, 'k', width(degree), 200 + cell)})"
+    if kind == "nonempty":
+        return f"greatest(0, k - {mixed(d, 'k', length, 300 + cell)})"
+    raise ValueError(kind)
 
 
-def correlated(keys: DataFrame, m: int, length: int, degree: int, n: int) -> DataFrame:
-    """Left ends uniform in [k, k + 2^(30 (1 - D))] for random keys k; degree is 10 D."""
-    width = 2 ** (3 * (10 - degree)) + 1
-    return _at_keys(keys, m, n).selectExpr("qid", f"k + {draw(SPARK, 'qid', width, 3)} AS a").selectExpr("qid", "a", f"a + {length - 1} AS b")
+def ends(keys: DataFrame, kind: str, length: int, u: int, degree: int = 8, cell: int = 0) -> DataFrame:
+    """(qid, a, b): the question of every key; qid is the key."""
+    return keys.selectExpr("k AS qid", f"{left_end(SPARK, kind, length, u, degree, cell)} AS a").selectExpr("qid", "a", f"a + {length - 1} AS b")
 
 
-def nonempty(keys: DataFrame, m: int, length: int, n: int) -> DataFrame:
-    """Ranges that hold a random key."""
-    return _at_keys(keys, m, n).selectExpr("qid", f"greatest(0, k - {draw(SPARK, 'qid', length, 4)}) AS a").selectExpr("qid", "a", f"a + {length - 1} AS b")
+def share(keys: DataFrame, one_in: int) -> DataFrame:
+    """One key in `one_in`, by a draw on the key itself."""
+    return keys.where(f"{mixed(SPARK, 'k', one_in, 6)} = 0") if one_in > 1 else keys
 
 
-def hold_out(keys: DataFrame, tenth: int = 0) -> tuple[DataFrame, DataFrame]:
+def hold_out(keys: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(kept, withheld): a tenth of the keys, by a draw on the key itself."""
-    tagged = keys.withColumn("_t", F.expr(draw(SPARK, "k", 10, 5)))
-    return tagged.where(F.col("_t") != tenth).select("k"), tagged.where(F.col("_t") == tenth).select("k")
+    tagged = keys.withColumn("_t", F.expr(mixed(SPARK, "k", 10, 5)))
+    return tagged.where("_t <> 0").select("k"), tagged.where("_t = 0").select("k")
 
 
-def heldout_ranges(withheld: DataFrame, length: int) -> DataFrame:
+def heldout(withheld: DataFrame, length: int) -> DataFrame:
     return withheld.selectExpr("k AS qid", "k AS a", f"k + {length - 1} AS b")
 
 
 # --- the same as SQL over a CTE keys(k) -------------------------------------------------------------------------------
 
 
-def uncorrelated_sql(m: str, length: int, u: int) -> str:
-    return f"SELECT qid, a, a + {length - 1} AS b FROM (SELECT id AS qid, {draw(DUCK, 'id', u - length, 1)} AS a FROM range(100000) t(id) WHERE id < {m})"
-
-
-def _at_keys_sql(m: str) -> str:
-    return f"(SELECT id AS qid, k FROM (SELECT id, {draw(DUCK, 'id', '(SELECT count(*) FROM keys)', 2)} + 1 AS j FROM range(100000) t(id) WHERE id < {m}) JOIN (SELECT k, row_number() OVER (ORDER BY k) AS i FROM keys) ON i = j)"
-
-
-def correlated_sql(m: str, length: int, degree: int) -> str:
-    width = 2 ** (3 * (10 - degree)) + 1
-    return f"SELECT qid, a, a + {length - 1} AS b FROM (SELECT qid, k + {draw(DUCK, 'qid', width, 3)} AS a FROM {_at_keys_sql(m)})"
-
-
-def nonempty_sql(m: str, length: int) -> str:
-    return f"SELECT qid, a, a + {length - 1} AS b FROM (SELECT qid, greatest(0, k - {draw(DUCK, 'qid', length, 4)}) AS a FROM {_at_keys_sql(m)})"
-
-
 def empties_sql(ranges: str) -> str:
-    return f"SELECT * FROM ({ranges}) w WHERE NOT EXISTS (SELECT 1 FROM keys WHERE k BETWEEN w.a AND w.b)"
-
-
-def empties(keys: DataFrame, ranges: DataFrame) -> DataFrame:
-    return keep_empty(keys, ranges)
+    return f"SELECT w.* FROM ({ranges}) w ASOF LEFT JOIN keys ON w.b >= keys.k WHERE keys.k IS NULL OR keys.k < w.a"

@@ -19,8 +19,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 from pyspark.sql.types import StructType
 
-from rangesieve.functions.hashing import HashParams, h_value, seeded
+from rangesieve.functions.hashing import HashParams, h_value, h_values, seeded
 from rangesieve.functions.packed import EliasFano
+from rangesieve.functions.ship import ship
 
 CATALOG = "path string, kmin long, kmax long, n long, r long, l int, first long, length long, high binary, low binary"
 
@@ -35,11 +36,12 @@ def build_catalog(segments: DataFrame, key: str, bits: int) -> DataFrame:
     def build(pdf: pd.DataFrame) -> pd.DataFrame:
         ks = np.unique(pdf["k"].to_numpy())
         p = _params(len(ks) * 2 ** (bits - 2))
-        z = np.array(sorted({h_value(int(k), p) for k in ks}), np.int64)
+        z = np.unique(h_values(ks, p))
         ef = EliasFano.encode(z - z[0], bits - 2)
         high, low = ef.dump()
-        return pd.DataFrame({"path": [pdf["path"].iloc[0]], "kmin": [ks[0]], "kmax": [ks[-1]], "n": [len(z)], "r": [p.r], "l": [bits - 2], "first": [z[0]], "length": [len(ef.high)], "high": [high], "low": [low]})
+        return pd.DataFrame({"path": [pdf["path"].iloc[0]], "kmin": [ks[0]], "kmax": [ks[-1]], "n": [len(z)], "r": [p.r], "l": [bits - 2], "first": [z[0]], "length": [ef.length], "high": [high], "low": [low]})
 
+    ship(segments.sparkSession)
     named = segments.select(F.input_file_name().alias("path"), F.col(key).cast("long").alias("k")).where("k is not null")
     return named.distinct().groupBy("path").applyInPandas(build, CATALOG)
 

@@ -6,7 +6,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rangesieve.functions.hashing import Dialect
-from rangesieve.operators.filters import _answers
 from rangesieve.operators.order import any_code_in
 
 SPACE = 2**48
@@ -31,12 +30,12 @@ def string_codes(d, strings: DataFrame, column: str, width: int) -> DataFrame:
 
 
 def string_probe(d, codes: DataFrame, ranges: DataFrame, width: int) -> DataFrame:
-    """Ranges (qid, a, b) of strings: filtered if both ends share their head, else answered maybe."""
-    ends = ranges.select("qid", F.expr(f"{head(d, 'a', str(width))} = {head(d, 'b', str(width))}").alias("same"), F.expr(string_hash(d, "a", str(width))).alias("x"), F.expr(string_hash(d, "b", str(width))).alias("y"))
-    parts = ends.where("same").select("qid", F.inline(F.expr(f"if(x <= y, array(struct(x AS lo, y AS hi)), array(struct(0L AS lo, y AS hi), struct(x AS lo, {SPACE - 1}L AS hi)))")))
-    return _answers(ranges, any_code_in(codes, parts).select("qid", "hit").union(ends.where("not same").select("qid", F.lit(True).alias("hit"))))
-
-
-def prefix_code(column: str, count: int = 7) -> str:
-    """The first bytes of a string as an integer: order-preserving, coarse."""
-    return f"CAST(conv(rpad(hex({column}), {2 * count}, '0'), 16, 10) AS BIGINT)"
+    """Ranges (a, b, ...) of strings with `maybe`: filtered if both ends share their head, else answered maybe; null where
+    an end is null or a > b. Ends that repeat are asked once."""
+    asked = ranges.select("a", "b").where("a <= b").distinct().select(F.struct("a", "b").alias("q"), "a", "b")
+    ends = asked.select("q", F.expr(f"{head(d, 'a', str(width))} = {head(d, 'b', str(width))}").alias("same"), F.expr(string_hash(d, "a", str(width))).alias("x"), F.expr(string_hash(d, "b", str(width))).alias("y"))
+    parts = ends.where("same").select("q", F.inline(F.expr(f"if(x <= y, array(struct(x AS lo, y AS hi)), array(struct(0L AS lo, y AS hi), struct(x AS lo, {SPACE - 1}L AS hi)))")))
+    hits = any_code_in(codes, parts).select("q", "hit").union(ends.where("not same").select("q", F.lit(True).alias("hit")))
+    found = hits.where("hit").select(F.col("q.a").alias("x_"), F.col("q.b").alias("y_")).distinct()
+    met = ranges.join(found, (F.col("a") == F.col("x_")) & (F.col("b") == F.col("y_")), "left")
+    return met.select(*ranges.columns, F.when(F.col("a") <= F.col("b"), F.col("x_").isNotNull()).alias("maybe"))

@@ -55,7 +55,8 @@ DUCK = Dialect("duck", "HUGEINT")
 
 
 def with_affine(df: DataFrame, made: list[tuple[str, str, int, int, object]]) -> DataFrame:
-    """Add columns (name, x, c1, c2, modulus): (c1 x + c2) mod 2^61 - 1 mod the modulus, x and modulus as SQL text.
+    """Add columns (name, x, c1, c2, modulus): (c1 x + c2) mod 2^61 - 1 mod the modulus, x and modulus as SQL text, c1 and
+    c2 as numbers or columns.
 
     Factors are cut into 31-bit parts: c1 x = top 2^62 + mid 2^31 + bottom, where 2^61 counts as 1. Each step is a
     projection of its own, as parts are used more than once and one long expression would leave compiled code."""
@@ -66,10 +67,11 @@ def with_affine(df: DataFrame, made: list[tuple[str, str, int, int, object]]) ->
     cut = y.selectExpr(*base, *[t for i in range(len(xs)) for t in (f"_y{i} & {half}L AS _l{i}", f"shiftright(_y{i}, 31) AS _h{i}")])
     parts = []
     for j, (_, x, c1, _, _) in enumerate(made):
-        i, high, low = xs.index(x), c1 >> 31, c1 & half
-        parts += [f"{2 * high}L * _h{i} AS _t{j}", f"{high}L * _l{i} + {low}L * _h{i} AS _m{j}", f"{low}L * _l{i} % {PRIME}L AS _b{j}"]
+        i = xs.index(x)
+        high, low = (f"shiftright({c1}, 31)", f"({c1} & {half}L)") if isinstance(c1, str) else (f"{c1 >> 31}L", f"{c1 & half}L")
+        parts += [f"2L * {high} * _h{i} AS _t{j}", f"{high} * _l{i} + {low} * _h{i} AS _m{j}", f"{low} * _l{i} % {PRIME}L AS _b{j}"]
     multiplied = cut.selectExpr(*base, *parts)
-    done = [f"((_t{j} + shiftright(_m{j}, 30) + shiftleft(_m{j} & {2**30 - 1}L, 31) + _b{j}) % {PRIME}L + {c2}L) % {PRIME}L % ({m}) AS `{name}`" for j, (name, _, _, c2, m) in enumerate(made)]
+    done = [f"((_t{j} + shiftright(_m{j}, 30) + shiftleft(_m{j} & {2**30 - 1}L, 31) + _b{j}) % {PRIME}L + {c2 if isinstance(c2, str) else f'{c2}L'}) % {PRIME}L % ({m}) AS `{name}`" for j, (name, _, _, c2, m) in enumerate(made)]
     return multiplied.selectExpr(*base, *done)
 
 
@@ -83,10 +85,12 @@ def with_draws(df: DataFrame, made: list[tuple[str, str, object, int]]) -> DataF
     return with_affine(df, [(name, x, *_affine_of(stream), m) for name, x, m, stream in made])
 
 
-def with_local_hash(df: DataFrame, made: list[tuple[str, str]], p: HashParams, r=None) -> DataFrame:
-    """Add columns (name, x), each `local_hash` of x, which is SQL text. r: a column of the frame instead of p's."""
+def with_local_hash(df: DataFrame, made: list[tuple[str, str]], p: HashParams, r=None, factors=None) -> DataFrame:
+    """Add columns (name, x), each `local_hash` of x, which is SQL text. r, factors: columns of the frame instead of p's r,
+    and its c1 and c2."""
     r = f"{p.r}L" if r is None else r
-    hashed = with_affine(df, [(f"_q{i}", SPARK.floor_div(x, r), p.c1, p.c2, r) for i, (_, x) in enumerate(made)])
+    c1, c2 = factors or (p.c1, p.c2)
+    hashed = with_affine(df, [(f"_q{i}", SPARK.floor_div(x, r), c1, c2, r) for i, (_, x) in enumerate(made)])
     return hashed.selectExpr(*[f"`{c}`" for c in df.columns], *[f"(_q{i} + pmod({x}, {r})) % {r} AS `{name}`" for i, (name, x) in enumerate(made)])
 
 

@@ -47,8 +47,8 @@ def against_bound(each: DataFrame) -> DataFrame:
 
 
 def robustness(rates: DataFrame, *by: str) -> DataFrame:
-    """From rates (d, fpr): extremes over d, and the least d with a rate above one half (null if none)."""
-    return rates.groupBy(*by).agg(F.max("fpr").alias("worst"), F.min("fpr").alias("best"), F.min(F.when(F.col("fpr") > 0.5, F.col("d"))).alias("lost_at"))
+    """From rates (d, fpr): extremes over d, and the least d with a rate above one half (-1 if none)."""
+    return rates.groupBy(*by).agg(F.max("fpr").alias("worst"), F.min("fpr").alias("best"), F.coalesce(F.min(F.when(F.col("fpr") > 0.5, F.col("d"))), F.lit(-1)).alias("lost_at"))
 
 
 def predictability(rates: DataFrame, *by: str) -> DataFrame:

@@ -452,16 +452,19 @@ _GRID = [(i, d, length, w.width(d)) for i, (d, length) in enumerate((d, length)
 _CELL = "concat(g, ':', k)"
 
 
+SWEPT = 4  # one key in so many has a question a cell
+
+
 def sweep_sql() -> str:
     """CTEs grid and swept(qid, a, b, d, len), the empty ranges of the sweep."""
     rows = ", ".join(map(str, _GRID))
-    return f"grid(g, d, len, w) AS (VALUES {rows}), drawn AS (SELECT k AS qid, k + {mixed(DUCK, _CELL, 'w', 900)} AS a, d, len FROM keys, grid), swept AS ({w.empties_sql('SELECT qid, a, a + len - 1 AS b, d, len FROM drawn')})"
+    return f"grid(g, d, len, w) AS (VALUES {rows}), drawn AS (SELECT k AS qid, k + {mixed(DUCK, _CELL, 'w', 900)} AS a, d, len FROM keys, grid WHERE {mixed(DUCK, 'k', SWEPT, 6)} = 0), swept AS ({w.empties_sql('SELECT qid, a, a + len - 1 AS b, d, len FROM drawn')})"
 
 
 def sweep_ranges(s: Setup) -> DataFrame:
-    """Empty ranges for every degree of correlation (10 D) and length, one drawn for each key: qid, a, b, d, len."""
+    """Empty ranges for every degree of correlation (10 D) and length, one drawn for each key in SWEPT: qid, a, b, d, len."""
     grid = s.k.sparkSession.createDataFrame(_GRID, "g int, d int, len int, w long")
-    placed = s.k.crossJoin(F.broadcast(grid)).selectExpr("k AS qid", f"k + {mixed(SPARK, _CELL, 'w', 900)} AS a", "d", "len")
+    placed = w.share(s.k, SWEPT).crossJoin(F.broadcast(grid)).selectExpr("k AS qid", f"k + {mixed(SPARK, _CELL, 'w', 900)} AS a", "d", "len")
     return keep_empty(s.k, placed.selectExpr("qid", "a", "a + len - 1 AS b", "d", "len"))
 
 

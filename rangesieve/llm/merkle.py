@@ -1,16 +1,19 @@
-"""Document fingerprints as Merkle trees over sections, paragraphs and sentences.
+"""Document fingerprints as Merkle trees over sections, paragraphs and pieces of sentences.
 
 A paragraph is a line. A section ends with a paragraph whose hash says so (one in four on average) or before an empty
-line, so an edit moves no distant section border. Leaves are sentences; texts of few words also get a leaf for each
-word. A node's hash covers its children's, so equal roots mean equal texts, and differing branches lead to an edit.
+line, so an edit moves no distant section border. Leaves are pieces of sentences of up to LEAF_WORDS words, cut at words
+whose hash says so; texts of few words also get a leaf for each word. A node's digest covers its children's whole
+digests, so equal roots mean equal texts, and differing branches lead to an edit.
 
-The fingerprint is one string: root, then the sections, each with its paragraphs' leaves. The likeness of two
-fingerprints is the share of leaves that they have in common, as multisets.
+The fingerprint is one string: root, then the sections, each with its paragraphs' leaves. Two fingerprints are compared
+from the root down: equal branches are left closed, differing ones are opened. Their likeness is the share of leaves in
+common, as multisets, and the branches that stay different are where the edit is.
 
 The query pairs each document with the next one by descending id. Documents are dealt into ranges of ids, ordered in
-each range, and read in order; the first document of a range is also sent to the range before it.
+each range, and read in order; the first document of a range is also sent to the range before it. The number of ranges
+follows the amount of text.
 
-Defined cases: null text counts as empty, whose fingerprint is a bare root, and two empty texts are alike by 1; a
+Defined cases: null text counts as empty, whose tree is one empty paragraph, and two empty texts are alike by 1; a
 null id comes last in descending order; rows that share an id are ordered by their text; a single document is its own
 next one; extra columns are ignored.
 """
@@ -29,6 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from rangesieve.llm.common import own, ship_package, shuffle_width
+from rangesieve.operators.order import with_shard
 
 SECTION_ENDS = 4
 FEW_WORDS = 128
@@ -39,8 +43,15 @@ _SENTENCE = re.compile(r"[^.!?…]*[.!?…]+[\s]*|[^.!?…]+")
 _WORD = re.compile(r"\s*\S+(?:\s+\Z)?|\s+")
 
 
+RANGE_CHARS = 32_000_000  # text of a range of ids
+
+
+def _digest(text: str) -> bytes:
+    return xxhash.xxh3_128_digest(text.encode("utf-8", "surrogatepass"))
+
+
 def _leaf(text: str) -> str:
-    return xxhash.xxh3_64_hexdigest(text.encode("utf-8", "surrogatepass"))[:10]
+    return _digest(text).hex()[:10]
 
 
 def _ends(text: str) -> bool:
@@ -71,58 +82,85 @@ def _pieces(sentence: str) -> Iterator[str]:
             start = i
 
 
-def _node(children: list[str], kind: str) -> str:
-    return xxhash.xxh3_128_hexdigest(kind + ",".join(children))[:16]
+def _node(kind: bytes, children: list[bytes]) -> bytes:
+    return hashlib.sha256(kind + b"".join(children)).digest()[:16]
 
 
 def fingerprint(text: str | None) -> str:
-    """root ; words ; section | section ...; a section is hash=paragraph/paragraph, a paragraph leaf.leaf.leaf"""
+    """root ; words ; section | section ...; a section is digest=paragraph/paragraph, a paragraph leaf.leaf.leaf"""
     text = text or ""
-    paragraphs = text.split("\n")
     sections, current = [], []
-    for p in paragraphs:
-        leaves = [_leaf(x) for sentence in _SENTENCE.findall(p) for x in _pieces(sentence)]
-        node = _node(leaves, "p")
+    for p in text.split("\n"):
+        leaves = [_digest(x) for sentence in _SENTENCE.findall(p) for x in _pieces(sentence)]
+        node = _node(b"p", leaves)
         if not p and current:
             sections.append(current)
             current = []
         current.append((node, leaves))
-        if int(node[:4], 16) % SECTION_ENDS == 0:
+        if node[0] % SECTION_ENDS == 0:
             sections.append(current)
             current = []
     if current:
         sections.append(current)
-    inner = [_node([n for n, _ in s], "s") for s in sections]
-    root = hashlib.sha256(text.encode("utf-8", "surrogatepass")).hexdigest()[:16] + _node(inner, "r")
+    inner = [_node(b"s", [n for n, _ in s]) for s in sections]
     few = _words(text) if len(text.split(None, FEW_WORDS)) <= FEW_WORDS else []
     words = ".".join(map(_leaf, few)) if len(few) <= FEW_WORDS else ""
-    return f"{root};{words};" + "|".join(f"{h}=" + "/".join(".".join(leaves) for _, leaves in s) for h, s in zip(inner, sections))
+    printed = "|".join(f"{h.hex()[:16]}=" + "/".join(".".join([x.hex()[:10] for x in leaves]) for _, leaves in s) for h, s in zip(inner, sections))
+    return f"{_node(b'r', inner).hex()};{words};{printed}"
 
 
-def _leaves(print_: str, words: bool) -> Counter:
-    _, few, rest = print_.split(";", 2)
-    if words:
-        return Counter(few.split(".")) if few else Counter()
-    return Counter(x for s in rest.split("|") for p in s.partition("=")[2].split("/") for x in p.split(".") if x)
+def _branches(print_: str) -> list[tuple[str, str]]:
+    """(digest, paragraphs) of each section."""
+    return [tuple(s.split("=", 1)) for s in print_.split(";", 2)[2].split("|")]
 
 
-def likeness(one: str, two: str) -> float:
-    """Share of common leaves, 1 for equal roots; words where both texts have few, else pieces of sentences."""
+def _apart(one: list, two: list) -> tuple[list[int], list[int]]:
+    """Places in two lists of what the other lacks, as multisets."""
+    left, right = Counter(one), Counter(two)
+    spare = [left - right, right - left]
+    out: tuple[list[int], list[int]] = ([], [])
+    for side, (items, gone) in enumerate(zip((one, two), spare)):
+        for i in range(len(items) - 1, -1, -1):
+            if gone[items[i]] > 0:
+                gone[items[i]] -= 1
+                out[side].append(i)
+    return out[0][::-1], out[1][::-1]
+
+
+def _leaves_of(paragraphs: str) -> int:
+    return sum(p.count(".") + 1 for p in paragraphs.split("/") if p)
+
+
+def compare(one: str, two: str) -> tuple[float, list[str]]:
+    """(likeness, branches): from the roots down. Branches are `section.paragraph` of `one`, those with a leaf that `two`
+    lacks (or a paragraph without leaves that it lacks); none for equal roots. Where both texts have few words, the
+    likeness counts words."""
     if one.partition(";")[0] == two.partition(";")[0]:
-        return 1.0
-    words = bool(one.split(";", 2)[1]) and bool(two.split(";", 2)[1])
-    a, b = _leaves(one, words), _leaves(two, words)
-    both = sum((a & b).values())
-    return both / max(sum(a.values()), sum(b.values()), 1)
+        return 1.0, []
+    a, b = _branches(one), _branches(two)
+    open_a, open_b = _apart([s[0] for s in a], [s[0] for s in b])
+    below_a = [(f"{i}.{j}", p) for i in open_a for j, p in enumerate(a[i][1].split("/"))]
+    below_b = [p for i in open_b for p in b[i][1].split("/")]
+    other_a, other_b = _apart([p for _, p in below_a], below_b)
+    leaves_a = [(name, x) for i in other_a for name, p in [below_a[i]] for x in p.split(".")]
+    leaves_b = [x for i in other_b for x in below_b[i].split(".")]
+    lost_a, lost_b = _apart([x for _, x in leaves_a], leaves_b)
+    branches = list(dict.fromkeys(leaves_a[i][0] for i in lost_a))
+    few = one.split(";", 2)[1], two.split(";", 2)[1]
+    if all(few):
+        x, y = Counter(few[0].split(".")), Counter(few[1].split("."))
+        return sum((x & y).values()) / max(sum(x.values()), sum(y.values())), branches
+    total_a, total_b = (sum(_leaves_of(s[1]) for s in t) for t in (a, b))
+    lost = sum(leaves_a[i][1] != "" for i in lost_a)
+    return (total_a - lost) / max(total_a, total_b, 1), branches
 
 
-def differing_sections(one: str, two: str) -> list[int]:
-    """Numbers of the sections of `one` that `two` lacks: where an edit is."""
-    have = {s.partition("=")[0] for s in two.split(";", 2)[2].split("|")}
-    return [i for i, s in enumerate(one.split(";", 2)[2].split("|")) if s.partition("=")[0] not in have]
+def likeness(one: str, two: str) -> float:
+    return compare(one, two)[0]
 
 
-PRINTS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_chars", T.LongType()), T.StructField("edited_sha256", T.StringType()), T.StructField("fingerprint", T.StringType()), T.StructField("edited_fingerprint", T.StringType()), T.StructField("near_edited", T.DoubleType()), T.StructField("near_next", T.DoubleType())])
+_FIELDS = [("doc_id", T.LongType()), ("n_chars", T.LongType()), ("edited_sha256", T.StringType()), ("fingerprint", T.StringType()), ("edited_fingerprint", T.StringType()), ("near_edited", T.DoubleType()), ("near_next", T.DoubleType()), ("edited_branches", T.StringType())]
+PRINTS = T.StructType([T.StructField(*f) for f in _FIELDS])
 
 
 def edited(text: str, following: str) -> str:
@@ -139,7 +177,8 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         text, following = before[3] or "", now[3] or ""
         changed = edited(text, following)
         mine, other, after = before[4], fingerprint(changed), now[4]
-        return (before[2], len(text), hashlib.sha256(changed.encode("utf-8", "surrogatepass")).hexdigest(), mine, other, likeness(mine, other), likeness(mine, after))
+        near, branches = compare(mine, other)
+        return (before[2], len(text), hashlib.sha256(changed.encode("utf-8", "surrogatepass")).hexdigest(), mine, other, near, likeness(mine, after), ",".join(branches))
 
     for batch in batches:
         columns = batch.to_pydict()
@@ -155,42 +194,34 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*out), _ARROW)], schema=_ARROW)
 
 
-_ARROW = pa.schema([("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64())])
+_ARROW = pa.schema([("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64()), ("edited_branches", pa.string())])
 NO_ID = -(2**63)
 
 
-def _range_of(bounds: list[int], key):
-    """Number of bounds that are above the id, found in two steps of about sqrt(len(bounds)) comparisons."""
-    if not bounds:
-        return F.lit(0)
-    width = max(1, int(len(bounds) ** 0.5))
-    blocks = [bounds[i : i + width] for i in range(0, len(bounds), width)]  # descending
-    coarse = F.array(*[F.lit(b[-1]).cast("long") for b in blocks])
-    full = F.size(F.filter(coarse, lambda b: b > key))
-    fine = F.array(*[F.array(*[F.lit(x).cast("long") for x in b]) for b in blocks])
-    inside = F.size(F.filter(F.get(fine, full), lambda b: b > key))
-    return (full * width + F.when(full < len(blocks), inside).otherwise(0)).cast("int")
-
-
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
-    """One row per document: the columns of PRINTS."""
+    """One row per document: the columns of PRINTS; edited_branches names the paragraphs (section.paragraph) of the text in
+    which the edited text differs."""
     spark = docs.sparkSession
     ship_package(spark)
     rows = own(docs, "doc_id", "text").select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("key"))
-    n = shuffle_width(spark) * 2
+    chars = rows.agg(F.sum(F.octet_length("text")).alias("c")).first().c or 0
+    n = max(shuffle_width(spark) * 2, -(-chars // RANGE_CHARS))
     cuts = rows.agg(F.percentile_approx("key", [i / n for i in range(1, n)], 20 * n).alias("q")).first().q or []
-    bounds = sorted(set(cuts), reverse=True)
-    placed = rows.withColumn("range", _range_of(bounds, F.col("key")))
+    bounds = sorted(set(cuts))
+    placed = with_shard(rows, "key", bounds, "_up").withColumn("range", (F.lit(len(bounds)) - F.col("_up")).cast("int")).drop("_up")
     heads = {r.range: r.head for r in placed.groupBy("range").agg(F.max("key").alias("head")).collect()}  # a row a range
+    if not heads:
+        return spark.createDataFrame([], PRINTS)
     order = sorted(heads)
     # The head of a range also closes the range before it; the first head closes the last range.
-    closes = {heads[order[i]]: order[i - 1] for i in range(len(order))}
-    if closes:
-        table = F.create_map(*[x for k, v in closes.items() for x in (F.lit(k).cast("long"), F.lit(v))])
-        target = F.element_at(table, F.col("key")) if len(closes) <= 64 else F.get(F.transform(F.filter(F.array(*[F.struct(F.lit(k).cast("long").alias("k"), F.lit(v).alias("v")) for k, v in closes.items()]), lambda s: s.k == F.col("key")), lambda s: s.v), F.lit(0))
-    else:
-        target = F.lit(None).cast("int")
-    places = F.when(target.isNull(), F.array(F.struct(F.col("range"), F.lit(False).alias("ghost")))).otherwise(F.array(F.struct(F.col("range"), F.lit(False).alias("ghost")), F.struct(target.alias("range"), F.lit(True).alias("ghost"))))
-    dealt = placed.withColumn("place", F.explode(places)).select(F.col("place.range").alias("range"), F.col("place.ghost").alias("ghost"), "doc_id", "text", "key")
+    before = {order[i]: order[i - 1] for i in range(len(order))}
+    every = range(len(bounds) + 1)
+    table = lambda found: "array(" + ", ".join(f"{found[i]}L" if i in found else "CAST(null AS BIGINT)" for i in every) + ")"
+    lowest = f"(-{2**63 - 1}L - 1L)"  # SQL has no literal for it
+    head = table(heads).replace(f"{NO_ID}L", lowest)
+    target = F.expr(f"if(key = {head}[range], CAST({table(before)}[range] AS INT), null)")
+    here, there = F.struct(F.col("range"), F.lit(False).alias("ghost")), F.struct(F.col("_to").alias("range"), F.lit(True).alias("ghost"))
+    aimed = placed.withColumn("_to", target).withColumn("place", F.explode(F.when(F.col("_to").isNull(), F.array(here)).otherwise(F.array(here, there))))
+    dealt = aimed.select(F.col("place.range").alias("range"), F.col("place.ghost").alias("ghost"), "doc_id", "text", "key")
     ordered = dealt.repartition(n, "range").sortWithinPartitions("range", "ghost", F.col("key").desc(), F.col("text").asc_nulls_first())
     return ordered.select("range", "ghost", "doc_id", "text").mapInArrow(_prints, PRINTS)

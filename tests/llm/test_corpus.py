@@ -287,7 +287,43 @@ def test_merkle(odd):
     assert merkle.fingerprint_documents(empty_of(df)).count() == 0
     one, two = "First one. Second.\nThird line here.\n\nLast.", "First one. Second.\nThird line changed.\n\nLast."
     assert 0 < merkle.likeness(merkle.fingerprint(one), merkle.fingerprint(two)) < 1
-    assert merkle.differing_sections(merkle.fingerprint(one), merkle.fingerprint(two))
+    assert merkle.compare(merkle.fingerprint(one), merkle.fingerprint(two))[1]
+
+
+def naive_tree(text):
+    """Leaves by paragraph and the words, cut by the same rules, without digests of branches."""
+    return [[x for sentence in merkle._SENTENCE.findall(p) for x in merkle._pieces(sentence)] for p in (text or "").split("\n")]
+
+
+def test_merkle_likeness_against_flat_leaves():
+    """Compared from the root down, the likeness is that of the multisets of leaves; branches name the changed paragraphs."""
+    rng = random.Random(21)
+    for _ in range(60):
+        paragraphs = [" ".join(sentence(rng, rng.randrange(1, 20)) for _ in range(rng.randrange(0, 6))) for _ in range(rng.randrange(20, 40))]
+        other = list(paragraphs)
+        changed = sorted(rng.sample(range(len(paragraphs)), 3))
+        for i in changed:
+            other[i] = sentence(rng, 9)
+        rng.random() < 0.5 and other.insert(rng.randrange(len(other)), sentence(rng, 7))
+        one, two = "\n".join(paragraphs), "\n".join(other)
+        near, branches = merkle.compare(merkle.fingerprint(one), merkle.fingerprint(two))
+        a, b = (Counter(x for p in naive_tree(t) for x in p) for t in (one, two))
+        assert abs(near - sum((a & b).values()) / max(sum(a.values()), sum(b.values()))) < 1e-9
+        where = []
+        for i, section in enumerate(merkle._branches(merkle.fingerprint(one))):
+            where += [f"{i}.{j}" for j in range(section[1].count("/") + 1)]
+        # Every changed paragraph whose leaves are gone is named, and no other; of equal paragraphs any may be.
+        named = {paragraphs[where.index(x)] for x in branches}
+        gone = {paragraphs[i] for i in changed if Counter(naive_tree(paragraphs[i])[0]) - b}
+        assert gone <= named <= {paragraphs[i] for i in changed}
+
+
+def test_merkle_roots_test_equality():
+    rng = random.Random(22)
+    texts = ["", "\n", "\n\n", "a", "a\n", "\na", "a b", "ab", "a  b", "A b"] + [sentence(rng, 40) for _ in range(20)]
+    roots = {merkle.fingerprint(t).partition(";")[0] for t in texts}
+    assert len(roots) == len(set(texts)) and merkle.fingerprint(None) == merkle.fingerprint("")
+    assert merkle.likeness(merkle.fingerprint(""), merkle.fingerprint(None)) == 1
 
 
 @pytest.mark.parametrize("space", [" ", ""])

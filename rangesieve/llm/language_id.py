@@ -5,11 +5,14 @@ the longest phrases that occur in that reference: the automaton is walked until
 phrase. The language that needs the fewest phrases, each weighed with the bits that name a place in its reference,
 wins. The walk runs over many texts in lockstep, cut into segments, so it is a handful of array operations a step.
 
-The reference is a bounded sample: REFERENCE letters of a language, taken from at most DOCUMENTS labelled documents
-with the smallest hash of the id, at most PER_DOCUMENT code points of each.
+The reference is a bounded sample of labelled rows: the distinct lettered texts of a language in the order of their hash,
+whole, until it has REFERENCE characters (the text that reaches the bound ends there) or DOCUMENTS texts.
 
-Defined cases: null text or text without any letter gives `und` with score 0; letters that no reference has count as
-a phrase each; ties go to the language first by name; without labelled documents every text is `und`; repeated rows
+An automaton's moves are a table of its states by its own reference's letters, and sorted pairs (state, letter) where the
+table would take more than TABLE cells, as with thousands of letters.
+
+Defined cases: null text or text without any letter gives `und` with score 0; a letter that a reference
+lacks opens a phrase there; ties go to the language first by name; without labelled documents every text is `und`; repeated rows
 are predicted alike; extra columns are ignored. Texts are parsed whole, in segments of SEGMENT letters.
 """
 
@@ -25,15 +28,46 @@ from pyspark.sql import types as T
 
 from rangesieve.llm.common import fold, own, ship_package
 
-REFERENCE, DOCUMENTS, PER_DOCUMENT = 20_000, 40, 2_000
+REFERENCE, DOCUMENTS = 40_000, 400
+TABLE = 8_000_000
 SEGMENT = 1_024
 BATCH_CHARS = 4_000_000
 FOLDS = 5
 UNKNOWN = "und"
 
 
-def suffix_automaton(codes: list[int], width: int) -> np.ndarray:
-    """Transition table of the suffix automaton of a code sequence: row = state, 0 is the root, 0 as entry = none."""
+class Moves:
+    """Transitions of an automaton: from states by letters to states, 0 as target = none, state 0 is the root."""
+
+    def __init__(self, rows: list[dict[int, int]]):
+        used = sorted({c for row in rows for c in row})
+        own = np.zeros(max(used, default=0) + 1, np.int64)  # its own numbers of letters, 0: not in this reference
+        own[used] = np.arange(1, len(used) + 1)
+        self.own, self.width = own, len(used) + 1
+        pairs = sorted((s * self.width + int(own[c]), t) for s, row in enumerate(rows) for c, t in row.items())
+        keys = np.fromiter((k for k, _ in pairs), np.int64, len(pairs))
+        targets = np.fromiter((t for _, t in pairs), np.int32, len(pairs))
+        self.dense = len(rows) * self.width <= TABLE
+        if self.dense:
+            self.table = np.zeros(len(rows) * self.width, np.int32)
+            self.table[keys] = targets
+        else:
+            self.keys, self.targets = np.append(keys, 2**62), np.append(targets, 0)
+
+    def letters(self, codes: np.ndarray) -> np.ndarray:
+        """The reference's own numbers of a text's codes."""
+        return np.where(codes < len(self.own), self.own[np.minimum(codes, len(self.own) - 1)], 0)
+
+    def after(self, states: np.ndarray, letters: np.ndarray) -> np.ndarray:
+        at = states.astype(np.int64) * self.width + letters
+        if self.dense:
+            return self.table[at]
+        place = np.searchsorted(self.keys, at)
+        return np.where(self.keys[place] == at, self.targets[place], 0).astype(np.int32)
+
+
+def suffix_automaton(codes: list[int]) -> list[dict[int, int]]:
+    """Transitions of the suffix automaton of a code sequence: a dict a state, state 0 is the root."""
     moves: list[dict[int, int]] = [{}]
     link, length, last = [-1], [0], 0
     for c in codes:
@@ -59,11 +93,7 @@ def suffix_automaton(codes: list[int], width: int) -> np.ndarray:
                     p = link[p]
                 link[q] = link[state] = clone
         last = state
-    table = np.zeros((len(moves), width), np.int32)
-    for s, row in enumerate(moves):
-        for c, t in row.items():
-            table[s, c] = t
-    return table
+    return moves
 
 
 class CrossParser:
@@ -77,11 +107,10 @@ class CrossParser:
         alpha = np.fromiter((chr(i).isalpha() if not 0xD800 <= i < 0xE000 else False for i in range(0x110000)), bool, 0x110000)
         self.codes = np.where(alpha, 0, 1).astype(np.int32)
         self.codes[[ord(c) for c in letters]] = np.arange(2, self.width)
-        self.flat, self.bits = [], []
+        self.moves, self.bits = [], []
         for k in self.languages:
             codes = self.encode(texts[k])
-            table = suffix_automaton(codes.tolist(), self.width)
-            self.flat.append((table * self.width).ravel())  # a state is held as the start of its row
+            self.moves.append(Moves(suffix_automaton(codes.tolist())))
             self.bits.append(np.log2(max(len(codes), 2)))
 
     def encode(self, text: str) -> np.ndarray:
@@ -108,17 +137,18 @@ class CrossParser:
         starts, lengths, owner = np.array(starts)[order], np.array(lengths)[order], np.array(owner)[order]
         steps = int(lengths[0])
         active = np.searchsorted(-lengths, -np.arange(steps), side="left")
-        for j, flat in enumerate(self.flat):
+        for j, moves in enumerate(self.moves):
+            letters = moves.letters(every)
             state, count = np.zeros(len(starts), np.int32), np.ones(len(starts), np.int64)
             for t in range(steps):
                 n = active[t]
-                c = every[starts[:n] + t]
-                to = flat[state[:n] + c]
+                c = letters[starts[:n] + t]
+                to = moves.after(state[:n], c)
                 stuck = np.flatnonzero(to == 0)
                 if len(stuck):
                     if t:
                         count[stuck] += 1
-                    to[stuck] = flat[c[stuck]]
+                    to[stuck] = moves.after(np.zeros(len(stuck), np.int32), c[stuck])
                 state[:n] = to
             out[:, j] = np.bincount(owner, weights=count, minlength=len(sequences)).astype(np.int64)
         return out
@@ -151,21 +181,19 @@ def _parser(references: dict[str, str]) -> CrossParser:
 
 def learn_references(docs: DataFrame) -> dict[str, str]:
     """Language -> reference text, from text and lang of the documents that are not held out."""
-    rows = own(docs, "doc_id", "text", "lang").where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), FOLDS) != 0))
-    order = Window.partitionBy("lang").orderBy("h", "doc_id")
-    ids = rows.select("lang", "doc_id", F.xxhash64("doc_id").alias("h")).withColumn("k", F.row_number().over(order)).where(F.col("k") <= DOCUMENTS)
-    chosen = [(r.lang, r.doc_id) for r in ids.select("lang", "doc_id").collect()]  # DOCUMENTS a language at most
-    if not chosen:
-        return {}
-    # A null id is one more id; an id that repeats is bounded by the letters that are taken.
-    wanted = F.col("doc_id").isin([i for _, i in chosen if i is not None])
-    if any(i is None for _, i in chosen):
-        wanted = wanted | F.col("doc_id").isNull()
-    got = rows.where(wanted).select("lang", F.xxhash64("doc_id").alias("h"), "doc_id", F.substring("text", 1, PER_DOCUMENT).alias("text"))
+    rows = own(docs, "doc_id", "text", "lang").where(F.col("lang").isNotNull() & (fold(F.col("doc_id"), FOLDS) != 0))
+    lettered = rows.where(F.col("text").rlike(r"\p{L}")).select("lang", F.xxhash64("text").alias("h"), "text")
+    # Copies count once: they share the hash. What is gathered by language are hashes alone, cut to the first ones.
+    order = Window.partitionBy("lang").orderBy("h")
+    first = lettered.select("lang", "h").distinct().withColumn("k", F.row_number().over(order)).where(F.col("k") <= DOCUMENTS)
+    chosen = F.broadcast(first.select(F.col("lang").alias("l_"), F.col("h").alias("h_"), "k"))  # DOCUMENTS a language
+    # A text beyond the bound can't add more than the bound.
+    texts = lettered.join(chosen, F.expr("lang = l_ AND h = h_")).groupBy("lang", "k").agg(F.min(F.substring("text", 1, REFERENCE)).alias("text"))
+    earlier = Window.partitionBy("lang").orderBy("k").rowsBetween(Window.unboundedPreceding, -1)
+    taken = texts.withColumn("before", F.coalesce(F.sum(F.length("text") + 1).over(earlier), F.lit(0))).where(F.col("before") < REFERENCE)
     found: dict[str, str] = {}
-    for r in got.orderBy("lang", "h", "doc_id", "text").limit(4 * len(chosen)).collect():
-        if len(found.get(r.lang, "")) < REFERENCE:
-            found[r.lang] = (found.get(r.lang, "") + " " + r.text)[:REFERENCE]
+    for r in taken.orderBy("lang", "k").select("lang", F.expr(f"substring(text, 1, {REFERENCE} - before)").alias("text")).collect():  # REFERENCE characters a language
+        found[r.lang] = found.get(r.lang, "") + " " + r.text
     return {k: v for k, v in found.items() if any(c.isalpha() for c in v)}
 
 

@@ -221,19 +221,56 @@ def test_language_id(odd, spark):
 def test_suffix_automaton_finds_exactly_the_substrings():
     rng = random.Random(3)
     codes = [rng.randrange(3) for _ in range(60)]
-    table = language_id.suffix_automaton(codes, 3)
+    moves = language_id.suffix_automaton(codes)
     have = {tuple(codes[i:j]) for i in range(60) for j in range(i, 61)}
     for _ in range(500):
         probe = [rng.randrange(3) for _ in range(rng.randrange(1, 8))]
         state, ok = 0, True
         for c in probe:
-            state = table[state, c]
+            state = moves[state].get(c, 0)
             if state == 0:
                 ok = False
                 break
         assert ok == (tuple(probe) in have)
 
 
+@pytest.mark.parametrize("cells", [8_000_000, 0])
+def test_phrases_against_greedy_parsing(monkeypatch, cells):
+    """Phrase counts equal a parse by substring search, with tables and with sorted pairs."""
+    monkeypatch.setattr(language_id, "TABLE", cells)
+    rng = random.Random(4)
+    references = {k: "".join(rng.choice(v) for _ in range(300)) for k, v in (("x", "abc "), ("y", "bcde "), ("z", "中文字 a"))}
+    parser = language_id.CrossParser(references)
+    texts = ["".join(rng.choice("abcde 中文zq") for _ in range(rng.randrange(1, 80))) for _ in range(60)]
+    got = parser.phrases([parser.encode(t) for t in texts])
+    kept = {k: parser.encode(v.lower()).tolist() for k, v in references.items()}
+
+    def held(reference, part):
+        return any(reference[i : i + len(part)] == part for i in range(len(reference) - len(part) + 1))
+
+    for t, counts in zip(texts, got):
+        codes = parser.encode(t).tolist()
+        for name, n in zip(parser.languages, counts):
+            at = phrases = 0
+            while at < len(codes):
+                # A letter that the reference lacks opens a phrase, which goes on with the longest match after it.
+                begin = end = at if held(kept[name], codes[at : at + 1]) else at + 1
+                while end < len(codes) and held(kept[name], codes[begin : end + 1]):
+                    end += 1
+                phrases, at = phrases + 1, end
+            assert n == phrases
+
+
+def test_two_ideographic_languages_stay_small():
+    rng = random.Random(6)
+    signs = [chr(0x4E00 + i) for i in range(6000)]
+    references = {"p": "".join(rng.choice(signs[:3000]) for _ in range(20_000)), "q": "".join(rng.choice(signs[3000:]) for _ in range(20_000)), "r": "latin text " * 500}
+    parser = language_id.CrossParser(references)
+    held = sum(x.nbytes for moves in parser.moves for x in vars(moves).values() if isinstance(x, np.ndarray))
+    assert held < 50_000_000
+    assert parser.predict([references["q"][50:90], references["p"][70:90], "latin"])[0] == ["q", "p", "r"]
+
+
 def test_toxicity(odd, labels):
     df, rows = odd
     got = toxicity.score_toxicity(df, labels).collect()

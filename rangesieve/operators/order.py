@@ -48,18 +48,6 @@ def with_shard(df: DataFrame, value: str, bounds: list[int], name: str) -> DataF
     return out
 
 
-def shard_of(value: str, bounds: list[int]) -> Column:
-    """The same as one expression, for short lists."""
-
-    def tree(lo: int, hi: int) -> str:
-        if lo == hi:
-            return str(lo)
-        mid = (lo + hi) // 2
-        return f"if({value} < {bounds[mid]}L, {tree(lo, mid)}, {tree(mid + 1, hi)})"
-
-    return F.expr(tree(0, len(bounds)))
-
-
 def rank(df: DataFrame, value: str, name: str = "i", n: int | None = None) -> DataFrame:
     """Distinct values with their rank from 1."""
     placed = with_shard(df.select(F.col(value)), value, splitters(df, value, n), "_s")

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rangesieve.functions import models
-from rangesieve.functions.hashing import DUCK, SPARK, draw, local_hash, mixed, params_for_budget, seeded, with_local_hash
+from rangesieve.functions.hashing import DUCK, SPARK, HashParams, draw, local_hash, mixed, params_for_budget, seeded, with_local_hash
 from rangesieve.operators import families as fam
 from rangesieve.operators import filters as f
 from rangesieve.operators import tuning, updates
@@ -401,14 +401,19 @@ def lhf_sweep(spark, sf):
 _LHF_SWEEP = _SWEPT + hits_sql("locality-hash", 12, U) + " " + rated_sql([_count_of("locality-hash", 12, "d, len", "").replace("FROM ranges", "FROM ranges GROUP BY d, len")])
 register("lhf_sweep", lhf_sweep, _LHF_SWEEP)
 
-_TOTALS = [F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst")]
-_NAMED = {c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")}
-register("grid_cube", lambda spark, sf: lhf_sweep(spark, sf).cube("d", "len").agg(*_TOTALS).withColumns(_NAMED), f"SELECT coalesce(d, -1) AS d, coalesce(len, -1) AS len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({_LHF_SWEEP}) GROUP BY CUBE (d, len)")
-register("grid_rollup", lambda spark, sf: lhf_sweep(spark, sf).rollup("d", "len").agg(*_TOTALS).withColumns(_NAMED), ORACLES["grid_cube"].replace("CUBE (d, len)", "ROLLUP (d, len)"))
+
+
+def _totals(grouped) -> DataFrame:
+    found = grouped.agg(F.sum("n_ranges").alias("n_ranges"), F.max("fpr").alias("worst"))
+    return found.withColumns({c: F.coalesce(c, F.lit(-1)) for c in ("d", "len")})
+
+
+register("grid_cube", lambda spark, sf: _totals(lhf_sweep(spark, sf).cube("d", "len")), f"SELECT coalesce(d, -1) AS d, coalesce(len, -1) AS len, sum(n_ranges)::BIGINT AS n_ranges, max(fpr) AS worst FROM ({_LHF_SWEEP}) GROUP BY CUBE (d, len)")
+register("grid_rollup", lambda spark, sf: _totals(lhf_sweep(spark, sf).rollup("d", "len")), ORACLES["grid_cube"].replace("CUBE (d, len)", "ROLLUP (d, len)"))
 
 
 def grid_sets(spark, sf):
-    return lhf_sweep(spark, sf).groupingSets([["d"], ["len"], []], "d", "len").agg(*_TOTALS).withColumns(_NAMED)
+    return _totals(lhf_sweep(spark, sf).groupingSets([["d"], ["len"], []], "d", "len"))
 
 
 register("grid_sets", grid_sets, ORACLES["grid_cube"].replace("CUBE (d, len)", "GROUPING SETS ((d), (len), ())"))
@@ -441,13 +446,22 @@ def bound_vs_rate(spark, sf):
     return measures.against_bound(out)
 
 
-def _seed_sql(length: int, cell: int, bits: int, seed: int) -> str:
-    h = lambda x: local_hash(DUCK, x, seeded(2, seed), "r")
+def _bound_sql(length: int, cell: int, bits: int) -> str:
+    """(bits, len, n_ranges, positives) of each hash draw."""
+    h = lambda x: local_hash(DUCK, x, HashParams(2, "c1", "c2"), "r")
     made = f"SELECT * FROM ({ends_sql('correlated', U, length, 8, cell)}) WHERE {mixed(DUCK, 'qid', 10, 6)} = 0"
-    return with_keys(VIEW, f"ranges AS MATERIALIZED ({w.empties_sql(made)}), q AS (SELECT DISTINCT a, b FROM ranges), {m.locality_sql('s', m.budget_par(bits, U), h)} SELECT {bits} AS bits, {length} AS len, count(*) AS n_ranges, coalesce(sum(((a, b) IN (SELECT (a, b) FROM s_hit))::INT), 0) AS positives FROM q")
-
-
-register("bound_vs_rate", bound_vs_rate, "WITH e AS (" + " UNION ALL ".join(f"SELECT * FROM ({_seed_sql(x, c, bits, seed)})" for c, x in enumerate(w.LENGTHS) for bits in (12, 16) for seed in range(SEEDS)) + ") SELECT bits, len, round(avg(positives / n_ranges), 6) AS fpr, round(stddev_samp(positives / n_ranges) / sqrt(count(*)), 6) AS error, round(least(1.0, len / pow(2.0, bits - 2)), 6) AS bound FROM e GROUP BY bits, len")
+    seeds = ", ".join(f"({i}, {p.c1}, {p.c2})" for i, p in enumerate(seeded(2, seed) for seed in range(SEEDS)))
+    return with_keys(VIEW, f"""seeds(seed, c1, c2) AS (VALUES {seeds}), q AS MATERIALIZED (SELECT DISTINCT a, b FROM ({w.empties_sql(made)})), par AS ({m.budget_par(bits, U)}),
+codes AS (SELECT DISTINCT seed, {h('k')} AS z FROM keys, par, seeds),
+cut AS (SELECT a, b, r, seed, c1, c2, b // r - a // r AS spans FROM q, par, seeds),
+halves AS (SELECT a, b, r, seed, c1, c2, a AS x0, b AS y0 FROM cut WHERE spans = 0 UNION ALL SELECT a, b, r, seed, c1, c2, a, b - b % r - 1 FROM cut WHERE spans = 1 UNION ALL SELECT a, b, r, seed, c1, c2, b - b % r, b FROM cut WHERE spans = 1),
+ends AS (SELECT a, b, r, seed, {h('x0')} AS x, {h('y0')} AS y FROM halves),
+pieces AS (SELECT a, b, seed, x AS lo, y AS hi FROM ends WHERE x <= y UNION ALL SELECT a, b, seed, 0, y FROM ends WHERE x > y UNION ALL SELECT a, b, seed, x, r - 1 FROM ends WHERE x > y UNION ALL SELECT a, b, seed, 0, r - 1 FROM cut WHERE spans > 1),
+hit AS (SELECT DISTINCT p.a, p.b, p.seed FROM pieces p ASOF JOIN codes c ON p.seed = c.seed AND p.hi >= c.z WHERE c.z >= p.lo)
+SELECT {bits} AS bits, {length} AS len, (SELECT count(*) FROM q) AS n_ranges, (SELECT count(*) FROM hit WHERE hit.seed = seeds.seed) AS positives FROM seeds""")
+
+
+register("bound_vs_rate", bound_vs_rate, "WITH e AS (" + " UNION ALL ".join(f"SELECT * FROM ({_bound_sql(x, c, bits)})" for c, x in enumerate(w.LENGTHS) for bits in (12, 16)) + ") SELECT bits, len, round(avg(positives / n_ranges), 6) AS fpr, round(stddev_samp(positives / n_ranges) / sqrt(count(*)), 6) AS error, round(least(1.0, len / pow(2.0, bits - 2)), 6) AS bound FROM e GROUP BY bits, len")
 
 # --- grids ------------------------------------------------------------------------------------------------------------
 

@@ -4,10 +4,11 @@ A page's markup is cut into lines of text. Per host, the pages that contain a li
 a line above RATIO is boilerplate of that host and dropped from its pages. A line needs PAGES pages at least, so that
 a host of one page keeps its text.
 
-Lines are counted by hash after one row per page and distinct line; counts combine before the shuffle, so a hot host
-costs no more than its distinct lines. The boilerplate of a host is a bounded set: shares of more than RATIO add up to
+The markup is cut once; the lines are written to the shared folder and read for counting and for dropping. Lines are
+counted by hash after one row per page and distinct line; counts combine before the shuffle, so a hot host costs no more
+than its distinct lines. The boilerplate of a host is a bounded set: shares of more than RATIO add up to
 at most the mean number of lines of a page, so a host has at most mean / RATIO such lines, and they travel as one
-array.
+array. Hosts with so many pages that they stand out (a bounded list) meet their array in SALTS places.
 
 Defined cases: null or unreadable url gives the empty host, which is a site like others; null markup has no lines;
 repeated rows are separate pages; a line that repeats within a page counts once and is dropped at every place; empty
@@ -19,11 +20,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rangesieve.llm.common import own
+from rangesieve.llm.common import materialise, own, shuffle_width
 
 RATIO = 0.3
 PAGES = 3
 SALTS = 64
+HOT = 8  # hosts a shuffle partition that are listed as hot
 
 _HIDDEN = r"(?is)<(script|style)\b[^>]*>.*?</\1\s*>"
 _COMMENT = r"(?s)<!--.*?-->"
@@ -56,11 +58,15 @@ def host_boilerplate(paged: DataFrame, ratio: float = RATIO, pages: int = PAGES)
 def dedup_lines(pages: DataFrame, ratio: float = RATIO, least: int = PAGES) -> DataFrame:
     """page_id, host, n_lines, n_dropped, text (the kept lines) of every page."""
     read = own(pages, "page_id", "url", "html").select("page_id", host_of(F.col("url")).alias("host"), page_lines(F.col("html")).alias("lines"))
-    hashed = read.withColumn("hashes", F.transform("lines", lambda x: F.xxhash64(x)))
-    common = host_boilerplate(hashed.select("host", "hashes"), ratio, least).withColumnRenamed("host", "h_")
-    # A hot host's pages meet its lines in SALTS places.
-    common = common.withColumn("s_", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    salted = hashed.select("page_id", "host", "lines", F.pmod(F.xxhash64("page_id", F.size("lines")), F.lit(SALTS)).cast("int").alias("salt"))
+    read = materialise(read, "lines")
+    hashed = F.transform("lines", lambda x: F.xxhash64(x))
+    common = host_boilerplate(read.select("host", hashed.alias("hashes")), ratio, least).withColumnRenamed("host", "h_")
+    # At most HOT hosts a partition have more pages than this.
+    most = read.count() // (HOT * shuffle_width(pages.sparkSession))
+    hot = [r.host for r in read.groupBy("host").agg(F.count("*").alias("n")).where(F.col("n") > max(most, SALTS)).collect()]
+    salts = F.when(F.col("host").isin(hot), F.lit(SALTS)).otherwise(F.lit(1)) if hot else F.lit(1)
+    common = common.withColumn("host", F.col("h_")).withColumn("s_", F.explode(F.sequence(F.lit(0), salts - 1))).drop("host")
+    salted = read.select("page_id", "host", "lines", F.pmod(F.xxhash64("page_id", F.size("lines")), salts).cast("int").alias("salt"))
     joined = salted.join(common, (F.col("host") == F.col("h_")) & (F.col("salt") == F.col("s_")), "left")
     kept = F.filter("lines", lambda x: F.col("common").isNull() | ~F.array_contains(F.col("common"), F.xxhash64(x)))
     return joined.select("page_id", "host", F.size("lines").cast("long").alias("n_lines"), kept.alias("kept")).select(

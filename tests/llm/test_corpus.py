@@ -398,6 +398,19 @@ def test_line_dedup(spark):
     assert line_dedup.dedup_lines(empty_of(df)).count() == 0
 
 
+def test_line_dedup_of_a_hot_host_against_counting(spark):
+    rng = random.Random(14)
+    rows = [(i, "http://big.example/p" if i % 3 else f"http://small{i % 40}.example/", "<p>" + "</p><p>".join(["menu"] * (i % 2) + [f"line {rng.randrange(60)}" for _ in range(6)] + ["long " * 3000] * (i == 7)) + "</p>", "x") for i in range(600)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, host string")
+    got = {r.page_id: r.text for r in line_dedup.dedup_lines(df).collect()}
+    lines = {i: [" ".join(x.split()) for x in html[3:-4].split("</p><p>")] for i, _, html, _ in rows}
+    host = {i: url for i, url, _, _ in rows}
+    total = Counter(host.values())
+    seen = Counter((host[i], x) for i, mine in lines.items() for x in set(mine))
+    for i, mine in lines.items():
+        assert got[i] == "\n".join(x for x in mine if not (seen[host[i], x] >= line_dedup.PAGES and seen[host[i], x] > line_dedup.RATIO * total[host[i]]))
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_query_matches_sql(spark, duck, name):
     assert as_rows(QUERIES[name](spark, DATA).toPandas()) == as_rows(duck.sql(ORACLES[name]).df())

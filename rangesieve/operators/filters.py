@@ -174,6 +174,8 @@ def lbf_probe(codes: DataFrame, knots: DataFrame, ranges: DataFrame, every: int,
     return answered(ranges, any_code_in(codes, mapped, n))
 
 
+#: What a per-level filter hashes for a node: its level and its lowest 58 bits, so that no key is too large (up to 16 levels).
+LEVEL_NODE = f"(({{node}}) & {2**58 - 1}) * 16 + {{level}}"
 #: Prefixes of a Bloom filter that one question may ask.
 MOST = 4_096
 
@@ -225,8 +227,8 @@ def plb_probe(bits_set: DataFrame, ranges: DataFrame, top: int, bits: int, hashe
 def level_bits(keys: DataFrame, hashes: list[int], bits: int) -> DataFrame:
     """Bloom places of the prefixes at level i, with hashes[i] functions there (few above, many at the leaves). Equal
     places are dropped once, at the end: prefixes that repeat set the same ones."""
-    every, most = len(hashes), max(hashes)
-    nodes = keys.where("k is not null").select("k", F.posexplode(F.array(*[F.lit(c) for c in hashes])).alias("level", "c")).selectExpr("c", f"shiftright(k, level) * {every} + level AS v")
+    most = max(hashes)
+    nodes = keys.where("k is not null").select("k", F.posexplode(F.array(*[F.lit(c) for c in hashes])).alias("level", "c")).selectExpr("c", f"{LEVEL_NODE.format(node='shiftright(k, level)', level='level')} AS v")
     drawn = with_draws(nodes, [(f"_d{j}", "v", bits, 132 + j) for j in range(most)])
     return drawn.select(F.explode(F.slice(F.array(*[F.col(f"_d{j}") for j in range(most)]), F.lit(1), F.col("c"))).alias("place")).distinct()
 
@@ -240,7 +242,7 @@ def level_descent(bits_set: DataFrame, ranges: DataFrame, hashes: list[int], bit
         nodes = cover.where(F.col("level") == level).select("q", "node")
         if alive is not None:
             nodes = nodes.union(alive.select("q", F.explode(F.expr("array(node * 2, node * 2 + 1)")).alias("node")))
-        asked = nodes.selectExpr("q", "node", f"node * {top + 1} + {level} AS v")
+        asked = nodes.selectExpr("q", "node", f"{LEVEL_NODE.format(node='node', level=level)} AS v")
         done = asked.agg(F.lit(level).alias("level"), F.count("*").alias("nodes"), (F.count("*") * hashes[level]).alias("places"))
         work = done if work is None else work.union(done)
         alive = bloom_members(asked, "v", bits_set, bits, hashes[level], 2).select("q", "node")

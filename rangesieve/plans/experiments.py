@@ -24,7 +24,7 @@ from rangesieve.plans import measures
 from rangesieve.plans import methods as m
 from rangesieve.plans import workloads as w
 from rangesieve.plans.methods import HASHES, Setup, answer_sql, counts_sql, ends_sql, hits_sql, tag, with_keys
-from rangesieve.plans.queries import BUDGET, LENGTH, ORACLES, QUERIES, U, VIEW, _codes_sql, _on_batch, _par_sql, _R, batch_sql, heldout_keys, heldout_sql, register, sweep_ranges, sweep_sql
+from rangesieve.plans.queries import BUDGET, LENGTH, ORACLES, QUERIES, U, VIEW, _codes_sql, _on_batch, _par_sql, _R, batch_sql, counted_sql, heldout_keys, heldout_sql, register, sweep_ranges, sweep_sql
 from rangesieve.sources import strings
 from rangesieve.sources.keys import VIEWS, keys, keys_sql, read_table, universe
 from rangesieve.streaming import windows
@@ -540,9 +540,9 @@ register("nonempty_grid", nonempty_grid, with_keys(VIEW, "m AS (SELECT unnest(["
 def count_grid(spark, sf):
     """Mean error of counts, raw and corrected, for ranges with keys of several lengths and budgets."""
     s, rows = Setup(spark, sf, VIEW), []
-    for cell, length in enumerate((2**10, 2**20, 2**30)):
+    for cell, length in enumerate(COUNTED):
         with held(s.ends("nonempty", length, 8, cell)) as r:
-            exact = f.lhf_count(s.k.select(F.col("k").alias("z")), r, m.params_for_budget(s.n, 62, s.u)).selectExpr("qid AS q_", "est AS exact")
+            exact = f.lhf_count(s.k.select(F.col("k").alias("z")), r, HashParams(s.u, 1, 0, s.n)).selectExpr("qid AS q_", "est AS exact")
             for bits in (12, 20):
                 p = params_for_budget(s.n, bits, s.u)
                 both = f.correct_count(f.lhf_count(f.lhf_codes(s.k, p), r, p), p).join(exact, F.expr("qid = q_"))
@@ -550,7 +550,8 @@ def count_grid(spark, sf):
     return spark.createDataFrame(rows, "bits int, len long, mean_raw double, mean_corrected double")
 
 
-register("count_grid", count_grid)
+COUNTED = (2**10, 2**20, 2**30)
+register("count_grid", count_grid, " UNION ALL ".join(f"SELECT * FROM ({counted_sql(x, b, c)} SELECT {b} AS bits, {x}::BIGINT AS len, round(avg(est - exact), 4) AS mean_raw, round(avg(corrected - exact), 4) AS mean_corrected FROM done JOIN ex ON qid = q_)" for c, x in enumerate(COUNTED) for b in (12, 20)))
 
 
 def adversary(spark, sf):
@@ -698,6 +699,8 @@ register("window_filters_sliding", lambda spark, sf: windows.window_filters(read
 register("window_filters_session", lambda spark, sf: windows.session_counts(read_table(spark, sf, "events"), "6 hours", "1 hour").selectExpr("user_id", "CAST(start AS STRING) AS start", "n"))
 
 
+ORACLES["window_filters_session"] = "WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 6 HOURS THEN 0 ELSE 1 END AS fresh FROM events), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM e) SELECT user_id, CAST(min(ts) AS VARCHAR) AS start, count(*) AS n FROM s GROUP BY user_id, g"
+
 # --- times ------------------------------------------------------------------------------------------------------------
 
 

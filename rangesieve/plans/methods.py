@@ -168,12 +168,12 @@ gaps AS MATERIALIZED (SELECT level, wide, count(*) AS c FROM (SELECT least(coale
 def locality_sql(t: str, par: str, h=None) -> str:
     """CTEs from <t>_par(r) on."""
     h = h or (lambda x: local_hash(DUCK, x, seeded(2, 1), "r"))
-    return f"""{t}_par AS ({par}), {t}_codes AS (SELECT DISTINCT {h('k')} AS z FROM keys, {t}_par),
-{t}_cut AS (SELECT a, b, r, {DUCK.floor_div('b', 'r')} - {DUCK.floor_div('a', 'r')} AS spans FROM q, {t}_par),
+    return f"""{t}_par AS MATERIALIZED ({par}), {t}_codes AS (SELECT DISTINCT {h('k')} AS z FROM keys, {t}_par),
+{t}_cut AS MATERIALIZED (SELECT a, b, r, {DUCK.floor_div('b', 'r')} - {DUCK.floor_div('a', 'r')} AS spans FROM q, {t}_par),
 {t}_halves AS (SELECT a, b, r, a AS x0, b AS y0 FROM {t}_cut WHERE spans = 0
   UNION ALL SELECT a, b, r, a, b - {DUCK.floor_mod('b', 'r')} - 1 FROM {t}_cut WHERE spans = 1
   UNION ALL SELECT a, b, r, b - {DUCK.floor_mod('b', 'r')}, b FROM {t}_cut WHERE spans = 1),
-{t}_ends AS (SELECT a, b, r, {h('x0')} AS x, {h('y0')} AS y FROM {t}_halves),
+{t}_ends AS MATERIALIZED (SELECT a, b, r, {h('x0')} AS x, {h('y0')} AS y FROM {t}_halves),
 {t}_pieces AS (SELECT a, b, x AS lo, y AS hi FROM {t}_ends WHERE x <= y
   UNION ALL SELECT a, b, 0, y FROM {t}_ends WHERE x > y
   UNION ALL SELECT a, b, x, r - 1 FROM {t}_ends WHERE x > y
@@ -190,8 +190,8 @@ def bucket_par(bits: int, u: int) -> str:
 
 
 def bucket_sql(t: str, par: str) -> str:
-    return f"""{t}_par AS ({par}), {t}_codes AS (SELECT DISTINCT k >> s AS z FROM keys, {t}_par),
-{t}_ends AS (SELECT a, b, a >> s AS lo, b >> s AS hi FROM q, {t}_par),
+    return f"""{t}_par AS MATERIALIZED ({par}), {t}_codes AS (SELECT DISTINCT k >> s AS z FROM keys, {t}_par),
+{t}_ends AS MATERIALIZED (SELECT a, b, a >> s AS lo, b >> s AS hi FROM q, {t}_par),
 {t}_hit AS (SELECT DISTINCT p.a, p.b FROM {t}_ends p ASOF JOIN {t}_codes c ON p.hi >= c.z WHERE c.z >= p.lo)"""
 
 
@@ -214,13 +214,13 @@ def _learned_at(x: str, k: int) -> str:
 
 
 def learned_codes(t: str, k: int) -> str:
-    return f"""{t}_knots AS (SELECT z, i, lead(z) OVER (ORDER BY z) AS nxt FROM (SELECT k AS z, (row_number() OVER (ORDER BY k) - 1) // {EVERY} AS i, (row_number() OVER (ORDER BY k) - 1) % {EVERY} AS rest FROM keys) WHERE rest = 0),
+    return f"""{t}_knots AS MATERIALIZED (SELECT z, i, lead(z) OVER (ORDER BY z) AS nxt FROM (SELECT k AS z, (row_number() OVER (ORDER BY k) - 1) // {EVERY} AS i, (row_number() OVER (ORDER BY k) - 1) % {EVERY} AS rest FROM keys) WHERE rest = 0),
 {t}_codes AS (SELECT DISTINCT {_learned_at('k', k)} AS z FROM keys ASOF LEFT JOIN {t}_knots ON k >= z)"""
 
 
 def learned_sql(t: str, k: int) -> str:
     return f"""{learned_codes(t, k)},
-{t}_lows AS (SELECT a, b, {_learned_at('a', k)} AS lo FROM q ASOF LEFT JOIN {t}_knots ON a >= z), {t}_ends AS (SELECT a, b, lo, {_learned_at('b', k)} AS hi FROM {t}_lows ASOF LEFT JOIN {t}_knots ON b >= z),
+{t}_lows AS (SELECT a, b, {_learned_at('a', k)} AS lo FROM q ASOF LEFT JOIN {t}_knots ON a >= z), {t}_ends AS MATERIALIZED (SELECT a, b, lo, {_learned_at('b', k)} AS hi FROM {t}_lows ASOF LEFT JOIN {t}_knots ON b >= z),
 {t}_hit AS (SELECT DISTINCT p.a, p.b FROM {t}_ends p ASOF JOIN {t}_codes c ON p.hi >= c.z WHERE c.z >= p.lo)"""
 
 
@@ -241,9 +241,9 @@ def prefix_grid(t: str, bits: int, u: int) -> str:
 
 def prefix_sql(t: str, par: str) -> str:
     """From <t>_par(s1, s2, m) on."""
-    return f"""{t}_par AS ({par}), {t}_trie AS (SELECT DISTINCT k >> s1 AS t FROM keys, {t}_par),
-{t}_bits AS (SELECT DISTINCT {places('v', 'm', BLOOM)} AS place FROM (SELECT DISTINCT k >> s2 AS v, m FROM keys, {t}_par)),
-{t}_ends AS (SELECT a, b, a >> s2 AS x, b >> s2 AS y, s1 - s2 AS up, m FROM q, {t}_par),
+    return f"""{t}_par AS MATERIALIZED ({par}), {t}_trie AS (SELECT DISTINCT k >> s1 AS t FROM keys, {t}_par),
+{t}_bits AS MATERIALIZED (SELECT DISTINCT {places('v', 'm', BLOOM)} AS place FROM (SELECT DISTINCT k >> s2 AS v, m FROM keys, {t}_par)),
+{t}_ends AS MATERIALIZED (SELECT a, b, a >> s2 AS x, b >> s2 AS y, s1 - s2 AS up, m FROM q, {t}_par),
 {t}_asked AS (SELECT a, b, unnest(range(x, y + 1)) AS v, up, m FROM {t}_ends WHERE y - x < {f.MOST}),
 {t}_live AS (SELECT a, b, v, {places('v', 'm', BLOOM)} AS place FROM {t}_asked WHERE v >> up IN (SELECT t FROM {t}_trie)),
 {t}_hit AS (SELECT DISTINCT a, b FROM (SELECT a, b, v FROM {t}_live JOIN {t}_bits USING (place) GROUP BY ALL HAVING count(*) = {HASHES}) UNION SELECT a, b FROM {t}_ends WHERE y - x >= {f.MOST})"""
@@ -257,12 +257,12 @@ FROM (SELECT a, b, level, (lo + (1::BIGINT << level) - 1) >> level AS x, ((hi +
 def per_level_sql(t: str, counts: list[int], m: str) -> str:
     """m: SQL of the number of bits over nn(n)."""
     top = len(counts) - 1
-    v = lambda level: f"(node * {top + 1} + {level})"
+    v = lambda level: "(" + f.LEVEL_NODE.format(node="node", level=level) + ")"
     streams = lambda level: [132 + j for j in range(counts[level])]
-    out = [f"{t}_par AS (SELECT {m} AS m FROM nn)", f"{t}_bits AS (SELECT DISTINCT place FROM (" + " UNION ALL ".join(f"SELECT {places(v(i), 'm', streams(i))} AS place FROM (SELECT DISTINCT k >> {i} AS node, m FROM keys, {t}_par)" for i in range(top + 1)) + "))", f"{t}_cover AS MATERIALIZED ({cover_sql('(SELECT a, b, a AS lo, b AS hi FROM q)', top)})"]
+    out = [f"{t}_par AS MATERIALIZED (SELECT {m} AS m FROM nn)", f"{t}_bits AS MATERIALIZED (SELECT DISTINCT place FROM (" + " UNION ALL ".join(f"SELECT {places(v(i), 'm', streams(i))} AS place FROM (SELECT DISTINCT k >> {i} AS node, m FROM keys, {t}_par)" for i in range(top + 1)) + "))", f"{t}_cover AS MATERIALIZED ({cover_sql('(SELECT a, b, a AS lo, b AS hi FROM q)', top)})"]
     for i in range(top, -1, -1):
         more = f" UNION ALL SELECT a, b, unnest([node * 2, node * 2 + 1]) FROM {t}_a{i + 1}" if i < top else ""
-        out.append(f"{t}_n{i} AS (SELECT a, b, node FROM {t}_cover WHERE level = {i}{more})")
+        out.append(f"{t}_n{i} AS MATERIALIZED (SELECT a, b, node FROM {t}_cover WHERE level = {i}{more})")
         out.append(f"{t}_a{i} AS MATERIALIZED (SELECT a, b, node FROM (SELECT a, b, node, {places(v(i), 'm', streams(i))} AS place FROM {t}_n{i}, {t}_par) JOIN {t}_bits USING (place) GROUP BY ALL HAVING count(*) = {counts[i]})")
     return ", ".join(out) + f", {t}_hit AS (SELECT DISTINCT a, b FROM {t}_a0)"
 
@@ -272,9 +272,9 @@ def tree_sql(t: str, shift: str, bits: int, height: int = HEIGHT) -> str:
     heap = f"((1::BIGINT << ({height} - level)) + node - (tree << ({height} - level)))"
     place = lambda j: f"{draw(DUCK, 'tree', 'words', 300 + j)} * {2 ** (height + 1)} + {heap}"
     both = lambda source: " UNION ALL ".join(f"SELECT *, {j} AS j, {place(j)} AS place FROM {source}" for j in range(TREE_HASHES))
-    return f"""{t}_par AS (SELECT s, greatest(1, {bits} * n // {2 ** (height + 1)}) AS words FROM nn, ({shift})),
+    return f"""{t}_par AS MATERIALIZED (SELECT s, greatest(1, {bits} * n // {2 ** (height + 1)}) AS words FROM nn, ({shift})),
 {t}_nodes AS (SELECT DISTINCT k >> (s + {height}) AS tree, level, k >> (s + level) AS node, words FROM keys, {t}_par, (SELECT unnest(range({height + 1}))::INT AS level)),
-{t}_bits AS (SELECT DISTINCT j, place FROM ({both(f'{t}_nodes')})),
+{t}_bits AS MATERIALIZED (SELECT DISTINCT j, place FROM ({both(f'{t}_nodes')})),
 {t}_cover AS MATERIALIZED ({cover_sql(f'(SELECT a, b, a >> s AS lo, b >> s AS hi FROM q, {t}_par)', height)}),
 {t}_asked AS (SELECT a, b, level, node, node >> ({height} - level) AS tree, words FROM {t}_cover, {t}_par),
 {t}_hit AS (SELECT DISTINCT a, b FROM (SELECT a, b, level, node FROM ({both(f'{t}_asked')}) JOIN {t}_bits USING (j, place) GROUP BY ALL HAVING count(*) = {TREE_HASHES}))"""

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from math import log2
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -79,14 +78,15 @@ register("lhf_codes_pow2", lhf_codes_pow2, _pow2_sql())
 
 
 def lhf_codes_fast(spark, sf):
-    """Number of codes with the practical hash, and whether places in a block are kept: neighbours stay neighbours."""
+    """With the practical hash, places in a block are kept (neighbours stay neighbours), and few codes meet."""
     k = keys(spark, sf, VIEW)
     p = _params(k, VIEW)
     codes = k.selectExpr(f"{local_hash_fast('k', p)} AS z", f"{local_hash_fast('k + 1', p)} AS next", f"pmod(k + 1, {p.r}) > 0 AS same")
-    return codes.agg(F.count_distinct("z").alias("codes"), F.sum(F.expr(f"CAST(same AND next <> (z + 1) % {p.r} AS BIGINT)")).alias("torn"))
+    torn = F.sum(F.expr(f"CAST(same AND next <> (z + 1) % {p.r} AS BIGINT)"))
+    return codes.agg(torn.alias("torn"), (F.count("*") - F.count_distinct("z") <= 10 + F.count("*") / 2 ** (BUDGET - 2)).alias("few_meet"))
 
 
-register("lhf_codes_fast", lhf_codes_fast)
+register("lhf_codes_fast", lhf_codes_fast, "SELECT 0::BIGINT AS torn, true AS few_meet")
 
 
 def _probe(view: str, kind: str, length: int, bits: int, degree: int = 8) -> Query:
@@ -286,14 +286,19 @@ def lhf_count_error(spark, sf):
     return both.agg(F.round(F.avg(F.col("est") - F.col("exact")), 4).alias("mean_raw"), F.round(F.avg(F.col("corrected") - F.col("exact")), 4).alias("mean_corrected"), F.max(F.abs(F.col("est") - F.col("exact"))).alias("worst"))
 
 
-_LH = tag("locality-hash", BUDGET)
-_EST = with_keys(VIEW, f"""ranges AS MATERIALIZED ({ends_sql('nonempty', U, COUNTED)}), {counts_sql(U)}, {hits_sql('locality-hash', BUDGET, U)},
-ranked AS (SELECT z, row_number() OVER (ORDER BY z) AS i FROM {_LH}_codes), highs AS (SELECT p.*, coalesce(i, 0) AS upto FROM {_LH}_pieces p ASOF LEFT JOIN ranked c ON p.hi >= c.z),
+def counted_sql(length: int, bits: int, cell: int = 0) -> str:
+    """CTEs up to done(qid, a, b, est, corrected) and ex(q_, exact)."""
+    t = tag("locality-hash", bits)
+    return with_keys(VIEW, f"""ranges AS MATERIALIZED ({ends_sql('nonempty', U, length, 8, cell)}), {counts_sql(U)}, {hits_sql('locality-hash', bits, U)},
+ranked AS (SELECT z, row_number() OVER (ORDER BY z) AS i FROM {t}_codes), highs AS (SELECT p.*, coalesce(i, 0) AS upto FROM {t}_pieces p ASOF LEFT JOIN ranked c ON p.hi >= c.z),
 both_ends AS (SELECT p.*, coalesce(i, 0) AS below FROM highs p ASOF LEFT JOIN ranked c ON p.lo > c.z),
 est AS (SELECT a, b, sum(upto - below)::BIGINT AS est FROM both_ends GROUP BY ALL),
 kr AS (SELECT k, row_number() OVER (ORDER BY k) AS i FROM keys), eh AS (SELECT g.*, coalesce(i, 0) AS upto FROM ranges g ASOF LEFT JOIN kr c ON g.b >= c.k), ex AS (SELECT g.qid AS q_, g.upto - coalesce(i, 0) AS exact FROM eh g ASOF LEFT JOIN kr c ON g.a > c.k),
-done AS (SELECT qid, a, b, est, greatest(0.0, est::DOUBLE * (1 + (n - 1) / (2.0 * r)) - n::DOUBLE * (b - a + 1) / r::DOUBLE) AS corrected FROM ranges JOIN est USING (a, b), nn, {_LH}_par)
+done AS (SELECT qid, a, b, est, greatest(0.0, est::DOUBLE * (1 + (n - 1) / (2.0 * r)) - n::DOUBLE * (b - a + 1) / r::DOUBLE) AS corrected FROM ranges JOIN est USING (a, b), nn, {t}_par)
 """)
+
+
+_EST = counted_sql(COUNTED, BUDGET)
 register("lhf_count", lhf_count, _EST + "SELECT qid, a, b, est, round(corrected, 6) AS corrected FROM done")
 register("lhf_count_raw", lambda spark, sf: lhf_count(spark, sf).select("qid", "est"), _EST + "SELECT qid, est FROM done")
 register("lhf_count_error", lhf_count_error, _EST + "SELECT round(avg(est - exact), 4) AS mean_raw, round(avg(corrected - exact), 4) AS mean_corrected, max(abs(est - exact)) AS worst FROM done JOIN ex ON qid = q_")

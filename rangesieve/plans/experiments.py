@@ -515,8 +515,8 @@ def _grid(names: tuple[str, ...]):
     parts = []
     for row, view, kind in ROWS:
         u = universe(view)
-        cells = [f"SELECT c.* FROM ({_count_of(x, b, f'{chr(39)}{row}{chr(39)} AS data, {chr(39)}{kind}{chr(39)} AS workload, {chr(39)}{x}{chr(39)} AS method, {b} AS bits', 'len')}) c, nn WHERE {b} * n <= n * (log2({u}::DOUBLE / n) + 2)" for b in BUDGETS for x in names]
-        parts.append(f"SELECT * FROM ({grid_sql(view, kind)}, " + ", ".join(hits_sql(x, b, u) for b in BUDGETS for x in names) + " " + " UNION ALL ".join(cells) + ")")
+        counts = [f"SELECT c.* FROM ({_count_of(x, b, f'{chr(39)}{row}{chr(39)} AS data, {chr(39)}{kind}{chr(39)} AS workload, {chr(39)}{x}{chr(39)} AS method, {b} AS bits', 'len')}) c, nn WHERE {b} * n <= n * (log2({u}::DOUBLE / n) + 2)" for b in BUDGETS for x in names]
+        parts.append(f"SELECT * FROM ({grid_sql(view, kind)}, " + ", ".join(hits_sql(x, b, u) for b in BUDGETS for x in names) + " " + " UNION ALL ".join(counts) + ")")
     return run, rated_sql(parts)
 
 

@@ -9,6 +9,9 @@ and keys may repeat. Between `questions` and `answered` a question is known by q
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -196,6 +199,8 @@ def bloom_bits(df: DataFrame, value: str, bits: int, hashes: int, stream: int =
 def bloom_members(df: DataFrame, value: str, bloom: DataFrame, bits: int, hashes: int, stream: int = 0) -> DataFrame:
     """Rows of df (distinct) whose places are all set."""
     asked = bloom_places(df, value, bits, hashes, stream)
+    if hashes == 1:  # one place a row: nothing to count, so one shuffle
+        return asked.join(bloom, "place", "left_semi").select(*df.columns)
     hit = asked.join(bloom.withColumnRenamed("place", "_p"), F.col("place") == F.col("_p"))
     return hit.groupBy(*df.columns).agg(F.count("*").alias("_n")).where(F.col("_n") == hashes).drop("_n")
 
@@ -233,19 +238,23 @@ def level_bits(keys: DataFrame, hashes: list[int], bits: int) -> DataFrame:
     return drawn.select(F.explode(F.slice(F.array(*[F.col(f"_d{j}") for j in range(most)]), F.lit(1), F.col("c"))).alias("place")).distinct()
 
 
-def level_descent(bits_set: DataFrame, ranges: DataFrame, hashes: list[int], bits: int) -> tuple[DataFrame, DataFrame]:
+def level_descent(bits_set: DataFrame, ranges: DataFrame, hashes: list[int], bits: int) -> tuple[DataFrame, Callable[[], DataFrame]]:
     """(answers, work): walk down from the dyadic cover; a node lives on if its own bits are set; a leaf that lives means
-    maybe. work has (level, nodes, places) asked on the way down. Nodes of a question are disjoint, so none repeats."""
+    maybe. work() has (level, nodes, places) asked on the way down. Nodes of a question are disjoint, so none repeats."""
     top = len(hashes) - 1
-    cover, alive, work = dyadic_cover(questions(ranges), top), None, None
+    cover, alive, walked = dyadic_cover(questions(ranges), top), None, []
     for level in range(top, -1, -1):
         nodes = cover.where(F.col("level") == level).select("q", "node")
         if alive is not None:
             nodes = nodes.union(alive.select("q", F.explode(F.expr("array(node * 2, node * 2 + 1)")).alias("node")))
         asked = nodes.selectExpr("q", "node", f"{LEVEL_NODE.format(node='node', level=level)} AS v")
-        done = asked.agg(F.lit(level).alias("level"), F.count("*").alias("nodes"), (F.count("*") * hashes[level]).alias("places"))
-        work = done if work is None else work.union(done)
+        walked.append((level, asked))
         alive = bloom_members(asked, "v", bits_set, bits, hashes[level], 2).select("q", "node")
+
+    def work() -> DataFrame:
+        done = [asked.agg(F.lit(level).alias("level"), F.count("*").alias("nodes"), (F.count("*") * hashes[level]).alias("places")) for level, asked in walked]
+        return reduce(DataFrame.union, done)
+
     return answered(ranges, alive.select("q", F.lit(True).alias("hit"))), work
 
 

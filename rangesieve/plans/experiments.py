@@ -129,7 +129,7 @@ def _level_work(levels: list[int]) -> str:
 
 
 register("plb_levels_probe", lambda spark, sf: _descent(spark, sf, LEVELS)[0], batch_sql("correlated", LENGTH, m.per_level_sql("p", LEVELS, f"({BUDGET} * n)"), "p_hit"))
-register("plb_probe_count", lambda spark, sf: _descent(spark, sf, LEVELS)[1], _level_work(LEVELS))
+register("plb_probe_count", lambda spark, sf: _descent(spark, sf, LEVELS)[1](), _level_work(LEVELS))
 register("plb_tuned_probe", lambda spark, sf: _descent(spark, sf)[0], batch_sql("correlated", LENGTH, m.per_level_sql("p", [HASHES] + [1] * 5, f"({BUDGET} * n)"), "p_hit"))
 
 
@@ -507,7 +507,7 @@ def _grid(names: tuple[str, ...]):
         for row, view, kind in ROWS:
             s, made = grid_setup(spark, sf, view, kind)
             with held(made) as r, held(s.k):
-                s.warm()
+                _ = s.n if set(names) <= set(m.ROBUST) else s.warm()
                 sample = s.tuned_on(r) if set(names) & set(m.TUNED) else None
                 rows += every([cells((row, kind, name, bits), s, name, bits, r, sample, "len") for bits in BUDGETS if admissible(bits, s.n, s.u) for name in names])
         return rated(spark, rows, "data string, workload string, method string, bits int, len int")

@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 import zlib
 from collections import Counter
 
@@ -450,6 +451,80 @@ def test_pipeline_near_dedup_against_brute_force(spark):
     assert sorted(r.doc_id for r in got) == sorted(set(group))
 
 
+def naive_mix(rows):
+    """Copies that the mix takes of each (doc_id, source, text), served one by one."""
+    size = {i: len(re.findall(source_mix.WORD_RUN, t or "")) for i, _, t in rows}
+    names = sorted({s for _, s, _ in rows if s is not None}) + [None] * any(s is None for _, s, _ in rows)
+    words = {s: sum(size[i] for i, x, _ in rows if x == s) for s in names}
+    weight = {s: source_mix.WEIGHTS[k % 3] for k, s in enumerate(names)}
+    budget, capped = sum(words.values()), set()
+    while True:
+        left, share = budget - sum(3 * words[s] for s in capped), sum(weight[s] for s in names if s not in capped)
+        full = {s for s in names if s not in capped and 3 * words[s] * share <= left * weight[s]}
+        if not full:
+            break
+        capped |= full
+    served = []
+    for rank, s in enumerate(names):
+        target = float(3 * words[s]) if s in capped else left / share * weight[s]
+        upto = 0
+        for i in sorted((i for i, x, _ in rows if x == s), key=lambda i: (hashlib.md5(f"mix{i}".encode()).hexdigest(), i)):
+            upto += size[i]
+            served += [((e * words[s] + upto) / target, rank, upto, e, i) for e in range(3) if size[i]]
+    taken, copies = 0, Counter(i for i in size if not size[i])
+    for *_, i in sorted(served):
+        if taken < budget:
+            copies[i] += 1
+            taken += size[i]
+    return copies
+
+
+def test_pipeline_mix_against_serving_one_by_one(spark):
+    import corpus_pipeline as cp
+
+    rng = random.Random(17)
+    rows = [(i, rng.choice(["a", "a", "a", "b", "c", "d", None]), rng.choice([None, "", " \t", sentence(rng, rng.randrange(1, 200))]) if i % 9 == 0 else sentence(rng, rng.randrange(1, 200))) for i in range(300)]
+    got = cp.mix(spark, spark.createDataFrame(rows, "doc_id long, source string, text string"), DATA).collect()
+    assert Counter(r.doc_id for r in got) == naive_mix(rows)
+
+
+def naive_near(rows):
+    """Of rows (doc_id, text, ...), the one with the least doc_id of each group of linked texts."""
+    sets = [{tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if (w := words_of(r[1])) else set() for r in rows]
+    group = list(range(len(rows)))
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            if a and b and min(len(a), len(b)) >= 0.8 * max(len(a), len(b)) and group[i] != group[j] and len(a & b) >= 0.8 * len(a | b):
+                one, two = group[i], group[j]
+                group = [one if g == two else g for g in group]
+    best = {}
+    for r, g in zip(rows, group):
+        best[g] = min(best.get(g, r), r, key=lambda x: x[0])
+    return sorted(best.values(), key=lambda r: r[0])
+
+
+def test_pipeline_run_against_plain_python(spark):
+    """All that follows the classifier, done again in plain Python from what the classifier kept."""
+    import corpus_pipeline as cp
+
+    kept = cp.quality(spark, spark.read.parquet(f"{DATA}/documents.parquet"), DATA).collect()
+    last = {}
+    for r in sorted(kept, key=lambda r: r.doc_id):
+        last[re.sub("[A-Z]", lambda c: c[0].lower(), r.text or "")] = (r.doc_id, r.text, r.source)
+    near = naive_near(list(last.values()))
+    assert len(near) < len(last) < len(kept)
+    copies = naive_mix([(i, s, t) for i, t, s in near])
+    text_of = {i: t for i, t, _ in near}
+    pieces = cp.run(spark, DATA).collect()
+    assert set(copies) == {p.doc_id for p in pieces if p.doc_id in copies} == {p.doc_id for p in pieces}
+    tokens = {p.doc_id: p.doc_tokens for p in pieces}
+    laid = Counter()
+    for p in pieces:
+        laid[p.doc_id] += p.length
+    assert laid == Counter({i: n * tokens[i] for i, n in copies.items()})
+    check_pieces(pieces, [text_of[i] for i, n in copies.items() for _ in range(n)])
+
+
 def test_toxicity_of_held_out_rows(spark):
     sf = "/root/testdata/sf0.01"
     marks = spark.read.parquet(f"{sf}/labels.parquet")

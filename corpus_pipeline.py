@@ -35,8 +35,8 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality", quality), ("exact_dedup", exact), ("near_dedup", near), ("mix", mix), ("pack", pack)]
 
-#: The classifier and the tokenizer can't be told in SQL. The tests hold near_dedup against a brute-force version, quality
-#: against labels and exact_dedup against uniqueness; mix, pack and run() as stages are not compared yet.
+#: The classifier and the tokenizer can't be told in SQL. The tests hold quality against labels, and all that follows it
+#: against plain Python: near_dedup and mix alone, and run() from what the classifier kept, with the pieces' ids.
 ORACLE_SQL = None
 
 

@@ -25,6 +25,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -41,6 +42,7 @@ from rangesieve.llm.components import connected_components
 POSITIONS = 128
 RECALL = 0.9999
 BUCKET = 512  # classes that are compared with each other in one bucket
+SHORT = 48  # classes of a bucket up to which all pairs are compared at once
 LEVELS = 4
 CHUNK = 1024  # classes of a dense bucket searched in one task
 BLOCK, BLOCK_SHINGLES = 512, 2_000_000  # classes of a group compared exactly in one task, in pairs of blocks, and their shingles
@@ -213,14 +215,42 @@ def _signatures(pdf: pd.DataFrame) -> np.ndarray:
     return np.frombuffer(b"".join(pdf.sig), np.uint32).reshape(-1, POSITIONS)
 
 
+def _agree(one: np.ndarray, many: np.ndarray) -> np.ndarray:
+    """Equal positions of rows, counted eight to a word: a row has at most 128, which fit the word's top byte."""
+    words = (many == one).view(np.uint64).sum(axis=1, dtype=np.uint64)
+    return (words * np.uint64(0x0101010101010101) >> np.uint64(56)).astype(np.int64)
+
+
 def _estimates(one: np.ndarray, many: np.ndarray) -> np.ndarray:
-    return (many == one).mean(axis=1)
+    return _agree(one, many) / POSITIONS
+
+
+def _tree_pairs(sig: np.ndarray, link: float) -> np.ndarray:
+    """Row pairs whose estimate reaches the link level, enough to connect all that such pairs connect: a row is compared
+    with those only that nothing has reached yet."""
+    out, left, found = [np.empty((0, 2), np.int64)], np.arange(len(sig)), []
+    rest = sig
+    while len(left):
+        if not found:
+            found, left, rest = [left[0]], left[1:], rest[1:]
+            continue
+        p = found.pop()
+        near = _agree(sig[p], rest) >= link * POSITIONS
+        if near.any():
+            new = left[near]
+            out.append(np.stack([np.full(len(new), p), new], axis=1))
+            found.extend(new)
+            left, rest = left[~near], rest[~near]
+    return np.concatenate(out)
 
 
 def _near_pairs(starts: np.ndarray, sizes: np.ndarray, sig: np.ndarray, link: float, most: int = 20_000) -> np.ndarray:
-    """Row pairs inside runs (starts, sizes) whose estimate reaches the link level, for all runs of a size at once."""
+    """Row pairs inside runs (starts, sizes) whose estimate reaches the link level, or enough of them to connect the same
+    rows; for all runs of a size at once where they are short."""
     out = [np.empty((0, 2), np.int64)]
-    for size in np.unique(sizes):
+    for start, size in zip(starts[sizes > SHORT], sizes[sizes > SHORT]):
+        out.append(_tree_pairs(sig[start : start + size], link) + start)
+    for size in np.unique(sizes[sizes <= SHORT]):
         i, j = np.triu_indices(size, 1)
         at = starts[sizes == size]
         step = max(1, most // len(i))
@@ -228,7 +258,7 @@ def _near_pairs(starts: np.ndarray, sizes: np.ndarray, sig: np.ndarray, link: fl
             left, right = (at[a : a + step, None] + i).ravel(), (at[a : a + step, None] + j).ravel()
             for c in range(0, len(left), most):
                 x, y = left[c : c + most], right[c : c + most]
-                near = (sig[x] == sig[y]).sum(axis=1) >= link * POSITIONS
+                near = _agree(sig[x], sig[y]) >= link * POSITIONS
                 out.append(np.stack([x[near], y[near]], axis=1))
     return np.concatenate(out)
 
@@ -346,9 +376,11 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
     """Edges between classes (cls, sig, low) that connect every pair at the threshold, but for the target's misses."""
     spark = classes.sparkSession
     lows = classes.select(F.col("cls").alias("c_"), "low")
+    # What is searched at the end, all levels together, as each search takes several shuffles: no bucket is on two levels.
+    small, stars = [], []
 
-    def look(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """Edges inside the small buckets, and the rows (bucket, cls, size) of the large ones."""
+    def look(rows: DataFrame) -> DataFrame:
+        """Set the small buckets aside; the rows (bucket, cls, size) of the large ones."""
         counts = rows.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1").withColumnRenamed("bucket", "b_")
         # At most HOT buckets a partition hold more rows than this: a bounded list, whose rows skip the join by bucket.
         most = max(BUCKET, rows.count() // (HOT * shuffle_width(spark)))
@@ -359,61 +391,63 @@ def candidate_edges(classes: DataFrame) -> DataFrame:
         rest = rows.join(F.broadcast(marked), F.col("bucket") == F.col("h_"), "left_anti")
         shared = rest.join(counts, F.col("bucket") == F.col("b_")).select("bucket", "cls", "size")
         shared = materialise(shared, "buckets")
-        small = shared.where(F.col("size") <= BUCKET).join(lows, F.col("cls") == F.col("c_")).select("bucket", "cls", "low")
-        small = small.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls")
-        return small.mapInArrow(_search_buckets, EDGES), shared.where(F.col("size") > BUCKET).union(hot)
+        small.append(shared.where(F.col("size") <= BUCKET).select("bucket", "cls"))
+        return shared.where(F.col("size") > BUCKET).union(hot)
 
-    def crowded(large: DataFrame, sigs: DataFrame, last: bool) -> tuple[DataFrame, DataFrame]:
-        """Edges round the core of the large buckets, and the rows (bucket, cls) that go on."""
+    def crowded(large: DataFrame, sigs: DataFrame, last: bool) -> DataFrame:
+        """Set the edges round the core of the large buckets aside; the rows (bucket, cls) that go on."""
         chunk = F.pmod(F.xxhash64("cls", F.lit(1)), F.greatest(F.ceil(F.col("size") / CHUNK), F.lit(1)))
         dealt = large.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "sig", chunk.alias("chunk"))
-        stars = materialise(dealt.groupBy("bucket", "chunk").applyInPandas(_search_chunk(last), STARS), "stars")
-        pivots = stars.where("v is null and sig is not null").select("bucket", F.col("u").alias("cls"), "sig", "core")
+        stars.append(materialise(dealt.groupBy("bucket", "chunk").applyInPandas(_search_chunk(last), STARS), "stars"))
+        return stars[-1].where("v is null and sig is null").select("bucket", F.col("u").alias("cls"))
+
+    def searched() -> DataFrame:
+        """The edges of all that was set aside."""
+        rows = reduce(DataFrame.union, small).join(lows, F.col("cls") == F.col("c_")).select("bucket", "cls", "low")
+        edges = rows.repartition(shuffle_width(spark), "bucket").sortWithinPartitions("bucket", "cls").mapInArrow(_search_buckets, EDGES)
+        if not stars:
+            return edges
+        every = reduce(DataFrame.union, stars)
+        pivots = every.where("v is null and sig is not null").select("bucket", F.col("u").alias("cls"), "sig", "core")
         many = pivots.groupBy("bucket").agg(F.ceil(F.count("*") / BUCKET).alias("blocks"), F.max("core").alias("some")).where("some").withColumnRenamed("bucket", "b_")
         paired = in_block_pairs(pivots.join(many, F.col("bucket") == F.col("b_")).select("bucket", "cls", "sig", "core", "blocks"), "blocks", "cls")
-        found = stars.where("v is not null").select("u", "v").union(paired.groupBy("bucket", "one", "two").applyInPandas(_search_pivots, EDGES))
-        return found, stars.where("v is null and sig is null").select("bucket", F.col("u").alias("cls"))
+        return edges.union(every.where("v is not null").select("u", "v")).union(paired.groupBy("bucket", "one", "two").applyInPandas(_search_pivots, EDGES))
 
     def of(rows: DataFrame, some: DataFrame) -> DataFrame:
         return rows.join(some, F.col("cls") == F.col("c_"), "left_semi")
 
     first, some, many = runs_needed(1.0), runs_needed(shared_rare(RARE)), runs_needed(shared_rare(HALF))
-    edges, large = look(materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths"))
+    large = look(materialise(classes.select("cls", "sig").mapInArrow(_start(first), PATHS), "paths"))
     # Of the tokens that the first runs sampled (the same positions for all classes), the share in large buckets.
     tokens = int(_sampled(_roots(first)).sum())
     busy = large.groupBy("cls").agg((1 - F.count("*") / tokens).alias("rare"))
     sigs = materialise(classes.select("cls", "sig").join(busy.withColumnRenamed("cls", "c_"), F.col("cls") == F.col("c_")).select("c_", "sig", "rare"), "signatures")
     if sigs.isEmpty():
-        return edges
+        return searched()
     # A pair that shares a sampled token is found unless all the tokens it shares are in large buckets. Classes with some
     # of those get further runs, in which small buckets are searched only, by how rare their tokens are.
     once = sigs.where(F.col("rare") >= RARE / 3).select("c_", "sig").mapInArrow(_start(some, first), PATHS)
     again = sigs.where((F.col("rare") >= RARE / 3) & (F.col("rare") < RARE)).select("c_", "sig").mapInArrow(_start(many, some), PATHS)
-    found, _ = look(materialise(once.union(again), "paths"))
-    edges = edges.union(found)
+    look(materialise(once.union(again), "paths"))
     # Classes with few rare tokens split further; those that go on beyond the first bucket get the runs of the last level.
-    sigs = materialise(sigs.where(F.col("rare") < HALF).select("c_", "sig").join(lows.withColumnRenamed("c_", "d_"), F.col("c_") == F.col("d_")).drop("d_"), "signatures")
+    sigs = materialise(sigs.where(F.col("rare") < HALF).select("c_", "sig"), "signatures")
     if sigs.isEmpty():
-        return edges
-    lows, large = sigs.select("c_", "low"), of(large, sigs)
+        return searched()
+    large = of(large, sigs)
     for level in range(LEVELS + 1):
-        found, rest = crowded(large, sigs, level == LEVELS)
-        edges = edges.union(found)
+        rest = crowded(large, sigs, level == LEVELS)
         if level == 0:
             sigs = materialise(sigs.join(rest.select("cls").distinct(), F.col("cls") == F.col("c_"), "left_semi"), "signatures")
             if sigs.isEmpty():
-                return edges
-            found, large = look(materialise(sigs.select("c_", "sig").mapInArrow(_start(runs_needed(1.0, LEVELS + 1), first), PATHS), "paths"))
-            edges = edges.union(found)
-            found, others = crowded(large, sigs, False)
-            edges, rest = edges.union(found), rest.union(others)
+                return searched()
+            large = look(materialise(sigs.select("c_", "sig").mapInArrow(_start(runs_needed(1.0, LEVELS + 1), first), PATHS), "paths"))
+            rest = rest.union(crowded(large, sigs, False))
         if level < LEVELS:
             rows = materialise(rest.join(sigs, F.col("cls") == F.col("c_")).select("bucket", "cls", "sig").mapInArrow(_split, PATHS), "paths")
             if rows.isEmpty():
-                return edges
-            found, large = look(rows)
-            edges = edges.union(found)
-    return edges
+                return searched()
+            large = look(rows)
+    return searched()
 
 
 # --- exact comparison -----------------------------------------------------------------------------------------------

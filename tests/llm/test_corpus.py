@@ -532,3 +532,37 @@ def test_toxicity_of_held_out_rows(spark):
     for kind, least in ((1, 0.7), (0, 0.95)):
         mine = [r.predicted == kind for r in seen if r.toxic == kind]
         assert mine and sum(mine) >= least * len(mine)
+
+
+@pytest.mark.parametrize("few", [10**6, 1])
+def test_components_from_forests_of_tasks(spark, few):
+    from rangesieve.llm.components import connected_components, stars
+
+    rng = np.random.default_rng(3)
+    pairs = [(int(x), int(y)) for x, y in rng.integers(-300, 300, (260, 2))] + [(k, k + 1) for k in range(1000, 1080)] + [(7, 7), (5000, 5000)]
+    want = dict(stars(np.array(pairs)).tolist())
+    parent = {x: x for p in pairs for x in p}
+    for _ in parent:
+        for x, y in pairs:
+            parent[x] = parent[y] = min(parent[x], parent[y])
+    assert want == {x: y for x, y in parent.items() if x != y}
+    edges = spark.createDataFrame(pairs, "u long, v long").repartition(5)
+    got = [tuple(r) for r in connected_components(edges, few=few).collect()]
+    joined = {x for p in pairs if p[0] != p[1] for x in p}
+    assert sorted(got) == sorted((x, parent[x]) for x in joined)
+
+
+def test_pairs_of_long_buckets_connect_what_all_pairs_connect():
+    rng = np.random.default_rng(4)
+    low = rng.integers(0, 256, (400, jaccard_join.POSITIONS)).astype(np.uint8)
+    for i in range(1, 300):  # chains and bushes of near rows, some pairs just at the link level
+        low[i] = low[rng.integers(max(0, i - 5), i)]
+        low[i, rng.choice(jaccard_join.POSITIONS, rng.integers(0, 60), replace=False)] += 1
+    link = jaccard_join.BUCKET_LINK
+    same = (low[:, None] == low[None]).sum(axis=2)
+    assert all((jaccard_join._agree(low[i], low) == same[i]).all() for i in range(0, 400, 37))
+    x, y = np.nonzero(same >= link * jaccard_join.POSITIONS)
+    want = jaccard_join._forest(np.stack([x, y], axis=1)[x < y])
+    got = jaccard_join._near_pairs(np.array([0]), np.array([400]), low, link)
+    assert len(got) < len(want) + 1 and (same[got[:, 0], got[:, 1]] >= link * jaccard_join.POSITIONS).all()
+    assert jaccard_join._forest(got).equals(want) or as_rows(jaccard_join._forest(got)) == as_rows(want)

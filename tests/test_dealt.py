@@ -54,3 +54,43 @@ def test_codes_are_built_alike_in_any_number_of_tasks(spark, keys, tasks):
     assert len(starts) > 8 and built.rdd.getNumPartitions() <= tasks
     assert dealt.unpacked(built, starts, p.r - 1).tolist() == sorted(r.z for r in f.lhf_codes(k, p).collect())
     assert dealt.code_set(dealt.arrays(k.limit(0)), [lambda k: k], starts, p.r - 1, tasks).count() == 0
+
+
+@pytest.mark.parametrize("held", (2**27, 0))
+def test_bitmaps_hold_the_places_of_the_rows(spark, keys, monkeypatch, held):
+    some, k = keys
+    monkeypatch.setattr(dealt, "HELD", held)
+    monkeypatch.setattr(dealt, "STRETCH", 2**11)
+    a = dealt.arrays(k)
+    size, words = 12 * len(some), m.tree_words(len(some), 12)
+
+    def places(df):
+        return sorted(r["shard"] * 2**11 + int(i) for r in df.collect() for i in np.flatnonzero(np.unpackbits(np.frombuffer(bytes(r["bits"]), np.uint8), bitorder="little")))
+
+    assert places(dealt.bitmap(a, bitmaps.level_places([3, 1, 1], size), size, 3)) == sorted(r.place for r in f.level_bits(k, [3, 1, 1], size).collect())
+    tree = dealt.bitmap(a, bitmaps.tree_places(2, 4, words, 2), words * 2 << 5, 3)
+    assert places(tree) == sorted(r.j * (words << 5) + r.place for r in f.tree_bits(k, 2, 4, words, 2).collect())
+    bloom = f.bloom_bits(k.where("k is not null").selectExpr("shiftright(k, 3) AS v"), "v", size, 4, 3)
+    assert places(dealt.bitmap(a, bitmaps.prefix_places(3, size, 4), size, 3)) == sorted(r.place for r in bloom.collect())
+
+
+def test_keys_in_order_tell_what_rows_tell(spark, keys):
+    some, k = keys
+    kept = k.where("k is not null").distinct()
+    assert sorted(np.concatenate([np.frombuffer(r.k, np.int64) for r in dealt.scattered(dealt.arrays(k), 20, 2_000, 3).collect()]).tolist()) == some.tolist()
+    with dealt.ordered(dealt.arrays(k), STARTS, 2**20 - 1, 3) as inside:
+        assert inside.n == len(some) and dealt.parted(inside) == f.parted(kept)
+        for suffix in (0, 3):
+            found = []
+            for r in dealt.trie_leaves(inside, suffix).collect():
+                z = np.frombuffer(r.bits, np.int64, r.n)
+                found += zip(z.tolist(), np.frombuffer(r.bits, np.uint8)[8 * r.n :].tolist())
+            assert sorted(found) == sorted((r.z, r.s) for r in f.ttf_leaves(kept, suffix).collect())
+        codes = np.concatenate([np.frombuffer(r.bits, np.int64) for r in sorted(dealt.learned_codes(inside, 64, 64 * 4).collect())])
+        assert codes.tolist() == sorted(r.z for r in f.lbf_codes(kept, f.lbf_knots(kept, 64), 64, 4).collect())
+
+        def ends(k):
+            return k + mixed_values(k, 40, 9), k + mixed_values(k, 40, 9) + 31
+
+        drawn = kept.selectExpr(f"k + {mixed(SPARK, 'k', 40, 9)} AS a").selectExpr("a", "a + 31 AS b")
+        assert dealt.nearest(inside, dealt.arrays(kept), ends) == tuning.alike(kept, w.keep_empty(kept, drawn))

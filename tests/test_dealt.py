@@ -94,3 +94,31 @@ def test_keys_in_order_tell_what_rows_tell(spark, keys):
 
         drawn = kept.selectExpr(f"k + {mixed(SPARK, 'k', 40, 9)} AS a").selectExpr("a", "a + 31 AS b")
         assert dealt.nearest(inside, dealt.arrays(kept), ends) == tuning.alike(kept, w.keep_empty(kept, drawn))
+
+
+def test_filters_asked_together_count_as_each_alone(spark, keys):
+    from rangesieve.plans import experiments as e
+
+    some, k = keys
+    s = m.Setup(spark, "", "order_key", k.where("k is not null").distinct().cache()).warm()
+    drawn = s.k.selectExpr("k AS qid", f"k + {mixed(SPARK, 'k', 40, 9)} AS a", "1 + 31 * (k % 2) AS len").selectExpr("qid", "a", "a + len - 1 AS b", "len")
+    made = drawn.union(s.k.selectExpr("-k - 1", "k - 900", "k + 900", "1801L")).cache()
+    r, sample = e.Batch(made, "len"), s.tuned_on(made)
+    got = e.all_budgets(s, m.METHODS, [8, 14], r, sample)
+    alone = e.every([e.cells((name, bits), s, name, bits, r, sample) for bits in (8, 14) for name in m.METHODS])
+    assert len(got) == 2 * 3 * len(m.METHODS) and sorted(got) == sorted(alone)
+    assert len({x[-1] for x in got}) > 10
+
+
+def test_the_package_is_sent_once_by_jobs_beside_each_other(spark, monkeypatch):
+    import time
+    from concurrent.futures import ThreadPoolExecutor
+
+    from rangesieve.functions.ship import ship
+
+    sent = []
+    monkeypatch.setattr(spark.sparkContext, "_rangesieve_sent", False, raising=False)
+    monkeypatch.setattr(spark.sparkContext, "addPyFile", lambda path: (time.sleep(0.2), sent.append(path)))
+    with ThreadPoolExecutor(4) as pool:
+        list(pool.map(ship, [spark] * 4))
+    assert len(sent) == 1

@@ -122,3 +122,21 @@ def test_the_package_is_sent_once_by_jobs_beside_each_other(spark, monkeypatch):
     with ThreadPoolExecutor(4) as pool:
         list(pool.map(ship, [spark] * 4))
     assert len(sent) == 1
+
+
+def test_gathered_keys_give_the_same_counts_samples_and_answers(spark, keys):
+    from rangesieve.plans import experiments as e
+
+    _, k = keys
+    k = k.where("k is not null").distinct().cache()
+    one, two = m.Setup(spark, "", "order_key", k), m.Setup(spark, "", "order_key", k).gather()
+    drawn = k.selectExpr("k AS qid", f"k + {mixed(SPARK, 'k', 40, 9)} AS a", "1 + 31 * (k % 2) AS len").selectExpr("qid", "a", "a + len - 1 AS b", "len").union(k.selectExpr("-k - 1", "k - 900", "k + 900", "1801L"))
+    odd = drawn.union(spark.sql("SELECT 1L, CAST(NULL AS BIGINT), 5L, 7L UNION ALL SELECT 2L, 9L, 4L, 7L")).cache()
+    assert (one.parted, one.n, one.inner, one.spaced) == (two.parted, two.n, two.inner, two.spaced) and one.alike(odd) == two.alike(odd)
+    rows = lambda df: sorted(map(str, df.collect()))
+    assert rows(one.keep_empty(odd)) == rows(two.keep_empty(odd)) != []
+    sample = one.tuned_on(drawn)
+    for name in m.METHODS:
+        assert rows(m.answer(one, name, 12, odd, sample)) == rows(m.answer(two, name, 12, odd, sample)), name
+    r = e.Batch(drawn, "len")
+    assert sorted(e.all_budgets(two, m.METHODS, [8], r, sample)) == sorted(e.every([e.cells((name, 8), one, name, 8, r, sample) for name in m.METHODS]))
